@@ -16,6 +16,8 @@ named id and text columns are read. A lost or repeated task rewrites its shard u
 
 from __future__ import annotations
 
+import itertools
+import json
 import struct
 import uuid
 import zlib
@@ -30,6 +32,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from tauprobe.llm.arrow_kernels import SLICE_ROWS, Memory, segments
+from tauprobe.llm.byte_bpe import byte_chars
 
 MAGIC, INDEX_MAGIC = b"TPREC001", b"TPIDX001"
 ENTRY = struct.Struct("<qIIQQ")
@@ -92,24 +95,50 @@ class WordEncoder:
     """Encodes texts with a tokenizer file. Words between white space are encoded apart, and remembered.
 
     The split pattern of the tokenizer must never match across white space, and its normalizer must work on characters;
-    both hold for tokenizers that drop white space. `check` compares with the library on whole texts.
+    both hold for tokenizers that drop white space. Words of characters up to U+00FF, which no normal form changes, are
+    put in lower case and split here, and their parts go to the library's model; all others take the library's whole way.
+    `check` compares with the library on whole texts.
     """
 
     def __init__(self, path: str):
+        import regex
         from tokenizers import Tokenizer
 
         self.whole = Tokenizer.from_file(path)
-        self.memory = Memory(self._learn)
+        plan = json.loads(self.whole.to_str())
+        steps = [s["type"] for s in plan["normalizer"]["normalizers"]], [s["type"] for s in plan["pre_tokenizer"]["pretokenizers"]]
+        self.plain = regex.compile("[!-~\u00a1-\u00ff]+").fullmatch if steps == (["NFC", "Replace", "Lowercase"], ["Split", "ByteLevel"]) else lambda _: None
+        self.parts_of = regex.compile(plan["pre_tokenizer"]["pretokenizers"][0]["pattern"]["Regex"]).findall if self.plain("a") else None
+        self.added = tuple(t["content"] for t in plan["added_tokens"])
+        self.parts = Memory(self._learn_parts)
+        self.words = Memory(self._learn)
+
+    def _learn_parts(self, parts: list[str]) -> list[bytes]:
+        chars, tokenize = byte_chars(), self.whole.model.tokenize
+        return [np.array([t.id for t in tokenize("".join([chars[b] for b in p.encode()]))], "<u4").tobytes() for p in parts]
 
     def _learn(self, words: list[str]) -> list[bytes]:
-        return [np.array(e.ids, "<u4").tobytes() for e in self.whole.encode_batch(words, add_special_tokens=False)]
+        split = [self.parts_of(w.lower()) if self.plain(w) and not any(a in w for a in self.added) else None for w in words]
+        known = self.parts.fill(itertools.chain.from_iterable(filter(None, split)))
+        return [
+            np.array(self.whole.encode(w, add_special_tokens=False).ids, "<u4").tobytes() if parts is None else b"".join([known[p] for p in parts])
+            for w, parts in zip(words, split, strict=True)
+        ]
+
+    def ids_of(self, texts: list[str]) -> list[bytes]:
+        """Little-endian 32-bit ids of each text."""
+        words = [t.replace("\n", " ").replace("\t", " ").replace("\r", " ").split(" ") for t in texts]
+        known = self.words.fill(itertools.chain.from_iterable(words)).__getitem__
+        return [b"".join(map(known, w)) for w in words]
 
     def ids(self, text: str) -> bytes:
-        out = []
-        for part in segments(text):
-            words = part.replace("\n", " ").replace("\t", " ").replace("\r", " ").split(" ")
-            out += map(self.memory.fill(words).__getitem__, words)
-        return b"".join(out)
+        return b"".join(b"".join(self.ids_of([part])) for part in segments(text))
+
+    def many(self, texts: list[str]) -> list[bytes]:
+        """As ids, for many texts; long ones are worked off alone and in segments."""
+        short = [i for i, t in enumerate(texts) if len(t) < 1 << 18]
+        found = dict(zip(short, self.ids_of([texts[i] for i in short]), strict=True))
+        return [found[i] if i in found else self.ids(t) for i, t in enumerate(texts)]
 
     def check(self, text: str) -> bool:
         return self.ids(text) == np.array(self.whole.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
@@ -159,8 +188,8 @@ def write(df: DataFrame, folder: str, tokenizer_path: str, end_id: int, id_col:
                 for lo in range(0, batch.num_rows, SLICE_ROWS):
                     few = batch.slice(lo, SLICE_ROWS)
                     frames = []
-                    for key, text in zip(few.column(0).to_pylist(), few.column(1).to_pylist(), strict=True):
-                        ids = enc.ids(text) + end
+                    for key, ids in zip(few.column(0).to_pylist(), enc.many(few.column(1).to_pylist()), strict=True):
+                        ids += end
                         made = frame(pack_ids(ids, compress))
                         index.append(entry(key, len(ids) // 4, at, tokens))
                         frames.append(made)
