@@ -6,7 +6,8 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tauprobe.llm import byte_bpe, chat, token_files
+from tauprobe.llm import byte_bpe, chat, language, simhash, token_files
+from tauprobe.llm.arrow_kernels import crc_rest
 from tauprobe.session import scratch, table
 
 
@@ -20,6 +21,19 @@ def op2_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
     return chat.digests(given.unionByName(own))
 
 
+def op3_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Predicts the language of all documents; learns from labelled ones outside the held-out fifth."""
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text", "lang")
+    model = language.train(docs, learn_from=crc_rest("doc_id", 5) != 0)
+    return language.predict(docs, model).select(F.col("id").alias("doc_id"), (crc_rest("id", 5) == 0).alias("held_out"), "lang_pred", "score", "ambiguous")
+
+
+def op4_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Near-duplicate classes of all documents."""
+    found = simhash.classes(table(spark, sf_dir, "documents"))
+    return found.select(F.col("id").alias("doc_id"), F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), F.col("component").alias("component_id"))
+
+
 def op5_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Writes the ids of all documents to record files and reads them back."""
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
@@ -32,7 +46,7 @@ def op6_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return byte_bpe.round_trip(table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN)
 
 
-QUERIES = {"op2_chat_format": op2_chat_format, "op5_token_files": op5_token_files, "op6_byte_bpe": op6_byte_bpe}
+QUERIES = {"op2_chat_format": op2_chat_format, "op3_language": op3_language, "op4_simhash": op4_simhash, "op5_token_files": op5_token_files, "op6_byte_bpe": op6_byte_bpe}
 
 _CHAT_TURNS = r"""
 WITH rows_ AS (
