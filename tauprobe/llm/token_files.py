@@ -18,9 +18,11 @@ from __future__ import annotations
 
 import itertools
 import json
+import re
 import struct
 import uuid
 import zlib
+from array import array
 from collections.abc import Iterator
 from dataclasses import dataclass
 from functools import lru_cache
@@ -36,6 +38,12 @@ from tauprobe.llm.byte_bpe import byte_chars
 
 MAGIC, INDEX_MAGIC = b"TPREC001", b"TPIDX001"
 ENTRY = struct.Struct("<qIIQQ")
+#: Fixed value: the split pattern of the tokenizer files that have the shorter way.
+WORD_PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
+#: The letters and the other numerals up to U+00FF, in lower case; and the same pattern over them.
+_LETTERS, _NUMERALS = "a-zªµºß-öø-ÿ", "0-9²³¹¼½¾"
+_PLAIN_PARTS = re.compile(rf"[{_LETTERS}]+|'(?:s|t|re|ve|m|ll|d)|[{_NUMERALS}]|[^\s{_LETTERS}{_NUMERALS}]+")
+_PLAIN = re.compile("[!-~\u00a1-\u00ff \t\n\r]*+")
 #: Fixed value of the mask.
 MASK_DELTA = 0xA282EAD8
 
@@ -95,41 +103,50 @@ class WordEncoder:
     """Encodes texts with a tokenizer file. Words between white space are encoded apart, and remembered.
 
     The split pattern of the tokenizer must never match across white space, and its normalizer must work on characters;
-    both hold for tokenizers that drop white space. Words of characters up to U+00FF, which no normal form changes, are
-    put in lower case and split here, and their parts go to the library's model; all others take the library's whole way.
+    both hold for tokenizers that drop white space. Texts of characters up to U+00FF, which no normal form changes, are
+    put in lower case and split here, and their parts go to the library's model; of other texts, each word does so or
+    takes the library's whole way.
     `check` compares with the library on whole texts.
     """
 
     def __init__(self, path: str):
-        import regex
         from tokenizers import Tokenizer
 
         self.whole = Tokenizer.from_file(path)
         plan = json.loads(self.whole.to_str())
         steps = [s["type"] for s in plan["normalizer"]["normalizers"]], [s["type"] for s in plan["pre_tokenizer"]["pretokenizers"]]
-        self.plain = regex.compile("[!-~\u00a1-\u00ff]+").fullmatch if steps == (["NFC", "Replace", "Lowercase"], ["Split", "ByteLevel"]) else lambda _: None
-        self.parts_of = regex.compile(plan["pre_tokenizer"]["pretokenizers"][0]["pattern"]["Regex"]).findall if self.plain("a") else None
+        self.short_way = steps == (["NFC", "Replace", "Lowercase"], ["Split", "ByteLevel"]) and plan["pre_tokenizer"]["pretokenizers"][0]["pattern"]["Regex"] == WORD_PATTERN
         self.added = tuple(t["content"] for t in plan["added_tokens"])
         self.parts = Memory(self._learn_parts)
         self.words = Memory(self._learn)
 
     def _learn_parts(self, parts: list[str]) -> list[bytes]:
         chars, tokenize = byte_chars(), self.whole.model.tokenize
-        return [np.array([t.id for t in tokenize("".join([chars[b] for b in p.encode()]))], "<u4").tobytes() for p in parts]
+        spelt = [p if p.isascii() else "".join([chars[b] for b in p.encode()]) for p in parts]
+        return [array("I", [t.id for t in tokenize(p)]).tobytes() for p in spelt]
+
+    def _split(self, text: str) -> list[str] | None:
+        """The parts that the tokenizer's pattern finds, if the text is of plain characters."""
+        return _PLAIN_PARTS.findall(text.lower()) if self.short_way and _PLAIN.fullmatch(text) and not any([a in text for a in self.added]) else None
 
     def _learn(self, words: list[str]) -> list[bytes]:
-        split = [self.parts_of(w.lower()) if self.plain(w) and not any(a in w for a in self.added) else None for w in words]
+        split = [self._split(w) for w in words]
         known = self.parts.fill(itertools.chain.from_iterable(filter(None, split)))
         return [
-            np.array(self.whole.encode(w, add_special_tokens=False).ids, "<u4").tobytes() if parts is None else b"".join([known[p] for p in parts])
+            array("I", self.whole.encode(w, add_special_tokens=False).ids).tobytes() if parts is None else b"".join([known[p] for p in parts])
             for w, parts in zip(words, split, strict=True)
         ]
 
     def ids_of(self, texts: list[str]) -> list[bytes]:
-        """Little-endian 32-bit ids of each text."""
-        words = [t.replace("\n", " ").replace("\t", " ").replace("\r", " ").split(" ") for t in texts]
-        known = self.words.fill(itertools.chain.from_iterable(words)).__getitem__
-        return [b"".join(map(known, w)) for w in words]
+        """32-bit ids of each text."""
+        split = [self._split(t) for t in texts]
+        known = self.parts.fill(itertools.chain.from_iterable(filter(None, split))).__getitem__
+        out = [b"" if parts is None else b"".join(map(known, parts)) for parts in split]
+        for i, parts in enumerate(split):
+            if parts is None:
+                words = texts[i].replace("\n", " ").replace("\t", " ").replace("\r", " ").split(" ")
+                out[i] = b"".join(map(self.words.fill(words).__getitem__, words))
+        return out
 
     def ids(self, text: str) -> bytes:
         return b"".join(b"".join(self.ids_of([part])) for part in segments(text))
