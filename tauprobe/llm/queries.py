@@ -6,7 +6,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tauprobe.llm import byte_bpe, chat, decontaminate, language, quality_rules, simhash, token_files, url_filters
+from tauprobe.llm import byte_bpe, chat, decontaminate, language, lm_scoring, quality_classifier, quality_rules, simhash, token_files, url_filters
 from tauprobe.llm.arrow_kernels import crc_rest
 from tauprobe.session import scratch, table
 
@@ -61,12 +61,26 @@ def op7_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return judged.select(F.col("id").alias("doc_id"), "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
 
 
+def op8_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Scores all documents with counts and a network learnt outside the held-out fifth."""
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    scored = lm_scoring.score(docs, lm_scoring.fit(docs, learn_from=crc_rest("doc_id", 5) != 1))
+    return scored.select(F.col("id").alias("doc_id"), (crc_rest("id", 5) == 1).alias("held_out"), "n_tokens", "n_known", "train_tokens", "base_score", "score")
+
+
+def op9_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Scores the quality of all documents; learns from labels outside the held-out third."""
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    model = quality_classifier.train(docs, table(spark, sf_dir, "labels"), learn_from=crc_rest("doc_id", 3) != 1)
+    return quality_classifier.score(docs, model).select(F.col("id").alias("doc_id"), (crc_rest("id", 3) == 1).alias("held_out"), "score", "predicted")
+
+
 def op10_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Host and path rules, then mined token rules, for all pages."""
     return url_filters.judge(table(spark, sf_dir, "pages"), table(spark, sf_dir, "labels"), URL_RULES).withColumnRenamed("id", "page_id")
 
 
-QUERIES = {"op1_decontaminate": op1_decontaminate, "op2_chat_format": op2_chat_format, "op3_language": op3_language, "op4_simhash": op4_simhash, "op5_token_files": op5_token_files, "op6_byte_bpe": op6_byte_bpe, "op7_quality_rules": op7_quality_rules, "op10_url_filter": op10_url_filter}
+QUERIES = {"op1_decontaminate": op1_decontaminate, "op2_chat_format": op2_chat_format, "op3_language": op3_language, "op4_simhash": op4_simhash, "op5_token_files": op5_token_files, "op6_byte_bpe": op6_byte_bpe, "op7_quality_rules": op7_quality_rules, "op8_lm_scoring": op8_lm_scoring, "op9_quality_classifier": op9_quality_classifier, "op10_url_filter": op10_url_filter}
 
 _CHAT_TURNS = r"""
 WITH rows_ AS (
