@@ -70,6 +70,15 @@ class Memory:
         return self.now
 
 
+#: Rows up to which the small side of a join is broadcast; such rows are a word or a number or two.
+SMALL = 500_000
+
+
+def small(df: DataFrame) -> DataFrame:
+    """df, marked for broadcast if it was counted to be small; a join with it is shuffled otherwise."""
+    return F.broadcast(df) if df.limit(SMALL + 1).count() <= SMALL else df
+
+
 def crc_rest(id_col: str, modulus: int) -> Column:
     """crc32 of the id, written as text, by the modulus; null for a null id."""
     return F.crc32(F.col(id_col).cast("string").cast("binary")) % modulus

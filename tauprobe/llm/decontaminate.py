@@ -25,12 +25,11 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
+from tauprobe.llm.arrow_kernels import small
 from tauprobe.session import materialize
 
 #: Word characters before lower case is taken: ASCII letters and digits, and all that is not ASCII.
 WORD = r"[^\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"
-#: Rows up to which the small side of a join is broadcast; the rows are a word or a number or two.
-SMALL = 500_000
 
 
 def ascii_lower(word: Column) -> Column:
@@ -42,11 +41,6 @@ def raw_words(text: Column) -> Column:
     return F.regexp_extract_all(F.coalesce(text.cast("string"), F.lit("")), F.lit(WORD), 0)
 
 
-def small(df: DataFrame) -> DataFrame:
-    """df, marked for broadcast if it was counted to be small."""
-    return F.broadcast(df) if df.limit(SMALL + 1).count() <= SMALL else df
-
-
 @dataclass(frozen=True)
 class Index:
     postings: DataFrame  # term, doc, pos

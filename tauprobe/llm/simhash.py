@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tauprobe.llm.arrow_kernels import run
+from tauprobe.llm.arrow_kernels import run, small
 from tauprobe.operators.components import components
 from tauprobe.session import materialize
 
@@ -96,8 +96,7 @@ def half_radius_edges(fps: DataFrame, radius: int) -> DataFrame:
     for n in range(1, radius // 2 + 1):
         flips += [sum(1 << i for i in places) for places in itertools.combinations(range(BITS), n)]
     flips = [f - (1 << 64) if f >> 63 else f for f in flips]
-    table = fps.sparkSession.createDataFrame([(f,) for f in flips], "flip bigint")  # fixed by the radius
-    points = fps.join(F.broadcast(table)).select("fp", F.col("fp").bitwiseXOR(F.col("flip")).alias("z"))
+    points = fps.select("fp", F.explode(F.lit(flips).cast("array<bigint>")).alias("flip")).select("fp", F.col("fp").bitwiseXOR(F.col("flip")).alias("z"))
     least = points.groupBy("z").agg(F.min("fp").alias("id_b"))
     return points.join(least, "z").where("fp <> id_b").select(F.col("fp").alias("id_a"), "id_b").distinct()
 
@@ -113,14 +112,14 @@ def links(fps: DataFrame, radius: int = 4, bucket_limit: int = 4096) -> DataFram
     if most <= 2:
         return pairs.distinct()
     members = keyed.join(buckets.where("n > 2").select("t", "key", "n"), ["t", "key"])
-    small = members.where(F.col("n") <= bucket_limit).groupBy("t", "key").agg(F.collect_list("fp").alias("fps"))
+    whole = members.where(F.col("n") <= bucket_limit).groupBy("t", "key").agg(F.collect_list("fp").alias("fps"))
 
     def step(batch: pa.RecordBatch) -> pa.RecordBatch:
         edges = [e for fps in batch.column(0) for e in forest(fps.values.to_numpy().copy(), radius)]
         a, b = zip(*edges, strict=True) if edges else ((), ())
         return pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["id_a", "id_b"])
 
-    found = pairs.union(run(small.select("fps"), [step], "id_a bigint, id_b bigint"))
+    found = pairs.union(run(whole.select("fps"), [step], "id_a bigint, id_b bigint"))
     if most > bucket_limit:
         if radius % 2:
             raise ValueError("buckets beyond the limit need an even radius")
@@ -142,6 +141,9 @@ def classes(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", words
 
 def keep_one(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """The rows of df that stay when one document of each class does: the one with the smallest id, one row of it."""
-    kept = classes(df, id_col, text_col).where(F.col("id").eqNullSafe(F.col("component"))).select(F.col("id").alias("_kept_id")).distinct()
-    own = df.dropDuplicates([id_col])
-    return own.join(kept, F.col(id_col).eqNullSafe(F.col("_kept_id")), "left_semi")
+    gone = classes(df, id_col, text_col).where(~F.col("id").eqNullSafe(F.col("component"))).select(F.col("id").alias("_gone_id")).distinct()
+    left = df.join(small(materialize(gone, "gone")), F.col(id_col).eqNullSafe(F.col("_gone_id")), "left_anti")
+    # rows that share their id are few: only those are shuffled whole
+    twice = small(materialize(df.groupBy(F.col(id_col).alias("_id_twice")).count().where("count > 1").select("_id_twice"), "repeated"))
+    same = F.col(id_col).eqNullSafe(F.col("_id_twice"))
+    return left.join(twice, same, "left_anti").unionByName(left.join(twice, same, "left_semi").dropDuplicates([id_col]))
