@@ -14,7 +14,7 @@ from pyspark.sql.types import StructType
 _CUT = re.compile(r"(?<=[^ \t\n\r])[ \t\n\r]")
 
 #: Rows of one output batch; keeps Python memory flat whatever Spark's own batch size is.
-SLICE_ROWS = 256
+SLICE_ROWS = 128
 
 
 def segments(text: str, size: int = 1 << 20) -> Iterator[str]:

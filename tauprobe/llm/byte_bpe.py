@@ -87,7 +87,7 @@ class Encoder:
         self.path, self.pattern = path, pattern
         self.split = regex.compile(pattern).findall
         self.model = tokenizer(path, pattern).model
-        self.memory = Memory(self._learn)
+        self.memory = Memory(self._learn, 1 << 16)
 
     def _learn(self, words: list[str]) -> list[bytes]:
         chars, tokenize = byte_chars(), self.model.tokenize
