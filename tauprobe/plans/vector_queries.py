@@ -622,7 +622,7 @@ def _(spark, sf):
     return edges.label_groups(_self_edges(spark, sf)[1], table(spark, sf, "documents"), table(spark, sf, "labels"))
 
 
-_JACCARD = ", ws AS (SELECT doc_id AS id, lang, list_distinct(list_filter(regexp_split_to_array(coalesce(text, ''), '[ \\t\\r\\n]+'), lambda w: w <> '')) AS w FROM documents), overlap AS (SELECT id_a, id_b, len(list_intersect(a.w, b.w)) / greatest(len(list_distinct(list_concat(a.w, b.w))), 1) AS j FROM canon JOIN ws a ON a.id = id_a JOIN ws b ON b.id = id_b WHERE a.lang = b.lang)"
+_JACCARD = ", wd AS MATERIALIZED (SELECT DISTINCT doc_id AS id, w FROM (SELECT doc_id, unnest(list_filter(regexp_split_to_array(coalesce(text, ''), '[ \\t\\r\\n]+'), lambda w: w <> '')) AS w FROM documents)), size_ AS (SELECT id, count(*) AS n FROM wd GROUP BY id), shared AS (SELECT id_a, id_b, count(*) AS n FROM canon JOIN wd a ON a.id = id_a JOIN wd b ON b.id = id_b AND b.w = a.w GROUP BY id_a, id_b), overlap AS (SELECT id_a, id_b, s.n / (x.n + y.n - s.n) AS j FROM shared s JOIN size_ x ON x.id = id_a JOIN size_ y ON y.id = id_b JOIN documents d ON d.doc_id = id_a JOIN documents e ON e.doc_id = id_b WHERE d.lang = e.lang)"
 
 
 @query("content_filter_docs_u", f"{_CANON}{_JACCARD} SELECT id_a, id_b, round(j, 6) AS jaccard FROM overlap WHERE j >= 0.5")
@@ -646,7 +646,7 @@ def _(spark, sf):
     return edges.exact_hash(table(spark, sf, "documents"))
 
 
-_E2E = _CANON + _JACCARD.replace(", overlap", ", overlap") + ", canon2 AS (SELECT id_a, id_b FROM overlap WHERE j >= 0.5)" + _COMP.replace("FROM canon", "FROM canon2") + _LABELLED
+_E2E = _CANON + _JACCARD + ", canon2 AS (SELECT id_a, id_b FROM overlap WHERE j >= 0.5)" + _COMP.replace("FROM canon", "FROM canon2") + _LABELLED
 
 
 @query("end_to_end_docs", f"{_E2E} SELECT lang, source, count(*) FILTER (keep) AS kept, count(*) FILTER (NOT keep) AS dropped FROM labelled GROUP BY lang, source")
