@@ -38,7 +38,7 @@ class Settings:
     steps: int = 150
     ridge: float = 1e-4
     #: A text is ambiguous if the best language's share of the weight is below this.
-    sure: float = 0.6
+    sure: float = 0.5
     seed: int = 11
 
 
