@@ -228,13 +228,25 @@ def count_tokens(texts: DataFrame, flush: int = 300_000) -> DataFrame:
     return texts.mapInArrow(kernel, "word binary, c bigint").groupBy("word").agg(F.sum("c").alias("c"))
 
 
+def _most_common(counts: DataFrame, most: int) -> dict[bytes, int]:
+    """The words of the highest counts, at most so many: those from a bin of counts on, eight bins an octave, so the driver gets nothing else."""
+    bin_ = F.floor(8 * F.log2("c"))
+    bar, held = None, 0
+    for r in sorted(counts.groupBy(bin_.alias("bin")).count().collect(), key=lambda r: -r.bin):  # some hundred bins at most
+        held += r["count"]
+        if held > most:
+            break
+        bar = r.bin
+    return {} if bar is None else {bytes(r.word): r.c for r in counts.where(bin_ >= bar).collect()}
+
+
 def fit(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", learn_from: Column | None = None, settings: Settings = Settings()) -> Model:
     """Counts over all rows that satisfy learn_from, and a network trained on a bounded sample of them."""
     use = F.lit(True) if learn_from is None else learn_from
     rows = df.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"), use.alias("use")).where(F.coalesce("use", F.lit(True)))
     counts = materialize(count_tokens(rows.select("text")), "token-counts")
     total, distinct = counts.agg(F.coalesce(F.sum("c"), F.lit(0)), F.count(F.lit(1))).first()
-    common = {bytes(r.word): r.c for r in counts.orderBy(F.desc("c"), "word").limit(settings.common).collect()}
+    common = _most_common(counts, settings.common)
 
     n = rows.count()
     bar = min(1 << 30, (settings.sample_docs << 30) // max(n, 1))
@@ -256,7 +268,9 @@ def fit(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", learn_fro
         sums[r.k] = r.s
     own = np.zeros(words.classes, bool)
     own[list(words.singles.values())] = True
-    sums[own] = [common.get(w, 0) + 0.5 for w in words.singles]
+    alone = df.sparkSession.createDataFrame([(bytearray(w),) for w in words.singles], "word binary")  # as many as the settings say
+    single = {bytes(r.word): r.c for r in counts.join(F.broadcast(alone), "word").collect()}
+    sums[own] = [single.get(w, 0) + 0.5 for w in words.singles]
     return Model(words, network, counts, total, distinct, common, np.log10(np.where(own, sums, sums + 0.5)))
 
 
