@@ -80,22 +80,26 @@ def head_length(head: bytes) -> int:
     return struct.unpack_from("<Q", head)[0] + 4
 
 
-def pack_ids(ids: bytes, compress: bool) -> bytes:
-    """Payload of ids given as unsigned 32-bit values."""
+@lru_cache(1)
+def _zstd():
+    """One compressor and one decompressor of this process."""
     import zstandard
 
+    return zstandard.ZstdCompressor(level=1), zstandard.ZstdDecompressor()
+
+
+def pack_ids(ids: bytes, compress: bool) -> bytes:
+    """Payload of ids given as unsigned 32-bit values."""
     values = np.frombuffer(ids, "<u4")
     narrow = not len(values) or values.max() < 1 << 16
     body = values.astype("<u2").tobytes() if narrow else ids
     if compress:
-        body = zstandard.ZstdCompressor(level=1).compress(body)
+        body = _zstd()[0].compress(body)
     return bytes((2 if narrow else 4, int(compress))) + body
 
 
 def unpack_ids(payload: bytes) -> np.ndarray:
-    import zstandard
-
-    body = zstandard.ZstdDecompressor().decompress(payload[2:]) if payload[1] else payload[2:]
+    body = _zstd()[1].decompress(payload[2:]) if payload[1] else payload[2:]
     return np.frombuffer(body, "<u2" if payload[0] == 2 else "<u4").astype("<u4")
 
 
