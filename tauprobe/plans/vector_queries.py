@@ -520,6 +520,22 @@ def _(spark, sf):
     return spark.createDataFrame(list(items.items()), "mode string, items bigint")
 
 
+@query("workload_shapes")
+def _(spark, sf):
+    """For each workload: queries, shares without and with ten or more neighbours, where the last one lies, and what the first eight ranks hold."""
+    rows = []
+    for name, w in wl.WORKLOADS.items():
+        index, held, _, ranks, _ = full(spark, sf, name)
+        n = held.count()
+        gt = truth(spark, sf, name, 10)
+        per = gt.groupBy("query_id").agg(F.count(F.lit(1)).alias("n")).agg(F.count(F.lit(1)), F.coalesce(F.sum((F.col("n") >= 10).cast("int")), F.lit(0))).first()
+        place = metrics.located(gt, index, ranks)
+        last = metrics.last_rank(place).first()
+        eight = {r.within: r.share for r in metrics.front_load(place, (8,)).collect()}
+        rows.append((name, w.tau, n, round(100 * (1 - per[0] / max(n, 1)), 2), round(100 * per[1] / max(n, 1), 2), last.p50, last.p90, eight.get(8)))
+    return spark.createDataFrame(rows, "workload string, tau double, queries bigint, none_pct double, ten_pct double, p50 double, p90 double, first8 double")
+
+
 @query("assign_effect_docs_u")
 def _(spark, sf):
     """Exact, cell-routed and graph-assisted assignment over the same centroids: mismatch, and loss that early stopping adds."""

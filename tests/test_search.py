@@ -249,3 +249,13 @@ def test_arrivals_come_again_without_harm(spark):
     sink(second, 1)
     assert sorted(map(tuple, sink.edges(spark).collect())) == once
     assert all(e[1] < 100 for e in once)
+
+
+def test_planner_and_experiments(spark):
+    from tauprobe.plans import experiments, planner, vector_queries
+
+    p = SearchParams(tau=0.8, window=8, nprobe=90)
+    assert planner.choose(p, 100, 40).mode == "speculative" and planner.choose(p, 100_000, 2400).mode == "lookahead"
+    big = planner.choose(p, 3 * 10**9, 4000, shards=2000, vectors=3 * 10**10)
+    assert big.needs_shards and big.query_slices > 1 and big.chunks_of_largest_group > 1
+    assert all(q in vector_queries.QUERIES for qs in experiments.EXPERIMENTS.values() for q in qs)
