@@ -271,6 +271,22 @@ def saved_copy(index: Index) -> Index:
     return load(index.blocks.sparkSession, path)
 
 
+def open_blocks(files: list[str]):
+    """The index's files as an Arrow dataset, for tasks that read single partitions."""
+    import pyarrow.dataset as ds
+    from pyarrow.fs import FileSystem
+
+    system, _ = FileSystem.from_uri(files[0])
+    return ds.dataset([FileSystem.from_uri(f)[1] for f in files], format="parquet", filesystem=system, partitioning="hive")
+
+
+def partition_blocks(store, shard: int, pid: int) -> list[dict]:
+    """The blocks of one partition, read by the statistics of the files' row groups."""
+    import pyarrow.dataset as ds
+
+    return store.to_table(columns=["n", "ids", "norms", "mat"], filter=(ds.field("shard_id") == shard) & (ds.field("pid") == pid)).to_pylist()
+
+
 def rank_table(probes: DataFrame) -> DataFrame:
     """Rows (query_id, shard_id, rank, pid), rank from 1."""
     return probes.select("query_id", "shard_id", F.posexplode("probes").alias("at", "pid")).select("query_id", "shard_id", (F.col("at") + 1).alias("rank"), "pid")

@@ -157,13 +157,48 @@ def basic(index: ivf.Index, queries: DataFrame, params: SearchParams, scorer=sco
 
 
 def serial(index: ivf.Index, queries: DataFrame, params: SearchParams) -> Result:
-    """One query at a time, one partition a call: the rule without any batching. For few queries: the driver loops."""
-    ids = [r.id for r in queries.select("id").orderBy("id").collect()]
-    parts = [waves(index, queries.where(F.col("id") == i), params.with_(ranks_per_wave=1, microbatch=1)) for i in ids]
-    out = parts[0]
-    for more in parts[1:]:
-        out = Result(out.edges.union(more.edges), out.visits.union(more.visits), out.local.union(more.local), out.waves + more.waves)
-    return out
+    """One query at a time, one partition a call: the rule without any batching.
+
+    A task takes its queries in turn and reads the partition of each rank from the index's files only when the rank before
+    has been judged. Nothing is shared between queries, which is what batching is compared with.
+    """
+    files = index.blocks.inputFiles()
+    tau, k, window, drop_self = params.tau, params.k, params.window, params.drop_self
+
+    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        store = None
+        for batch in batches:
+            for qid, shard, probes, vec in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                store = store or ivf.open_blocks(files)
+                q = np.array([vec], np.float64)
+                norm, own = (q * q).sum(1), np.array([qid]) if drop_self else None
+                rank, stale = 0, 0
+                out: dict[str, list] = {"rank": [], "vec_id": [], "sim": []}
+                while rank < len(probes) and stale < window:
+                    rank, stale = rank + 1, stale + 1
+                    for block in ivf.partition_blocks(store, shard, probes[rank - 1]):
+                        ids = np.asarray(block["ids"], np.int64)
+                        sims = score_exact(q, norm, block)
+                        rows, cols = local_top(sims, ids, tau, k, own)
+                        stale = 0 if len(cols) else stale
+                        out["rank"] += [rank] * len(cols)
+                        out["vec_id"] += ids[cols].tolist()
+                        out["sim"] += sims[rows, cols].tolist()
+                out["rank"].append(rank)  # the last row of a query has no vector: its rank is where the query stopped
+                out["vec_id"].append(None)
+                out["sim"].append(None)
+                n = len(out["rank"])
+                yield pa.RecordBatch.from_arrays(
+                    [pa.array([qid] * n, pa.int64()), pa.array([shard] * n, pa.int32()), pa.array(out["rank"], pa.int32()), pa.array(out["vec_id"], pa.int64()), pa.array(out["sim"], pa.float64())],
+                    ["query_id", "shard_id", "rank", "vec_id", "sim"],
+                )
+
+    probes = ivf.probe_lists(queries, index, params.nprobe).join(queries.select(F.col("id").alias("query_id"), "vec"), "query_id")
+    walked = materialize(probes.repartition("query_id").select("query_id", "shard_id", "probes", "vec").mapInArrow(kernel, LOCAL), "serial")
+    local = walked.where("vec_id is not null")
+    visits = walked.where("vec_id is null").select("query_id", "shard_id", F.col("rank").cast("bigint").alias("visits"))
+    n = visits.agg(F.coalesce(F.sum("visits"), F.lit(0))).first()[0]
+    return Result(merge_top(local, params.k), visits, local, [(1, n, n)])
 
 
 def calls(index: ivf.Index, queries: DataFrame, params: SearchParams, size: int) -> tuple[Result, int]:

@@ -226,11 +226,10 @@ for _n in ("emb", "docs_u"):
         return rounded(search.basic(index, held, wl.WORKLOADS[name].params).edges)
 
 
-@query("serial_edges_emb", adaptive_sql(emb(p=4, held_queries="qs.id IN (SELECT id FROM qs ORDER BY id LIMIT 3)"), 2))
+@query("serial_edges_emb", adaptive_sql(emb()))
 def _(spark, sf):
-    """Serial search is one job a query and rank, so this workload states three queries and four ranks."""
     index, held = wl.index_of(spark, sf, "emb")
-    return rounded(search.serial(index, held.orderBy("id").limit(3), wl.WORKLOADS["emb"].params.with_(nprobe=4, window=2)).edges)
+    return rounded(search.serial(index, held, wl.WORKLOADS["emb"].params).edges)
 
 
 @query("tail_dispatch_trim_emb", adaptive_sql(emb()))
@@ -313,10 +312,8 @@ def _(spark, sf):
 
 @query("queue_policy_trace_docs_u")
 def _(spark, sf):
-    _, held, _, ranks, local = full(spark, sf, "docs_u")
-    rows = search.outcomes(ranks, local).orderBy("query_id", "rank").limit(200_000).collect()  # the simulator's stated query set
-    rows = schedule.compare(schedule.as_queries(rows), window=4)
-    return spark.createDataFrame(rows, "policy string, mode string, dispatches bigint, items bigint, occupancy double, loads bigint, peak_queue bigint, makespan double")
+    _, _, _, ranks, local = full(spark, sf, "docs_u")
+    return schedule.compare_calls(search.outcomes(ranks, local), window=4)
 
 
 # ---- sweeps and measures

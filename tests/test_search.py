@@ -89,7 +89,8 @@ def test_executors_agree(spark):
     p = wl.WORKLOADS["docs_u"].params.with_(tau=0.6, window=2)
     rows = lambda e: sorted(map(tuple, e.collect()))
     ahead = search.lookahead(index, held, p)
-    for other in (search.basic(index, held, p), search.waves(index, held, p.with_(ranks_per_wave=2, microbatch=3)), search.speculative(index, held, p)):
+    others = [search.basic(index, held, p), search.waves(index, held, p.with_(ranks_per_wave=2, microbatch=3)), search.speculative(index, held, p), search.serial(index, held, p), search.serial(ivf.saved_copy(index), held, p)]
+    for other in others:
         assert rows(other.edges) == rows(ahead.edges) and rows(other.visits) == rows(ahead.visits)
     assert rows(search.calls(index, held, p, 7)[0].edges) == rows(ahead.edges)
     every = search.fixed(index, held, p)
@@ -98,6 +99,30 @@ def test_executors_agree(spark):
     assert rows(every.edges) == rows(search.exact(base, held, p.tau, p.k))
 
 
+def test_serial_in_shards_and_self_search(spark):
+    rows = lambda e: sorted(map(tuple, e.collect()))
+    index, held = wl.shard_index_of(spark, SF1, "docs_u")
+    p = wl.WORKLOADS["docs_u"].params.with_(window=2)
+    one, many = search.serial(index, held, p), search.lookahead(index, held, p)
+    assert rows(one.edges) == rows(many.edges) and rows(one.visits) == rows(many.visits)
+    assert one.waves[0][1] == one.visits.agg(F.sum("visits")).first()[0]
+    own, every = wl.self_index_of(spark, SF1, "docs_u"), wl.vectors_of(spark, SF1, "docs_u")
+    p = p.with_(drop_self=True)
+    assert rows(search.serial(own, every, p).edges) == rows(search.lookahead(own, every, p).edges)
+    assert search.serial(index, held.limit(0), p).edges.count() == 0
+
+
+def test_calls_of_the_scheduler_add_up(spark):
+    rng = np.random.default_rng(3)
+    hits = {q: (rng.random(9) < 0.3).tolist() for q in range(60)}
+    table = spark.createDataFrame([(q, 0, r + 1, (q * 7 + r) % 9, int(h)) for q, own in hits.items() for r, h in enumerate(own)], "query_id bigint, shard_id int, rank int, pid int, n_hits bigint")
+    want = sum(rule.simulate(own, 2) for own in hits.values())
+    whole = schedule.compare_calls(table, 2).collect()
+    parts = schedule.compare_calls(table, 2, call_queries=20).collect()
+    assert len(whole) == len(parts) == 6 and {r["items"] for r in whole + parts} == {want}
+    assert sorted(tuple(r) for r in whole) == sorted(schedule.compare(schedule.as_queries(table.orderBy("query_id", "rank").collect()), 2))
+
+
 def test_edges_of_the_threshold(spark):
     index, held = wl.index_of(spark, SF1, "emb")
     p = SearchParams(tau=0.85, window=8, nprobe=10_000)
