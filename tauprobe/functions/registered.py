@@ -21,6 +21,11 @@ def mean_first(vecs: pd.Series) -> float:
     return float(vecs.map(lambda v: float(v[0])).mean())
 
 
+@pandas_udf(DoubleType())
+def rows_of(vecs: pd.Series) -> float:
+    return float(len(vecs))
+
+
 @udtf(returnType=StructType().add("rank", "integer").add("stale", "integer").add("visited", "boolean"))
 class ProbeTrace:
     """The stopping rule over a string of hit bits."""

@@ -16,6 +16,9 @@ from tauprobe.streaming import events as ev
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 SQL: dict[str, str] = {}
 
+#: Buckets of the tables that are laid out by their join key.
+BUCKETS = 16
+
 
 def query(name: str, sql: str | None = None):
     def keep(f):
@@ -56,6 +59,19 @@ def _(spark, sf):
     return out
 
 
+@query("op_bucketed_join", "SELECT o_orderstatus, count(*) AS lines FROM orders JOIN lineitem ON o_orderkey = l_orderkey GROUP BY o_orderstatus")
+def _(spark, sf):
+    """Both sides are written as tables bucketed by the key, so the join that follows, and any later one, does not shuffle them."""
+    sides = []
+    for name, key, columns in (("orders", "o_orderkey", ["o_orderkey", "o_orderstatus"]), ("lineitem", "l_orderkey", ["l_orderkey"])):
+        path = scratch(spark, f"bucketed-{name}")
+        made = "tauprobe_" + path.rsplit("-", 1)[-1]
+        t(spark, sf, name).select(*columns).write.bucketBy(BUCKETS, key).sortBy(key).option("path", path).saveAsTable(made)
+        sides.append(spark.table(made))
+    o, li = sides
+    return o.hint("merge").join(li, o.o_orderkey == li.l_orderkey).groupBy("o_orderstatus").agg(F.count(F.lit(1)).alias("lines"))
+
+
 # ---- joins
 
 _DUP = "WITH dup AS (SELECT md5(text) AS h FROM documents GROUP BY 1 HAVING count(*) > 1)"
@@ -96,20 +112,27 @@ def _(spark, sf):
     return o.join(li, o.o_orderkey == li.l_orderkey).groupBy("o_orderpriority").agg(F.count(F.lit(1)).alias("lines"), F.sum("l_quantity").cast("bigint").alias("quantity"))
 
 
-@query("op_join_range_nchars", "SELECT a.doc_id AS short_id, count(*) AS longer FROM documents a JOIN documents b ON a.lang = b.lang AND b.n_chars BETWEEN a.n_chars + 1 AND a.n_chars + 100 WHERE a.doc_id % 50 = 0 GROUP BY a.doc_id")
+@query("op_join_range_nchars", "SELECT a.doc_id AS short_id, count(*) AS longer FROM documents a JOIN documents b ON a.lang = b.lang AND b.n_chars BETWEEN a.n_chars + 1 AND a.n_chars + 100 GROUP BY a.doc_id")
 def _(spark, sf):
-    """A range join made an equi-join: lengths fall into cells as wide as the range, and a row looks into two of them."""
-    d = t(spark, sf, "documents").select("doc_id", "lang", "n_chars")
-    a = d.where("doc_id % 50 = 0").select(F.col("doc_id").alias("short_id"), "lang", F.col("n_chars").alias("lo"), F.explode(F.array(F.floor(F.col("n_chars") / 100), F.floor(F.col("n_chars") / 100) + 1)).alias("cell"))
-    b = d.select("lang", "n_chars", F.floor(F.col("n_chars") / 100).alias("cell"))
-    return a.join(b, ["lang", "cell"]).where("n_chars between lo + 1 and lo + 100").groupBy("short_id").agg(F.count(F.lit(1)).alias("longer"))
+    """A range join over distinct lengths, not over rows: lengths fall into cells as wide as the range, and each looks into two of them."""
+    d = t(spark, sf, "documents").select("doc_id", "lang", "n_chars").where("lang is not null and n_chars is not null")
+    sizes = d.groupBy("lang", "n_chars").agg(F.count(F.lit(1)).alias("n"))
+    cell = F.floor(F.col("n_chars") / 100)
+    a = sizes.select("lang", F.col("n_chars").alias("lo"), F.explode(F.array(cell, cell + 1)).alias("cell"))
+    b = sizes.select("lang", "n_chars", "n", cell.alias("cell"))
+    longer = a.join(b, ["lang", "cell"]).where("n_chars between lo + 1 and lo + 100").groupBy("lang", F.col("lo").alias("n_chars")).agg(F.sum("n").alias("longer"))
+    return d.join(longer, ["lang", "n_chars"]).groupBy(F.col("doc_id").alias("short_id")).agg(F.sum("longer").alias("longer"))
 
 
 @query("op_join_interval_events", "SELECT a.event_id, count(*) AS followers FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR GROUP BY a.event_id")
 def _(spark, sf):
-    e = t(spark, sf, "events").select("event_id", "user_id", "ts")
-    b = e.select("user_id", F.col("ts").alias("later"))
-    return e.join(b, "user_id").where("later > ts and later <= ts + interval 1 hour").groupBy("event_id").agg(F.count(F.lit(1)).alias("followers"))
+    """Counts an interval join without its pairs: a user's hour and the one after it lie in one window, so a busy user is many tasks."""
+    e = t(spark, sf, "events").select("event_id", "user_id", F.unix_micros(F.col("ts").cast("timestamp")).alias("us")).where("user_id is not null and us is not null")
+    hour = F.floor(F.col("us") / 3_600_000_000)
+    dealt = e.select("*", F.explode(F.array(hour, hour - 1)).alias("cell"), hour.alias("hour"))
+    ahead = W.partitionBy("user_id", "cell").orderBy("us").rangeBetween(1, 3_600_000_000)
+    counted = dealt.select("event_id", "cell", "hour", F.count(F.lit(1)).over(ahead).alias("n")).where("cell = hour and n > 0")
+    return counted.groupBy("event_id").agg(F.sum("n").alias("followers"))
 
 
 @query("op_join_asof_events", "SELECT p.event_id, max(v.event_id) AS last_view FROM events p JOIN events v ON v.user_id = p.user_id AND v.event_type = 'click' AND v.event_id < p.event_id WHERE p.event_type = 'purchase' GROUP BY p.event_id")
@@ -351,6 +374,11 @@ def _(spark, sf):
     return ev.static_join(spark, t(spark, sf, "customer"), t(spark, sf, "nation"))
 
 
+@query("op_stream_interval_join", "SELECT p.event_id AS purchase_id, c.event_id AS click_id FROM events p JOIN events c ON c.user_id = p.user_id AND c.ts <= p.ts AND c.ts >= p.ts - INTERVAL 1 HOUR WHERE p.event_type = 'purchase' AND c.event_type = 'click'")
+def _(spark, sf):
+    return ev.interval_join(spark, t(spark, sf, "events"))
+
+
 # ---- UDF surface
 
 @query("op_udf_cosine", "SELECT a.vec_id, round(list_dot_product(a.v, b.v) / sqrt(list_dot_product(a.v, a.v) * list_dot_product(b.v, b.v)), 6) AS sim FROM (SELECT vec_id, CAST(embedding AS DOUBLE[]) AS v FROM embeddings) a JOIN (SELECT vec_id, CAST(embedding AS DOUBLE[]) AS v FROM embeddings) b ON b.vec_id = a.vec_id + 1")
@@ -369,7 +397,10 @@ def _(spark, sf):
 
 @query("op_udaf_mean", "SELECT label, round(avg(embedding[1]), 6) AS first_mean FROM embeddings GROUP BY label")
 def _(spark, sf):
-    return t(spark, sf, "embeddings").groupBy("label").agg(F.round(registered.mean_first(F.col("embedding")), 6).alias("first_mean"))
+    """A Python aggregate sees its group whole, so groups are cut by id first and the parts' means are weighted."""
+    e = t(spark, sf, "embeddings").where("embedding is not null")
+    parts = e.groupBy("label", F.floor(F.col("vec_id") / 65_536).alias("part")).agg(registered.mean_first(F.col("embedding")).alias("mean"), registered.rows_of(F.col("embedding")).alias("n"))
+    return parts.groupBy("label").agg(F.round(F.sum(F.col("mean") * F.col("n")) / F.sum("n"), 6).alias("first_mean"))
 
 
 @query("op_udtf_probe_trace", "SELECT unnest([1, 2, 3, 4, 5, 6, 7, 8, 9, 10]) AS rank, unnest([1, 2, 0, 1, 2, 3, 4, 5, 6, 7]) AS stale, unnest([true, true, true, true, true, true, false, false, false, false]) AS visited")

@@ -92,6 +92,18 @@ def late(spark: SparkSession, events: DataFrame) -> DataFrame:
     return finish(spark, counted.select(F.col("w.start").cast("timestamp_ntz").alias("start"), "events"), "update", ["start"])
 
 
+def interval_join(spark: SparkSession, events: DataFrame) -> DataFrame:
+    """Two streams: each purchase with the same user's clicks of the hour before. Watermarks let go of what cannot meet any more."""
+
+    def side(kind: str, prefix: str) -> DataFrame:
+        rows = as_stream(spark, events.where(F.col("event_type") == kind).select("event_id", "user_id", "ts"))
+        return rows.select(F.col("event_id").alias(f"{prefix}_id"), F.col("user_id").alias(f"{prefix}_user"), F.col("ts").alias(f"{prefix}_ts")).withWatermark(f"{prefix}_ts", "1 hour")
+
+    purchases, clicks = side("purchase", "purchase"), side("click", "click")
+    met = purchases.join(clicks, F.expr("click_user = purchase_user and click_ts <= purchase_ts and click_ts >= purchase_ts - interval 1 hour"))
+    return finish(spark, met.select("purchase_id", "click_id"), "append")
+
+
 def static_join(spark: SparkSession, customers: DataFrame, nations: DataFrame) -> DataFrame:
     """A stream of customers against the table of nations."""
     s = as_stream(spark, customers.select("c_custkey", "c_nationkey"), order="c_custkey")
