@@ -49,20 +49,23 @@ def local_top(sims: np.ndarray, ids: np.ndarray, tau: float, k: int, own: np.nda
     return rows[keep], columns[keep]
 
 
-def microbatches(frontier: DataFrame, queries: DataFrame, cap: int) -> DataFrame:
+def microbatches(frontier: DataFrame, queries: DataFrame, cap: int, largest: int | None = None) -> DataFrame:
     """Rows (shard_id, pid, chunk, items): the queries that search a partition together, at most about cap of them.
 
-    A group that is larger is dealt into chunks by a hash, so no row and no task has more than its share.
+    A group that is larger is dealt into chunks by a hash, so no row and no task has more than its share. largest is the
+    size of the largest group, where it is known: up to cap there is nothing to deal.
     """
+    vectors = queries.select(F.col("id").alias("query_id"), "vec")
+    if largest is not None and largest <= cap:
+        return frontier.join(vectors, "query_id").groupBy("shard_id", "pid").agg(F.lit(0).alias("chunk"), F.collect_list(F.struct("query_id", "rank", "vec")).alias("items"))
     sizes = frontier.groupBy("shard_id", "pid").agg(F.ceil(F.count(F.lit(1)) / cap).cast("int").alias("chunks")).where("chunks > 1")
     dealt = frontier.join(sizes, ["shard_id", "pid"], "left").withColumn("chunk", F.when(F.col("chunks") > 1, F.pmod(F.xxhash64("query_id"), F.col("chunks"))).otherwise(0).cast("int"))
-    vectors = queries.select(F.col("id").alias("query_id"), "vec")
     return dealt.join(vectors, "query_id").groupBy("shard_id", "pid", "chunk").agg(F.collect_list(F.struct("query_id", "rank", "vec")).alias("items"))
 
 
-def search(frontier: DataFrame, queries: DataFrame, index: ivf.Index, params: SearchParams, scorer=score_exact) -> DataFrame:
+def search(frontier: DataFrame, queries: DataFrame, index: ivf.Index, params: SearchParams, scorer=score_exact, largest: int | None = None) -> DataFrame:
     """Local results of a frontier (query_id, shard_id, rank, pid): rows (query_id, shard_id, rank, vec_id, sim)."""
-    batches_ = microbatches(frontier, queries, params.microbatch)
+    batches_ = microbatches(frontier, queries, params.microbatch, largest)
     pairs = batches_.join(index.blocks, ["shard_id", "pid"])
     columns = ["shard_id", "items", *[c for c in index.blocks.columns if c not in ("shard_id", "block_no")]]
     tau, k, drop_self = params.tau, params.k, params.drop_self
@@ -129,14 +132,14 @@ def waves(index: ivf.Index, queries: DataFrame, params: SearchParams, scorer=sco
         last = F.col("line") if params.ranks_per_wave is None else F.least("line", F.col("cursor") + params.ranks_per_wave - 1)
         active = state.where("cursor <= line").select("query_id", "shard_id", "probes", "cursor", last.alias("last"))
         sent = active.select("query_id", "shard_id", "probes", F.explode(F.sequence("cursor", "last")).alias("rank"))
-        frontier = materialize(sent.select("query_id", "shard_id", "rank", F.element_at("probes", F.col("rank")).alias("pid")), "frontier")
+        frontier = sent.select("query_id", "shard_id", "rank", F.element_at("probes", F.col("rank")).alias("pid"))  # follows from the stored state
         sizes = frontier.groupBy("shard_id", "pid").agg(F.count(F.lit(1)).alias("n"))
-        items, groups = sizes.agg(F.coalesce(F.sum("n"), F.lit(0)), F.coalesce(F.sum(F.ceil(F.col("n") / params.microbatch)), F.lit(0))).first()
+        items, groups, largest = sizes.agg(F.coalesce(F.sum("n"), F.lit(0)), F.coalesce(F.sum(F.ceil(F.col("n") / params.microbatch)), F.lit(0)), F.max("n")).first()
         if not items:
             break
         wave += 1
         log.append((wave, int(items), int(groups)))
-        local = materialize(search(frontier, queries, index, params, scorer), "local")
+        local = materialize(search(frontier, queries, index, params, scorer, largest), "local")
         found.append(local)
         hits = local.groupBy("query_id", "shard_id").agg(F.max("rank").alias("top"))
         moved = state.join(hits, ["query_id", "shard_id"], "left")
