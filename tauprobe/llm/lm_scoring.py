@@ -7,8 +7,10 @@ frequent tokens are classes of their own; the others share classes by their last
 probability (c + 1/2) / (sum over the class of (c + 1/2), plus 1/2 for what training never had), with c its count in all
 training texts. So every text has a normalised probability, whatever its words.
 
-The class part is trained in numpy on a bounded sample of training texts (`Settings.sample_docs`, `sample_chars`); counts
-cover all training texts. Words are counted in Arrow batches before they are shuffled. The most frequent words' counts
+Input words and classes are chosen by the counts of all training texts, and the class part is trained in numpy on all of
+them, whole: texts are written once as numbers, and in each round every partition trains the network it is sent on its
+own texts; the results, weighted by their tokens, are averaged for the next round. So the network depends a little on how
+the texts are partitioned. Words are counted in Arrow batches before they are shuffled. The most frequent words' counts
 go to the executors (`Settings.common`, a fixed number); for all other words the counts are joined, so none is left out.
 
 Defined results: a null text counts as empty, and an empty text is one end token; very long texts count whole; repeated
@@ -18,6 +20,7 @@ table; only the named columns are read.
 
 from __future__ import annotations
 
+import copy
 import zlib
 from collections import Counter
 from collections.abc import Iterator
@@ -37,8 +40,6 @@ END = b""
 
 @dataclass(frozen=True)
 class Settings:
-    sample_docs: int = 1500
-    sample_chars: int = 6000
     #: Words whose counts every executor holds.
     common: int = 1 << 17
     inputs: int = 2000
@@ -83,16 +84,14 @@ class Words:
         return self.inputs.get(word) or 1 + self.settings.inputs + self.class_of(word)
 
 
-def word_maps(texts: list[list[bytes]], settings: Settings) -> Words:
-    counts = Counter(w for t in texts for w in t)
-    ranked = [w for w, _ in sorted(counts.items(), key=lambda x: (-x[1], x[0]))]
+def word_maps(counts: DataFrame, settings: Settings) -> Words:
+    """The maps that the counts of all training tokens give; the driver gets as many rows as the settings say."""
+    ranked = [bytes(r.word) for r in counts.orderBy(F.desc("c"), "word").limit(max(settings.inputs, settings.singles)).collect()]
     singles = {w: i for i, w in enumerate(ranked[: settings.singles])}
-    ends = Counter()
-    for w, n in counts.items():
-        if w not in singles:
-            ends[w[-3:]] += n
-    best = sorted(ends.items(), key=lambda x: (-x[1], x[0]))[: settings.suffixes]
-    suffixes = {e: settings.singles + i for i, (e, _) in enumerate(best)}
+    alone = counts.sparkSession.createDataFrame([(bytearray(w),) for w in singles], "word binary")
+    ends = counts.join(F.broadcast(alone), "word", "left_anti").groupBy(F.expr("substring(word, -3, 3)").alias("end")).agg(F.sum("c").alias("c"))
+    best = [bytes(r.end) for r in ends.orderBy(F.desc("c"), "end").limit(settings.suffixes).collect()]
+    suffixes = {e: settings.singles + i for i, e in enumerate(best)}
     return Words({w: 1 + i for i, w in enumerate(ranked[: settings.inputs])}, singles, suffixes, settings)
 
 
@@ -140,62 +139,167 @@ def padded(lists: list[np.ndarray], stretch: int) -> tuple[np.ndarray, np.ndarra
     return ids, np.concatenate(at) if at else np.zeros(0, np.int64)
 
 
-def train(texts: list[list[bytes]], words: Words) -> Network:
-    """Noise-contrastive estimation with noise shared by a batch, and steps scaled by past gradients."""
+_PARTS = ("inputs", "near", "far", "outputs", "bias")
+
+#: Consecutive places of a batch that are worked off together, and tokens that are shuffled together.
+_RUN, _HELD = 32, 1 << 18
+
+
+def start(words: Words, class_counts: np.ndarray) -> tuple[Network, dict[str, np.ndarray]]:
+    """The network before training, and the sums of squared gradients."""
     s, rng = words.settings, np.random.default_rng(words.settings.seed)
-    n_inputs = 1 + s.inputs + words.classes
+    noise = _noise(class_counts)
     net = Network(
-        rng.normal(0, 0.1, (n_inputs, s.width)).astype(np.float32), np.full((s.order, s.width), 1 / s.order, np.float32), np.ones(s.width, np.float32), rng.normal(0, 0.1, (words.classes, s.width)).astype(np.float32), np.zeros(words.classes, np.float32)
+        rng.normal(0, 0.1, (1 + s.inputs + words.classes, s.width)).astype(np.float32), np.full((s.order, s.width), 1 / s.order, np.float32), np.ones(s.width, np.float32), rng.normal(0, 0.1, (words.classes, s.width)).astype(np.float32), np.log(noise).astype(np.float32)
     )
     net.inputs[0] = 0
-    if not texts:
-        net.outputs[:] = 0
-        return net
-    ids, at = padded([np.array([words.input_of(w) for w in t]) for t in texts], s.stretch)
-    targets = np.array([words.class_of(w) for t in texts for w in t])
-    noise = np.bincount(targets, minlength=words.classes) + 0.5
-    noise = noise / noise.sum()
-    net.bias[:] = np.log(noise)
+    return net, {k: np.full_like(getattr(net, k), 1e-6) for k in _PARTS}
+
+
+def _noise(class_counts: np.ndarray) -> np.ndarray:
+    return (class_counts + 0.5) / (class_counts + 0.5).sum()
+
+
+def _added(index: np.ndarray, values: np.ndarray, rows: int) -> np.ndarray:
+    """Rows of values added up by their index."""
+    width = values.shape[-1]
+    at = (index.ravel()[:, None] * width + np.arange(width)).ravel()
+    return np.bincount(at, values.ravel(), rows * width).reshape(rows, width).astype(np.float32)
+
+
+def improve(net: Network, past: dict[str, np.ndarray], lists: list[np.ndarray], noise: np.ndarray, s: Settings, rng: np.random.Generator) -> None:
+    """One pass over texts, as numbers input << 12 | class, with noise shared by a batch, and steps scaled by past gradients.
+
+    A batch has runs of consecutive places, so that the sums over stretches are differences of running sums.
+    """
+    packed, at = padded(lists, s.stretch)
+    n_runs = -(-(len(packed) - s.stretch) // _RUN)
+    packed = np.concatenate([packed, np.zeros(n_runs * _RUN + s.stretch - len(packed), np.int64)])
+    real = np.zeros(len(packed), bool)
+    real[at] = True
+    ids, targets = packed >> 12, packed & 0xFFF
     log_noise = np.log(noise * s.noise).astype(np.float32)
-    past = {k: np.full_like(getattr(net, k), 1e-6) for k in ("inputs", "near", "far", "outputs", "bias")}
-
-    def move(name: str, gradient: np.ndarray) -> None:
-        past[name] += gradient**2
-        value = getattr(net, name)
-        value -= s.rate * gradient / np.sqrt(past[name])
-
-    for _ in range(s.rounds):
-        order = rng.permutation(len(at))
-        for lo in range(0, len(order), s.batch):
-            pick = order[lo : lo + s.batch]
-            place, target = at[pick], targets[pick]
-            back = ids[place[:, None] - 1 - np.arange(s.stretch)]  # last token first
-            vectors = net.inputs[back]
-            mean = vectors.mean(1)
-            h = mean * net.far + (vectors[:, : s.order] * net.near).sum(1)
-            drawn = rng.choice(words.classes, s.noise, p=noise)
-            right = (h * net.outputs[target]).sum(1) + net.bias[target] - log_noise[target]
-            wrong = h @ net.outputs[drawn].T + net.bias[drawn] - log_noise[drawn]
-            up = (1 / (1 + np.exp(np.clip(right, -30, 30)))).astype(np.float32)  # pulled towards the data
-            down = (1 / (1 + np.exp(-np.clip(wrong, -30, 30)))).astype(np.float32)  # pushed from the noise
-            size = len(pick)
-            g_out, g_bias = np.zeros_like(net.outputs), np.zeros_like(net.bias)
-            np.add.at(g_out, target, -up[:, None] * h)
-            np.add.at(g_out, drawn, down.T @ h)
-            np.add.at(g_bias, target, -up)
-            np.add.at(g_bias, drawn, down.sum(0))
-            g_h = -up[:, None] * net.outputs[target] + down @ net.outputs[drawn]
-            g_vectors = np.repeat((g_h * net.far / s.stretch)[:, None], s.stretch, 1)
-            g_vectors[:, : s.order] += g_h[:, None] * net.near
-            g_in = np.zeros_like(net.inputs)
-            np.add.at(g_in, back.ravel(), g_vectors.reshape(-1, s.width))
-            g_in[0] = 0
-            g_near, g_far = (g_h[:, None] * vectors[:, : s.order]).sum(0), (g_h * mean).sum(0)
-            for name, g in (("inputs", g_in), ("near", g_near), ("far", g_far), ("outputs", g_out), ("bias", g_bias)):
-                move(name, g / size)
+    cumulated = np.cumsum(noise)
+    around = np.arange(_RUN + s.stretch - 1)
+    first, last = np.maximum(0, around - s.stretch + 1), np.minimum(_RUN, around + 1)
+    order = s.stretch + _RUN * rng.permutation(n_runs)
+    each = max(1, s.batch // _RUN)
+
+    def running(x: np.ndarray) -> np.ndarray:
+        return np.concatenate([np.zeros_like(x[:, :1]), np.cumsum(x, axis=1)], axis=1)
+
+    for lo in range(0, n_runs, each):
+        begin = order[lo : lo + each, None]
+        place = begin + np.arange(_RUN)
+        used = real[place].ravel()
+        if not (size := int(used.sum())):
+            continue
+        target, back = targets[place].ravel(), ids[begin - s.stretch + around]
+        vectors = net.inputs[back]
+        sums = running(vectors)
+        mean = (sums[:, s.stretch :] - sums[:, :_RUN]) / s.stretch
+        near = [vectors[:, s.stretch - 1 - j : s.stretch - 1 - j + _RUN] for j in range(s.order)]  # last token first
+        h = mean * net.far
+        for v, weights in zip(near, net.near, strict=True):
+            h += v * weights
+        h = h.reshape(-1, s.width)
+        drawn = np.minimum(np.searchsorted(cumulated, rng.random(s.noise), "right"), len(noise) - 1)
+        right = (h * net.outputs[target]).sum(1) + net.bias[target] - log_noise[target]
+        wrong = h @ net.outputs[drawn].T
+        wrong += net.bias[drawn] - log_noise[drawn]
+        up = used / (1 + np.exp(np.clip(right, -30, 30)))  # pulled towards the data
+        up = up.astype(np.float32)
+        np.exp(-np.clip(wrong, -30, 30, out=wrong), out=wrong)
+        down = used[:, None].astype(np.float32) / (1 + wrong)  # pushed from the noise
+        g_out = _added(target, -up[:, None] * h, len(noise)) + _added(drawn, down.T @ h, len(noise))
+        g_bias = (np.bincount(drawn, down.sum(0), len(noise)) - np.bincount(target, up, len(noise))).astype(np.float32)
+        g_h = (down @ net.outputs[drawn] - up[:, None] * net.outputs[target]).reshape(mean.shape)
+        sums = running(g_h)
+        g_vectors = (sums[:, last] - sums[:, first]) * (net.far / s.stretch)
+        g_near = np.empty_like(net.near)
+        for j in range(s.order):
+            g_vectors[:, s.stretch - 1 - j : s.stretch - 1 - j + _RUN] += g_h * net.near[j]
+            g_near[j] = (g_h * near[j]).sum((0, 1))
+        g_in = _added(back, g_vectors, len(net.inputs))
+        g_in[0] = 0
+        for name, g in zip(_PARTS, (g_in, g_near, (g_h * mean).sum((0, 1)), g_out, g_bias), strict=True):
+            g /= size
+            past[name] += g**2
+            value = getattr(net, name)
+            value -= s.rate * g / np.sqrt(past[name])
+
+
+def train(texts: DataFrame, words: Words, class_counts: np.ndarray) -> Network:
+    """Noise-contrastive estimation over all texts (column text): in each round the average of the partitions' networks."""
+    net, past = start(words, class_counts)
+    s, noise = words.settings, _noise(class_counts)
+    if not class_counts.sum():
+        net.outputs[:], net.bias[:] = 0, 0
+        return net
+    context = texts.sparkSession.sparkContext
+    maps = context.broadcast(words)
+
+    def numbers(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known = Memory(lambda new: [maps.value.input_of(w) << 12 | maps.value.class_of(w) for w in new])
+        for b in batches:
+            for lo in range(0, b.num_rows, 256):
+                rows = []
+                for text in b.column(0).slice(lo, 256).to_pylist():
+                    found = tokens(text)
+                    parts = []
+                    for at in range(0, len(found), 1 << 17):
+                        few = found[at : at + (1 << 17)]
+                        parts.append(np.fromiter(map(known.fill(few).__getitem__, few), np.int32, len(few)))
+                    rows.append(np.concatenate(parts).tobytes())
+                yield pa.RecordBatch.from_arrays([pa.array(rows, pa.binary())], ["numbers"])
+
+    written = materialize(texts.mapInArrow(numbers, "numbers binary"), "numbers")
+
+    for round_ in range(s.rounds):
+        sent = context.broadcast((net, past))
+
+        def kernel(batches: Iterator[pa.RecordBatch], sent=sent, round_=round_) -> Iterator[pa.RecordBatch]:
+            own, squares = copy.deepcopy(sent.value)
+            rng = np.random.default_rng([s.seed, round_, TaskContext.get().partitionId()])
+            held, n, seen = [], 0, 0
+            for b in batches:
+                for row in b.column(0):
+                    held.append(np.frombuffer(row.as_buffer(), np.int32))
+                    n += len(held[-1])
+                    if n >= _HELD:
+                        improve(own, squares, held, noise, s, rng)
+                        held, n, seen = [], 0, seen + n
+            if held:
+                improve(own, squares, held, noise, s, rng)
+            if seen + n:
+                yield _row(_flat(own, squares), seen + n)
+
+        def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            weight, total = 0, 0.0
+            for b in batches:
+                for flat, n in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
+                    total, weight = total + n * np.frombuffer(flat), weight + n
+            if weight:
+                yield _row(total / weight, weight)
+
+        trained = written.mapInArrow(kernel, "flat binary, n bigint").repartition(8).mapInArrow(add, "flat binary, n bigint").collect()  # eight at most
+        flat = sum(r.n * np.frombuffer(r.flat) for r in trained) / sum(r.n for r in trained)
+        at = 0
+        for part in [(net, k) for k in _PARTS] + [(past, k) for k in _PARTS]:
+            old = part[0][part[1]] if part[0] is past else getattr(net, part[1])
+            old[...] = flat[at : at + old.size].reshape(old.shape)
+            at += old.size
     return net
 
 
+def _flat(net: Network, past: dict[str, np.ndarray]) -> np.ndarray:
+    return np.concatenate([*(getattr(net, k).ravel() for k in _PARTS), *(past[k].ravel() for k in _PARTS)]).astype(np.float64)
+
+
+def _row(flat: np.ndarray, n: int) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array([flat.tobytes()], pa.binary()), pa.array([n], pa.int64())], ["flat", "n"])
+
+
 @dataclass(frozen=True)
 class Model:
     words: Words
@@ -241,31 +345,28 @@ def _most_common(counts: DataFrame, most: int) -> dict[bytes, int]:
 
 
 def fit(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", learn_from: Column | None = None, settings: Settings = Settings()) -> Model:
-    """Counts over all rows that satisfy learn_from, and a network trained on a bounded sample of them."""
+    """Counts over all rows that satisfy learn_from, and a network trained on all of them."""
     use = F.lit(True) if learn_from is None else learn_from
     rows = df.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"), use.alias("use")).where(F.coalesce("use", F.lit(True)))
     counts = materialize(count_tokens(rows.select("text")), "token-counts")
     total, distinct = counts.agg(F.coalesce(F.sum("c"), F.lit(0)), F.count(F.lit(1))).first()
     common = _most_common(counts, settings.common)
 
-    n = rows.count()
-    bar = min(1 << 30, (settings.sample_docs << 30) // max(n, 1))
-    sample = rows.where(F.pmod(F.xxhash64("id"), F.lit(1 << 30)) < bar).select("id", F.substring("text", 1, settings.sample_chars).alias("text")).collect()
-    sample.sort(key=lambda r: (r.id is not None, r.id, r.text or ""))
-    texts = [tokens(r.text) for r in sample]
-    words = word_maps(texts, settings)
-    network = train(texts, words)
+    words = word_maps(counts, settings)
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        sums = np.zeros(words.classes)
+        sums, tallies = np.zeros(words.classes), np.zeros(words.classes)
         for b in batches:
             classes = np.array([words.class_of(w) for w in b.column(0).to_pylist()], np.int64)
-            sums += np.bincount(classes, b.column(1).to_numpy(zero_copy_only=False) + 0.5, words.classes)
-        yield pa.RecordBatch.from_arrays([pa.array(np.arange(words.classes)), pa.array(sums)], ["k", "s"])
-
-    sums = np.zeros(words.classes)
-    for r in counts.mapInArrow(kernel, "k bigint, s double").groupBy("k").agg(F.sum("s").alias("s")).collect():  # a row for each class
-        sums[r.k] = r.s
+            c = b.column(1).to_numpy(zero_copy_only=False)
+            sums += np.bincount(classes, c + 0.5, words.classes)
+            tallies += np.bincount(classes, c, words.classes)
+        yield pa.RecordBatch.from_arrays([pa.array(np.arange(words.classes)), pa.array(sums), pa.array(tallies)], ["k", "s", "c"])
+
+    sums, class_counts = np.zeros(words.classes), np.zeros(words.classes)
+    for r in counts.mapInArrow(kernel, "k bigint, s double, c double").groupBy("k").agg(F.sum("s").alias("s"), F.sum("c").alias("c")).collect():  # a row for each class
+        sums[r.k], class_counts[r.k] = r.s, r.c
+    network = train(rows.select("text"), words, class_counts)
     own = np.zeros(words.classes, bool)
     own[list(words.singles.values())] = True
     alone = df.sparkSession.createDataFrame([(bytearray(w),) for w in words.singles], "word binary")  # as many as the settings say

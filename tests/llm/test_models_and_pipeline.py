@@ -65,6 +65,36 @@ def test_lm_is_normalised(tiny):
         assert np.allclose(inside, 1)
 
 
+def test_lm_learns_from_all_of_every_text(spark):
+    """Words and classes are those of the full counts, and the network learns what only the ends of long texts show."""
+    rows = [(i, " ".join(["start"] * 2000 + ["ping pong"] * 1000)) for i in range(20)] + [(100 + i, f"w{i % 40} " * 3) for i in range(2000)]
+    settings = lm_scoring.Settings(inputs=6, singles=4, suffixes=3, hashed=2)
+    model = lm_scoring.fit(spark.createDataFrame(rows, "doc_id bigint, text string").repartition(3), settings=settings)
+    words = model.words
+    counts = Counter(w for _, t in rows for w in lm_scoring.tokens(t))
+    ranked = sorted(counts, key=lambda w: (-counts[w], w))
+    ends = Counter()
+    for w in ranked[4:]:
+        ends[w[-3:]] += counts[w]
+    assert list(words.inputs) == ranked[:6] and list(words.singles) == ranked[:4]
+    assert list(words.suffixes) == sorted(ends, key=lambda e: (-ends[e], e))[:3]
+    ids, at = lm_scoring.padded([np.array([words.input_of(w) for w in [b"ping", b"pong"] * 10])], settings.stretch)
+    h = model.network.contexts(ids, at[-1:], settings.stretch)  # after "ping"
+    score = lambda w: model.network.log10_classes(h, np.array([words.class_of(w)]))[0]
+    assert score(b"pong") > score(b"start") + 1 and score(b"pong") > score(b"ping") + 1
+
+
+def test_lm_places_outside_texts_do_not_count():
+    """Texts whose places end within a run train like any others; without places nothing moves."""
+    words = lm_scoring.Words({b"a": 1}, {b"a": 0}, {}, lm_scoring.Settings(inputs=2, singles=1, suffixes=0, hashed=2))
+    net, past = lm_scoring.start(words, np.array([5.0, 1.0, 1.0]))
+    before = net.outputs.copy()
+    lm_scoring.improve(net, past, [np.zeros(0, np.int32)], np.full(3, 1 / 3), words.settings, np.random.default_rng(0))
+    assert (net.outputs == before).all()
+    lm_scoring.improve(net, past, [np.full(5, 1 << 12, np.int32)], np.full(3, 1 / 3), words.settings, np.random.default_rng(0))
+    assert np.isfinite(net.outputs).all() and (net.outputs != before).any() and (net.inputs[0] == 0).all()
+
+
 def test_lm_odd_rows(spark, tiny):
     rows, settings, model = tiny
     odd = [None, "", " \n", "THE cat", "unseen " * 9, "the cat é  x " * 40_000]
