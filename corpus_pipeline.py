@@ -2,8 +2,7 @@
 
 Each stage takes (spark, docs, sf_dir) and returns a frame, which `run` writes as Parquet to the shared folder and reads
 again as the next stage's docs. All stages but the last return the columns of their docs. Extra columns stay, whatever
-their names. A stage's decision about a document id holds for every row of that id, except that near-duplicate removal
-keeps one row of one id.
+their names. A rejection of a document id holds for every row of that id; near-duplicate removal judges each row for itself.
 """
 
 from __future__ import annotations

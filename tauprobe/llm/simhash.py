@@ -140,10 +140,8 @@ def classes(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", words
 
 
 def keep_one(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The rows of df that stay when one document of each class does: the one with the smallest id, one row of it."""
-    gone = classes(df, id_col, text_col).where(~F.col("id").eqNullSafe(F.col("component"))).select(F.col("id").alias("_gone_id")).distinct()
-    left = df.join(small(materialize(gone, "gone")), F.col(id_col).eqNullSafe(F.col("_gone_id")), "left_anti")
-    # rows that share their id are few: only those are shuffled whole
-    twice = small(materialize(df.groupBy(F.col(id_col).alias("_id_twice")).count().where("count > 1").select("_id_twice"), "repeated"))
-    same = F.col(id_col).eqNullSafe(F.col("_id_twice"))
-    return left.join(twice, same, "left_anti").unionByName(left.join(twice, same, "left_semi").dropDuplicates([id_col]))
+    """The rows of df that stay when one row of each class does: one with the smallest id. Rows count, whatever ids they share."""
+    key = F.struct(F.col(id_col).isNull().alias("none"), F.col(id_col).alias("id"), F.monotonically_increasing_id().alias("row"))
+    keyed = materialize(df.withColumn("_keep_one_key", key), "keyed")  # written once, so a row's key is the same in every retry
+    gone = classes(keyed, "_keep_one_key", text_col).where("id.row <> component.row").select(F.col("id.row").alias("_gone_row"))
+    return keyed.join(small(materialize(gone, "gone")), F.col("_keep_one_key.row") == F.col("_gone_row"), "left_anti").drop("_keep_one_key")

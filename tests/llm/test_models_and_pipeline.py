@@ -194,3 +194,13 @@ def test_stages_with_odd_rows(spark):
         assert name == "byte_bpe" or out.columns == docs.columns
         docs = spark.createDataFrame(out.collect(), out.schema)
     assert docs.count() == 1
+
+
+def test_near_duplicates_judge_rows_not_ids(spark):
+    """Different texts stay though they share an id or have none; copies go whatever their ids."""
+    corpus_pipeline = pytest.importorskip("corpus_pipeline")
+
+    texts = [" ".join(f"t{k}w{i}" for i in range(60)) for k in range(5)]
+    rows = [(None, texts[0]), (None, texts[1]), (None, texts[2]), (7, texts[2]), (8, texts[3]), (8, texts[4]), (8, texts[4])]
+    got = corpus_pipeline.near_duplicates(spark, spark.createDataFrame(rows, "doc_id bigint, text string"), SF).collect()
+    assert Counter(map(tuple, got)) == Counter([(None, texts[0]), (None, texts[1]), (7, texts[2]), (8, texts[3]), (8, texts[4])])
