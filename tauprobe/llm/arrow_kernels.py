@@ -10,15 +10,16 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
 
-#: Characters between which a text may be cut without changing the words or pre-tokens on either side.
-_CUT = re.compile(r"(?<=[^ \t\n\r])[ \t\n\r]")
+#: Places at which a text may be cut without changing the words or pre-tokens on either side: no run of white space,
+#: Unicode's included, lies on both sides.
+_CUT = re.compile(r"(?<=\S)(?=[ \t\n\r])")
 
 #: Rows of one output batch; keeps Python memory flat whatever Spark's own batch size is.
 SLICE_ROWS = 128
 
 
 def segments(text: str, size: int = 1 << 20) -> Iterator[str]:
-    """Consecutive pieces of about `size` characters, each beginning at a white-space character that follows another one."""
+    """Consecutive pieces of about `size` characters, each but the first beginning at the first character of a run of white space."""
     at = 0
     while len(text) - at > size and (m := _CUT.search(text, at + size)):
         yield text[at : m.start()]
