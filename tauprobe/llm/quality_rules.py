@@ -7,8 +7,8 @@ together. The labelled good rows of a stratum are the holdout: a cutoff may be u
 so few rejections, were the true share at the limit, is at most delta over the number of tests (Bonferroni). Cutoffs are
 tried from the most lenient one on and the search ends at the first that fails, so the many cutoffs of a test need no
 further correction. Among those that may be used, the one with the most bad rows less `harm` times the good rows it
-rejects is taken, if that is above zero. A stratum that has no cutoff of its own for a rule uses the one of all rows
-together (stratum null in the table).
+rejects is taken, if that is above zero. A stratum with too few labelled good rows for the bound has no cutoff: a cutoff
+that holds for all rows together would promise nothing for that stratum.
 
 Defined results: a null text has no words; empty texts fail the base rules; very long texts count whole; repeated rows
 give repeated results; of a repeated label the lowest counts; null strata are a stratum of their own (the empty string);
@@ -109,12 +109,11 @@ def allowed(n: Column, alpha: float, level: Column) -> Column:
 
 
 def cutoffs(counted: DataFrame, labels: DataFrame, risk: Risk = Risk(), label_id: str = "doc_id", label_col: str = "quality") -> DataFrame:
-    """Rows (stratum, rule, cutoff) from feature rows and labels (1 is good, 0 is bad); stratum null stands for all rows."""
+    """Rows (stratum, rule, cutoff) from feature rows and labels (1 is good, 0 is bad)."""
     known = labels.select(F.col(label_id).alias("id"), F.col(label_col).cast("int").alias("label")).where("id is not null and label in (0, 1)").groupBy("id").agg(F.min("label").alias("label"))
     measured = counted.where(f"not ({BASE_FAILED})").join(known, "id")
     each = F.array(*[F.named_struct(F.lit("rule"), F.lit(name), F.lit("value"), F.expr(what).cast("bigint")) for name, what in RULES.items()])
-    spread = measured.select(F.explode(F.array("stratum", F.lit(None).cast("string"))).alias("stratum"), "label", each.alias("each"))
-    spread = spread.select("stratum", "label", F.explode("each").alias("e")).select("stratum", "label", "e.rule", "e.value")
+    spread = measured.select("stratum", "label", F.explode(each).alias("e")).select("stratum", "label", "e.rule", "e.value")
     bins = spread.groupBy("stratum", "rule", "value").agg(F.sum("label").alias("good"), F.sum(1 - F.col("label")).alias("bad"))
     # from here on there is a row for each stratum, rule and distinct whole value
     above = F.sort_array(F.collect_list(F.struct("value", "good", "bad")), asc=False)
@@ -138,12 +137,11 @@ def cutoffs(counted: DataFrame, labels: DataFrame, risk: Risk = Risk(), label_id
 def verdicts(counted: DataFrame, cuts: DataFrame) -> DataFrame:
     """Feature rows with base_failed and kept."""
     pivot = [F.max(F.when(F.col("rule") == r, F.col("cutoff"))).alias(f"cut_{r}") for r in RULES]
-    own = cuts.where("stratum is not null").groupBy("stratum").agg(*pivot)
-    common = {r.rule: r.cutoff for r in cuts.where("stratum is null").collect()}  # at most one row for each rule
+    own = cuts.groupBy("stratum").agg(*pivot)
     joined = counted.join(own, "stratum", "left")
     passed = F.lit(True)
     for r, what in RULES.items():
-        passed &= F.coalesce(F.expr(what) <= F.coalesce(F.col(f"cut_{r}"), F.lit(common.get(r)).cast("bigint")), F.lit(True))
+        passed &= F.coalesce(F.expr(what) <= F.col(f"cut_{r}"), F.lit(True))
     base = F.expr(BASE_FAILED)
     return joined.select(*counted.columns, base.alias("base_failed"), (~base & passed).alias("kept"))
 

@@ -121,7 +121,7 @@ v AS (SELECT *, n_words < 50 OR 100 * n_repeat_words > 50 * n_words AS base_fail
 k AS (SELECT doc_id, min(quality) AS label FROM labels WHERE quality IN (0, 1) GROUP BY doc_id),
 m AS (SELECT v.*, label FROM v JOIN k USING (doc_id) WHERE NOT base_failed),
 long AS (SELECT stratum, label, rule, value FROM m UNPIVOT (value FOR rule IN (symbols, lines, repeats, long_words, short_words))),
-bins AS (SELECT stratum, rule, value, sum(label) AS good, sum(1 - label) AS bad FROM (FROM long UNION ALL SELECT chr(1), label, rule, value FROM long) GROUP BY ALL),
+bins AS (SELECT stratum, rule, value, sum(label) AS good, sum(1 - label) AS bad FROM long GROUP BY ALL),
 tests AS (SELECT stratum, rule, sum(good) AS n, 0.05 / count(*) OVER () AS level FROM bins GROUP BY stratum, rule),
 steps AS (SELECT stratum, rule, n, level, i, CASE WHEN i = 0 THEN n * ln(1 - 0.004) ELSE ln((n - i + 1) / i) + ln(0.004 / (1 - 0.004)) END AS step FROM (SELECT *, unnest(range(0, CAST(ceil(n * 0.004) AS BIGINT) + 1)) AS i FROM tests) WHERE i <= n),
 terms AS (SELECT *, sum(step) OVER (PARTITION BY stratum, rule ORDER BY i) AS term FROM steps),
@@ -129,12 +129,10 @@ cdf AS (SELECT *, sum(exp(term)) OVER (PARTITION BY stratum, rule ORDER BY i) AS
 allowed AS (SELECT stratum, rule, coalesce(max(i) FILTER (cdf <= level), -1) AS k FROM cdf GROUP BY stratum, rule),
 above AS (SELECT stratum, rule, value, coalesce(sum(good) OVER o, 0) AS good, coalesce(sum(bad) OVER o, 0) AS bad FROM bins WINDOW o AS (PARTITION BY stratum, rule ORDER BY value DESC ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING)),
 cuts AS (SELECT stratum, rule, value AS cutoff FROM above JOIN allowed USING (stratum, rule) WHERE good <= k AND bad - 3 * good > 0 QUALIFY row_number() OVER (PARTITION BY stratum, rule ORDER BY bad - 3 * good DESC, value DESC) = 1),
-wide AS (SELECT stratum, max(cutoff) FILTER (rule = 'symbols') AS c1, max(cutoff) FILTER (rule = 'lines') AS c2, max(cutoff) FILTER (rule = 'repeats') AS c3, max(cutoff) FILTER (rule = 'long_words') AS c4, max(cutoff) FILTER (rule = 'short_words') AS c5 FROM cuts GROUP BY stratum),
-one AS (SELECT max(c1) AS a1, max(c2) AS a2, max(c3) AS a3, max(c4) AS a4, max(c5) AS a5 FROM wide WHERE stratum = chr(1))
+wide AS (SELECT stratum, max(cutoff) FILTER (rule = 'symbols') AS c1, max(cutoff) FILTER (rule = 'lines') AS c2, max(cutoff) FILTER (rule = 'repeats') AS c3, max(cutoff) FILTER (rule = 'long_words') AS c4, max(cutoff) FILTER (rule = 'short_words') AS c5 FROM cuts GROUP BY stratum)
 SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed,
-  NOT base_failed AND coalesce(symbols <= coalesce(c1, a1), true) AND coalesce(lines <= coalesce(c2, a2), true) AND coalesce(repeats <= coalesce(c3, a3), true)
-  AND coalesce(long_words <= coalesce(c4, a4), true) AND coalesce(short_words <= coalesce(c5, a5), true) AS kept
-FROM v LEFT JOIN wide USING (stratum) CROSS JOIN one
+  NOT base_failed AND coalesce(symbols <= c1, true) AND coalesce(lines <= c2, true) AND coalesce(repeats <= c3, true) AND coalesce(long_words <= c4, true) AND coalesce(short_words <= c5, true) AS kept
+FROM v LEFT JOIN wide USING (stratum)
 """
 
 _URLS = r"""

@@ -95,21 +95,35 @@ def test_quality_odd_rows(spark):
     assert quality_rules.judge(df.limit(0), nothing).count() == 0
 
 
-def test_cutoffs_keep_their_promise(spark):
-    rng = random.Random(4)
+COUNTED = "id bigint, stratum string, n_words bigint, word_chars bigint, n_symbols bigint, n_lines bigint, n_dup_lines bigint, n_repeat_words bigint"
+
+
+def drawn(seed, n):
+    """Feature rows and labels: two large strata, and a small one whose good rows look like the others' bad ones."""
+    rng = random.Random(seed)
     rows, labels = [], []
-    for i in range(9000):
-        bad = rng.random() < 0.1
-        rows.append((i, "en" if i % 3 else "fr", 100, 500, rng.randint(0, 10) if not bad else rng.randint(5, 60), 10, 0, 0))
+    for i in range(n):
+        bad, stratum = rng.random() < 0.1, "xx" if i % 150 == 0 else "en" if i % 3 else "fr"
+        rows.append((i, stratum, 100, 500, rng.randint(5, 60) if bad or stratum == "xx" else rng.randint(0, 10), 10, 0, 0))
         labels.append((i, 1 - int(bad)))
-    counted = spark.createDataFrame(rows, "id bigint, stratum string, n_words bigint, word_chars bigint, n_symbols bigint, n_lines bigint, n_dup_lines bigint, n_repeat_words bigint")
+    return rows, labels
+
+
+def test_cutoffs_keep_their_promise(spark):
+    """On the rows they are learnt from and on fresh ones, in every stratum; a stratum too small for the bound has no cutoff."""
+    rows, labels = drawn(4, 9000)
+    counted = spark.createDataFrame(rows, COUNTED)
     known = spark.createDataFrame([*labels, (0, None), (None, 1)], "doc_id bigint, quality int")
     cuts = quality_rules.cutoffs(counted, known, quality_rules.Risk(alpha=0.05)).collect()
-    assert {(r.stratum, r.rule) for r in cuts} == {("en", "symbols"), ("fr", "symbols"), (None, "symbols")}
-    kept = {r.id: r.kept for r in quality_rules.verdicts(counted, spark.createDataFrame(cuts)).collect()}
-    good = [i for i, q in labels if q]
-    assert sum(not kept[i] for i in good) <= 0.05 * len(good)
-    assert sum(not kept[i] for i, q in labels if not q) > 0.6 * (len(labels) - len(good))
+    assert {(r.stratum, r.rule) for r in cuts} == {("en", "symbols"), ("fr", "symbols")}
+    for seed in (4, 5, 6):
+        rows, labels = drawn(seed, 9000)
+        kept = {r.id: r.kept for r in quality_rules.verdicts(spark.createDataFrame(rows, COUNTED), spark.createDataFrame(cuts)).collect()}
+        for stratum in ("en", "fr", "xx"):
+            good = [r[0] for r, (_, q) in zip(rows, labels) if q and r[1] == stratum]
+            assert sum(not kept[i] for i in good) <= 0.05 * len(good)
+        bad = [i for i, q in labels if not q]
+        assert sum(not kept[i] for i in bad) > 0.6 * len(bad)
 
 
 def test_exact_binomial_bound(spark):
