@@ -5,6 +5,7 @@ from __future__ import annotations
 import re
 from collections.abc import Callable, Iterable, Iterator
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -83,3 +84,28 @@ def small(df: DataFrame) -> DataFrame:
 def crc_rest(id_col: str, modulus: int) -> Column:
     """crc32 of the id, written as text, by the modulus; null for a null id."""
     return F.crc32(F.col(id_col).cast("string").cast("binary")) % modulus
+
+
+def labelled_sample(df: DataFrame, group: str, per_group: int, groups: int, total: int) -> DataFrame | None:
+    """A bounded sample of rows (id, text, group): at most about per_group rows of each of the `groups` most frequent groups, and total of all.
+
+    Rows are picked by a hash of id and text that lies below a bar set by the group's count; equal rows come once. None
+    without rows.
+    """
+    counts = df.groupBy(group).count().orderBy(F.desc("count"), group).limit(groups).collect()
+    if not counts:
+        return None
+    whole, per_group = 1 << 30, min(per_group, total // len(counts))
+    bars = F.create_map(*[F.lit(v) for r in counts for v in (r[group], min(whole, whole * per_group // r["count"]))])
+    marked = df.withColumn("h", F.xxhash64("id", "text"))
+    return marked.where(F.pmod("h", F.lit(whole)) < F.try_element_at(bars, F.col(group))).dropDuplicates(["id", "h"])
+
+
+def pack_sparse(places: np.ndarray, numbers: np.ndarray) -> bytes:
+    """Unsigned 32-bit places, then as many single-precision numbers."""
+    return places.astype("<u4").tobytes() + numbers.astype("<f4").tobytes()
+
+
+def unpack_sparse(data: bytes) -> tuple[np.ndarray, np.ndarray]:
+    half = len(data) // 2
+    return np.frombuffer(data[:half], "<u4").astype(np.int64), np.frombuffer(data[half:], "<f4")

@@ -5,8 +5,9 @@ regression in numpy); a text gets the language whose codeword is nearest under t
 each bit weighted by how well its classifier did on rows kept out of the fit. If the best two codewords are nearly as near
 as each other, the text is flagged as ambiguous.
 
-The classifier is fitted on at most `Settings.per_language` labelled texts of each language, picked by a hash of the row;
-that bound is the only one. Defined results: a text that is null or has no letter gets `und`, score 0, and is ambiguous;
+The classifier is fitted on at most about `Settings.per_language` labelled texts of each language, and on `Settings.rows` of
+all, picked by a hash of the row, of the `Settings.languages` most frequent labels. Those texts count whole: n-grams are
+counted on the executors, and the driver gets the counts of the sample. Defined results: a text that is null or has no letter gets `und`, score 0, and is ambiguous;
 empty texts are such; very long texts are counted whole, in blocks; repeated rows give repeated results; with no labelled
 rows everything is `und`; an empty table gives an empty table; only the named columns are read.
 """
@@ -21,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from tauprobe.llm.arrow_kernels import run
+from tauprobe.llm.arrow_kernels import labelled_sample, pack_sparse, run, unpack_sparse
 
 UNKNOWN = "und"
 _ASCII_LETTER = re.compile("[A-Za-z]")
@@ -30,10 +31,11 @@ _ASCII_LETTER = re.compile("[A-Za-z]")
 @dataclass(frozen=True)
 class Settings:
     buckets: int = 4096
-    #: Labelled texts of a language used in the fit, at most about this many.
+    #: Labelled texts of a language used in the fit, at most about this many, and of all languages together.
     per_language: int = 1500
-    #: Characters of a training text used in the fit (predictions use whole texts).
-    train_chars: int = 1 << 20
+    rows: int = 12_000
+    #: Labels that are learnt, the most frequent first: what a dirty column adds costs nothing.
+    languages: int = 200
     extra_bits: int = 12
     steps: int = 150
     ridge: float = 1e-4
@@ -158,14 +160,20 @@ class Model:
 
 
 def learn(texts: list[str], langs: list[str], settings: Settings = Settings()) -> Model:
-    """Fits the bit classifiers; a fifth of the rows is kept out to weight the bits."""
+    """Fits a model on texts."""
+    counts = [gram_counts(texts[i : i + 64], settings.buckets) for i in range(0, len(texts), 64)]
+    return fit(np.vstack(counts) if counts else np.zeros((0, settings.buckets), np.float32), langs, settings)
+
+
+def fit(counts: np.ndarray, langs: list[str], settings: Settings) -> Model:
+    """Fits the bit classifiers on rows of counts; a fifth of the rows is kept out to weight the bits."""
     names = tuple(sorted(set(langs)))
     codes = code_matrix(len(names), settings.extra_bits, settings.seed)
     if not names:
         return Model(names, codes, np.zeros((settings.buckets, 1), np.float32), np.zeros(1, np.float32), np.ones(1), settings)
-    x = scaled(np.vstack([gram_counts(texts[i : i + 64], settings.buckets) for i in range(0, len(texts), 64)]))
+    x = scaled(counts)
     targets = codes[np.searchsorted(names, langs)].astype(np.float32)
-    out = np.arange(len(texts)) % 5 == 4
+    out = np.arange(len(langs)) % 5 == 4
     weights = np.ones(codes.shape[1])
     if out.any() and not out.all():
         w, b = fit_bits(x[~out], targets[~out], settings.steps, settings.ridge)
@@ -175,24 +183,28 @@ def learn(texts: list[str], langs: list[str], settings: Settings = Settings()) -
     return Model(names, codes, w, b, weights / weights.sum(), settings)
 
 
-def bounded_sample(df: DataFrame, group: str, per_group: int, order: list[str]) -> list:
-    """At most about per_group rows of each group, by a hash of the named columns: the rows whose hash lies below a bar that the group's count sets."""
-    counts = df.groupBy(group).count().collect()  # one small row for each language
-    if not counts:
-        return []
-    whole = 1 << 30
-    bars = F.create_map(*[F.lit(v) for r in counts for v in (r[group], min(whole, whole * per_group // r["count"]))])
-    return df.where(F.pmod(F.xxhash64(*order), F.lit(whole)) < bars[F.col(group)]).collect()
-
-
 def train(df: DataFrame, text_col: str = "text", lang_col: str = "lang", id_col: str = "doc_id", learn_from: Column | None = None, settings: Settings = Settings()) -> Model:
-    """Fits a model on a bounded sample of the labelled rows that satisfy learn_from."""
+    """Fits a model on a bounded sample of the labelled rows that satisfy learn_from; its texts are counted on the executors."""
     picked = df.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"), F.col(lang_col).cast("string").alias("lang"), (F.lit(True) if learn_from is None else learn_from).alias("use"))
-    known = picked.where("use and lang is not null and text is not null")
-    rows = bounded_sample(known.select("id", "lang", F.substring("text", 1, settings.train_chars).alias("text")), "lang", settings.per_language, ["id"])
-    rows.sort(key=lambda r: (r.id is not None, r.id, r.lang, r.text))
-    rows = [r for r in rows if has_letter(r.text)]
-    return learn([r.text for r in rows], [r.lang for r in rows], settings)
+    known = picked.where("use and lang is not null and text is not null").select("id", "text", "lang")
+    few = labelled_sample(known, "lang", settings.per_language, settings.languages, settings.rows)
+    if few is None:
+        return learn([], [], settings)
+
+    def step(batch: pa.RecordBatch) -> pa.RecordBatch:
+        texts = batch.column(2).to_pylist()
+        counts = gram_counts(texts, settings.buckets)
+        grams = [pack_sparse(at := np.flatnonzero(x), x[at]) if has_letter(t) else None for t, x in zip(texts, counts, strict=True)]
+        return pa.RecordBatch.from_arrays([*batch.columns[:2], batch.column(3), pa.array(grams, pa.binary())], ["id", "h", "lang", "grams"])
+
+    kind = few.schema["id"].dataType.simpleString()
+    rows = run(few.select("id", "h", "text", "lang"), [step], f"id {kind}, h bigint, lang string, grams binary").where("grams is not null").collect()  # settings.rows at most
+    rows.sort(key=lambda r: (r.id is not None, r.id, r.h))
+    counts = np.zeros((len(rows), settings.buckets), np.float32)
+    for x, r in zip(counts, rows, strict=True):
+        at, n = unpack_sparse(bytes(r.grams))
+        x[at] = n
+    return fit(counts, [r.lang for r in rows], settings)
 
 
 def predict(df: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

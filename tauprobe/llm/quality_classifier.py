@@ -7,15 +7,17 @@ Vectors and output weights are trained together in numpy by stochastic gradient
 Since the softmax has two labels and the average is linear, a feature's whole effect on the score is one number, its
 vector times the difference of the output weights. Scoring looks these numbers up, vectorised over a block of text.
 
-The classifier is fitted on at most about `Settings.per_label` labelled texts of each label, picked by a hash of the row.
+The classifier is fitted on at most about `Settings.per_label` labelled texts of each label, picked by a hash of the row;
+they count whole, and their features are counted on the executors.
 Defined results: a null text counts as empty; a text without features, such as an empty one, gets the score of the
-training labels' shares; very long texts count whole, in blocks cut at white space; repeated rows give repeated results; of
+training labels' shares; very long texts count whole, in blocks whose features add up to those of the text; repeated rows give repeated results; of
 a repeated label the lowest counts; without labels, or with one label only, every score is that label's share, or 0.5; an
 empty table gives an empty table; only the named columns are read.
 """
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -23,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from tauprobe.llm.arrow_kernels import run, segments
+from tauprobe.llm.arrow_kernels import labelled_sample, pack_sparse, run, segments, unpack_sparse
 
 
 @dataclass(frozen=True)
@@ -33,8 +35,6 @@ class Settings:
     gram: int = 3
     #: Labelled texts of a label used in the fit, at most about this many.
     per_label: int = 3000
-    #: Characters of a training text used in the fit (scores use whole texts).
-    train_chars: int = 8000
     rounds: int = 12
     rate: float = 0.5
     seed: int = 3
@@ -81,6 +81,33 @@ def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
     return _POWER
 
 
+def blocks(text: str, settings: Settings, size: int = 1 << 19) -> Iterator[tuple[np.ndarray, int]]:
+    """(features, sign) of a text in blocks: signed, they add up to the features of the whole text.
+
+    A block begins with the last word of the one before, so that what lies across the cut is met, and that word's own
+    features are taken off again.
+    """
+    last = ""
+    for part in segments(text, size):
+        yield features(last + part, settings), 1
+        if last:
+            yield features(last, settings), -1
+        words = part.encode().rsplit(None, 1)
+        last = words[-1].decode() if words and len(part) < len(text) else ""
+
+
+def counted(text: str, settings: Settings) -> tuple[np.ndarray, np.ndarray]:
+    """The distinct features of a whole text and how often each occurs."""
+    each = [(np.unique(at, return_counts=True), sign) for at, sign in blocks(text, settings)]
+    if len(each) == 1:
+        return each[0][0]
+    total = np.zeros(settings.buckets, np.int64)
+    for (at, n), sign in each:
+        total[at] += sign * n
+    at = np.flatnonzero(total)
+    return at, total[at]
+
+
 @dataclass(frozen=True)
 class Model:
     effect: np.ndarray  # what each feature adds to the log-odds of label 1, were it the only one
@@ -89,13 +116,17 @@ class Model:
 
     def score(self, text: str | None) -> float:
         total, n = 0.0, 0
-        for part in segments(text or "", 1 << 19):
-            at = features(part, self.settings)
-            total, n = total + float(self.effect[at].sum()), n + len(at)
+        for at, sign in blocks(text or "", self.settings):
+            total, n = total + sign * float(self.effect[at].sum()), n + sign * len(at)
         return float(1 / (1 + np.exp(-np.clip(total / max(n, 1) + self.bias, -30, 30))))
 
 
 def learn(texts: list[str], labels: list[int], settings: Settings = Settings()) -> Model:
+    """Fits a model on texts."""
+    return fit([counted(t, settings) for t in texts], labels, settings)
+
+
+def fit(found: list[tuple[np.ndarray, np.ndarray]], labels: list[int], settings: Settings) -> Model:
     """Vectors and output weights by gradient descent, a document at a time; labels are 0 and 1."""
     share = (sum(labels) + 0.5) / (len(labels) + 1)
     prior = float(np.log(share / (1 - share)))
@@ -104,12 +135,11 @@ def learn(texts: list[str], labels: list[int], settings: Settings = Settings())
     rng = np.random.default_rng(settings.seed)
     vectors = rng.uniform(-1 / settings.width, 1 / settings.width, (settings.buckets, settings.width)).astype(np.float32)
     output = np.zeros((2, settings.width), np.float32)
-    found = [np.unique(features(t, settings), return_counts=True) for t in texts]
-    found = [(at, (n / n.sum()).astype(np.float32)) for at, n in found]
-    steps, done = settings.rounds * len(texts), 0
+    found = [(at, (n / max(n.sum(), 1)).astype(np.float32)) for at, n in found]
+    steps, done = settings.rounds * len(found), 0
     bias = np.array([0.0, prior], np.float32)
     for _ in range(settings.rounds):
-        for i in rng.permutation(len(texts)):
+        for i in rng.permutation(len(found)):
             at, weight = found[i]
             rate = settings.rate * (1 - done / steps)
             done += 1
@@ -136,10 +166,20 @@ def train(df: DataFrame, labels: DataFrame, learn_from: Column | None = None, id
         return learn([], [], settings)
     whole = 1 << 30
     bar = F.coalesce(*[F.when(F.col("label") == k, F.lit(min(whole, whole * settings.per_label // n))) for k, n in counts.items()])
-    few = known.where(F.pmod(F.xxhash64("id"), F.lit(whole)) < bar)
-    rows = df.select(F.col(id_col).alias("id"), F.substring(F.col(text_col).cast("string"), 1, settings.train_chars).alias("text")).where("text is not null").join(F.broadcast(few), "id").collect()  # bounded by per_label
-    rows.sort(key=lambda r: (r.id, r.text))
-    return learn([r.text for r in rows], [r.label for r in rows], settings)
+    ids = known.where(F.pmod(F.xxhash64("id"), F.lit(whole)) < bar)  # bounded by per_label, so every task can hold them
+    rows = df.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text")).where("text is not null").join(F.broadcast(ids), "id")
+    few = labelled_sample(rows.select("id", "text", "label"), "label", settings.per_label, 2, 2 * settings.per_label)  # an id may have many rows
+    if few is None:
+        return learn([], [], settings)
+
+    def step(batch: pa.RecordBatch) -> pa.RecordBatch:
+        found = [pack_sparse(*counted(t, settings)) for t in batch.column(2).to_pylist()]
+        return pa.RecordBatch.from_arrays([*batch.columns[:2], batch.column(3), pa.array(found, pa.binary())], ["id", "h", "label", "found"])
+
+    kind = few.schema["id"].dataType.simpleString()
+    sent = run(few.select("id", "h", "text", "label"), [step], f"id {kind}, h bigint, label int, found binary").collect()  # bounded by per_label
+    sent.sort(key=lambda r: (r.id, r.h))
+    return fit([unpack_sparse(bytes(r.found)) for r in sent], [r.label for r in sent], settings)
 
 
 def score(df: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

@@ -38,6 +38,48 @@ def test_language_odd_rows(spark):
     assert one.predict(["the"])[0][0] == "en"
 
 
+def plain_grams(text, buckets):
+    """Counts of hashed byte grams, one at a time."""
+    code = lambda c: 2 if c in b" \t\n\r\x0b\x0c" else 3 if 48 <= c < 58 else c - 93 if 97 <= c < 123 else c - 98 if c >= 128 else 1
+    b, out, low = [code(c) for c in b"  " + text.lower().encode() + b"  "], [0] * buckets, (1 << 32) - 1
+    for i in range(len(b) - 2):
+        pair = b[i] * 61 + b[i + 1]
+        out[(pair * 2654435761 & low) >> 7 & buckets - 1] += 1
+        out[((pair * 257 + b[i + 2]) * 2246822519 & low) >> 9 & buckets - 1] += 1
+    return out
+
+
+def test_language_equals_plain_version():
+    """Grams, bit classifiers' margins, loss-weighted decoding and the ambiguity flag, by loops."""
+    texts = ["the and of that with", "der die und das mit", "le la et les avec", "the \u00fcber 12 of"]
+    langs = ["en", "de", "fr"]
+    settings = language.Settings(buckets=256, steps=30)
+    model = language.learn(texts[:3] * 6, langs * 6, settings)
+    for t in [*texts, "der the le", "\u00e9"]:
+        grams = plain_grams(t, 256)
+        assert grams == language.gram_counts([t], 256)[0].tolist()
+        x = [g**0.5 for g in grams]
+        size = sum(v * v for v in x) ** 0.5
+        margin = [sum(v / size * w for v, w in zip(x, model.weights[:, j])) + model.bias[j] for j in range(model.codes.shape[1])]
+        loss = [sum(np.exp(-m * c) * w for m, c, w in zip(margin, code, model.bit_weights)) for code in model.codes]
+        share = [1 / v**2 / sum(1 / u**2 for u in loss) for v in loss]
+        best = max(range(3), key=lambda k: share[k])
+        name, score, unsure = model.predict([t])[0]
+        assert name == model.names[best] and score == pytest.approx(share[best], abs=1e-4) and unsure == (share[best] < settings.sure)
+    assert model.predict(["the and of that with"])[0][::2] == ("en", False)
+    same = language.learn(["aa bb"] * 60 + ["cc"] * 20, ["x", "y", "z"] * 20 + ["w"] * 20, settings)
+    assert same.predict(["aa bb"])[0][2] and not same.predict(["cc"])[0][2]  # three languages that cannot be told apart
+
+
+def test_language_learns_from_whole_texts_and_bounded_labels(spark):
+    rows = [(i, "0 " * 600_000 + ("the and of that " if i % 2 else "der die und das ") * 200, "en" if i % 2 else "de") for i in range(6)]
+    rows += [(100 + i, f"junk{i}", f"dirt{i}") for i in range(50)] + [(7, "the and of", "en")] * 400
+    df = spark.createDataFrame(rows, "doc_id bigint, text string, lang string")
+    model = language.train(df, settings=language.Settings(languages=2, steps=40))
+    assert model.names == ("de", "en")
+    assert [m[0] for m in model.predict(["der die und das", "the and of that"])] == ["de", "en"]
+
+
 def test_codewords_differ():
     for n in (2, 4, 7, 8, 20):
         m = language.code_matrix(n, 12, 1)

@@ -144,6 +144,84 @@ def test_classifier_odd_rows(spark):
     assert quality_classifier.learn(["a"], [1]).score(None) == pytest.approx(0.75)
 
 
+def brute_step(found, label, rate, vectors, output, bias):
+    """One gradient step, a feature and a dimension at a time."""
+    n, width = sum(found.values()), len(output[0])
+    mean = [sum(c / n * vectors[f][j] for f, c in found.items()) for j in range(width)]
+    raw = [sum(o[j] * mean[j] for j in range(width)) + b for o, b in zip(output, bias)]
+    p = [np.exp(r) / sum(np.exp(x) for x in raw) - (k == label) for k, r in enumerate(raw)]
+    back = [sum(p[k] * output[k][j] for k in range(2)) for j in range(width)]
+    for k in range(2):
+        output[k] = [output[k][j] - rate * p[k] * mean[j] for j in range(width)]
+    top = max(found.values())
+    for f, c in found.items():
+        vectors[f] = [vectors[f][j] - rate * c / top * back[j] for j in range(width)]
+
+
+def test_classifier_equals_plain_version():
+    """Features by plain Python hashing of words, pairs and grams; training and scores by loops."""
+    s = quality_classifier.Settings(buckets=1 << 10, width=3, rounds=2)
+    texts, labels = ["good fine words", "b@d $$ b@d", "fine \u00e9t\u00e9 good words", "$$ ## b@d x"], [1, 0, 1, 0]
+
+    def plain(text):
+        data = b" " + text.encode() + b" "
+        odd, mask, out = 0x9E3779B97F4A7C15, (1 << 64) - 1, Counter()
+
+        def add(piece, salt):
+            h = (sum((c + 1) * pow(odd, i, 1 << 64) for i, c in enumerate(piece)) + salt) & mask
+            h = (h ^ h >> 29) * 0xBF58476D1CE4E5B9 & mask
+            out[(h >> 40) & (s.buckets - 1)] += 1
+
+        words = data.split()
+        for w in words:
+            add(w, 1)
+        for m in re.finditer(rb"(?=(\S+\s+\S+))", data):
+            if data[m.start() - 1 : m.start()].isspace():
+                add(m[1], 2)
+        for i in range(len(data) - 2):
+            if not data[i + 1 : i + 2].isspace():
+                add(data[i : i + 3], 3)
+        return out
+
+    found = [plain(t) for t in texts]
+    for t, f in zip(texts, found):
+        assert Counter(quality_classifier.features(t, s).tolist()) == f
+    rng = np.random.default_rng(s.seed)
+    vectors = rng.uniform(-1 / s.width, 1 / s.width, (s.buckets, s.width)).astype(np.float32).tolist()
+    output, bias, done = [[0.0] * s.width for _ in range(2)], [0.0, 0.0], 0
+    for _ in range(s.rounds):
+        for i in rng.permutation(len(texts)):
+            brute_step(found[i], labels[i], s.rate * (1 - done / (s.rounds * len(texts))), vectors, output, bias)
+            done += 1
+    model = quality_classifier.learn(texts, labels, s)
+    for t, f in zip([*texts, "unseen good b@d"], [*found, plain("unseen good b@d")]):
+        n = sum(f.values())
+        logit = sum(c / n * sum(vectors[b][j] * (output[1][j] - output[0][j]) for j in range(s.width)) for b, c in f.items())
+        assert model.score(t) == pytest.approx(1 / (1 + np.exp(-logit)), abs=1e-4)
+
+
+def test_blocks_add_up_to_the_whole_text():
+    s = quality_classifier.Settings()
+    text = "alpha b\u00e9ta,\n gamma\t\u00a0x delta  epsilon " * 40
+    whole = Counter(quality_classifier.features(text, s).tolist())
+    for size in (7, 30, 101, 1 << 19):
+        total = Counter()
+        for at, sign in quality_classifier.blocks(text, s, size):
+            for f in at.tolist():
+                total[f] += sign
+        assert {k: v for k, v in total.items() if v} == whole
+
+
+def test_classifier_learns_from_all_of_long_texts(spark):
+    """What tells the labels apart lies after the first twenty thousand characters; one id has many rows."""
+    docs = [(i, "word " * 4000 + ("fine " if i % 2 else "b@d ") * 400) for i in range(60)] + [(0, f"b@d junk {k}") for k in range(400)]
+    labels = [(i, i % 2) for i in range(60)]
+    settings = quality_classifier.Settings(per_label=50)
+    df = spark.createDataFrame(docs, "doc_id bigint, text string")
+    model = quality_classifier.train(df, spark.createDataFrame(labels, "doc_id bigint, quality int"), settings=settings)
+    assert model.score("word " * 4000 + "fine " * 400) > 0.5 > model.score("word " * 4000 + "b@d " * 400)
+
+
 def test_features_do_not_depend_on_place():
     s = quality_classifier.Settings()
     one = Counter(quality_classifier.features("alpha beta", s).tolist())
