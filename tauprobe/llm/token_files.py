@@ -16,7 +16,6 @@ named id and text columns are read. A lost or repeated task rewrites its shard u
 
 from __future__ import annotations
 
-import itertools
 import json
 import re
 import struct
@@ -103,13 +102,41 @@ def unpack_ids(payload: bytes) -> np.ndarray:
     return np.frombuffer(body, "<u2" if payload[0] == 2 else "<u4").astype("<u4")
 
 
+class _PlainWords(dict):
+    """Ids of plain words in lower case, and of their parts, as they are asked for; two generations, so the size is bounded.
+
+    A word that spells an added token only in lower case is not one, so the model gets the parts of every word.
+    """
+
+    def __init__(self, tokenize, size: int = 1 << 18):
+        super().__init__()
+        self.tokenize, self.size, self.chars = tokenize, size, dict(enumerate(byte_chars()))
+        self.past: dict[str, bytes] = {}
+
+    def __missing__(self, word: str) -> bytes:
+        if (found := self.past.get(word)) is None:
+            if not word.isalpha() and len(parts := _PLAIN_PARTS.findall(word)) > 1:
+                found = self.ids(parts)
+            else:
+                spelt = word if word.isascii() else word.encode().decode("latin-1").translate(self.chars)
+                found = array("I", [t.id for t in self.tokenize(spelt)]).tobytes()
+        if len(self) >= self.size:
+            self.past = dict(self)
+            self.clear()
+        self[word] = found
+        return found
+
+    def ids(self, words: list[str]) -> bytes:
+        return b"".join(map(self.__getitem__, words))
+
+
 class WordEncoder:
     """Encodes texts with a tokenizer file. Words between white space are encoded apart, and remembered.
 
     The split pattern of the tokenizer must never match across white space, and its normalizer must work on characters;
     both hold for tokenizers that drop white space. Texts of characters up to U+00FF, which no normal form changes, are
-    put in lower case and split here, and their parts go to the library's model; of other texts, each word does so or
-    takes the library's whole way.
+    put in lower case and split at white space here, and the parts of new words go to the library's model; of other texts,
+    each word does so or takes the library's whole way.
     `check` compares with the library on whole texts.
     """
 
@@ -121,33 +148,26 @@ class WordEncoder:
         steps = [s["type"] for s in plan["normalizer"]["normalizers"]], [s["type"] for s in plan["pre_tokenizer"]["pretokenizers"]]
         self.short_way = steps == (["NFC", "Replace", "Lowercase"], ["Split", "ByteLevel"]) and plan["pre_tokenizer"]["pretokenizers"][0]["pattern"]["Regex"] == WORD_PATTERN
         self.added = tuple(t["content"] for t in plan["added_tokens"])
-        self.parts = Memory(self._learn_parts)
+        self.plain = _PlainWords(self.whole.model.tokenize)
         self.words = Memory(self._learn)
 
-    def _learn_parts(self, parts: list[str]) -> list[bytes]:
-        chars, tokenize = byte_chars(), self.whole.model.tokenize
-        spelt = [p if p.isascii() else "".join([chars[b] for b in p.encode()]) for p in parts]
-        return [array("I", [t.id for t in tokenize(p)]).tobytes() for p in spelt]
-
     def _split(self, text: str) -> list[str] | None:
-        """The parts that the tokenizer's pattern finds, if the text is of plain characters."""
-        return _PLAIN_PARTS.findall(text.lower()) if self.short_way and _PLAIN.fullmatch(text) and not any([a in text for a in self.added]) else None
+        """The words of a text of plain characters, in lower case."""
+        return text.lower().split() if self.short_way and _PLAIN.fullmatch(text) and not any([a in text for a in self.added]) else None
 
     def _learn(self, words: list[str]) -> list[bytes]:
         split = [self._split(w) for w in words]
-        known = self.parts.fill(itertools.chain.from_iterable(filter(None, split)))
         return [
-            array("I", self.whole.encode(w, add_special_tokens=False).ids).tobytes() if parts is None else b"".join([known[p] for p in parts])
-            for w, parts in zip(words, split, strict=True)
+            array("I", self.whole.encode(w, add_special_tokens=False).ids).tobytes() if own is None else self.plain.ids(own)
+            for w, own in zip(words, split, strict=True)
         ]
 
     def ids_of(self, texts: list[str]) -> list[bytes]:
         """32-bit ids of each text."""
         split = [self._split(t) for t in texts]
-        known = self.parts.fill(itertools.chain.from_iterable(filter(None, split))).__getitem__
-        out = [b"" if parts is None else b"".join(map(known, parts)) for parts in split]
-        for i, parts in enumerate(split):
-            if parts is None:
+        out = [b"" if words is None else self.plain.ids(words) for words in split]
+        for i, words in enumerate(split):
+            if words is None:
                 words = texts[i].replace("\n", " ").replace("\t", " ").replace("\r", " ").split(" ")
                 out[i] = b"".join(map(self.words.fill(words).__getitem__, words))
         return out

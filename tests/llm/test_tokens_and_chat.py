@@ -13,6 +13,7 @@ from hypothesis import strategies as st
 from tokenizers import Tokenizer
 
 from tauprobe.llm import byte_bpe, chat, queries, token_files
+from tauprobe.llm.arrow_kernels import segments
 from tauprobe.session import scratch
 
 SF = "/root/testdata/sf0.001"
@@ -63,6 +64,32 @@ def test_words_apart_equal_whole_text(text):
     assert token_files.word_encoder(WORDS).check(text)
 
 
+WHITE = [c for c in map(chr, range(0x3001)) if c.isspace()]
+
+
+@settings(max_examples=60, deadline=None)
+@given(st.lists(st.sampled_from([*WHITE, "a", "\u0301", "\u00e9,", "'s"]), max_size=12), st.integers(0, 8))
+def test_cuts_of_long_texts_change_nothing(tail, back):
+    """Runs of any white space around the place of a cut, against the libraries."""
+    text = ("word " * 3000)[: 9000 - back] + "".join(tail) + " end\u00a0 \n x" * 40
+    ranks = byte_bpe.read_ranks(RANKS)
+    want = tiktoken.Encoding("own", pat_str=P.PATTERN, mergeable_ranks=ranks, special_tokens={}).encode_ordinary(text)
+    parts = list(segments(text, 9000 - 4))
+    enc = byte_bpe.encoder(RANKS, P.PATTERN)
+    assert len(parts) > 1 and "".join(parts) == text
+    assert [i for p in parts for i in np.frombuffer(enc.ids(p), "<u4").tolist()] == want
+    words = token_files.word_encoder(WORDS)
+    assert b"".join(words.ids(p) for p in parts) == np.array(words.whole.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
+
+
+def test_plain_words_are_bounded_and_exact():
+    text = "It's <|ENDOFTEXT|> \u00c9t\u00e9s, \u00d710\u00b2\u00bd x_1 68.92.44.249 don't'\u00b5 " * 3 + " ".join(f"w{i}\u00e9,{i}" for i in range(300))
+    enc = token_files.WordEncoder(WORDS)
+    enc.plain.size = 50
+    assert enc._split(text) and enc.check(text) and len(enc.plain) <= 50 >= len(enc.plain.past)
+    assert enc.check(text + "<|endoftext|>") and enc.check(text + " \u0130\u212a")
+
+
 def test_token_files(spark):
     docs = spark.read.parquet(f"{SF}/documents.parquet").toPandas().sort_values("doc_id")
     got = queries.op5_token_files(spark, SF).toPandas().sort_values("doc_id")
