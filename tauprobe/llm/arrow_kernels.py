@@ -72,13 +72,16 @@ class Memory:
         return self.now
 
 
-#: Rows up to which the small side of a join is broadcast; such rows are a word or a number or two.
-SMALL = 500_000
+#: Rows and bytes (of text) up to which the small side of a join is broadcast.
+SMALL, SMALL_BYTES = 500_000, 48 << 20
 
 
 def small(df: DataFrame) -> DataFrame:
-    """df, marked for broadcast if it was counted to be small; a join with it is shuffled otherwise."""
-    return F.broadcast(df) if df.limit(SMALL + 1).count() <= SMALL else df
+    """df, marked for broadcast if its rows and their bytes were counted to be few; a join with it is shuffled otherwise."""
+    if df.limit(SMALL + 1).count() > SMALL:
+        return df
+    width = F.length(F.to_json(F.struct(*df.columns)))
+    return F.broadcast(df) if (df.agg(F.sum(width)).first()[0] or 0) <= SMALL_BYTES else df
 
 
 def crc_rest(id_col: str, modulus: int) -> Column:

@@ -169,3 +169,76 @@ def test_urls_are_mined(spark):
     df, known = spark.createDataFrame(rows, "page_id bigint, url string"), spark.createDataFrame(labels, "doc_id bigint, quality int, toxic int")
     got = {r.id: r.verdict for r in url_filters.judge(df, known, []).collect()}
     assert all((got[i] == "block") == (i % 4 == 0) for i in got) and len(got) == 600
+
+
+def brute_blocked(rows, labels, mining):
+    """URLs' token sets that hold a qualifying combination of frequent tokens, by going through all of them."""
+    from itertools import combinations
+
+    known = [(tokens, labels[i]) for i, tokens in rows if i in labels]
+    total, bad_total = len(known), sum(b for _, b in known)
+    least = max(-(-mining.support * total // 1), mining.rows)
+    frequent = {t for t, n in Counter(t for tokens, b in known if b for t in tokens).items() if n >= least}
+    n, n_bad = Counter(), Counter()
+    for tokens, b in known:
+        own = sorted(frequent & set(tokens))
+        for k in range(1, len(own) + 1):
+            for c in combinations(own, k):
+                n[c] += 1
+                n_bad[c] += b
+    rules = [set(c) for c in n if n_bad[c] >= least and n_bad[c] >= mining.confidence * n[c] and n_bad[c] * total >= mining.lift * n[c] * bad_total]
+    return {i for i, tokens in rows if any(r <= set(tokens) for r in rules)}
+
+
+def test_mined_rules_equal_all_combinations(spark):
+    rng = random.Random(8)
+    pages, labels = [], {}
+    for i in range(900):
+        tokens = [f"p:{c}" for c in "abcdefgh" if rng.random() < 0.45]
+        if "p:a" in tokens and rng.random() < 0.9:
+            tokens.append("p:twin")
+        bad = {"p:a", "p:b"} <= set(tokens) and rng.random() < 0.95 or {"p:c", "p:d", "p:e"} <= set(tokens) and rng.random() < 0.85 or rng.random() < 0.05
+        pages.append((i, "http://h/" + "/".join(t[2:] for t in tokens)))
+        if i % 3:
+            labels[i] = bad
+    rows = [(i, ["h:h", *("p:" + x for x in u.split("/")[3:] if x)]) for i, u in pages]
+    df = spark.createDataFrame(pages, "page_id bigint, url string")
+    known = spark.createDataFrame([(i, int(not b), 0) for i, b in labels.items()], "doc_id bigint, quality int, toxic int")
+    for mining in (url_filters.Mining(), url_filters.Mining(rows=30, confidence=0.7, lift=1.2)):
+        got = {r.id for r in url_filters.judge(df, known, [], mining).where("verdict = 'block'").collect()}
+        assert got == brute_blocked(rows, labels, mining) and 0 < len(got) < 900
+
+
+def test_long_urls_do_not_explode(spark):
+    """Pages that share forty segments, and pages that each lack a few of forty, labelled bad and good."""
+    rng = random.Random(9)
+    shared = "/".join(f"s{k}" for k in range(40))
+    pages = [(i, f"http://one.com/{shared}", i % 10 != 9) for i in range(80)]
+    pages += [(100 + i, "http://two.com/" + "/".join(f"t{k}" for k in range(40) if rng.random() < 0.9), i % 3 != 2) for i in range(300)]
+    pages += [(1000 + i, f"http://three.com/{i}", False) for i in range(600)]
+    df = spark.createDataFrame([p[:2] for p in pages] + [(5000, "http://x.org/s7")], "page_id bigint, url string")
+    known = spark.createDataFrame([(i, int(not b), 0) for i, _, b in pages], "doc_id bigint, quality int, toxic int")
+    mined = url_filters.mine(df, known)
+    assert mined.count() < 200
+    got = {r.id for r in url_filters.judge(df, known, []).where("verdict = 'block'").collect()}
+    assert got >= {*range(80), 5000} and not any(i >= 1000 for i in got - {5000})
+
+
+def test_many_rules_are_joined(spark):
+    rng = random.Random(3)
+    urls = [None, "http://a.b.example.com/x/1", "http://example.com", "x"] + [f"http://{rng.choice(['', 'a.', 'b.a.'])}h{rng.randint(0, 9)}.com/{rng.choice('xyz')}/{rng.randint(0, 9)}" for _ in range(200)]
+    rules = [("com/x", "block"), ("example.com/x/", "allow"), ("b.example.com/x/1", "block")] + [(f"h{k}.com/{c}/{d}", rng.choice(["block", "allow"])) for k in range(10) for c in "xy" for d in range(3)]
+    df = spark.createDataFrame([(i, u) for i, u in enumerate(urls)], "id bigint, url string")
+    from pyspark.sql import functions as F
+
+    df = df.select("id", url_filters.host_of(F.col("url")).alias("host"), url_filters.path_of(F.col("url")).alias("path"))
+    one, many = (sorted(map(tuple, url_filters.apply_rules(df, rules, most).collect())) for most in (500, 2))
+    assert one == many and any(r[3] for r in one)
+
+
+def test_small_counts_bytes(spark):
+    from tauprobe.llm import arrow_kernels
+
+    rows = spark.range(30).selectExpr("id", "repeat('x', 3000000) as t")
+    hinted = lambda df: "ResolvedHint" in df._jdf.queryExecution().analyzed().toString()
+    assert not hinted(arrow_kernels.small(rows)) and hinted(arrow_kernels.small(rows.select("id")))
