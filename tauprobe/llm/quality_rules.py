@@ -71,21 +71,22 @@ def _same_beside(array: str, part) -> Column:
     return F.filter(F.col(array), lambda x, j: same(x, j - 1) | same(x, j + 1))
 
 
-def features(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", stratum_col: str | None = "lang") -> DataFrame:
-    """Rows (id, stratum, n_words, word_chars, n_symbols, n_lines, n_dup_lines, n_repeat_words)."""
+def features(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", stratum_col: str | None = "lang", key_col: str | None = None) -> DataFrame:
+    """Rows (id, stratum, n_words, word_chars, n_symbols, n_lines, n_dup_lines, n_repeat_words), and key, where a column for it is named."""
     stratum = F.lit("") if stratum_col is None else F.coalesce(F.col(stratum_col).cast("string"), F.lit(""))
-    rows = df.select(F.col(id_col).alias("id"), stratum.alias("stratum"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("t"))
-    rows = rows.select("id", "stratum", words_of(F.col("t")).alias("words"), F.regexp_count("t", F.lit(SYMBOLS)).cast("bigint").alias("n_symbols"), _lines(F.col("t")).alias("lines"))
+    names = ["id", "stratum"] if key_col is None else ["id", "stratum", "key"]
+    rows = df.select(F.col(id_col).alias("id"), stratum.alias("stratum"), *([F.col(key_col).alias("key")] if key_col else []), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("t"))
+    rows = rows.select(*names, words_of(F.col("t")).alias("words"), F.regexp_count("t", F.lit(SYMBOLS)).cast("bigint").alias("n_symbols"), _lines(F.col("t")).alias("lines"))
     low = F.expr("shiftleft(1L, cast(ceil(log2(size(words) + 1)) as int)) - 1")
     rows = rows.select(
-        "id", "stratum", "words", "n_symbols",
+        *names, "words", "n_symbols",
         F.size("words").cast("bigint").alias("n_words"),
         F.length(F.array_join("words", "")).cast("bigint").alias("word_chars"),
         F.size("lines").cast("bigint").alias("n_lines"),
         (F.size("lines") - F.size(F.array_distinct("lines"))).cast("bigint").alias("n_dup_lines"),
         low.alias("low"),
     )
-    numbers = ["id", "stratum", "n_words", "word_chars", "n_symbols", "n_lines", "n_dup_lines"]
+    numbers = [*names, "n_words", "word_chars", "n_symbols", "n_lines", "n_dup_lines"]
     rows = rows.select(*numbers, "words", "low", _window_keys().alias("keys"))
     # windows that may repeat by their hash; then by their words
     rows = rows.select(*numbers, "words", "low", _same_beside("keys", lambda x: x.bitwiseAND(F.bitwise_not("low"))).alias("maybe"))
@@ -146,7 +147,7 @@ def verdicts(counted: DataFrame, cuts: DataFrame) -> DataFrame:
     return joined.select(*counted.columns, base.alias("base_failed"), (~base & passed).alias("kept"))
 
 
-def judge(df: DataFrame, labels: DataFrame, risk: Risk = Risk(), id_col: str = "doc_id", text_col: str = "text", stratum_col: str | None = "lang") -> DataFrame:
+def judge(df: DataFrame, labels: DataFrame, risk: Risk = Risk(), id_col: str = "doc_id", text_col: str = "text", stratum_col: str | None = "lang", key_col: str | None = None) -> DataFrame:
     """Features and verdicts of all rows of df, with cutoffs learnt from those that have a label."""
-    counted = materialize(features(df, id_col, text_col, stratum_col), "quality-features")
+    counted = materialize(features(df, id_col, text_col, stratum_col, key_col), "quality-features")
     return verdicts(counted, materialize(cutoffs(counted, labels, risk), "quality-cutoffs"))

@@ -266,12 +266,30 @@ def test_stages_with_odd_rows(spark):
     long = " ".join(f"word{i} of the" for i in range(60))
     rows = [(1, long, "en", "s", 5, 0.1), (1, long, "en", "s", 5, 0.1), (2, None, None, None, None, None), (None, long + " x", "en", "s", 1, 0.2), (3, "", "en", "s", 0, 0.3)]
     docs = spark.createDataFrame(rows, "doc_id bigint, text string, lang string, source string, n_chars bigint, score double")
+    long = " ".join(f"word{i} of the" for i in range(60, 90_000))
+    rows += [(None, long, "en", "s", 1, 0.4)]
+    docs = docs.union(spark.createDataFrame(rows[-1:], docs.schema))
     for name, stage in corpus_pipeline.STAGES:
         out = stage(spark, docs, SF)
         assert stage(spark, docs.limit(0), SF).count() == 0
         assert name == "byte_bpe" or out.columns == docs.columns
         docs = spark.createDataFrame(out.collect(), out.schema)
-    assert docs.count() == 1
+    assert docs.count() == 2
+
+
+def test_stages_judge_rows_not_ids(spark):
+    """Rows of one id, or of none, that differ in text: the junk goes, the clean text stays."""
+    corpus_pipeline = pytest.importorskip("corpus_pipeline")
+
+    clean = [r.text for r in spark.read.parquet(f"{SF}/documents.parquet").where("lang = 'en' and n_chars between 900 and 4000").orderBy("doc_id").limit(40).collect()]
+    passage = spark.read.parquet(f"{SF}/benchmark.parquet").orderBy("item_id").first().text
+    good, junk = clean[0], {"language_id": "12 34 ??", "quality_rules": "spam " * 90, "decontamination": passage}
+    for name, stage in corpus_pipeline.STAGES:
+        if name in junk:
+            rows = [(d, t, "en") for d in (None, 7) for t in (good, junk[name])]
+            rows += [(100 + i, t, "en") for i, t in enumerate(clean)]  # to learn from
+            out = stage(spark, spark.createDataFrame(rows, "doc_id bigint, text string, lang string"), SF).where("doc_id is null or doc_id = 7")
+            assert Counter(map(tuple, out.collect())) == Counter([(None, good, "en"), (7, good, "en")]), name
 
 
 def test_near_duplicates_judge_rows_not_ids(spark):
