@@ -2,7 +2,8 @@
 
 Each stage takes (spark, docs, sf_dir) and returns a frame, which `run` writes as Parquet to the shared folder and reads
 again as the next stage's docs. All stages but the last return the columns of their docs. Extra columns stay, whatever
-their names. A rejection of a document id holds for every row of that id; near-duplicate removal judges each row for itself.
+their names. Every stage judges each row for itself, whatever ids rows share or lack: a verdict follows from a row's text
+and language alone, so it is looked up by a 128-bit hash of the two.
 """
 
 from __future__ import annotations
@@ -16,22 +17,32 @@ from tauprobe.llm.arrow_kernels import small
 from tauprobe.session import materialize, table
 
 
-def _without(docs: DataFrame, judged: DataFrame, rejected: Column | str) -> DataFrame:
-    """The rows of docs whose id has no rejected row in judged; a null id is matched with null."""
-    gone = judged.where(rejected).select(F.col("id").alias("_rejected_id")).distinct()
-    gone = small(materialize(gone, "rejected"))
-    return docs.join(gone, docs["doc_id"].eqNullSafe(gone["_rejected_id"]), "left_anti")
+def _judged(docs: DataFrame) -> DataFrame:
+    """Rows (doc_id, text, lang) to be judged, where doc_id is the hash of text and language."""
+    return docs.select(_key("doc_id"), "text", "lang")
+
+
+def _key(name: str) -> Column:
+    return F.struct(F.xxhash64("text", "lang").alias("a"), F.xxhash64(F.lit(1), "text", "lang").alias("b")).alias(name)
+
+
+def _without(docs: DataFrame, judged: DataFrame, rejected: Column | str, key: str = "id") -> DataFrame:
+    """The rows of docs whose text and language were not rejected."""
+    gone = small(materialize(judged.where(rejected).select(f"{key}.a", f"{key}.b").distinct(), "rejected"))
+    key = _key("_key")
+    return docs.join(gone, (key["a"] == gone["a"]) & (key["b"] == gone["b"]), "left_anti")
 
 
 def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents without a recognised language, or that the codewords leave ambiguous, go."""
-    picked = docs.select("doc_id", "text", "lang")
-    return _without(docs, language.predict(picked, language.train(picked)), (F.col("lang_pred") == language.UNKNOWN) | F.col("ambiguous"))
+    model = language.train(docs.select("doc_id", "text", "lang"))
+    return _without(docs, language.predict(_judged(docs), model), (F.col("lang_pred") == language.UNKNOWN) | F.col("ambiguous"))
 
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the base rules or the risk-controlled cutoffs reject go."""
-    return _without(docs, quality_rules.judge(docs.select("doc_id", "text", "lang"), table(spark, sf_dir, "labels")), "not kept")
+    judged = quality_rules.judge(docs.select("doc_id", "text", "lang", _key("key")), table(spark, sf_dir, "labels"), key_col="key")
+    return _without(docs, judged, "not kept", "key")
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -41,7 +52,7 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 def contamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that contain benchmark passages go."""
-    return _without(docs, decontaminate.contamination(docs.select("doc_id", "text"), table(spark, sf_dir, "benchmark")), "contaminated")
+    return _without(docs, decontaminate.contamination(_judged(docs), table(spark, sf_dir, "benchmark")), "contaminated")
 
 
 def encoding(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
