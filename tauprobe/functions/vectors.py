@@ -1,7 +1,12 @@
-"""Vector expressions: dot products, norms, cosines, and signed word hashing. All are column expressions, JVM-side."""
+"""Vector expressions, JVM-side: dot products, norms, cosines; and signed word hashing over Arrow batches."""
 
 from __future__ import annotations
 
+import hashlib
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -36,24 +41,46 @@ def quarantine(df: DataFrame, vec: str = "vec", dim: int = DIM) -> tuple[DataFra
     return df.where(good), df.where(~good)
 
 
-def tokens(text: Column, pairs: bool = False) -> Column:
+#: Words whose hash a task keeps at most.
+KNOWN = 1 << 18
+
+
+def words_of(text: str, pairs: bool = False) -> list[str]:
     """Words between blanks, or neighbouring pairs of them; a text of one word keeps it."""
-    words = F.filter(F.split(F.coalesce(text, F.lit("")), "[ \t\r\n]+"), lambda w: w != "")
-    if not pairs:
-        return words
-    joined = lambda w: F.zip_with(F.slice(w, 1, F.greatest(F.size(w) - 1, F.lit(0))), F.slice(w, 2, F.greatest(F.size(w) - 1, F.lit(0))), lambda a, b: F.concat(a, F.lit(" "), b))
-    return F.transform(F.array(words), lambda w: F.when(F.size(w) > 1, joined(w)).otherwise(w))[0]
+    words = [w for w in text.replace("\t", " ").replace("\r", " ").replace("\n", " ").split(" ") if w]
+    return [f"{a} {b}" for a, b in zip(words, words[1:])] if pairs and len(words) > 1 else words
 
 
 def hashed_cells(df: DataFrame, text: str, pairs: bool = False, dim: int = DIM) -> DataFrame:
-    """Rows (id, vec, norm2): signed counts of hashed tokens. Cells are whole numbers, so products are exact in any order.
+    """Rows (id, vec, norm2): signed counts of hashed tokens; a text whose cells are all zero gives no row.
 
-    Each task sums its own cells before they are shuffled, so what moves is at most `dim` numbers a row.
+    Cells are whole numbers, so products are exact in any order. A text is counted in its row: nothing is shuffled, and a
+    task hashes a word once while it remembers it.
     """
-    each = df.select("id", F.explode(tokens(F.col(text), pairs)).alias("w"))
-    h = F.conv(F.substring(F.md5("w"), 1, 8), 16, 10).cast("bigint")
-    signed = each.select("id", F.pmod(h, F.lit(dim)).cast("int").alias("b"), F.when(F.pmod(F.floor(h / dim), F.lit(2)) == 0, -1).otherwise(1).alias("s"))
-    cells = signed.groupBy("id", "b").agg(F.sum("s").alias("v")).where("v <> 0")
-    packed = cells.groupBy("id").agg(F.map_from_entries(F.collect_list(F.struct("b", "v"))).alias("m"))
-    dense = F.transform(F.sequence(F.lit(0), F.lit(dim - 1)), lambda i: F.coalesce(F.try_element_at("m", i), F.lit(0)).cast("double"))
-    return packed.select("id", dense.alias("vec")).withColumn("norm2", norm2(F.col("vec")))
+
+    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known: dict[str, int] = {}
+
+        def place(word: str) -> int:
+            h = int(hashlib.md5(word.encode()).hexdigest()[:8], 16)
+            return h % dim + dim * (h // dim % 2)
+
+        for whole in batches:
+            for lo in range(0, whole.num_rows, 256):
+                b = whole.slice(lo, 256)
+                cells = np.zeros((b.num_rows, dim))
+                for row, value in zip(cells, b.column(1).to_pylist(), strict=True):
+                    words = words_of(value or "", pairs)
+                    if len(known) > KNOWN:
+                        known.clear()
+                    for w in set(words).difference(known):
+                        known[w] = place(w)
+                    if words:
+                        both = np.bincount(np.fromiter(map(known.__getitem__, words), np.int64, len(words)), minlength=2 * dim)
+                        row += both[dim:] - both[:dim]
+                used = np.flatnonzero(cells.any(1))
+                some = cells[used]
+                vecs = pa.ListArray.from_arrays(pa.array(np.arange(len(used) + 1, dtype=np.int32) * dim), pa.array(some.ravel()))
+                yield pa.RecordBatch.from_arrays([b.column(0).take(pa.array(used)), vecs, pa.array((some * some).sum(1))], ["id", "vec", "norm2"])
+
+    return df.select(F.col("id").cast("bigint").alias("id"), F.col(text).alias("text")).mapInArrow(kernel, "id bigint, vec array<double>, norm2 double")

@@ -68,21 +68,60 @@ class CentroidGraph:
         if level > self.top:
             self.entry, self.top = i, level
 
-    def nearest(self, q: np.ndarray, beam: int) -> int:
-        at = [self.entry]
-        for lv in range(self.top, 0, -1):
-            at = [self._beam(q, at, lv, 1)[0][1]]
-        found = self._beam(q, at, 0, beam)
-        top = round(found[0][0], ivf.DECIMALS)
-        return min(n for s, n in found if round(s, ivf.DECIMALS) == top)
+    def frozen(self) -> list[np.ndarray]:
+        """Links of each level as a matrix, a row for each node, filled up with -1."""
+        out = []
+        for links in self.near:
+            table = np.full((len(self.unit), max(map(len, links.values()), default=0) or 1), -1, np.int64)
+            for i, near in links.items():
+                table[i, : len(near)] = near
+            out.append(table)
+        return out
+
+    def nearest(self, unit: np.ndarray, beam: int, tables: list[np.ndarray]) -> np.ndarray:
+        """The best node that each row's walk finds: greedy steps down the levels, then a beam; all rows take a step at a time."""
+        rows = np.arange(len(unit))
+        at = np.full(len(unit), self.entry)
+        best = (self.unit[at] * unit).sum(1)
+        for table in tables[self.top : 0 : -1]:
+            moving = rows
+            while len(moving):
+                near = table[at[moving]]
+                sims = np.where(near >= 0, np.einsum("ijk,ik->ij", self.unit[near], unit[moving]), -9.0)
+                pick = sims.argmax(1)
+                top = sims[np.arange(len(moving)), pick]
+                better = top > best[moving]
+                moving, near, pick, top = moving[better], near[better], pick[better], top[better]
+                at[moving], best[moving] = near[np.arange(len(moving)), pick], top
+        nodes = np.full((len(unit), beam), -1)
+        sims = np.full((len(unit), beam), -9.0)
+        done = np.ones((len(unit), beam), bool)
+        nodes[:, 0], sims[:, 0], done[:, 0] = at, best, False
+        seen = np.zeros((len(unit), len(self.unit)), bool)
+        seen[rows, at] = True
+        active = rows
+        while len(active := active[~done[active].all(1)]):
+            step = np.where(done[active], -99.0, sims[active]).argmax(1)
+            done[active, step] = True
+            near = tables[0][nodes[active, step]]
+            new = (near >= 0) & ~seen[active[:, None], near]
+            seen[active[:, None], np.where(near >= 0, near, nodes[active, step][:, None])] = True
+            found = np.where(new, np.einsum("ijk,ik->ij", self.unit[near], unit[active]), -9.0)
+            every_n, every_s = np.hstack([nodes[active], near]), np.hstack([sims[active], found])
+            every_d = np.hstack([done[active], found < -5])
+            keep = np.argsort(-every_s, axis=1, kind="stable")[:, :beam]
+            nodes[active], sims[active], done[active] = (np.take_along_axis(x, keep, 1) for x in (every_n, every_s, every_d))
+        top = np.round(sims, ivf.DECIMALS)
+        return np.where((top == top[:, :1]) & (nodes >= 0), nodes, len(self.unit)).min(1)
 
 
 def graph_chooser(centroids: ivf.Centroids, links: int = 8, beam: int = 4, seed: int = 1):
     """For ivf.assign: the graph's answer instead of the nearest centroid; a beam of all centroids is nearly exact."""
     graph = CentroidGraph(centroids.unit, links, max(32, 2 * links), seed)
+    tables = graph.frozen()
 
     def choose(unit: np.ndarray) -> np.ndarray:
-        return np.array([graph.nearest(u, beam) for u in unit], np.int64)
+        return graph.nearest(unit, beam, tables)
 
     return choose
 
@@ -154,35 +193,57 @@ def coded(index: ivf.Index, bits: int = 7, seed: int = 5) -> ivf.Index:
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         coder, c = sent.value
-        place = {(s, p): i for i, (s, p) in enumerate(zip(c.shard.tolist(), c.pid.tolist(), strict=True))}
         for b in batches:
             for i in range(b.num_rows):
-                row = {name: b.column(k)[i].as_py() for k, name in enumerate(b.schema.names)}
-                unit = np.frombuffer(row["mat"], "<f4").reshape(row["n"], -1).astype(np.float64) / np.sqrt(np.array(row["norms"]))[:, None]
-                codes, length, fit = coder.encode(unit, c.unit[place[row["shard_id"], row["pid"]]])
+                row = ivf.as_block(b.slice(i, 1))
+                unit = np.frombuffer(row["mat"], "<f4").reshape(row["n"], -1).astype(np.float64) / np.sqrt(row["norms"])[:, None]
+                codes, length, fit = coder.encode(unit, c.vector(row["shard_id"], row["pid"]))
                 yield pa.RecordBatch.from_pylist(
                     [{k: row[k] for k in ("shard_id", "pid", "block_no", "n", "ids")} | {"code": pack_bits(codes, coder.bits), "length": length.tolist(), "fit": fit.tolist(), "list_id": row["pid"], "list_shard": row["shard_id"]}],
-                    pa.schema([("shard_id", pa.int32()), ("pid", pa.int32()), ("block_no", pa.int32()), ("n", pa.int32()), ("ids", pa.list_(pa.int64())), ("code", pa.binary()), ("length", pa.list_(pa.float64())), ("fit", pa.list_(pa.float64())), ("list_id", pa.int32()), ("list_shard", pa.int32())]),
+                    pa.schema([("shard_id", pa.int32()), ("pid", pa.int32()), ("block_no", pa.int64()), ("n", pa.int32()), ("ids", pa.list_(pa.int64())), ("code", pa.binary()), ("length", pa.list_(pa.float64())), ("fit", pa.list_(pa.float64())), ("list_id", pa.int32()), ("list_shard", pa.int32())]),
                 )
 
-    kind = "shard_id int, pid int, block_no int, n int, ids array<bigint>, code binary, length array<double>, fit array<double>, list_id int, list_shard int"
-    return ivf.Index(materialize(index.blocks.mapInArrow(kernel, kind), "codes"), index.centroids, index.dim)
+    kind = "shard_id int, pid int, block_no bigint, n int, ids array<bigint>, code binary, length array<double>, fit array<double>, list_id int, list_shard int"
+    return ivf.Index(materialize(index.blocks.mapInArrow(kernel, kind), "codes", **ivf.LAYOUT), index.centroids, index.dim)
 
 
 def code_scorer(index: ivf.Index, bits: int = 7, seed: int = 5):
     """For search: estimated instead of exact similarities."""
     coder, c = Coder(bits, rotation(index.dim, seed)), index.centroids
-    place = {(s, p): i for i, (s, p) in enumerate(zip(c.shard.tolist(), c.pid.tolist(), strict=True))}
 
     def scorer(queries: np.ndarray, norms: np.ndarray, block: dict) -> np.ndarray:
         unit = queries / np.sqrt(norms)[:, None]
-        codes = unpack_bits(block["code"], coder.bits, block["n"], unit.shape[1])
-        own = c.unit[place[block["list_shard"], block["list_id"]]]
-        return np.round(coder.estimate(unit @ coder.turn.T, unit @ own, codes, np.array(block["length"]), np.array(block["fit"])), search.DECIMALS)
+        if "grid" not in block:
+            block["grid"] = unpack_bits(block["code"], coder.bits, block["n"], unit.shape[1])
+        own = c.vector(block["list_shard"], block["list_id"])
+        return np.round(coder.estimate(unit @ coder.turn.T, unit @ own, block["grid"], block["length"], block["fit"]), search.DECIMALS)
 
     return scorer
 
 
+def code_error(index: ivf.Index, queries: DataFrame, bits: int, most: int = 256) -> DataFrame:
+    """One row (bits, pairs, mean_abs_err, mean_err) of estimated less exact cosines, of at most `most` queries (by a hash) with all vectors.
+
+    Errors are added up where the blocks lie; no pair leaves its task.
+    """
+    few = queries.orderBy(F.xxhash64("id"), "id").limit(most).select("vec").collect()
+    q = np.array([r.vec for r in few], np.float64).reshape(len(few), -1)
+    sent = index.blocks.sparkSession.sparkContext.broadcast((q / np.sqrt((q * q).sum(1, keepdims=True)) if len(q) else q, Coder(bits, rotation(index.dim, 5)), index.centroids))
+
+    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        q, coder, c = sent.value
+        for b in batches:
+            for i in range(b.num_rows if len(q) else 0):
+                block = ivf.as_block(b.slice(i, 1))
+                unit = np.frombuffer(block["mat"], "<f4").reshape(block["n"], -1).astype(np.float64) / np.sqrt(block["norms"])[:, None]
+                own = c.vector(block["shard_id"], block["pid"])
+                wrong = coder.estimate(q @ coder.turn.T, q @ own, *coder.encode(unit, own)) - q @ unit.T
+                yield pa.RecordBatch.from_arrays([pa.array([wrong.size]), pa.array([float(np.abs(wrong).sum())]), pa.array([float(wrong.sum())])], ["n", "a", "e"])
+
+    sums = index.blocks.mapInArrow(kernel, "n bigint, a double, e double").agg(*[F.sum(c).alias(c) for c in "nae"])
+    return sums.select(F.lit(bits).alias("bits"), F.col("n").alias("pairs"), F.round(F.col("a") / F.col("n"), 6).alias("mean_abs_err"), F.round(F.col("e") / F.col("n"), 6).alias("mean_err"))
+
+
 def rerank(edges: DataFrame, base: DataFrame, queries: DataFrame, tau: float, k: int) -> DataFrame:
     """Edges with exact similarities instead of estimates; those below tau go."""
     from tauprobe.functions import vectors

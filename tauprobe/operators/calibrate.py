@@ -24,10 +24,10 @@ class Choice:
 
 
 def sample(queries: DataFrame, size: int) -> DataFrame:
-    """About `size` queries, by a hash of their ids, so that the same batch gives the same sample."""
+    """About `size` queries, by a hash of their ids that any engine has, so that the same batch gives the same sample."""
     n = queries.count()
-    whole = 1 << 30
-    return queries.where(F.pmod(F.xxhash64("id", F.lit(17)), F.lit(whole)) < min(whole, whole * size // max(n, 1)))
+    h = F.conv(F.substring(F.md5(F.col("id").cast("string")), 1, 8), 16, 10).cast("bigint")
+    return queries.where(h * max(n, 1) < F.lit(size).cast("bigint") * (1 << 32))
 
 
 def choose_window(index: ivf.Index, queries: DataFrame, params: SearchParams, target_pp: float, size: int | None = None, grid: tuple[int, ...] = GRID) -> Choice:

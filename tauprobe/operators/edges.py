@@ -37,8 +37,10 @@ def label_groups(components: DataFrame, docs: DataFrame, labels: DataFrame, id_c
     marks = labels.groupBy(F.col(id_col).alias("id")).agg(F.max("quality").alias("quality"))
     every = docs.select(F.col(id_col).alias("id"), "n_chars").join(components.withColumnRenamed("node", "id"), "id", "left").join(marks, "id", "left")
     every = every.withColumn("component", F.coalesce("component", "id"))
-    order = W.partitionBy("component").orderBy(F.desc(F.coalesce("quality", F.lit(-1))), F.desc("n_chars"), F.asc("id"))
-    return every.select("id", "component", F.count(F.lit(1)).over(W.partitionBy("component")).alias("group_size"), (F.row_number().over(order) == 1).alias("keep"))
+    # a group of any size is one aggregate row: its size, and the place of its best document
+    place = F.struct((-F.coalesce("quality", F.lit(-1))).alias("q"), F.coalesce(-F.col("n_chars"), F.lit(1)).alias("c"), F.col("id").alias("i"))
+    groups = every.groupBy("component").agg(F.count(F.lit(1)).alias("group_size"), F.min(place)["i"].alias("best"))
+    return every.join(groups, "component").select("id", "component", "group_size", (F.col("id") == F.col("best")).alias("keep"))
 
 
 def exact_hash(docs: DataFrame, text: str = "text", id_col: str = "doc_id") -> DataFrame:
@@ -51,41 +53,80 @@ def self_search(index: ivf.Index, every: DataFrame, params: SearchParams) -> sea
     return search.lookahead(index, every, params.with_(drop_self=True))
 
 
-def _block_radii(index: ivf.Index) -> dict[tuple[int, int], float]:
-    """Largest angle of each partition's vectors to its centroid; one number a partition comes to the driver."""
-    sent = index.blocks.sparkSession.sparkContext.broadcast(index.centroids)
+def representatives(rows: DataFrame, by: list[str], id_col: str = "doc_id") -> DataFrame:
+    """Rows (id, representative): rows that agree in the columns `by` are stood for by their smallest id.
+
+    What is searched or joined afterwards are representatives, so copies cost one row each. Columns are compared by 128 bits
+    of hash; a group of any size is one aggregate row.
+    """
+    keyed = rows.select(F.col(id_col).alias("id"), F.xxhash64(*by).alias("a"), F.xxhash64(F.lit(1), *by).alias("b"))
+    first = keyed.groupBy("a", "b").agg(F.min("id").alias("representative"))
+    return keyed.join(first, ["a", "b"]).select("id", "representative")
+
+
+def spread(components: DataFrame, members: DataFrame) -> DataFrame:
+    """Components of representatives as rows (node, component) of all members of a group of two or more rows."""
+    of = members.join(components.withColumnRenamed("node", "representative"), "representative", "left")
+    of = of.select(F.col("id").alias("node"), F.coalesce("component", "representative").alias("component"))
+    sizes = of.groupBy("component").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
+    return of.join(sizes.select("component"), "component", "left_semi").select("node", "component")
+
+
+def _block_radii(index: ivf.Index) -> DataFrame:
+    """Rows (shard_id, pid, radius): the largest angle of each partition's vectors to its centroid."""
+    c = index.blocks.sparkSession.sparkContext.broadcast(index.centroids)
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        c = sent.value
-        place = {(s, p): i for i, (s, p) in enumerate(zip(c.shard.tolist(), c.pid.tolist(), strict=True))}
         for b in batches:
             for i in range(b.num_rows):
-                s, p, n, norms, mat = (b.column(k)[i].as_py() for k in (0, 1, 3, 5, 6))
-                vecs = np.frombuffer(mat, "<f4").reshape(n, -1).astype(np.float64) / np.sqrt(np.array(norms))[:, None]
-                angle = np.arccos(np.clip(vecs @ c.unit[place[s, p]], -1, 1)).max()
-                yield pa.RecordBatch.from_arrays([pa.array([s], pa.int32()), pa.array([p], pa.int32()), pa.array([float(angle)])], ["shard_id", "pid", "radius"])
+                block = ivf.as_block(b.slice(i, 1))
+                vecs = np.frombuffer(block["mat"], "<f4").reshape(block["n"], -1).astype(np.float64) / np.sqrt(block["norms"])[:, None]
+                angle = np.arccos(np.clip(vecs @ c.value.vector(block["shard_id"], block["pid"]), -1, 1)).max()
+                yield pa.RecordBatch.from_arrays([pa.array([block["shard_id"]], pa.int32()), pa.array([block["pid"]], pa.int32()), pa.array([float(angle)])], ["shard_id", "pid", "radius"])
 
-    rows = index.blocks.mapInArrow(kernel, "shard_id int, pid int, radius double").groupBy("shard_id", "pid").agg(F.max("radius").alias("radius")).collect()
-    return {(r.shard_id, r.pid): r.radius for r in rows}
+    return index.blocks.mapInArrow(kernel, "shard_id int, pid int, radius double").groupBy("shard_id", "pid").agg(F.max("radius").alias("radius"))
+
+
+#: Partitions of a tile, when all pairs of them are gone through.
+PID_TILE = 2048
 
 
 def block_pairs(index: ivf.Index, tau: float | None = None) -> DataFrame:
     """Rows (shard_id, pid, shard_b, pid_b) of partitions whose vectors may be within tau; all pairs without tau.
 
     By the triangle inequality of angles, partitions are too far apart if the angle of their centroids, less both radii, is
-    more than the threshold's angle.
+    more than the threshold's angle. Partitions come in tiles of centroids and radii; each pair of tiles is judged in a task.
     """
-    c = index.centroids
+    spark = index.blocks.sparkSession
     radii = _block_radii(index)
-    keys = [(int(s), int(p)) for s, p in zip(c.shard, c.pid, strict=True)]
-    angles = np.arccos(np.clip(c.unit @ c.unit.T, -1, 1))
-    held = [i for i, k in enumerate(keys) if k in radii]
-    rows = []
-    for i in held:
-        for j in (j for j in held if j >= i):
-            if tau is None or i == j or angles[i, j] - radii[keys[i]] - radii[keys[j]] <= np.arccos(min(1.0, tau)) + 1e-9:
-                rows.append((*keys[i], *keys[j]))
-    return index.blocks.sparkSession.createDataFrame(rows, "shard_id int, pid int, shard_b int, pid_b int")
+    centres = index.centroids.table(spark).join(radii, ["shard_id", "pid"])
+    numbered = centres.repartitionByRange(max(1, index.lists * len(index.shards) // PID_TILE), "shard_id", "pid")
+    bound = None if tau is None else float(np.arccos(min(1.0, tau)) + 1e-9)
+
+    def tile(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in ivf._tiles(batches, PID_TILE):
+            if b.num_rows:
+                mat = ivf._matrix(b.column(2))
+                yield pa.RecordBatch.from_arrays([pa.array([b.column(c).to_numpy()], pa.list_(t)) for c, t in ((0, pa.int32()), (1, pa.int32()), (3, pa.float64()))] + [pa.array([mat.tobytes()], pa.binary())], ["shards", "pids", "radii", "mat"])
+
+    tiles = materialize(numbered.select("shard_id", "pid", "vec", "radius").mapInArrow(tile, "shards array<int>, pids array<int>, radii array<double>, mat binary").withColumn("m", F.monotonically_increasing_id()), "centroid-tiles")
+    tiles = tiles.withColumn("t", F.row_number().over(W.orderBy("m"))).drop("m")  # a row for each two thousand partitions
+    last = tiles.count()
+    grid = tiles.select("t", F.explode(F.sequence("t", F.lit(last))).alias("u"))
+    other = tiles.select(*[F.col(c).alias(f"{c}_b") for c in ("shards", "pids", "radii", "mat")], F.col("t").alias("u"))
+
+    def judged(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            for i in range(whole.num_rows):
+                row = ivf.as_block(whole.slice(i, 1))
+                a, b = (np.frombuffer(row[m]).reshape(len(row[p]), -1) for m, p in (("mat", "pids"), ("mat_b", "pids_b")))
+                near = np.ones((len(a), len(b)), bool) if bound is None else np.arccos(np.clip(a @ b.T, -1, 1)) - row["radii"][:, None] - row["radii_b"][None, :] <= bound
+                if row["t"] == row["u"]:
+                    near = np.triu(near) | np.eye(len(a), dtype=bool)
+                x, y = np.nonzero(near)
+                yield pa.RecordBatch.from_arrays([pa.array(v.astype(np.int32)) for v in (row["shards"][x], row["pids"][x], row["shards_b"][y], row["pids_b"][y])], ["shard_id", "pid", "shard_b", "pid_b"])
+
+    return grid.join(tiles, "t").join(other, "u").mapInArrow(judged, "shard_id int, pid int, shard_b int, pid_b int")
 
 
 def pair_join(index: ivf.Index, tau: float, prune: bool) -> tuple[DataFrame, DataFrame]:
@@ -101,13 +142,13 @@ def pair_join(index: ivf.Index, tau: float, prune: bool) -> tuple[DataFrame, Dat
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
             for i in range(whole.num_rows):
-                same, n_a, ids_a, norms_a, mat_a, n, ids, norms, mat = (whole.column(k)[i].as_py() for k in range(9))
-                left = np.frombuffer(mat_a, "<f4").reshape(n_a, -1).astype(np.float64)
-                ids_a, ids = np.asarray(ids_a, np.int64), np.asarray(ids, np.int64)
-                for lo in range(0, n_a, search.TILE):
-                    sims = search.score_exact(left[lo : lo + search.TILE], np.asarray(norms_a)[lo : lo + search.TILE], {"mat": mat, "n": n, "norms": norms})
+                block = ivf.as_block(whole.slice(i, 1))
+                left = np.frombuffer(block["mat_a"], "<f4").reshape(block["n_a"], -1).astype(np.float64)
+                ids_a, ids = block["ids_a"], block["ids"]
+                for lo in range(0, len(left), search.TILE):
+                    sims = search.score_exact(left[lo : lo + search.TILE], block["norms_a"][lo : lo + search.TILE], block)
                     hit = sims >= tau
-                    if same:
+                    if block["same"]:
                         hit &= ids_a[lo : lo + search.TILE, None] < ids[None, :]
                     r, c = np.nonzero(hit)
                     x, y = ids_a[lo + r], ids[c]

@@ -1,16 +1,19 @@
 """Inverted-file indexes as tables: training, assignment, storage, and the order in which queries visit partitions.
 
 An index is two tables on shared storage: centroids (shard, pid) and blocks, a row for at most `BLOCK_ROWS` vectors of a
-partition, packed as one matrix, clustered by (shard, pid). Assignment is one blocked matrix product per Arrow batch
-against the centroids, which are sent to every task; their number is checked. Beyond `MOST_CENTROIDS` an index has shards,
-and the shards' centroids are searched shard by shard.
+partition, packed as one matrix. Each block is a row group of its own, so that a task can read single partitions. Assignment
+is one blocked matrix product per Arrow batch against the centroids. The centroids of an index without shards are sent to
+every task; their number is checked. Beyond `MOST_CENTROIDS` an index has shards: the centroids are a table by shard, rows
+and queries are dealt by shard, and a task reads the centroids of the shards it meets, one at a time.
 """
 
 from __future__ import annotations
 
 import json
+from collections import OrderedDict
 from collections.abc import Iterator
 from dataclasses import dataclass
+from functools import cached_property
 
 import numpy as np
 import pyarrow as pa
@@ -21,17 +24,19 @@ from pyspark.sql import Window as W
 from tauprobe.session import materialize, scratch
 
 BLOCK_ROWS = 4096
-#: Centroids sent to every task at most (of one index).
-MOST_CENTROIDS = 100_000
+#: Centroids sent to every task at most, in number and in bytes.
+MOST_CENTROIDS, CENTROID_BYTES = 100_000, 512 << 20
 #: Centroid similarities are compared as numbers of so many decimals, ties go to the smaller number.
 DECIMALS = 9
 
-BLOCKS = "shard_id int, pid int, block_no int, n int, ids array<bigint>, norms array<double>, mat binary"
+BLOCKS = "shard_id int, pid int, block_no bigint, n int, ids array<bigint>, norms array<double>, mat binary"
+#: A row group for each block.
+LAYOUT = {"parquet.block.row.count.limit": "1"}
 
 
 @dataclass(frozen=True)
 class Centroids:
-    """Centroids of all shards in the driver's memory: (shard, pid) and a unit matrix."""
+    """Centroids in memory: (shard, pid) and a unit matrix."""
 
     shard: np.ndarray
     pid: np.ndarray
@@ -41,27 +46,78 @@ class Centroids:
         own = self.shard == s
         return Centroids(self.shard[own], self.pid[own], self.unit[own])
 
+    @property
+    def counts(self) -> dict[int, int]:
+        return dict(zip(*(x.tolist() for x in np.unique(self.shard, return_counts=True)), strict=True))
+
+    @cached_property
+    def _places(self) -> dict[tuple[int, int], int]:
+        return {k: i for i, k in enumerate(zip(self.shard.tolist(), self.pid.tolist(), strict=True))}
+
+    def vector(self, s: int, p: int) -> np.ndarray:
+        return self.unit[self._places[s, p]]
+
+    def table(self, spark: SparkSession) -> DataFrame:
+        rows = [(int(s), int(p), u.tolist()) for s, p, u in zip(self.shard, self.pid, self.unit, strict=True)]
+        return spark.createDataFrame(rows, "shard_id int, pid int, vec array<double>")
+
+
+@dataclass(frozen=True)
+class StoredCentroids:
+    """Centroids of an index with shards: a table in a folder, a shard's rows read where they are needed."""
+
+    folder: str
+    counts: dict[int, int]
+
+    def of_shard(self, s: int) -> Centroids:
+        key = self.folder, s
+        if key not in _SHARDS:
+            import pyarrow.dataset as ds
+
+            system, path = _arrow(self.folder)
+            rows = ds.dataset(f"{path}/shard_id={s}", filesystem=system, format="parquet").to_table(columns=["pid", "vec"]).sort_by("pid").combine_chunks()
+            mat = _matrix(rows["vec"].chunk(0))
+            if len(_SHARDS) >= 2:
+                _SHARDS.popitem(last=False)
+            _SHARDS[key] = Centroids(np.full(len(mat), s, np.int64), rows["pid"].to_numpy().astype(np.int64), mat / np.sqrt((mat * mat).sum(1, keepdims=True)))
+        return _SHARDS[key]
+
+    def vector(self, s: int, p: int) -> np.ndarray:
+        return self.of_shard(s).vector(s, p)
+
+    def table(self, spark: SparkSession) -> DataFrame:
+        return spark.read.schema("shard_id int, pid int, vec array<double>").parquet(self.folder)
+
+
+#: The shards' centroids that this process read last.
+_SHARDS: OrderedDict[tuple[str, int], Centroids] = OrderedDict()
+
+
+def _arrow(path: str):
+    from pyarrow.fs import FileSystem
+
+    return FileSystem.from_uri(path if "://" in path else "file://" + path.removeprefix("file:"))
+
 
 @dataclass(frozen=True)
 class Index:
     blocks: DataFrame
-    centroids: Centroids
+    centroids: Centroids | StoredCentroids
     dim: int
     metric: str = "cosine"
 
     @property
     def shards(self) -> list[int]:
-        return sorted(set(self.centroids.shard.tolist()))
+        return sorted(self.centroids.counts)
 
     @property
     def lists(self) -> int:
         """Partitions of the largest shard."""
-        return int(np.bincount(self.centroids.shard).max()) if len(self.centroids.shard) else 0
+        return max(self.centroids.counts.values(), default=0)
 
     def sizes(self) -> DataFrame:
         """Rows (shard_id, pid, n) of all partitions, empty ones too."""
-        spark = self.blocks.sparkSession
-        every = spark.createDataFrame([(int(s), int(p)) for s, p in zip(self.centroids.shard, self.centroids.pid, strict=True)], "shard_id int, pid int")
+        every = self.centroids.table(self.blocks.sparkSession).select("shard_id", "pid")
         held = self.blocks.groupBy("shard_id", "pid").agg(F.sum("n").alias("n"))
         return every.join(held, ["shard_id", "pid"], "left").select("shard_id", "pid", F.coalesce("n", F.lit(0)).cast("bigint").alias("n"))
 
@@ -75,26 +131,25 @@ def suggest_nlist(n: int, target: int = 4096) -> int:
     return max(1, round(n / target))
 
 
+def seed_every(n: int, least: int = 25) -> int:
+    """Which rows are seeds: every so many-th, so that there are n / least lists up to ten thousand rows, and four roots of n beyond."""
+    return max(least, round(n**0.5 / 4))
+
+
 def collect_centroids(rows: DataFrame) -> Centroids:
-    """Rows (shard_id, pid, vec) into the driver; their number is checked first."""
-    got = rows.orderBy("shard_id", "pid").limit(MOST_CENTROIDS + 1).collect()
-    if len(got) > MOST_CENTROIDS:
+    """Rows (shard_id, pid, vec) into the driver; their number and size are checked first."""
+    n, dim = rows.agg(F.count(F.lit(1)), F.coalesce(F.max(F.size("vec")), F.lit(0))).first()
+    if n > MOST_CENTROIDS or n * dim * 8 > CENTROID_BYTES:
         raise ValueError("too many centroids to send to every task: use shards")
+    got = rows.orderBy("shard_id", "pid").collect()
     mat = np.array([r.vec for r in got], np.float64).reshape(len(got), -1)
     return Centroids(np.array([r.shard_id for r in got], np.int64), np.array([r.pid for r in got], np.int64), mat / np.sqrt((mat * mat).sum(1, keepdims=True)) if len(got) else mat)
 
 
 def seed_centroids(base: DataFrame, every: int) -> Centroids:
     """Base rows whose id is a multiple of `every`, numbered by id."""
-    seeds = base.where(F.pmod("id", F.lit(every)) == 0).select("id", "vec")
-    return collect_centroids(_numbered(seeds))
-
-
-def _numbered(seeds: DataFrame) -> DataFrame:
-    """Rows (id, vec) as centroids of shard 0; they are few, and checked to be."""
-    rows = seeds.orderBy("id").limit(MOST_CENTROIDS + 1).collect()
-    kind = "shard_id int, pid int, vec array<double>"
-    return seeds.sparkSession.createDataFrame([(0, i, r.vec) for i, r in enumerate(rows)], kind)
+    got = collect_centroids(base.where(F.pmod("id", F.lit(every)) == 0).select(F.lit(0).alias("shard_id"), F.col("id").alias("pid"), "vec"))
+    return Centroids(got.shard, np.arange(len(got.pid)), got.unit)
 
 
 def rank(vecs: np.ndarray, centroids: Centroids) -> np.ndarray:
@@ -109,17 +164,23 @@ def _matrix(column: pa.Array) -> np.ndarray:
     return flat.reshape(len(column), -1) if len(column) else flat.reshape(0, 0)
 
 
+def as_block(row: pa.RecordBatch) -> dict:
+    """One row as a block: lists as arrays, the rest as plain values."""
+    return {name: c.flatten().to_numpy(zero_copy_only=False) if pa.types.is_list(c.type) else c[0].as_py() for name, c in zip(row.schema.names, row.columns, strict=True) if name != "items"}
+
+
 def _tiles(batches: Iterator[pa.RecordBatch], rows: int = 1024) -> Iterator[pa.RecordBatch]:
     for b in batches:
         for lo in range(0, b.num_rows, rows):
             yield b.slice(lo, rows)
 
 
-def assign(base: DataFrame, centroids: Centroids, choose=None) -> DataFrame:
-    """Rows (id, shard_id, pid, vec): each vector at its nearest centroid, ties to the smaller pid; a map over the base.
+def assign(base: DataFrame, centroids: Centroids, choose=None, attribute: str | None = None) -> DataFrame:
+    """Rows (id, shard_id, pid, vec[, attr]): each vector at its nearest centroid, ties to the smaller pid; a map over the base.
 
     choose(unit vectors) may give other places in the list of centroids: the approximate variants.
     """
+    more = [F.col(attribute).cast("bigint").alias("attr")] if attribute else []
     sent = base.sparkSession.sparkContext.broadcast(centroids)
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -127,68 +188,111 @@ def assign(base: DataFrame, centroids: Centroids, choose=None) -> DataFrame:
         for b in _tiles(batches):
             vecs = _matrix(b.column(1))
             place = np.zeros(0, np.int64) if not len(vecs) else rank(vecs, c).argmax(1) if choose is None else choose(vecs / np.sqrt((vecs * vecs).sum(1, keepdims=True)))
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(c.shard[place].astype(np.int32)), pa.array(c.pid[place].astype(np.int32)), b.column(1)], ["id", "shard_id", "pid", "vec"])
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(c.shard[place].astype(np.int32)), pa.array(c.pid[place].astype(np.int32)), *b.columns[1:]], ["id", "shard_id", "pid", "vec", "attr"][: 2 + b.num_columns])
 
-    return base.select("id", "vec").mapInArrow(kernel, "id bigint, shard_id int, pid int, vec array<double>")
+    return base.select("id", "vec", *more).mapInArrow(kernel, "id bigint, shard_id int, pid int, vec array<double>" + ", attr bigint" * len(more))
 
 
 def pack(assigned: DataFrame, block_rows: int = BLOCK_ROWS) -> DataFrame:
-    """Blocks of assigned vectors: each partition's rows come together once, in order of id, and stay together in blocks."""
-    ordered = assigned.repartition("shard_id", "pid").sortWithinPartitions("shard_id", "pid", "id")
+    """Blocks of assigned vectors: each partition's rows come together once, in order of id, and stay together in blocks.
+
+    Rows are dealt by partition in balanced parts: adaptive execution splits a partition that is much larger than others.
+    A column attr, if there is one, goes along as attrs.
+    """
+    more = ["attr"] if "attr" in assigned.columns else []
+    ordered = assigned.select("id", "shard_id", "pid", "vec", *more).hint("rebalance", F.col("shard_id"), F.col("pid")).sortWithinPartitions("shard_id", "pid", "id")
+
+    def made(parts: list[pa.RecordBatch], number: int) -> pa.RecordBatch:
+        rows = pa.Table.from_batches(parts).combine_chunks()
+        mat = _matrix(rows["vec"].chunk(0))
+        columns = [pa.array([rows["shard_id"][0].as_py()], pa.int32()), pa.array([rows["pid"][0].as_py()], pa.int32()), pa.array([number], pa.int64()), pa.array([len(mat)], pa.int32()), pa.array([rows["id"].to_numpy()], pa.list_(pa.int64()))]
+        columns += [pa.array([(mat * mat).sum(1)], pa.list_(pa.float64())), pa.array([mat.astype("<f4").tobytes()], pa.binary())]
+        columns += [pa.array([rows["attr"].to_numpy()], pa.list_(pa.int64()))] if more else []
+        return pa.RecordBatch.from_arrays(columns, ["shard_id", "pid", "block_no", "n", "ids", "norms", "mat", *["attrs"] * len(more)])
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        key, block, ids, rows = None, 0, [], []
+        from pyspark import TaskContext
+
+        number = TaskContext.get().partitionId() << 32  # a partition may lie in several tasks, and block numbers stay apart
+        key, held, n = None, [], 0
+        for b in batches:
+            if not b.num_rows:
+                continue
+            keys = b.column(1).to_numpy().astype(np.int64) << 32 | b.column(2).to_numpy()
+            cuts = [0, *(np.flatnonzero(keys[1:] != keys[:-1]) + 1).tolist(), len(keys)]
+            for lo, hi in zip(cuts, cuts[1:]):
+                while lo < hi:
+                    if n and (keys[lo] != key or n == block_rows):
+                        yield made(held, number)
+                        number, held, n = number + 1, [], 0
+                    key, few = keys[lo], min(hi - lo, block_rows - n)
+                    held.append(b.slice(lo, few))
+                    lo, n = lo + few, n + few
+        if n:
+            yield made(held, number)
+
+    return ordered.mapInArrow(kernel, BLOCKS + ", attrs array<bigint>" * len(more))
+
+
+def repack(blocks: DataFrame, block_rows: int = BLOCK_ROWS) -> DataFrame:
+    """Blocks of the same vectors, as full as can be: for an index that grew by small batches."""
 
-        def made() -> pa.RecordBatch:
-            mat = np.vstack(rows)
-            return pa.RecordBatch.from_arrays(
-                [pa.array([key[0]], pa.int32()), pa.array([key[1]], pa.int32()), pa.array([block], pa.int32()), pa.array([len(ids)], pa.int32())]
-                + [pa.array([ids], pa.list_(pa.int64())), pa.array([(mat * mat).sum(1)], pa.list_(pa.float64())), pa.array([mat.astype("<f4").tobytes()], pa.binary())],
-                ["shard_id", "pid", "block_no", "n", "ids", "norms", "mat"],
-            )
+    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for i in range(b.num_rows):
+                row = as_block(b.slice(i, 1))
+                mat = np.frombuffer(row["mat"], "<f4").reshape(row["n"], -1).astype(np.float64)
+                vecs = pa.ListArray.from_arrays(pa.array(np.arange(len(mat) + 1, dtype=np.int32) * mat.shape[1]), pa.array(mat.ravel()))
+                yield pa.RecordBatch.from_arrays([pa.array(row["ids"]), *(pa.array(np.full(len(mat), row[c], np.int32)) for c in ("shard_id", "pid")), vecs], ["id", "shard_id", "pid", "vec"])
 
-        for b in _tiles(batches):
-            vecs = _matrix(b.column(3))
-            for i, (d, s, p) in enumerate(zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2).to_pylist(), strict=True)):
-                if (s, p) != key or len(ids) == block_rows:
-                    if ids:
-                        yield made()
-                    block = block + 1 if (s, p) == key else 0
-                    key, ids, rows = (s, p), [], []
-                ids.append(d)
-                rows.append(vecs[i])
-        if ids:
-            yield made()
-
-    return ordered.mapInArrow(kernel, BLOCKS)
-
-
-def build(base: DataFrame, centroids: Centroids, choose=None, block_rows: int = BLOCK_ROWS) -> Index:
-    """Assigns and packs the base; the blocks are written to shared storage."""
-    blocks = materialize(pack(assign(base, centroids, choose), block_rows), "blocks")
+    return pack(blocks.mapInArrow(kernel, "id bigint, shard_id int, pid int, vec array<double>"), block_rows)
+
+
+def build(base: DataFrame, centroids: Centroids, choose=None, block_rows: int = BLOCK_ROWS, attribute: str | None = None) -> Index:
+    """Assigns and packs the base; the blocks are written to shared storage. `attribute` names an integer column to keep beside the ids."""
+    assigned = assign(base, centroids, choose, attribute)
+    blocks = materialize(pack(assigned, block_rows), "blocks", **LAYOUT)
     return Index(blocks, centroids, centroids.unit.shape[1] if len(centroids.unit) else 0)
 
 
-def build_shards(base: DataFrame, every: int, shards: int) -> Index:
-    """Coarse shards around the first seeds, and in each shard the seeds that fall into it as centroids."""
-    seeds = seed_centroids(base, every)
-    coarse = Centroids(np.zeros(shards, np.int64), np.arange(shards), seeds.unit[:shards])
-    of = rank(seeds.unit, coarse).argmax(1)
-    order = np.lexsort((seeds.pid, of))
-    numbers = np.concatenate([np.arange((of == s).sum()) for s in range(shards)])
-    fine = Centroids(of[order], numbers, seeds.unit[order])
+def build_shards(base: DataFrame, coarse: Centroids, every: int, block_rows: int = BLOCK_ROWS) -> Index:
+    """An index with a shard for each coarse centroid, and in each shard its own lists around the seeds that fall into it.
+
+    The shards' centroids are a table; vectors are dealt by shard, in balanced parts, and meet the centroids of their shard.
+    """
+    spark = base.sparkSession
+    placed = materialize(assign(base, coarse).select("id", F.col("pid").alias("shard_id"), "vec"), "shards")
+    folder = scratch(spark, "centroids")
+    number = F.row_number().over(W.partitionBy("shard_id").orderBy("id")) - 1
+    seeds = placed.where(F.pmod("id", F.lit(every)) == 0).select("shard_id", number.cast("int").alias("pid"), "vec")
+    seeds.write.partitionBy("shard_id").parquet(folder)
+    counts = {r.shard_id: r["count"] for r in spark.read.parquet(folder).groupBy("shard_id").count().collect()}  # a row for each shard
+    if max(counts.values(), default=0) > MOST_CENTROIDS:
+        raise ValueError("too many lists in a shard: use more shards")
+    stored = StoredCentroids(folder, counts)
+
+    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b, s in _by_shard(batches, 1):
+            near = rank(_matrix(b.column(2)), stored.of_shard(s))
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(near.argmax(1).astype(np.int32)), b.column(2)], ["id", "shard_id", "pid", "vec"])
+
+    dealt = placed.hint("rebalance", F.col("shard_id")).sortWithinPartitions("shard_id")
+    assigned = dealt.mapInArrow(kernel, "id bigint, shard_id int, pid int, vec array<double>")
+    return Index(materialize(pack(assigned, block_rows), "blocks", **LAYOUT), stored, coarse.unit.shape[1])
 
-    def choose(unit: np.ndarray) -> np.ndarray:
-        own = np.round(unit @ coarse.unit.T, DECIMALS).argmax(1)
-        scores = np.round(unit @ fine.unit.T, DECIMALS)
-        scores[fine.shard[None, :] != own[:, None]] = -np.inf
-        return scores.argmax(1)
 
-    return build(base, fine, choose)
+def _by_shard(batches: Iterator[pa.RecordBatch], column: int, rows: int = 1024) -> Iterator[tuple[pa.RecordBatch, int]]:
+    """Tiles of one shard each, of rows sorted by shard."""
+    for b in batches:
+        shards = b.column(column).to_numpy()
+        cuts = [0, *(np.flatnonzero(shards[1:] != shards[:-1]) + 1).tolist(), len(shards)]
+        for lo, hi in zip(cuts, cuts[1:]):
+            for at in range(lo, hi, rows):
+                yield b.slice(at, min(rows, hi - at)), int(shards[lo])
 
 
 def lloyd(base: DataFrame, start: Centroids, rounds: int) -> Centroids:
-    """Spherical k-means: partial sums per Arrow batch, then one aggregation of a row for each centroid and dimension block."""
+    """Spherical k-means: partial sums per task, added up by centroid in one shuffle; the driver gets a row for each centroid."""
     now = start
     for _ in range(rounds):
         sent = base.sparkSession.sparkContext.broadcast(now)
@@ -203,17 +307,21 @@ def lloyd(base: DataFrame, start: Centroids, rounds: int) -> Centroids:
                     np.add.at(sums, at, vecs / np.sqrt((vecs * vecs).sum(1, keepdims=True)))
                     counts += np.bincount(at, minlength=len(counts))
             own = np.flatnonzero(counts)
-            yield pa.RecordBatch.from_arrays([pa.array(own), pa.array(list(sums[own]), pa.list_(pa.float64()))], ["place", "total"])
+            yield pa.RecordBatch.from_arrays([pa.array(own), pa.array([sums[i].tobytes() for i in own], pa.binary())], ["place", "total"])
+
+        def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            total: dict[int, np.ndarray] = {}
+            for b in batches:
+                for place, part in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
+                    total[place] = total.get(place, 0.0) + np.frombuffer(part)
+            yield pa.RecordBatch.from_arrays([pa.array(list(total), pa.int64()), pa.array([x.tobytes() for x in total.values()], pa.binary())], ["place", "total"])
 
-        part = base.select("vec").mapInArrow(kernel, "place bigint, total array<double>")
-        each = part.select("place", F.posexplode("total").alias("j", "x")).groupBy("place", "j").agg(F.sum("x").alias("x"))
+        kind = "place bigint, total binary"
         unit = now.unit.copy()
-        fresh: dict[int, np.ndarray] = {}
-        for r in each.collect():  # centroids times dimensions
-            fresh.setdefault(r.place, np.zeros(unit.shape[1]))[r.j] = r.x
-        for place, total in fresh.items():
+        for r in base.select("vec").mapInArrow(kernel, kind).repartition("place").mapInArrow(add, kind).collect():  # as many as centroids, which are bounded
+            total = np.frombuffer(r.total)
             if (size := np.sqrt((total * total).sum())) > 0:
-                unit[place] = total / size
+                unit[r.place] = total / size
         now = Centroids(now.shard, now.pid, unit)
     return now
 
@@ -228,30 +336,47 @@ def train_ml(base: DataFrame, nlist: int, seed: int = 7) -> Centroids:
     return Centroids(np.zeros(len(mat), np.int64), np.arange(len(mat)), mat / np.sqrt((mat * mat).sum(1, keepdims=True)))
 
 
-def probe_lists(queries: DataFrame, index: Index, nprobe: int) -> DataFrame:
-    """Rows (query_id, shard_id, probes): the pids of each shard in the order of their centroids' similarity, best first."""
-    sent = queries.sparkSession.sparkContext.broadcast(index.centroids)
+def probe_lists(queries: DataFrame, index: Index, nprobe: int, extra: list[str] = (), with_vectors: bool = False) -> DataFrame:
+    """Rows (query_id, shard_id, probes[, vec, extra]): the pids of each shard in the order of their centroids' similarity, best first."""
+    centroids = index.centroids
+    rows = queries.select(F.col("id").alias("query_id"), "vec", *extra)
+    stored = isinstance(centroids, StoredCentroids)
+    if stored:  # a task meets few shards, and reads their centroids
+        rows = rows.select("*", F.explode(F.lit(index.shards)).alias("shard_id"))
+        rows = rows.repartitionByRange("shard_id", "query_id").sortWithinPartitions("shard_id", "query_id")
+        sent = None
+    else:
+        sent = queries.sparkSession.sparkContext.broadcast(centroids)
+
+    def near(b: pa.RecordBatch, own: Centroids, shard: int) -> pa.RecordBatch:
+        order = np.argsort(-rank(_matrix(b.column(1)), own), axis=1, kind="stable")[:, :nprobe]
+        lists = pa.ListArray.from_arrays(pa.array(np.arange(len(order) + 1, dtype=np.int32) * order.shape[1]), pa.array(own.pid[order].astype(np.int32).ravel()))
+        columns = [b.column(0), pa.array(np.full(b.num_rows, shard, np.int32)), lists]
+        return pa.RecordBatch.from_arrays([*columns, *(b.columns[1 : 2 + len(extra)] if with_vectors else [])], ["query_id", "shard_id", "probes", "vec", *extra][: 3 + (1 + len(extra)) * with_vectors])
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        c = sent.value
+        if stored:
+            for b, s in _by_shard(batches, 2 + len(extra), 256):
+                yield near(b, centroids.of_shard(s), s)
+            return
+        each = {s: sent.value.of_shard(s) for s in sent.value.counts}
         for b in _tiles(batches, 256):
-            vecs = _matrix(b.column(1))
-            for s in np.unique(c.shard) if len(vecs) else ():
-                own = c.of_shard(int(s))
-                order = np.argsort(-rank(vecs, own), axis=1, kind="stable")[:, :nprobe]
-                yield pa.RecordBatch.from_arrays([b.column(0), pa.array(np.full(len(vecs), s, np.int32)), pa.array(list(own.pid[order].astype(np.int32)), pa.list_(pa.int32()))], ["query_id", "shard_id", "probes"])
+            for s, own in each.items() if b.num_rows else ():
+                yield near(b, own, s)
 
-    return queries.select(F.col("id").alias("query_id"), "vec").mapInArrow(kernel, "query_id bigint, shard_id int, probes array<int>")
+    kind = "query_id bigint, shard_id int, probes array<int>"
+    if with_vectors:
+        kind += ", vec array<double>" + "".join(f", {c} bigint" for c in extra)
+    return rows.mapInArrow(kernel, kind)
 
 
 def save(index: Index, path: str, label: str = "index") -> None:
     """Blocks clustered by (shard, pid), centroids, and a manifest."""
     spark = index.blocks.sparkSession
-    index.blocks.repartitionByRange("shard_id", "pid").sortWithinPartitions("shard_id", "pid", "block_no").write.partitionBy("shard_id").parquet(f"{path}/blocks")
-    c = index.centroids
-    rows = [(int(s), int(p), [float(x) for x in u]) for s, p, u in zip(c.shard, c.pid, c.unit, strict=True)]
-    spark.createDataFrame(rows, "shard_id int, pid int, vec array<double>").write.parquet(f"{path}/centroids")
-    manifest = json.dumps({"dim": index.dim, "metric": index.metric, "lists": index.lists, "shards": len(index.shards), "label": label})
+    ordered = index.blocks.repartitionByRange("shard_id", "pid", "block_no").sortWithinPartitions("shard_id", "pid", "block_no")
+    ordered.write.options(**LAYOUT).partitionBy("shard_id").parquet(f"{path}/blocks")
+    index.centroids.table(spark).write.partitionBy("shard_id").parquet(f"{path}/centroids")
+    manifest = json.dumps({"dim": index.dim, "metric": index.metric, "counts": index.centroids.counts, "stored": isinstance(index.centroids, StoredCentroids), "label": label})
     spark.createDataFrame([(manifest,)], "value string").coalesce(1).write.text(f"{path}/manifest")
 
 
@@ -261,7 +386,8 @@ def load(spark: SparkSession, path: str, dim: int | None = None) -> Index:
     if dim is not None and dim != manifest["dim"]:
         raise ValueError(f"the index has dimension {manifest['dim']}, not {dim}")
     blocks = spark.read.schema(BLOCKS).parquet(f"{path}/blocks")
-    return Index(blocks, collect_centroids(spark.read.parquet(f"{path}/centroids")), manifest["dim"], manifest["metric"])
+    stored = StoredCentroids(f"{path}/centroids", {int(s): n for s, n in manifest["counts"].items()})
+    return Index(blocks, stored if manifest["stored"] else collect_centroids(stored.table(spark)), manifest["dim"], manifest["metric"])
 
 
 def saved_copy(index: Index) -> Index:
@@ -271,28 +397,75 @@ def saved_copy(index: Index) -> Index:
     return load(index.blocks.sparkSession, path)
 
 
-def open_blocks(files: list[str]):
-    """The index's files as an Arrow dataset, for tasks that read single partitions."""
-    import pyarrow.dataset as ds
-    from pyarrow.fs import FileSystem
-
-    system, _ = FileSystem.from_uri(files[0])
-    return ds.dataset([FileSystem.from_uri(f)[1] for f in files], format="parquet", filesystem=system, partitioning="hive")
-
-
-def partition_blocks(store, shard: int, pid: int) -> list[dict]:
-    """The blocks of one partition, read by the statistics of the files' row groups."""
-    import pyarrow.dataset as ds
-
-    return store.to_table(columns=["n", "ids", "norms", "mat"], filter=(ds.field("shard_id") == shard) & (ds.field("pid") == pid)).to_pylist()
+def readable(index: Index) -> bool:
+    """Whether tasks can open the index's files through Arrow."""
+    files = index.blocks.inputFiles()
+    try:
+        return not files or _arrow(files[0])[0] is not None
+    except (OSError, ValueError, NotImplementedError):
+        return False
+
+
+class BlockStore:
+    """Reads single partitions of an index's files, and keeps what it read last."""
+
+    def __init__(self, files: tuple[str, ...], most_bytes: int = 256 << 20):
+        import re
+
+        import pyarrow.parquet as pq
+
+        self.most, self.held, self.loads = most_bytes, 0, 0
+        self.kept: OrderedDict[tuple[int, int], tuple[list[dict], int]] = OrderedDict()
+        self.files, self.where = [], {}
+        for f in files:
+            system, path = _arrow(f)
+            file = pq.ParquetFile(path, filesystem=system)
+            self.files.append(file)
+            folder = re.search(r"/shard_id=(\d+)/", path)
+            for g in range(file.metadata.num_row_groups):
+                self._note(len(self.files) - 1, g, int(folder[1]) if folder else None)
+
+    def _note(self, f: int, g: int, shard: int | None) -> None:
+        """Where the partitions of a row group are: one that holds a single block is known by its statistics."""
+        file = self.files[f]
+        group = file.metadata.row_group(g)
+        columns = ["shard_id", "pid"][shard is not None :]  # the first ones of the file
+        if group.num_rows == 1:
+            places = [[group.column(i).statistics.min for i in range(len(columns))]]
+        else:
+            places = zip(*(c.to_pylist() for c in file.read_row_group(g, columns=columns).columns), strict=True)
+        for row, place in enumerate(places):
+            self.where.setdefault((shard, *place) if shard is not None else tuple(place), []).append((f, g, row))
+
+    def blocks(self, shard: int, pid: int) -> list[dict]:
+        key = shard, pid
+        if key in self.kept:
+            self.kept.move_to_end(key)
+            return self.kept[key][0]
+        self.loads += 1
+        found = []
+        for f, g, row in self.where.get(key, ()):
+            found.append(as_block(self.files[f].read_row_group(g).slice(row, 1).combine_chunks().to_batches()[0]))
+        size = sum(3 * len(b["mat"]) if "mat" in b else 9 * len(b["code"]) for b in found)  # with its double form
+        self.kept[key] = found, size
+        self.held += size
+        while self.held > self.most and len(self.kept) > 1:
+            self.held -= self.kept.popitem(last=False)[1][1]
+        return found
+
+
+_STORES: OrderedDict[tuple[str, ...], BlockStore] = OrderedDict()
+
+
+def open_blocks(files: tuple[str, ...]) -> BlockStore:
+    """The store of an index's files, kept by the process for its next tasks."""
+    if files not in _STORES:
+        if len(_STORES) >= 2:
+            _STORES.popitem(last=False)
+        _STORES[files] = BlockStore(files)
+    return _STORES[files]
 
 
 def rank_table(probes: DataFrame) -> DataFrame:
     """Rows (query_id, shard_id, rank, pid), rank from 1."""
     return probes.select("query_id", "shard_id", F.posexplode("probes").alias("at", "pid")).select("query_id", "shard_id", (F.col("at") + 1).alias("rank"), "pid")
-
-
-def microbatch_table(frontier: DataFrame, cap: int) -> DataFrame:
-    """Rows (shard_id, pid, chunk, items): how groups split at the cap, in the order of query and rank."""
-    n = F.row_number().over(W.partitionBy("shard_id", "pid").orderBy("rank", "query_id"))
-    return frontier.select("shard_id", "pid", F.floor((n - 1) / cap).cast("int").alias("chunk")).groupBy("shard_id", "pid", "chunk").agg(F.count(F.lit(1)).alias("items"))

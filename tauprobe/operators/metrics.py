@@ -103,16 +103,13 @@ def mismatch(stored: DataFrame, nearest: DataFrame) -> DataFrame:
     return both.agg(F.count(F.lit(1)).alias("vectors"), wrong.alias("mismatched"), F.round(100 * wrong / F.count(F.lit(1)), 4).alias("pct"))
 
 
-def pair_coverage(pairs: DataFrame, edges: DataFrame, components: DataFrame, most: int = 990) -> DataFrame:
-    """One row (pairs, direct_pct, grouped_pct) for evenly spaced true pairs: joined by an edge, or in one component."""
-    n = pairs.count()
-    step = max(1, n // most)
-    picked = pairs.select("id_a", "id_b", F.row_number().over(W.orderBy("id_a", "id_b")).alias("i")).where((F.col("i") % step == 0) & (F.col("i") <= step * most))
+def pair_coverage(pairs: DataFrame, edges: DataFrame, components: DataFrame) -> DataFrame:
+    """One row (pairs, direct_pct, grouped_pct) over true pairs (id_a, id_b): joined by an edge, or in one component."""
     a = components.select(F.col("node").alias("id_a"), F.col("component").alias("ca"))
     b = components.select(F.col("node").alias("id_b"), F.col("component").alias("cb"))
-    seen = picked.join(edges.select("id_a", "id_b", F.lit(1).alias("e")), ["id_a", "id_b"], "left").join(a, "id_a", "left").join(b, "id_b", "left")
+    seen = pairs.join(edges.select("id_a", "id_b", F.lit(1).alias("e")), ["id_a", "id_b"], "left").join(a, "id_a", "left").join(b, "id_b", "left")
     n_, direct, grouped = F.count(F.lit(1)), F.sum(F.col("e").isNotNull().cast("int")), F.sum(F.coalesce(F.col("ca") == F.col("cb"), F.lit(False)).cast("int"))
-    return seen.agg(n_.alias("pairs"), F.round(100 * direct / n_, 4).alias("direct_pct"), F.round(100 * grouped / n_, 4).alias("grouped_pct"))
+    return seen.agg(n_.alias("pairs"), F.round(ratio(100 * direct, n_), 4).alias("direct_pct"), F.round(ratio(100 * grouped, n_), 4).alias("grouped_pct"))
 
 
 def matched_cost(frontier: list[tuple[float, float]], recall_at: float | None) -> float | None:

@@ -1,16 +1,21 @@
-"""Search of an inverted-file index: fixed probing, waves with the stopping rule, serial, speculative and replayed search.
-
-All executors share one kernel. Query and partition pairs are grouped by partition into microbatches, joined with the
-partition's blocks, and each pair of a microbatch and a block is one matrix product; what leaves it are at most k
-candidates a query with similarity of at least tau. Blocks stay where they lie, microbatches move.
-
-The paper's asynchronous queue becomes waves: a wave sends every rank that is committed and not yet sent, the answers move
-the queries' stop lines (by maximum, so the order within a wave does not matter), and a wave that commits nothing new is the
-last. One rank for each query and wave gives the plain rule; both visit the same partitions.
+"""Search of an inverted-file index: fixed probing, continuous batching with the stopping rule, waves, and replay.
+
+Two executors share one kernel. In `walk`, tasks hold queries and read partitions: queries that look into the same
+partitions first are dealt to the same task by range, so a task meets few partitions often. A task keeps a queue of groups,
+one for each partition with ready items; it takes a group, reads the partition's blocks from the index's files (or from what
+it read last), scores group and block in one matrix product, and at once makes the ranks ready that the answers commit. With
+lookahead all committed ranks are ready, in basic mode one rank a query. The whole search is one pass over the queries.
+The index is read where it lies; nothing of it is shuffled.
+
+In `search`, query and partition pairs are grouped by partition into microbatches and joined with the partition's blocks.
+That is how fixed probing runs, where all pairs are known beforehand, and `waves`, the rule in rounds of such joins: a wave
+sends every rank that is committed and not yet sent, and the answers move the queries' stop lines (by maximum, so the order
+within a wave does not matter). Waves need no files that Arrow can open, but a job for each wave.
 """
 
 from __future__ import annotations
 
+import random
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 
@@ -25,6 +30,8 @@ from tauprobe.params import SearchParams
 from tauprobe.session import materialize
 
 LOCAL = "query_id bigint, shard_id int, rank int, vec_id bigint, sim double"
+#: What a task of `walk` gives: hits (kind 0), where each query ended (1), and counts of each call (2).
+WALKED = LOCAL + ", kind tinyint"
 TILE = 1024
 #: Similarities are rounded so far, so that the shape of a product does not change what compares as equal.
 DECIMALS = 12
@@ -32,8 +39,11 @@ DECIMALS = 12
 
 def score_exact(queries: np.ndarray, norms: np.ndarray, block: dict) -> np.ndarray:
     """Cosines of query rows and block rows. Products of whole numbers are exact in double precision."""
-    mat = np.frombuffer(block["mat"], "<f4").reshape(block["n"], -1).astype(np.float64)
-    return np.round((queries @ mat.T) / np.sqrt(norms[:, None] * np.asarray(block["norms"])[None, :]), DECIMALS)
+    if "wide" not in block:
+        block["wide"] = np.frombuffer(block["mat"], "<f4").reshape(block["n"], -1).astype(np.float64)
+    sims = queries @ block["wide"].T
+    sims /= np.sqrt(norms[:, None] * block["norms"][None, :])
+    return np.round(sims, DECIMALS, out=sims)
 
 
 def local_top(sims: np.ndarray, ids: np.ndarray, tau: float, k: int, own: np.ndarray | None) -> tuple[np.ndarray, np.ndarray]:
@@ -64,9 +74,13 @@ def microbatches(frontier: DataFrame, queries: DataFrame, cap: int, largest: int
 
 
 def search(frontier: DataFrame, queries: DataFrame, index: ivf.Index, params: SearchParams, scorer=score_exact, largest: int | None = None) -> DataFrame:
-    """Local results of a frontier (query_id, shard_id, rank, pid): rows (query_id, shard_id, rank, vec_id, sim)."""
-    batches_ = microbatches(frontier, queries, params.microbatch, largest)
-    pairs = batches_.join(index.blocks, ["shard_id", "pid"])
+    """Local results of a frontier (query_id, shard_id, rank, pid): rows (query_id, shard_id, rank, vec_id, sim).
+
+    Microbatches meet blocks one by one, by (shard, partition, block), so a large partition is as many keys as it has blocks.
+    """
+    places = index.blocks.select("shard_id", "pid", "block_no")
+    batches_ = microbatches(frontier, queries, params.microbatch, largest).join(places, ["shard_id", "pid"])
+    pairs = batches_.join(index.blocks, ["shard_id", "pid", "block_no"])
     columns = ["shard_id", "items", *[c for c in index.blocks.columns if c not in ("shard_id", "block_no")]]
     tau, k, drop_self = params.tau, params.k, params.drop_self
 
@@ -78,14 +92,14 @@ def search(frontier: DataFrame, queries: DataFrame, index: ivf.Index, params: Se
                 qid = items.field(0).to_numpy()
                 ranks = items.field(1).to_numpy()
                 vecs = items.field(2).flatten().to_numpy(zero_copy_only=False).reshape(len(qid), -1)
-                block = {name: one.column(i)[0].as_py() for i, name in enumerate(one.schema.names) if i > 1}
-                ids = np.asarray(block["ids"], np.int64)
+                block = ivf.as_block(one)
+                shard = one.column(0)[0].as_py()
                 for lo in range(0, len(qid), TILE):
                     q = vecs[lo : lo + TILE]
                     sims = scorer(q, (q * q).sum(1), block)
-                    rows, cols = local_top(sims, ids, tau, k, qid[lo : lo + TILE] if drop_self else None)
+                    rows, cols = local_top(sims, block["ids"], tau, k, qid[lo : lo + TILE] if drop_self else None)
                     yield pa.RecordBatch.from_arrays(
-                        [pa.array(qid[lo + rows]), pa.array(np.full(len(rows), one.column(0)[0].as_py(), np.int32)), pa.array(ranks[lo + rows]), pa.array(ids[cols]), pa.array(sims[rows, cols])],
+                        [pa.array(qid[lo + rows]), pa.array(np.full(len(rows), shard, np.int32)), pa.array(ranks[lo + rows]), pa.array(block["ids"][cols]), pa.array(sims[rows, cols])],
                         ["query_id", "shard_id", "rank", "vec_id", "sim"],
                     )
 
@@ -104,8 +118,160 @@ class Result:
     #: (query_id, shard_id, visits)
     visits: DataFrame
     local: DataFrame
-    #: (wave, items, groups) of each wave.
+    #: (wave, items, groups) of each wave; a walk is one.
     waves: list[tuple[int, int, int]] = field(default_factory=list)
+    #: Partitions read from files, by walks.
+    loads: int | None = None
+
+
+# ---- queues in tasks
+
+
+class Queue:
+    """The queries of one call: groups of ready items by partition, stop lines, and what is ready next."""
+
+    def __init__(self, probes: list[np.ndarray], shards: np.ndarray, window: int, ahead: bool, order: str = "fifo", seed: int = 1):
+        self.window, self.ahead, self.order = window, ahead, order
+        self.most = np.array([len(p) for p in probes], np.int64)
+        self.flat = np.concatenate(probes) if probes else np.zeros(0, np.int64)
+        self.first = np.cumsum(self.most) - self.most
+        self.shards = shards.astype(np.int64)
+        self.line = np.minimum(window, self.most)
+        self.sent = np.zeros(len(probes), np.int64)
+        self.groups: dict[int, list[tuple[np.ndarray, np.ndarray]]] = {}  # in the order of their first item
+        self.rng = random.Random(seed)
+        self.admit(np.arange(len(probes)))
+
+    def admit(self, who: np.ndarray) -> None:
+        """Makes the committed ranks of these queries ready: all, or the next of each."""
+        upto = self.line[who] if self.ahead else np.minimum(self.line[who], self.sent[who] + 1)
+        n = upto - self.sent[who]
+        items = np.repeat(who, n)
+        if not len(items):
+            return
+        rank = self.sent[items] + 1 + np.arange(len(items)) - np.repeat(np.cumsum(n) - n, n)
+        self.sent[who] = upto
+        keys = self.shards[items] << 32 | self.flat[self.first[items] + rank - 1]
+        by = np.argsort(keys, kind="stable")
+        keys, items, rank = keys[by], items[by], rank[by]
+        cuts = [0, *(np.flatnonzero(keys[1:] != keys[:-1]) + 1).tolist(), len(keys)]
+        for a, b in zip(cuts, cuts[1:]):
+            self.groups.setdefault(int(keys[a]), []).append((items[a:b], rank[a:b]))
+
+    def take(self, cap: int) -> tuple[int, int, np.ndarray, np.ndarray]:
+        """(shard, partition, queries, ranks) of the next microbatch; what is beyond the cap waits."""
+        if self.order == "fifo":
+            key = next(iter(self.groups))
+        elif self.order == "random":
+            key = self.rng.choice(list(self.groups))
+        else:
+            key = max(self.groups, key=lambda g: (sum(len(w) for w, _ in self.groups[g]), -g))
+        parts = self.groups.pop(key)
+        who, rank = (np.concatenate([p[i] for p in parts]) if len(parts) > 1 else parts[0][i] for i in (0, 1))
+        if len(who) > cap:
+            self.groups[key] = [(who[cap:], rank[cap:])]
+        return key >> 32, key & 0xFFFFFFFF, who[:cap], rank[:cap]
+
+    def answer(self, who: np.ndarray, rank: np.ndarray, hit: np.ndarray) -> None:
+        """Moves stop lines by the ranks that had a hit, and admits what that commits."""
+        moved = np.minimum(rank[hit] + self.window, self.most[who[hit]])
+        np.maximum.at(self.line, who[hit], moved)
+        self.admit(np.unique(who[hit]) if self.ahead else who)
+
+
+def walk(index: ivf.Index, queries: DataFrame, params: SearchParams, ahead: bool = True, call: int | None = None, order: str = "fifo", scorer=score_exact, attribute: str | None = None) -> Result:
+    """The stopping rule by continuous batching in tasks; `call` queries of a task are worked off at a time (default: the cap).
+
+    `attribute` names an integer column of queries; the index's blocks have `attrs` then, and vectors with another value
+    than the query's are no candidates: the filter comes before the rule.
+    """
+    files = tuple(sorted(index.blocks.inputFiles()))
+    tau, k, window, cap, drop_self = params.tau, params.k, params.window, params.microbatch, params.drop_self
+    call = call or cap
+
+    def batch(rows: dict[str, np.ndarray | list], n: int, kind: int) -> pa.RecordBatch:
+        types = [pa.int64(), pa.int32(), pa.int32(), pa.int64(), pa.float64()]
+        return pa.RecordBatch.from_arrays([*(pa.array(rows[c], t) for c, t in zip(("query_id", "shard_id", "rank", "vec_id", "sim"), types)), pa.array(np.full(n, kind, np.int8))], ["query_id", "shard_id", "rank", "vec_id", "sim", "kind"])
+
+    def one_call(store: ivf.BlockStore, part: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
+        qid, shards = part.column(0).to_numpy(), part.column(1).to_numpy()
+        vecs = ivf._matrix(part.column(3))
+        norms = (vecs * vecs).sum(1)
+        wanted = part.column(4).to_numpy() if attribute else None
+        lists = part.column(2)
+        bounds, flat = lists.offsets.to_numpy(), lists.values.to_numpy().astype(np.int64)
+        queue = Queue([flat[a:b] for a, b in zip(bounds, bounds[1:])], shards, window, ahead, order)
+        held, n_held, dispatches, before = [], 0, 0, store.loads
+        while queue.groups:
+            shard, pid, who, rank = queue.take(cap)
+            dispatches += 1
+            hit = np.zeros(len(who), bool)
+            for block in store.blocks(shard, pid):
+                for lo in range(0, len(who), TILE):
+                    some = who[lo : lo + TILE]
+                    sims = scorer(vecs[some], norms[some], block)
+                    if attribute:
+                        sims[wanted[some][:, None] != block["attrs"][None, :]] = -9.0
+                    rows, cols = local_top(sims, block["ids"], tau, k, qid[some] if drop_self else None)
+                    if len(rows):
+                        hit[lo + rows] = True
+                        held.append((some[rows], rank[lo + rows], block["ids"][cols], sims[rows, cols]))
+                        n_held += len(rows)
+            queue.answer(who, rank, hit)
+            if n_held > 1 << 16 or (n_held and not queue.groups):
+                at, ranks, ids, sims = (np.concatenate([h[i] for h in held]) for i in range(4))
+                yield batch({"query_id": qid[at], "shard_id": shards[at], "rank": ranks.astype(np.int32), "vec_id": ids, "sim": sims}, len(at), 0)
+                held, n_held = [], 0
+        none = [None] * len(qid)
+        yield batch({"query_id": qid, "shard_id": shards, "rank": queue.line.astype(np.int32), "vec_id": none, "sim": none}, len(qid), 1)
+        yield batch({"query_id": [int(queue.line.sum())], "shard_id": [0], "rank": [dispatches], "vec_id": [store.loads - before], "sim": [None]}, 1, 2)
+
+    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        store, waiting, n = None, [], 0
+        for b in batches:
+            store = store or ivf.open_blocks(files)
+            waiting.append(b)
+            n += b.num_rows
+            if n >= call:
+                together = pa.Table.from_batches(waiting).combine_chunks().to_batches()[0]
+                whole = n - n % call
+                for lo in range(0, whole, call):
+                    yield from one_call(store, _compact(together.slice(lo, call)))
+                waiting, n = [together.slice(whole)], n - whole
+        if n:
+            together = pa.Table.from_batches(waiting).combine_chunks().to_batches()[0]
+            yield from one_call(store, _compact(together))
+
+    extra = [attribute] if attribute else []
+    ranked = materialize(ivf.probe_lists(queries, index, params.nprobe, extra, with_vectors=True), "probes")
+    tasks = max(queries.sparkSession.sparkContext.defaultParallelism, 1)
+    near = ranked.repartitionByRange(tasks, "shard_id", F.col("probes")[0], "query_id").sortWithinPartitions("shard_id", F.col("probes")[0], "query_id")
+    found = materialize(near.select("query_id", "shard_id", "probes", "vec", *extra).mapInArrow(kernel, WALKED), "walked")
+    local = found.where("kind = 0").drop("kind")
+    visits = found.where("kind = 1").select("query_id", "shard_id", F.col("rank").cast("bigint").alias("visits"))
+    items, dispatches, loads = found.where("kind = 2").agg(*[F.coalesce(F.sum(c), F.lit(0)) for c in ("query_id", "rank", "vec_id")]).first()
+    return Result(merge_top(local, k), visits, local, [(1, items, dispatches)], loads)
+
+
+def _compact(part: pa.RecordBatch) -> pa.RecordBatch:
+    """A slice as a batch of its own, so that its list columns begin at zero."""
+    return pa.RecordBatch.from_arrays([pa.concat_arrays([c]) if c.offset == 0 else c.take(pa.array(np.arange(len(c)))) for c in part.columns], part.schema.names)
+
+
+def lookahead(index: ivf.Index, queries: DataFrame, params: SearchParams, scorer=score_exact) -> Result:
+    return walk(index, queries, params, True, scorer=scorer) if ivf.readable(index) else waves(index, queries, params.with_(ranks_per_wave=None), scorer)
+
+
+def basic(index: ivf.Index, queries: DataFrame, params: SearchParams, scorer=score_exact) -> Result:
+    return walk(index, queries, params, False, scorer=scorer) if ivf.readable(index) else waves(index, queries, params.with_(ranks_per_wave=1), scorer)
+
+
+def serial(index: ivf.Index, queries: DataFrame, params: SearchParams, scorer=score_exact) -> Result:
+    """One query at a time, one partition after the other: the rule without any batching, which batching is compared with."""
+    return walk(index, queries, params, False, call=1, scorer=scorer)
+
+
+# ---- jobs over known pairs
 
 
 def full_probe(index: ivf.Index, queries: DataFrame, params: SearchParams, scorer=score_exact) -> tuple[DataFrame, DataFrame]:
@@ -119,7 +285,7 @@ def fixed(index: ivf.Index, queries: DataFrame, params: SearchParams, scorer=sco
     ranks, local = full_probe(index, queries, params, scorer)
     groups = ranks.groupBy("shard_id", "pid").agg(F.count(F.lit(1)).alias("n")).agg(F.sum("n"), F.sum(F.ceil(F.col("n") / params.microbatch))).first()
     visits = ranks.groupBy("query_id", "shard_id").agg(F.count(F.lit(1)).alias("visits"))
-    return Result(merge_top(local, params.k), visits, local, [(1, groups[0] or 0, groups[1] or 0)])
+    return Result(merge_top(local, params.k), visits, local, [(1, groups[0] or 0, groups[1] or 0)], groups[1] or 0)
 
 
 def waves(index: ivf.Index, queries: DataFrame, params: SearchParams, scorer=score_exact) -> Result:
@@ -148,72 +314,7 @@ def waves(index: ivf.Index, queries: DataFrame, params: SearchParams, scorer=sco
     every = found[0] if found else queries.sparkSession.createDataFrame([], LOCAL)
     for more in found[1:]:
         every = every.union(more)
-    return Result(merge_top(every, params.k), state.select("query_id", "shard_id", F.col("line").cast("bigint").alias("visits")), every, log)
-
-
-def lookahead(index: ivf.Index, queries: DataFrame, params: SearchParams, scorer=score_exact) -> Result:
-    return waves(index, queries, params.with_(ranks_per_wave=None), scorer)
-
-
-def basic(index: ivf.Index, queries: DataFrame, params: SearchParams, scorer=score_exact) -> Result:
-    return waves(index, queries, params.with_(ranks_per_wave=1), scorer)
-
-
-def serial(index: ivf.Index, queries: DataFrame, params: SearchParams) -> Result:
-    """One query at a time, one partition a call: the rule without any batching.
-
-    A task takes its queries in turn and reads the partition of each rank from the index's files only when the rank before
-    has been judged. Nothing is shared between queries, which is what batching is compared with.
-    """
-    files = index.blocks.inputFiles()
-    tau, k, window, drop_self = params.tau, params.k, params.window, params.drop_self
-
-    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        store = None
-        for batch in batches:
-            for qid, shard, probes, vec in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-                store = store or ivf.open_blocks(files)
-                q = np.array([vec], np.float64)
-                norm, own = (q * q).sum(1), np.array([qid]) if drop_self else None
-                rank, stale = 0, 0
-                out: dict[str, list] = {"rank": [], "vec_id": [], "sim": []}
-                while rank < len(probes) and stale < window:
-                    rank, stale = rank + 1, stale + 1
-                    for block in ivf.partition_blocks(store, shard, probes[rank - 1]):
-                        ids = np.asarray(block["ids"], np.int64)
-                        sims = score_exact(q, norm, block)
-                        rows, cols = local_top(sims, ids, tau, k, own)
-                        stale = 0 if len(cols) else stale
-                        out["rank"] += [rank] * len(cols)
-                        out["vec_id"] += ids[cols].tolist()
-                        out["sim"] += sims[rows, cols].tolist()
-                out["rank"].append(rank)  # the last row of a query has no vector: its rank is where the query stopped
-                out["vec_id"].append(None)
-                out["sim"].append(None)
-                n = len(out["rank"])
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array([qid] * n, pa.int64()), pa.array([shard] * n, pa.int32()), pa.array(out["rank"], pa.int32()), pa.array(out["vec_id"], pa.int64()), pa.array(out["sim"], pa.float64())],
-                    ["query_id", "shard_id", "rank", "vec_id", "sim"],
-                )
-
-    probes = ivf.probe_lists(queries, index, params.nprobe).join(queries.select(F.col("id").alias("query_id"), "vec"), "query_id")
-    walked = materialize(probes.repartition("query_id").select("query_id", "shard_id", "probes", "vec").mapInArrow(kernel, LOCAL), "serial")
-    local = walked.where("vec_id is not null")
-    visits = walked.where("vec_id is null").select("query_id", "shard_id", F.col("rank").cast("bigint").alias("visits"))
-    n = visits.agg(F.coalesce(F.sum("visits"), F.lit(0))).first()[0]
-    return Result(merge_top(local, params.k), visits, local, [(1, n, n)])
-
-
-def calls(index: ivf.Index, queries: DataFrame, params: SearchParams, size: int) -> tuple[Result, int]:
-    """The query set in calls of `size` queries each, in order of id; (all results, number of calls)."""
-    n = W.orderBy("id")
-    cut = materialize(queries.select("*", F.floor((F.row_number().over(n) - 1) / size).alias("call")), "calls")
-    total = (cut.agg(F.max("call")).first()[0] or 0) + 1
-    out = None
-    for c in range(total):
-        r = waves(index, cut.where(F.col("call") == c).drop("call"), params)
-        out = r if out is None else Result(out.edges.union(r.edges), out.visits.union(r.visits), out.local.union(r.local), out.waves + r.waves)
-    return out, total
+    return Result(merge_top(every, params.k), state.select("query_id", "shard_id", F.col("line").cast("bigint").alias("visits")), every, log, sum(g for *_, g in log))
 
 
 def stops(ranks: DataFrame, local: DataFrame, windows: list[int]) -> DataFrame:
@@ -246,32 +347,46 @@ def outcomes(ranks: DataFrame, local: DataFrame) -> DataFrame:
     return ranks.join(hits, ["query_id", "shard_id", "rank"], "left").select("query_id", "shard_id", "rank", "pid", F.coalesce("n_hits", F.lit(0)).alias("n_hits"))
 
 
+# ---- brute force
+
+#: Query vectors of a tile, base vectors of a tile, and bytes of query tiles that are sent to every task.
+QUERY_TILE, BASE_TILE, SENT_BYTES = 1024, 2048, 64 << 20
+
+
+def tiles(rows: DataFrame, size: int, prefix: str) -> DataFrame:
+    """Rows (<prefix>ids, <prefix>mat): at most size vectors of (id, vec) each, as one matrix in double precision."""
+
+    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in ivf._tiles(batches, size):
+            if b.num_rows:
+                yield pa.RecordBatch.from_arrays([pa.array([b.column(0).to_numpy()], pa.list_(pa.int64())), pa.array([ivf._matrix(b.column(1)).tobytes()], pa.binary())], [f"{prefix}ids", f"{prefix}mat"])
+
+    return rows.select("id", "vec").mapInArrow(kernel, f"{prefix}ids array<bigint>, {prefix}mat binary")
+
+
 def exact(base: DataFrame, queries: DataFrame, tau: float = -2.0, k: int | None = None, drop_self: bool = False) -> DataFrame:
     """Brute force, without index or pruning: edges (query_id, vec_id, sim, pos) of the stated queries against all base rows.
 
-    Queries go in blocks: a block of query vectors is one row, sent to the base's tasks in turn, so memory holds one block.
+    Queries and base rows meet as tiles. Where all query tiles are small enough to send, the base is not moved. Else tiles
+    of the base are dealt over a grid of cells, to each of which the query tiles go once. Each pair of tiles leaves k
+    candidates a query.
     """
     most = k or (1 << 31) - 1
-    rows = queries.select("id", "vec").orderBy("id").collect()  # the stated query set, not the base
-    out = None
-    for lo in range(0, max(len(rows), 1), 4096):
-        part = rows[lo : lo + 4096]
-        sent = base.sparkSession.sparkContext.broadcast((np.array([r.id for r in part], np.int64), np.array([r.vec for r in part], np.float64).reshape(len(part), -1)))
-
-        def kernel(batches: Iterator[pa.RecordBatch], sent=sent) -> Iterator[pa.RecordBatch]:
-            qid, q = sent.value
-            if not len(qid):
-                return
-            norms = (q * q).sum(1)
-            for b in ivf._tiles(batches):
-                vecs = ivf._matrix(b.column(1))
-                if not len(vecs):
-                    continue
-                ids = b.column(0).to_numpy()
-                sims = np.round((q @ vecs.T) / np.sqrt(norms[:, None] * (vecs * vecs).sum(1)[None, :]), DECIMALS)
+    own = materialize(tiles(queries, QUERY_TILE, "q_"), "query-tiles")
+    size, dim = own.agg(F.coalesce(F.sum(F.length("q_mat")), F.lit(0)), F.max(F.length("q_mat") / F.size("q_ids"))).first()
+    cells = 1 if size <= SENT_BYTES else 4 * queries.sparkSession.sparkContext.defaultParallelism
+    every = tiles(base, BASE_TILE, "").withColumn("cell", F.pmod(F.xxhash64(F.col("ids")[0]), F.lit(cells)))
+    dealt = own.withColumn("cell", F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(cells - 1).cast("bigint"))))
+    pairs = every.join(F.broadcast(dealt) if cells == 1 else dealt, "cell").select("q_ids", "q_mat", "ids", "mat")
+
+    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            for at in range(whole.num_rows):
+                qid, ids = (whole.column(c).slice(at, 1).flatten().to_numpy() for c in (0, 2))
+                q, mat = (np.frombuffer(whole.column(c)[at].as_buffer(), np.float64).reshape(n, -1) for c, n in ((1, len(qid)), (3, len(ids))))
+                norms = (mat * mat).sum(1)
+                sims = np.round((q @ mat.T) / np.sqrt((q * q).sum(1)[:, None] * norms[None, :]), DECIMALS)
                 rows, cols = local_top(sims, ids, tau, most, qid if drop_self else None)
                 yield pa.RecordBatch.from_arrays([pa.array(qid[rows]), pa.array(np.zeros(len(rows), np.int32)), pa.array(np.zeros(len(rows), np.int32)), pa.array(ids[cols]), pa.array(sims[rows, cols])], ["query_id", "shard_id", "rank", "vec_id", "sim"])
 
-        found = base.select("id", "vec").mapInArrow(kernel, LOCAL)
-        out = found if out is None else out.union(found)
-    return merge_top(out, most)
+    return merge_top(pairs.mapInArrow(kernel, LOCAL), most)

@@ -12,11 +12,11 @@ from pyspark.sql import DataFrame, SparkSession
 EXPERIMENTS: dict[str, tuple[str, ...]] = {
     "density_and_locality": ("workload_shapes", "density_emb", "density_docs_u", "last_rank_docs_u", "front_load_docs_u"),
     "partition_sizes": ("partition_stats_emb", "partition_stats_docs_u"),
-    "window_sweep": ("w_sweep_emb", "w_sweep_docs_u", "w_sweep_docs_b"),
-    "sharded_window_sweep": ("shard_topk_emb", "shard_w_sweep_docs_u"),
+    "window_sweep": ("w_sweep_emb", "w_sweep_docs_u", "w_sweep_docs_b", "w_sweep_trained_docs_u", "w_sweep_codes_docs_u"),
+    "sharded_window_sweep": ("shard_topk_emb", "shard_w_sweep_docs_u", "shard_w_sweep_emb"),
     "same_budget": ("probe_sweep_docs_u",),
     "recall_matched": ("matched_cost_docs_u",),
-    "ablation": ("wave_profile_docs_u", "serial_edges_emb", "queue_policy_trace_docs_u"),
+    "ablation": ("wave_profile_docs_u", "serial_edges_docs_u", "ablation_docs_u", "queue_policy_trace_docs_u"),
     "pruning_by_neighbours": ("prune_by_group_docs_u",),
     "call_size": ("call_size_docs_u",),
     "threshold_sweep": ("tau_sweep_emb", "tau_sweep_docs_u"),

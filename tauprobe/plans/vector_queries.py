@@ -28,33 +28,35 @@ def query(name: str, sql: str | None = None):
     return keep
 
 
-def emb(tau=0.30, p=None, **kw):
+def emb(tau=0.30, p=90, **kw):
     return q.probed("embeddings", tau, p, **kw)
 
 
-def docs(tau=0.85, p=None, **kw):
+def docs(tau=0.85, p=90, **kw):
     return q.probed("documents", tau, p, **kw)
 
 
-KIND = {"emb": emb, "docs_u": docs, "docs_b": lambda tau=0.85, p=None, **kw: docs(tau, p, pairs=True, **kw), "pages": lambda tau=0.90, p=None, **kw: q.probed("pages", tau, p, seed_every=10, **kw)}
+KIND = {"emb": emb, "docs_u": docs, "docs_b": lambda tau=0.85, p=90, **kw: docs(tau, p, pairs=True, **kw), "pages": lambda tau=0.90, p=90, **kw: q.probed("pages", tau, p, seed_every=10, **kw)}
+#: The windows of the registered searches.
+WINDOW = {n: w.window for n, w in wl.WORKLOADS.items()}
 
 
 def rounded(e: DataFrame) -> DataFrame:
     return e.select("query_id", "vec_id", F.round("sim", 6).alias("sim"), F.col("pos").cast("bigint").alias("pos"))
 
 
-def full(spark, sf, name, **changes):
+def full(spark, sf, name, rounds=0, **changes):
     """(index, queries, params, ranks, local) of a full pass, kept for the session: what sweeps are replayed from."""
-    index, held = wl.index_of(spark, sf, name)
+    index, held = wl.index_of(spark, sf, name, rounds)
     params = wl.WORKLOADS[name].params.with_(**changes)
-    ranks, local = wl._once(spark, ("full", sf, name, params), lambda: search.full_probe(index, held, params))
+    ranks, local = wl._once(spark, ("full", sf, name, rounds, params), lambda: search.full_probe(index, held, params))
     return index, held, params, ranks, local
 
 
 def truth(spark, sf, name, k=10, tau=None):
-    base, held = wl.split(wl.vectors_of(spark, sf, name))
+    every, held = wl.split(wl.vectors_of(spark, sf, name))
     tau = wl.WORKLOADS[name].tau if tau is None else tau
-    return wl._once(spark, ("truth", sf, name, k, tau), lambda: materialize(search.exact(base, held, tau, k), "truth"))
+    return wl._once(spark, ("truth", sf, name, k, tau), lambda: materialize(search.exact(every, held, tau, k, drop_self=True), "truth"))
 
 
 # ---- vectors
@@ -75,7 +77,7 @@ def _(spark, sf):
 
 @query("vec_cosine_pairs_emb", f"WITH {q.vectors('embeddings')} SELECT a.id AS id_a, b.id AS id_b, round({q.sim('a', 'b')}, 6) AS sim FROM v a JOIN v b ON a.id < b.id WHERE {q.sim('a', 'b')} >= 0.4")
 def _(spark, sf):
-    index = wl.self_index_of(spark, sf, "emb")
+    index, _ = wl.index_of(spark, sf, "emb")
     pairs, _ = edges.pair_join(index, 0.40, prune=False)
     return pairs.select("id_a", "id_b", F.round("sim", 6).alias("sim"))
 
@@ -94,23 +96,15 @@ for _n in ("emb", "docs_u"):
 
 @query("exact_range_docs_b", f"WITH {KIND['docs_b']()} SELECT query_id, vec_id, round(sim, 6) AS sim FROM scored WHERE sim >= 0.85")
 def _(spark, sf):
-    base, held = wl.split(wl.vectors_of(spark, sf, "docs_b"))
-    return search.exact(base, held, 0.85).select("query_id", "vec_id", F.round("sim", 6).alias("sim"))
+    every, held = wl.split(wl.vectors_of(spark, sf, "docs_b"))
+    return search.exact(every, held, 0.85, drop_self=True).select("query_id", "vec_id", F.round("sim", 6).alias("sim"))
 
 
 # ---- index variants
 
-_LLOYD = """unit_ AS (SELECT a.id, a.pid, list_transform(b.vec, lambda x: x / sqrt(b.n2)) AS u FROM assigned a JOIN base b ON a.id = b.id),
-sums AS (SELECT pid, d, sum(u[d]) AS s FROM unit_, (SELECT unnest(range(1, 65)) AS d) GROUP BY pid, d),
-moved AS (SELECT pid, vec, list_dot_product(vec, vec) AS n2 FROM (SELECT pid, list(s ORDER BY d) AS vec FROM sums GROUP BY pid)),
-again AS (SELECT base.id, moved.pid FROM base, moved QUALIFY row_number() OVER (PARTITION BY base.id ORDER BY round(list_dot_product(base.vec, moved.vec) / sqrt(base.n2 * moved.n2), 9) DESC, moved.pid) = 1)"""
-
-
-@query("ivf_lloyd1_emb", f"WITH {emb()}, {_LLOYD} SELECT CAST(pid AS INTEGER) AS pid, count(*) AS size FROM again GROUP BY pid")
+@query("ivf_lloyd1_emb", f"WITH {emb(rounds=1)} SELECT CAST(pid AS INTEGER) AS pid, count(*) AS size FROM assigned GROUP BY pid")
 def _(spark, sf):
-    base, _ = wl.split(wl.vectors_of(spark, sf, "emb"))
-    index, _ = wl.index_of(spark, sf, "emb")
-    return ivf.assign(base, ivf.lloyd(base, index.centroids, 1)).groupBy("pid").agg(F.count(F.lit(1)).alias("size"))
+    return wl.index_of(spark, sf, "emb", 1)[0].postings().groupBy("pid").agg(F.count(F.lit(1)).alias("size"))
 
 
 @query("ivf_kmeans_ml_emb")
@@ -119,8 +113,8 @@ def _(spark, sf):
     return ivf.assign(base, ivf.train_ml(base, 16)).groupBy("pid").agg(F.count(F.lit(1)).alias("size"))
 
 
-_CELLS = f"""n_ AS (SELECT count(*) AS n, greatest(1, CAST(round_even(sqrt(count(*)), 0) AS BIGINT)) AS k FROM c),
-heads AS (SELECT i AS cell, c.vec, c.n2 FROM n_, LATERAL (SELECT unnest(range(0, k)) AS i) JOIN c ON c.pid = i * n // k),
+_CELLS = f"""cn_ AS (SELECT count(*) AS n, greatest(1, CAST(round_even(sqrt(count(*)), 0) AS BIGINT)) AS k FROM c),
+heads AS (SELECT i AS cell, c.vec, c.n2 FROM cn_, LATERAL (SELECT unnest(range(0, k)) AS i) JOIN c ON c.pid = i * n // k),
 of AS (SELECT c.pid, heads.cell FROM c, heads QUALIFY row_number() OVER (PARTITION BY c.pid ORDER BY round({q.sim('c', 'heads')}, 9) DESC, heads.cell) = 1),
 go AS (SELECT base.id, heads.cell FROM base, heads QUALIFY row_number() OVER (PARTITION BY base.id ORDER BY round({q.sim('base', 'heads')}, 9) DESC, heads.cell) <= 1),
 routed AS (SELECT base.id, c.pid FROM base JOIN go ON go.id = base.id JOIN of ON of.cell = go.cell JOIN c ON c.pid = of.pid QUALIFY row_number() OVER (PARTITION BY base.id ORDER BY round({q.sim('base', 'c')}, 9) DESC, c.pid) = 1)"""
@@ -154,16 +148,9 @@ def _(spark, sf):
 
 @query("ivf_codes_error_emb")
 def _(spark, sf):
-    index, held, params, _, local = full(spark, sf, "emb", tau=-1.0, k=1_000_000)
-    parts = []
-    for bits in (1, 2, 4, 7):
-        _, est = search.full_probe(approximate.coded(index, bits), held, params.with_(tau=-2.0), approximate.code_scorer(index, bits))
-        e = est.select("query_id", "vec_id", F.col("sim").alias("est")).join(local.select("query_id", "vec_id", "sim"), ["query_id", "vec_id"])
-        parts.append(e.agg(F.lit(bits).alias("bits"), F.round(F.avg(F.abs(F.col("est") - F.col("sim"))), 6).alias("mean_abs_err"), F.round(F.avg(F.col("est") - F.col("sim")), 6).alias("mean_err")))
-    out = parts[0]
-    for p in parts[1:]:
-        out = out.union(p)
-    return out
+    index, held = wl.index_of(spark, sf, "emb")
+    parts = [approximate.code_error(index, held, bits) for bits in (1, 2, 4, 7)]
+    return parts[0].union(parts[1]).union(parts[2]).union(parts[3])
 
 
 @query("ivf_codes_search_docs_u")
@@ -181,10 +168,10 @@ def _(spark, sf):
     return rounded(approximate.rerank(r.edges, base, held, 0.85, 10))
 
 
-@query("probe_order_emb", f"WITH {emb()} SELECT query_id, CAST(rank AS INTEGER) AS rank, CAST(pid AS INTEGER) AS pid FROM probe")
+@query("probe_order_emb", f"WITH {emb(p=None)} SELECT query_id, CAST(rank AS INTEGER) AS rank, CAST(pid AS INTEGER) AS pid FROM probe")
 def _(spark, sf):
     index, held = wl.index_of(spark, sf, "emb")
-    return ivf.rank_table(ivf.probe_lists(held, index, 10_000)).select("query_id", "rank", "pid")
+    return ivf.rank_table(ivf.probe_lists(held, index, index.lists)).select("query_id", "rank", "pid")
 
 
 # ---- executors
@@ -206,13 +193,13 @@ def _(spark, sf):
 _KEPT = "kept AS (SELECT m.* FROM met m JOIN stop s ON s.query_id = m.query_id AND m.rank <= s.stop)"
 
 
-def adaptive_sql(chain: str, window: int = 4) -> str:
+def adaptive_sql(chain: str, window: int) -> str:
     return f"WITH {chain}, {q.stops(f'[{window}]')}, {_KEPT} {q.EDGES.format(q.top('kept', 10))}"
 
 
 for _n in ("emb", "docs_u", "docs_b", "pages"):
 
-    @query(f"lookahead_edges_{_n}", adaptive_sql(KIND[_n]()))
+    @query(f"lookahead_edges_{_n}", adaptive_sql(KIND[_n](), WINDOW[_n]))
     def _(spark, sf, name=_n):
         index, held = wl.index_of(spark, sf, name)
         return rounded(search.lookahead(index, held, wl.WORKLOADS[name].params).edges)
@@ -220,22 +207,30 @@ for _n in ("emb", "docs_u", "docs_b", "pages"):
 
 for _n in ("emb", "docs_u"):
 
-    @query(f"basic_edges_{_n}", adaptive_sql(KIND[_n]()))
+    @query(f"basic_edges_{_n}", adaptive_sql(KIND[_n](), WINDOW[_n]))
     def _(spark, sf, name=_n):
         index, held = wl.index_of(spark, sf, name)
         return rounded(search.basic(index, held, wl.WORKLOADS[name].params).edges)
 
 
-@query("serial_edges_emb", adaptive_sql(emb()))
+@query("serial_edges_docs_u", adaptive_sql(docs(), WINDOW["docs_u"]))
 def _(spark, sf):
-    index, held = wl.index_of(spark, sf, "emb")
-    return rounded(search.serial(index, held, wl.WORKLOADS["emb"].params).edges)
+    index, held = wl.index_of(spark, sf, "docs_u")
+    return rounded(search.serial(index, held, wl.WORKLOADS["docs_u"].params).edges)
 
 
-@query("tail_dispatch_trim_emb", adaptive_sql(emb()))
+for _n in ("emb", "docs_u"):
+
+    @query(f"waves_edges_{_n}", adaptive_sql(KIND[_n](), 4))
+    def _(spark, sf, name=_n):
+        index, held = wl.index_of(spark, sf, name)
+        return rounded(search.waves(index, held, wl.WORKLOADS[name].params.with_(window=4)).edges)
+
+
+@query("tail_dispatch_trim_emb", adaptive_sql(emb(), 4))
 def _(spark, sf):
     index, held = wl.index_of(spark, sf, "emb")
-    return rounded(search.speculative(index, held, wl.WORKLOADS["emb"].params, trim=True).edges)
+    return rounded(search.speculative(index, held, wl.WORKLOADS["emb"].params.with_(window=4), trim=True).edges)
 
 
 @query("tail_dispatch_keep_emb", f"WITH {emb()} {q.EDGES.format(q.top('met', 10))}")
@@ -244,13 +239,13 @@ def _(spark, sf):
     return rounded(search.speculative(index, held, wl.WORKLOADS["emb"].params, trim=False).edges)
 
 
-@query("lookahead_stop_lines_docs_u", f"WITH {docs()}, {q.stops('[4]')} SELECT query_id, CAST(stop AS BIGINT) AS visits FROM stop")
+@query("lookahead_stop_lines_docs_u", f"WITH {docs()}, {q.stops('[8]')} SELECT query_id, CAST(stop AS BIGINT) AS visits FROM stop")
 def _(spark, sf):
     index, held = wl.index_of(spark, sf, "docs_u")
     return search.lookahead(index, held, wl.WORKLOADS["docs_u"].params).visits.select("query_id", "visits")
 
 
-@query("rule_trace_emb", f"WITH {emb()}, {q.stops('[4]')} SELECT o.query_id, CAST(o.rank AS INTEGER) AS rank, o.n_hits > 0 AS hit, CAST(z.stale AS INTEGER) AS stale, o.rank <= s.stop AS visited FROM outcome o JOIN quiet z USING (query_id, rank) JOIN stop s USING (query_id)")
+@query("rule_trace_emb", f"WITH {emb()}, {q.stops('[4]')} SELECT z.query_id, CAST(z.rank AS INTEGER) AS rank, z.n_hits > 0 AS hit, CAST(z.stale AS INTEGER) AS stale, z.rank <= s.stop AS visited FROM quiet z JOIN stop s USING (query_id)")
 def _(spark, sf):
     _, _, _, ranks, local = full(spark, sf, "emb")
     return rule.trace(search.outcomes(ranks, local), 4).select("query_id", "rank", "hit", F.col("stale").cast("int").alias("stale"), "visited")
@@ -268,8 +263,8 @@ def _wave_sql(calls: str, step: str) -> str:
     """CTEs: the waves of calls, from each query's hit ranks; step is the last rank sent."""
     return f"""hits AS (SELECT query_id, max(rank) AS p, list(rank ORDER BY rank) FILTER (n_hits > 0) AS h FROM outcome GROUP BY query_id),
 part AS ({calls}),
-run AS (SELECT call, query_id, 1 AS wave, CAST(1 AS BIGINT) AS a, least(4, p) AS line, p, coalesce(h, []) AS h FROM hits JOIN part USING (query_id)
-  UNION ALL SELECT call, query_id, wave + 1, {step} + 1, greatest(line, least(coalesce(list_max(list_filter(h, lambda r: r >= a AND r <= {step})) + 4, 0), p)), p, h FROM run WHERE a <= line),
+run AS (SELECT call, query_id, 1 AS wave, CAST(1 AS BIGINT) AS a, least(8, p) AS line, p, coalesce(h, []) AS h FROM hits JOIN part USING (query_id)
+  UNION ALL SELECT call, query_id, wave + 1, {step} + 1, greatest(line, least(coalesce(list_max(list_filter(h, lambda r: r >= a AND r <= {step})) + 8, 0), p)), p, h FROM run WHERE a <= line),
 sent AS (SELECT r.call, r.wave, o.query_id, o.pid FROM (SELECT *, {step} AS z FROM run WHERE a <= line) r JOIN outcome o ON o.query_id = r.query_id AND o.rank BETWEEN r.a AND r.z)"""
 
 
@@ -284,36 +279,50 @@ def _profile(mode: str, step: str) -> str:
 def _(spark, sf):
     index, held = wl.index_of(spark, sf, "docs_u")
     p = wl.WORKLOADS["docs_u"].params
-    rows = [(m, w, i, g, round(i / g, 4)) for m, f in (("basic", search.basic), ("lookahead", search.lookahead)) for w, i, g in f(index, held, p).waves]
+    rows = [(m, w, i, g, round(i / g, 4)) for m, each in (("basic", 1), ("lookahead", None)) for w, i, g in search.waves(index, held, p.with_(ranks_per_wave=each)).waves]
     return spark.createDataFrame(rows, "mode string, wave int, items bigint, groups bigint, occupancy double")
 
 
-@query(
-    "call_size_docs_u",
-    " UNION ALL ".join(
-        f"SELECT * FROM (WITH RECURSIVE {docs()}, {_wave_sql(f'SELECT query_id, (row_number() OVER (ORDER BY query_id) - 1) // {n} AS call FROM (SELECT DISTINCT query_id FROM outcome)', 'line')} SELECT CAST({n} AS BIGINT) AS call_size, count(*) AS visits, (SELECT count(*) FROM (SELECT DISTINCT call, wave, pid FROM sent)) AS microbatches FROM sent)"
-        for n in (50, 1000)
-    ),
-)
+_CALLS = [1, 10, 100, 1_000_000]
+
+
+@query("call_size_docs_u", f"WITH {docs()}, {q.stops('[8]')}, {_KEPT}, found AS ({q.top('kept', 10)}), m AS (SELECT unnest(['basic', 'lookahead']) AS mode), z AS (SELECT CAST(unnest({_CALLS}) AS BIGINT) AS call_size) SELECT mode, call_size, (SELECT CAST(sum(stop) AS BIGINT) FROM stop) AS visits, (SELECT count(*) FROM found) AS edges FROM m, z")
 def _(spark, sf):
+    """Calls of one query up to all of a task: the same searches and results."""
     index, held = wl.index_of(spark, sf, "docs_u")
     rows = []
-    for n in (50, 1000):
-        r, _ = search.calls(index, held, wl.WORKLOADS["docs_u"].params, n)
-        rows.append((n, sum(i for _, i, _ in r.waves), sum(g for *_, g in r.waves)))
-    return spark.createDataFrame(rows, "call_size bigint, visits bigint, microbatches bigint")
+    for mode, ahead in (("basic", False), ("lookahead", True)):
+        for n in _CALLS:
+            r = search.walk(index, held, wl.WORKLOADS["docs_u"].params, ahead, call=n)
+            rows.append((mode, n, r.waves[0][1], r.edges.count()))
+    return spark.createDataFrame(rows, "mode string, call_size bigint, visits bigint, edges bigint")
 
 
-@query("microbatch_split_docs_u", f"WITH {docs(p=4)} SELECT CAST(0 AS INTEGER) AS shard_id, CAST(pid AS INTEGER) AS pid, CAST(chunk AS INTEGER) AS chunk, count(*) AS items FROM (SELECT pid, (row_number() OVER (PARTITION BY pid ORDER BY rank, query_id) - 1) // 8 AS chunk FROM probe) GROUP BY ALL")
+@query("ablation_docs_u")
 def _(spark, sf):
+    """Fixed, serial, basic and lookahead: searches, dispatches, queries a dispatch, and partitions read."""
     index, held = wl.index_of(spark, sf, "docs_u")
-    return ivf.microbatch_table(ivf.rank_table(ivf.probe_lists(held, index, 4)), 8)
+    p, rows = wl.WORKLOADS["docs_u"].params, []
+    for mode, run in (("fixed", search.fixed), ("serial", search.serial), ("basic", search.basic), ("lookahead", search.lookahead)):
+        r = run(index, held, p)
+        (_, items, groups), *_ = r.waves
+        rows.append((mode, items, groups, round(items / max(1, groups), 4), r.loads))
+    return spark.createDataFrame(rows, "mode string, visits bigint, dispatches bigint, occupancy double, loads bigint")
+
+
+@query("microbatch_split_docs_u", f"WITH {docs(p=4)} SELECT CAST(0 AS INTEGER) AS shard_id, CAST(pid AS INTEGER) AS pid, count(*) AS items, true AS dealt FROM probe GROUP BY pid")
+def _(spark, sf):
+    """Items of the executor's microbatches with a cap of eight: nothing is lost, and chunk numbers keep to the group's size."""
+    index, held = wl.index_of(spark, sf, "docs_u")
+    frontier = ivf.rank_table(ivf.probe_lists(held, index, 4))
+    parts = search.microbatches(frontier, held, 8).select("shard_id", "pid", "chunk", F.size("items").alias("n"))
+    return parts.groupBy("shard_id", "pid").agg(F.sum("n").alias("items"), (F.max("chunk") < F.ceil(F.sum("n") / 8)).alias("dealt"))
 
 
 @query("queue_policy_trace_docs_u")
 def _(spark, sf):
     _, _, _, ranks, local = full(spark, sf, "docs_u")
-    return schedule.compare_calls(search.outcomes(ranks, local), window=4)
+    return schedule.compare_calls(search.outcomes(ranks, local), window=8)
 
 
 # ---- sweeps and measures
@@ -341,6 +350,20 @@ def sweep(spark, ranks, local, gt, windows, k=10):
     return got.select("w", "visits", "found", F.round(share(F.col("found")), 6).alias("recall"), F.round(share(100.0 * (f - F.col("found"))), 4).alias("loss_pp"))
 
 
+@query("w_sweep_trained_docs_u", _sweep_sql(docs(rounds=1), 0.85, _WINDOWS))
+def _(spark, sf):
+    _, _, _, ranks, local = full(spark, sf, "docs_u", 1)
+    return sweep(spark, ranks, local, truth(spark, sf, "docs_u"), _WINDOWS)
+
+
+@query("w_sweep_codes_docs_u")
+def _(spark, sf):
+    """The sweep on trained lists with 7-bit codes as the scorer; the loss is against fixed probing of the same codes."""
+    index, held = wl.index_of(spark, sf, "docs_u", 3)
+    ranks, local = search.full_probe(approximate.coded(index), held, wl.WORKLOADS["docs_u"].params, approximate.code_scorer(index))
+    return sweep(spark, ranks, local, truth(spark, sf, "docs_u"), _WINDOWS)
+
+
 for _n, _tau in (("emb", 0.30), ("docs_u", 0.85), ("docs_b", 0.85)):
 
     @query(f"w_sweep_{_n}", _sweep_sql(KIND[_n](), _tau, _WINDOWS))
@@ -355,7 +378,7 @@ _TAUS = {"emb": [0.20, 0.30, 0.40, 0.85], "docs_u": [0.10, 0.50, 0.70, 0.85, 0.9
 def _tau_sql(kind: str) -> str:
     parts = []
     for t in _TAUS[kind]:
-        parts.append(f"SELECT * FROM (WITH {KIND[kind](t)}, {q.truth(10, t)}, {q.stops('[4]')}, {_KEPT}, found AS ({q.top('kept', 10)}) SELECT CAST({t} AS DOUBLE) AS tau, (SELECT CAST(sum(stop) AS BIGINT) FROM stop) AS visits, count(t.vec_id) AS truth, round(count(f.vec_id) / nullif(count(t.vec_id), 0), 6) AS recall FROM truth t LEFT JOIN found f USING (query_id, vec_id))")
+        parts.append(f"SELECT * FROM (WITH {KIND[kind](t)}, {q.truth(10, t)}, {q.stops('[8]')}, {_KEPT}, found AS ({q.top('kept', 10)}) SELECT CAST({t} AS DOUBLE) AS tau, (SELECT CAST(sum(stop) AS BIGINT) FROM stop) AS visits, count(t.vec_id) AS truth, round(count(f.vec_id) / nullif(count(t.vec_id), 0), 6) AS recall FROM truth t LEFT JOIN found f USING (query_id, vec_id))")
     return " UNION ALL ".join(parts)
 
 
@@ -363,14 +386,14 @@ for _n in ("emb", "docs_u"):
 
     @query(f"tau_sweep_{_n}", _tau_sql(_n))
     def _(spark, sf, name=_n):
-        """One full pass at the lowest threshold, with all hits kept, holds the passes of all higher ones."""
+        """One full pass at the lowest threshold holds the passes of all higher ones: a partition's best k are its best k at any threshold."""
         taus = _TAUS[name]
-        _, _, _, ranks, local = full(spark, sf, name, tau=min(taus), k=1_000_000)
+        _, _, _, ranks, local = full(spark, sf, name, tau=min(taus))
         gt = truth(spark, sf, name, 10, -2.0)
         out = None
         for t in taus:
             own = local.where(F.col("sim") >= t)
-            found, ended = search.replay(ranks, own, [4], 10)
+            found, ended = search.replay(ranks, own, [8], 10)
             want = gt.where(F.col("sim") >= t)
             n = want.count()
             hit = found.join(want.select("query_id", "vec_id"), ["query_id", "vec_id"]).count()
@@ -385,7 +408,7 @@ _KS = [5, 10, 20, 50]
 @query(
     "k_sweep_docs_u",
     " UNION ALL ".join(
-        f"SELECT * FROM (WITH {docs()}, {q.truth(k, 0.85)}, {q.stops('[4]')}, {_KEPT}, found AS ({q.top('kept', k)}) SELECT CAST({k} AS BIGINT) AS k, (SELECT CAST(sum(stop) AS BIGINT) FROM stop) AS visits, count(t.vec_id) AS truth, round(count(f.vec_id) / nullif(count(t.vec_id), 0), 6) AS recall FROM truth t LEFT JOIN found f USING (query_id, vec_id))"
+        f"SELECT * FROM (WITH {docs()}, {q.truth(k, 0.85)}, {q.stops('[8]')}, {_KEPT}, found AS ({q.top('kept', k)}) SELECT CAST({k} AS BIGINT) AS k, (SELECT CAST(sum(stop) AS BIGINT) FROM stop) AS visits, count(t.vec_id) AS truth, round(count(f.vec_id) / nullif(count(t.vec_id), 0), 6) AS recall FROM truth t LEFT JOIN found f USING (query_id, vec_id))"
         for k in _KS
     ),
 )
@@ -393,7 +416,7 @@ def _(spark, sf):
     _, _, _, ranks, local = full(spark, sf, "docs_u", k=50)
     rows = []
     for k in _KS:
-        found, ended = search.replay(ranks, local, [4], k)
+        found, ended = search.replay(ranks, local, [8], k)
         gt = truth(spark, sf, "docs_u", 50).where(F.col("pos") <= k)
         n = gt.count()
         rows.append((k, ended.agg(F.sum("stop")).first()[0], n, round(found.join(gt.select("query_id", "vec_id"), ["query_id", "vec_id"]).count() / n, 6) if n else None))
@@ -406,7 +429,7 @@ _PROBES = [1, 4, 8, 16, 24]
 @query(
     "probe_sweep_docs_u",
     " UNION ALL ".join(
-        f"SELECT * FROM (WITH {docs(p=p)}, {q.truth(10, 0.85)}, {q.stops('[4]')}, {_KEPT}, found AS ({q.top('kept', 10)}), whole AS ({q.top('met', 10)}) SELECT CAST({p} AS BIGINT) AS p, round(count(w.vec_id) / nullif(count(t.vec_id), 0), 6) AS fixed_recall, round(count(f.vec_id) / nullif(count(t.vec_id), 0), 6) AS adaptive_recall, (SELECT CAST(sum(stop) AS BIGINT) FROM stop) AS visits FROM truth t LEFT JOIN found f USING (query_id, vec_id) LEFT JOIN whole w USING (query_id, vec_id))"
+        f"SELECT * FROM (WITH {docs(p=p)}, {q.truth(10, 0.85)}, {q.stops('[8]')}, {_KEPT}, found AS ({q.top('kept', 10)}), whole AS ({q.top('met', 10)}) SELECT CAST({p} AS BIGINT) AS p, round(count(w.vec_id) / nullif(count(t.vec_id), 0), 6) AS fixed_recall, round(count(f.vec_id) / nullif(count(t.vec_id), 0), 6) AS adaptive_recall, (SELECT CAST(sum(stop) AS BIGINT) FROM stop) AS visits FROM truth t LEFT JOIN found f USING (query_id, vec_id) LEFT JOIN whole w USING (query_id, vec_id))"
         for p in _PROBES
     ),
 )
@@ -414,7 +437,7 @@ def _(spark, sf):
     return spark.createDataFrame([(p, f, a, v) for p, f, a, v, _ in _probe_points(spark, sf, _PROBES)], "p bigint, fixed_recall double, adaptive_recall double, visits bigint")
 
 
-def _probe_points(spark, sf, probes, window=4):
+def _probe_points(spark, sf, probes, window=8):
     """(p, fixed recall, adaptive recall, adaptive visits, fixed visits) from one full pass."""
     _, _, _, ranks, local = full(spark, sf, "docs_u")
     gt = truth(spark, sf, "docs_u")
@@ -426,20 +449,41 @@ def _probe_points(spark, sf, probes, window=4):
         yield p, share(search.merge_top(own, 10)), share(found), ended.agg(F.sum("stop")).first()[0], few.count()
 
 
-@query("matched_cost_docs_u")
+_POINTS = [1, 2, 3, 4, 6, 8, 12, 16, 24]
+_MATCHED = f"""WITH sweep AS ({_sweep_sql(docs(), 0.85, _WINDOWS)}),
+pts AS ({" UNION ALL ".join(f"SELECT * FROM (WITH {docs(p=p)}, {q.truth(10, 0.85)}, whole AS ({q.top('met', 10)}) SELECT round(count(w.vec_id) / nullif(count(t.vec_id), 0), 6) AS r, (SELECT CAST(count(*) AS DOUBLE) FROM probe) AS c FROM truth t LEFT JOIN whole w USING (query_id, vec_id))" for p in _POINTS)}),
+seq AS (SELECT r AS r0, c AS c0, lead(r) OVER o AS r1, lead(c) OVER o AS c1, row_number() OVER o AS i FROM pts WHERE r IS NOT NULL WINDOW o AS (ORDER BY r, c))
+SELECT CAST(w AS INTEGER) AS w, recall, CAST(visits AS DOUBLE) AS adaptive_cost, (SELECT CASE WHEN r1 - r0 <= 1e-9 * greatest(r0, r1) THEN c0 ELSE c0 + (c1 - c0) * (recall - r0) / (r1 - r0) END FROM seq WHERE r0 <= recall AND recall <= r1 ORDER BY i LIMIT 1) AS matched_fixed_cost FROM sweep"""
+
+
+@query("matched_cost_docs_u", _MATCHED)
 def _(spark, sf):
-    points = list(_probe_points(spark, sf, [1, 2, 3, 4, 6, 8, 12, 16, 24]))
+    points = list(_probe_points(spark, sf, _POINTS))
     frontier = [(f, float(v)) for _, f, _, _, v in points]
     _, _, _, ranks, local = full(spark, sf, "docs_u")
     rows = [(r.w, r.recall, float(r.visits), metrics.matched_cost(frontier, r.recall)) for r in sweep(spark, ranks, local, truth(spark, sf, "docs_u"), _WINDOWS).collect()]
     return spark.createDataFrame(rows, "w int, recall double, adaptive_cost double, matched_fixed_cost double")
 
 
-@query("calibrate_w_docs_u")
+_TARGETS = [0.1, 0.5, 1.0]
+#: The sample, and the smallest window of the grid whose loss on it keeps to the target.
+_CALIBRATED = f"""WITH {docs()}, size_ AS (SELECT count(*) AS n, greatest(50, least(1000, count(*) // 100)) AS k FROM qs),
+picked AS (SELECT id FROM qs, size_ WHERE ('0x' || substr(md5(CAST(id AS VARCHAR)), 1, 8))::BIGINT * greatest(n, 1) < k * 4294967296),
+most AS (SELECT max(rank) AS m FROM probe WHERE query_id IN (FROM picked)),
+grid0 AS (SELECT DISTINCT least(w, m) AS w FROM (SELECT unnest({list(cal.GRID)}) AS w), most UNION SELECT m FROM most),
+quiet AS MATERIALIZED (SELECT query_id, rank, rank - coalesce(max(CASE WHEN n_hits > 0 THEN rank END) OVER (PARTITION BY query_id ORDER BY rank), 0) AS stale FROM outcome WHERE query_id IN (FROM picked)),
+stop AS MATERIALIZED (SELECT query_id, w, coalesce(min(rank) FILTER (stale >= w), max(rank)) AS stop FROM quiet, grid0 GROUP BY ALL),
+kept AS (SELECT s.w, m.* FROM met m JOIN stop s ON s.query_id = m.query_id AND m.rank <= s.stop), found AS ({q.top('kept', 10, extra='w, ')}),
+whole AS (SELECT query_id, vec_id FROM ({q.top('met', 10)}) WHERE query_id IN (FROM picked)),
+curve AS (SELECT g.w, round(100 * (1 - count(f.w) / (SELECT count(*) FROM whole)), 6) AS loss FROM grid0 g LEFT JOIN (found f JOIN whole USING (query_id, vec_id)) f ON f.w = g.w GROUP BY g.w)
+SELECT t.target AS target_pp, CAST(coalesce((SELECT min(w) FROM curve WHERE loss <= t.target), 8) AS INTEGER) AS chosen_w, (SELECT loss FROM curve WHERE loss <= t.target ORDER BY w LIMIT 1) AS sample_loss_pp, (SELECT count(*) FROM picked) AS sampled FROM (SELECT CAST(unnest({_TARGETS}) AS DOUBLE) AS target) t"""
+
+
+@query("calibrate_w_docs_u", _CALIBRATED)
 def _(spark, sf):
     index, held = wl.index_of(spark, sf, "docs_u")
     rows = []
-    for target in (0.1, 0.5, 1.0):
+    for target in _TARGETS:
         c = cal.choose_window(index, held, wl.WORKLOADS["docs_u"].params, target)
         rows.append((target, c.window, c.loss_pp, c.sampled))
     return spark.createDataFrame(rows, "target_pp double, chosen_w int, sample_loss_pp double, sampled bigint")
@@ -502,14 +546,14 @@ def _(spark, sf):
     return metrics.front_load(metrics.located(truth(spark, sf, "docs_u"), index, ranks))
 
 
-@query("prune_by_group_docs_u", f"WITH {docs()}, {q.truth(10, 0.85)}, {q.stops('[4]')}, n AS (SELECT s.query_id, stop, count(t.vec_id) AS n FROM stop s LEFT JOIN truth t USING (query_id) GROUP BY ALL) SELECT {metrics.GROUPS} AS neighbours, count(*) AS queries, round(100 * (1 - sum(stop) / (count(*) * max(p))), 4) AS pruned_pct FROM n, lists GROUP BY 1")
+@query("prune_by_group_docs_u", f"WITH {docs()}, {q.truth(10, 0.85)}, {q.stops('[8]')}, n AS (SELECT s.query_id, stop, count(t.vec_id) AS n FROM stop s LEFT JOIN truth t USING (query_id) GROUP BY ALL) SELECT {metrics.GROUPS} AS neighbours, count(*) AS queries, round(100 * (1 - sum(stop) / (count(*) * max(p))), 4) AS pruned_pct FROM n, lists GROUP BY 1")
 def _(spark, sf):
     index, held = wl.index_of(spark, sf, "docs_u")
     r = search.lookahead(index, held, wl.WORKLOADS["docs_u"].params)
-    return metrics.prune_by_group(r.visits, truth(spark, sf, "docs_u"), index.lists)
+    return metrics.prune_by_group(r.visits, truth(spark, sf, "docs_u"), min(index.lists, wl.WORKLOADS["docs_u"].params.nprobe))
 
 
-@query("metadata_items_docs_u", f"WITH {docs()}, {q.stops('[4]')}, x AS (SELECT (SELECT count(*) FROM probe) AS f, (SELECT CAST(sum(stop) AS BIGINT) FROM stop) AS v, (SELECT count(*) FROM qs) AS n) SELECT unnest(['fixed', 'basic', 'basic_at_once', 'lookahead']) AS mode, unnest([f, v, n, v]) AS items FROM x")
+@query("metadata_items_docs_u", f"WITH {docs()}, {q.stops('[8]')}, x AS (SELECT (SELECT count(*) FROM probe) AS f, (SELECT CAST(sum(stop) AS BIGINT) FROM stop) AS v, (SELECT count(*) FROM qs) AS n) SELECT unnest(['fixed', 'basic', 'basic_at_once', 'lookahead']) AS mode, unnest([f, v, n, v]) AS items FROM x")
 def _(spark, sf):
     index, held, params, ranks, _ = full(spark, sf, "docs_u")
     r = search.lookahead(index, held, params)
@@ -535,8 +579,8 @@ def _(spark, sf):
 
 @query("assign_effect_docs_u")
 def _(spark, sf):
-    """Exact, cell-routed and graph-assisted assignment over the same centroids: mismatch, and loss that early stopping adds."""
-    index, held, params, _, _ = full(spark, sf, "docs_u")
+    """Exact, cell-routed and graph-assisted assignment over the same trained centroids: mismatch, and loss that early stopping adds."""
+    index, held, params, _, _ = full(spark, sf, "docs_u", 3)
     base, _ = wl.split(wl.vectors_of(spark, sf, "docs_u"))
     gt, rows, exact = truth(spark, sf, "docs_u"), [], {}
     for name, choose in (("exact", None), ("cells", approximate.cell_chooser(index.centroids)), ("graph", approximate.graph_chooser(index.centroids))):
@@ -544,7 +588,7 @@ def _(spark, sf):
         wrong = metrics.mismatch(own.postings(), index.postings()).first().pct
         ranks, local = search.full_probe(own, held, params)
         fixed = metrics.pooled_recall(search.merge_top(local, 10), gt)
-        for r in sweep(spark, ranks, local, gt, [2, 4, 8]).collect():
+        for r in sweep(spark, ranks, local, gt, [2, 4, 8, 12, 16]).collect():
             exact.setdefault(r.w, (fixed, r.recall))
             added = None if fixed is None or r.recall is None else round(metrics.added_loss(fixed, r.recall, *exact[r.w]), 4)
             rows.append((name, r.w, wrong, r.visits, r.recall, added))
@@ -555,40 +599,46 @@ def _(spark, sf):
 
 def _shard_sql(source: str, tau: float, window: int) -> str:
     return f"""{q.index(source)},
-coarse AS (SELECT pid AS shard_id, vec, n2 FROM c WHERE pid < 4),
-of AS (SELECT c.pid, coarse.shard_id FROM c, coarse QUALIFY row_number() OVER (PARTITION BY c.pid ORDER BY round({q.sim('c', 'coarse')}, 9) DESC, coarse.shard_id) = 1),
-go AS (SELECT base.id, coarse.shard_id FROM base, coarse QUALIFY row_number() OVER (PARTITION BY base.id ORDER BY round({q.sim('base', 'coarse')}, 9) DESC, coarse.shard_id) = 1),
-kept_ AS (SELECT base.id, go.shard_id, c.pid FROM base JOIN go USING (id) JOIN of ON of.shard_id = go.shard_id JOIN c ON c.pid = of.pid QUALIFY row_number() OVER (PARTITION BY base.id ORDER BY round({q.sim('base', 'c')}, 9) DESC, c.pid) = 1),
-probe AS (SELECT qs.id AS query_id, of.shard_id, c.pid, row_number() OVER (PARTITION BY qs.id, of.shard_id ORDER BY round({q.sim('qs', 'c')}, 9) DESC, c.pid) AS rank FROM qs, c JOIN of ON of.pid = c.pid),
-scored AS (SELECT qs.id AS query_id, base.id AS vec_id, round({q.sim('qs', 'base')}, 12) AS sim FROM qs, base),
-met AS MATERIALIZED (SELECT s.query_id, p.shard_id, s.vec_id, s.sim, p.rank FROM scored s JOIN kept_ a ON a.id = s.vec_id JOIN probe p ON p.query_id = s.query_id AND p.pid = a.pid WHERE s.sim >= {tau}),
+first4 AS MATERIALIZED (SELECT pid, vec, n2 FROM c ORDER BY pid LIMIT 4),
+near4 AS MATERIALIZED (SELECT base.id, f.pid FROM base, first4 f QUALIFY row_number() OVER (PARTITION BY base.id ORDER BY round({q.sim('base', 'f')}, 9) DESC, f.pid) = 1),
+{q.moved('near4', 'first4')},
+go AS MATERIALIZED (SELECT base.id, m.pid AS shard_id FROM base, moved m QUALIFY row_number() OVER (PARTITION BY base.id ORDER BY round({q.sim('base', 'm')}, 9) DESC, m.pid) = 1),
+fine AS MATERIALIZED (SELECT go.shard_id, row_number() OVER (PARTITION BY go.shard_id ORDER BY base.id) - 1 AS pid, base.vec, base.n2 FROM base JOIN go USING (id) WHERE base.id % (SELECT greatest(25, CAST(round_even(sqrt(count(*)) / 4, 0) AS BIGINT)) FROM v) = 0),
+kept_ AS MATERIALIZED (SELECT base.id, go.shard_id, f.pid FROM base JOIN go USING (id) JOIN fine f ON f.shard_id = go.shard_id QUALIFY row_number() OVER (PARTITION BY base.id ORDER BY round({q.sim('base', 'f')}, 9) DESC, f.pid) = 1),
+probe AS MATERIALIZED (SELECT * FROM (SELECT qs.id AS query_id, f.shard_id, f.pid, row_number() OVER (PARTITION BY qs.id, f.shard_id ORDER BY round({q.sim('qs', 'f')}, 9) DESC, f.pid) AS rank FROM qs, fine f) WHERE rank <= 90),
+scored AS MATERIALIZED (SELECT qs.id AS query_id, base.id AS vec_id, round({q.sim('qs', 'base')}, 12) AS sim FROM qs, base WHERE qs.id <> base.id),
+met AS MATERIALIZED (SELECT s.query_id, p.shard_id, s.vec_id, s.sim, p.rank FROM scored s JOIN kept_ a ON a.id = s.vec_id JOIN probe p ON p.query_id = s.query_id AND p.shard_id = a.shard_id AND p.pid = a.pid WHERE s.sim >= {tau}),
 outcome AS MATERIALIZED (SELECT p.query_id, p.shard_id, p.rank, count(m.vec_id) AS n_hits FROM probe p LEFT JOIN met m USING (query_id, shard_id, rank) GROUP BY ALL),
-quiet AS (SELECT query_id, shard_id, rank, rank - coalesce(max(CASE WHEN n_hits > 0 THEN rank END) OVER (PARTITION BY query_id, shard_id ORDER BY rank), 0) AS stale FROM outcome),
-stop AS (SELECT query_id, shard_id, coalesce(min(rank) FILTER (stale >= {window}), max(rank)) AS stop FROM quiet GROUP BY ALL),
+quiet AS MATERIALIZED (SELECT query_id, shard_id, rank, rank - coalesce(max(CASE WHEN n_hits > 0 THEN rank END) OVER (PARTITION BY query_id, shard_id ORDER BY rank), 0) AS stale FROM outcome),
+stop AS MATERIALIZED (SELECT query_id, shard_id, coalesce(min(rank) FILTER (stale >= {window}), max(rank)) AS stop FROM quiet GROUP BY ALL),
 kept AS (SELECT m.* FROM met m JOIN stop s USING (query_id, shard_id) WHERE m.rank <= s.stop)"""
 
 
 @query("shard_topk_emb", f"WITH {_shard_sql('embeddings', 0.3, 4)} {q.EDGES.format(q.top('kept', 10))}")
 def _(spark, sf):
     index, held = wl.shard_index_of(spark, sf, "emb")
-    return rounded(search.lookahead(index, held, wl.WORKLOADS["emb"].params).edges)
+    return rounded(search.lookahead(index, held, wl.WORKLOADS["emb"].params.with_(window=4)).edges)
 
 
-@query(
-    "shard_w_sweep_docs_u",
-    " UNION ALL ".join(f"SELECT * FROM (WITH {_shard_sql('documents', 0.85, w)}, {q.truth(10, 0.85)}, found AS ({q.top('kept', 10)}) SELECT {w} AS w, (SELECT CAST(sum(stop) AS BIGINT) FROM stop) AS visits, round(count(f.vec_id) / nullif(count(t.vec_id), 0), 6) AS recall FROM truth t LEFT JOIN found f USING (query_id, vec_id))" for w in (2, 4, 8)),
-)
-def _(spark, sf):
-    index, held = wl.shard_index_of(spark, sf, "docs_u")
-    ranks, local = search.full_probe(index, held, wl.WORKLOADS["docs_u"].params)
-    return sweep(spark, ranks, local, truth(spark, sf, "docs_u"), [2, 4, 8]).select("w", "visits", "recall")
+_SHARD_WINDOWS = [2, 4, 8, 12]
+
+for _n, _src, _tau in (("docs_u", "documents", 0.85), ("emb", "embeddings", 0.30)):
+
+    @query(
+        f"shard_w_sweep_{_n}",
+        " UNION ALL ".join(f"SELECT * FROM (WITH {_shard_sql(_src, _tau, w)}, {q.truth(10, _tau)}, found AS ({q.top('kept', 10)}) SELECT {w} AS w, (SELECT CAST(sum(stop) AS BIGINT) FROM stop) AS visits, round(count(f.vec_id) / nullif(count(t.vec_id), 0), 6) AS recall FROM truth t LEFT JOIN found f USING (query_id, vec_id))" for w in _SHARD_WINDOWS),
+    )
+    def _(spark, sf, name=_n):
+        index, held = wl.shard_index_of(spark, sf, name)
+        ranks, local = search.full_probe(index, held, wl.WORKLOADS[name].params)
+        return sweep(spark, ranks, local, truth(spark, sf, name), _SHARD_WINDOWS).select("w", "visits", "recall")
 
 
 # ---- groups
 
-@query("self_search_docs_u", adaptive_sql(docs(everything=True)))
+@query("self_search_docs_u", adaptive_sql(docs(everything=True), 8))
 def _(spark, sf):
-    index = wl.self_index_of(spark, sf, "docs_u")
+    index, _ = wl.index_of(spark, sf, "docs_u")
     return rounded(edges.self_search(index, wl.vectors_of(spark, sf, "docs_u"), wl.WORKLOADS["docs_u"].params).edges)
 
 
@@ -598,33 +648,54 @@ for _n, _prune in (("pair_join_docs_u", False), ("pair_join_pruned_docs_u", True
 
     @query(_n, f"{_PAIRS} SELECT id_a, id_b, round(sim, 6) AS sim FROM pairs")
     def _(spark, sf, prune=_prune):
-        return edges.pair_join(wl.self_index_of(spark, sf, "docs_u"), 0.85, prune)[0].select("id_a", "id_b", F.round("sim", 6).alias("sim"))
+        return edges.pair_join(wl.index_of(spark, sf, "docs_u")[0], 0.85, prune)[0].select("id_a", "id_b", F.round("sim", 6).alias("sim"))
 
 
 @query("pair_join_cost_docs_u")
 def _(spark, sf):
-    index = wl.self_index_of(spark, sf, "docs_u")
+    index, _ = wl.index_of(spark, sf, "docs_u")
     parts = [edges.pair_join(index, 0.85, p)[1].select(F.lit(m).alias("method"), "pairs_scored") for m, p in (("all", False), ("pruned", True))]
     return parts[0].union(parts[1])
 
 
 def _self_edges(spark, sf, k=10):
+    """(edges, components) of self-search: what the method finds with k neighbours a vector."""
     def make():
-        index = wl.self_index_of(spark, sf, "docs_u")
+        index, _ = wl.index_of(spark, sf, "docs_u")
         r = edges.self_search(index, wl.vectors_of(spark, sf, "docs_u"), wl.WORKLOADS["docs_u"].params.with_(k=k))
         e = materialize(edges.canonical(r.edges), "canonical")
         return e, edges.components_of(e)
 
-    return wl._once(spark, ("self-edges", sf, k), make)
+    return wl._once(spark, ("self-edges", sf, "docs_u", k), make)
+
+
+def _members(spark, sf):
+    """Membership of equal texts of a language, over the documents that have a vector."""
+    d = table(spark, sf, "documents").join(wl.vectors_of(spark, sf, "docs_u").select(F.col("id").alias("doc_id")), "doc_id", "left_semi")
+    return materialize(edges.representatives(d, ["text", "lang"]), "members")
+
+
+def _links(spark, sf):
+    """(links between all different texts within the threshold, exactly; membership of equal ones)."""
+    def make():
+        members = _members(spark, sf)
+        reps = members.where("id = representative").select("id")
+        few = wl.vectors_of(spark, sf, "docs_u").join(reps, "id", "left_semi")
+        index = ivf.build(few, ivf.seed_centroids(few, wl.seeds_of(spark, sf, "docs_u")))
+        return materialize(edges.pair_join(index, wl.WORKLOADS["docs_u"].tau, prune=True)[0], "links"), members
+
+    return wl._once(spark, ("links", sf, "docs_u"), make)
 
 
-_CANON = f"WITH RECURSIVE {docs(everything=True)}, {q.stops('[4]')}, {_KEPT}, found AS ({q.top('kept', 10)}), canon AS (SELECT least(query_id, vec_id) AS id_a, greatest(query_id, vec_id) AS id_b, max(sim) AS sim FROM found GROUP BY ALL)"
-_COMP = ", both_ AS (SELECT id_a AS u, id_b AS w FROM canon UNION SELECT id_b, id_a FROM canon), walk AS (SELECT DISTINCT u AS node, u AS seen FROM both_ UNION SELECT walk.node, both_.w FROM walk JOIN both_ ON both_.u = walk.seen), comp AS MATERIALIZED (SELECT node, min(seen) AS component FROM walk GROUP BY node)"
+_CANON = f"WITH RECURSIVE {q.vectors('documents')}, member AS MATERIALIZED (SELECT doc_id AS id, min(doc_id) OVER (PARTITION BY text, lang) AS rep FROM documents WHERE doc_id IN (SELECT id FROM v)), w AS MATERIALIZED (SELECT * FROM v WHERE id IN (SELECT rep FROM member)), canon AS MATERIALIZED (SELECT a.id AS id_a, b.id AS id_b, round({q.sim('a', 'b')}, 12) AS sim FROM w a JOIN w b ON a.id < b.id WHERE round({q.sim('a', 'b')}, 12) >= 0.85)"
+_WALK = "both_ AS (SELECT id_a AS u, id_b AS w FROM canon UNION SELECT id_b, id_a FROM canon), walk AS (SELECT DISTINCT u AS node, u AS seen FROM both_ UNION SELECT walk.node, both_.w FROM walk JOIN both_ ON both_.u = walk.seen), comp0 AS MATERIALIZED (SELECT node, min(seen) AS component FROM walk GROUP BY node)"
+_COMP = f", {_WALK}, comp1 AS (SELECT m.id AS node, coalesce(component, rep) AS component FROM member m LEFT JOIN comp0 ON node = rep), comp AS MATERIALIZED (SELECT * FROM comp1 QUALIFY count(*) OVER (PARTITION BY component) > 1)"
 
 
 @query("components_docs_u", f"{_CANON}{_COMP} SELECT node, component FROM comp")
 def _(spark, sf):
-    return _self_edges(spark, sf)[1]
+    links, members = _links(spark, sf)
+    return edges.spread(edges.components_of(links), members)
 
 
 _LABELLED = ", mark AS (SELECT doc_id, max(quality) AS quality FROM labels GROUP BY doc_id), every AS (SELECT d.doc_id AS id, coalesce(component, d.doc_id) AS component, n_chars, quality, lang, source FROM documents d LEFT JOIN comp ON node = d.doc_id LEFT JOIN mark USING (doc_id)), labelled AS (SELECT id, component, count(*) OVER (PARTITION BY component) AS group_size, row_number() OVER (PARTITION BY component ORDER BY coalesce(quality, -1) DESC, n_chars DESC, id) = 1 AS keep, lang, source FROM every)"
@@ -632,7 +703,8 @@ _LABELLED = ", mark AS (SELECT doc_id, max(quality) AS quality FROM labels GROUP
 
 @query("group_labels_docs_u", f"{_CANON}{_COMP}{_LABELLED} SELECT id, component, group_size, keep FROM labelled")
 def _(spark, sf):
-    return edges.label_groups(_self_edges(spark, sf)[1], table(spark, sf, "documents"), table(spark, sf, "labels"))
+    links, members = _links(spark, sf)
+    return edges.label_groups(edges.spread(edges.components_of(links), members), table(spark, sf, "documents"), table(spark, sf, "labels"))
 
 
 _JACCARD = ", wd AS MATERIALIZED (SELECT DISTINCT doc_id AS id, w FROM (SELECT doc_id, unnest(list_filter(regexp_split_to_array(coalesce(text, ''), '[ \\t\\r\\n]+'), lambda w: w <> '')) AS w FROM documents)), size_ AS (SELECT id, count(*) AS n FROM wd GROUP BY id), shared AS (SELECT id_a, id_b, count(*) AS n FROM canon JOIN wd a ON a.id = id_a JOIN wd b ON b.id = id_b AND b.w = a.w GROUP BY id_a, id_b), overlap AS (SELECT id_a, id_b, s.n / (x.n + y.n - s.n) AS j FROM shared s JOIN size_ x ON x.id = id_a JOIN size_ y ON y.id = id_b JOIN documents d ON d.doc_id = id_a JOIN documents e ON e.doc_id = id_b WHERE d.lang = e.lang)"
@@ -640,14 +712,24 @@ _JACCARD = ", wd AS MATERIALIZED (SELECT DISTINCT doc_id AS id, w FROM (SELECT d
 
 @query("content_filter_docs_u", f"{_CANON}{_JACCARD} SELECT id_a, id_b, round(j, 6) AS jaccard FROM overlap WHERE j >= 0.5")
 def _(spark, sf):
-    return edges.content_filter(_self_edges(spark, sf)[0], table(spark, sf, "documents")).select("id_a", "id_b", F.round("jaccard", 6).alias("jaccard"))
+    """Links between representatives that the texts bear out; copies are in the membership."""
+    return edges.content_filter(_links(spark, sf)[0], table(spark, sf, "documents")).select("id_a", "id_b", F.round("jaccard", 6).alias("jaccard"))
 
 
-@query("coverage_docs_u")
+def _coverage_sql(k: int) -> str:
+    chain = f"{docs(everything=True)}, {q.stops('[8]')}, {_KEPT}, found AS ({q.top('kept', k)}), canon AS MATERIALIZED (SELECT least(query_id, vec_id) AS id_a, greatest(query_id, vec_id) AS id_b FROM found GROUP BY ALL), {_WALK}"
+    return f"SELECT * FROM (WITH RECURSIVE {chain}, pairs AS (SELECT query_id AS id_a, vec_id AS id_b FROM scored WHERE query_id < vec_id AND sim >= 0.85) SELECT {k} AS k, count(*) AS pairs, round(100.0 * count(c.id_a) / nullif(count(*), 0), 4) AS direct_pct, round(100.0 * count(*) FILTER (x.component = y.component) / nullif(count(*), 0), 4) AS grouped_pct FROM pairs p LEFT JOIN canon c USING (id_a, id_b) LEFT JOIN comp0 x ON x.node = p.id_a LEFT JOIN comp0 y ON y.node = p.id_b)"
+
+
+_COVER = (10, 20, 40)
+
+
+@query("coverage_docs_u", " UNION ALL ".join(_coverage_sql(k) for k in _COVER))
 def _(spark, sf):
-    pairs = materialize(edges.pair_join(wl.self_index_of(spark, sf, "docs_u"), 0.85, True)[0], "pairs")
+    """How many of all true pairs self-search joins by an edge, or puts in one group."""
+    pairs = wl._once(spark, ("pairs", sf, "docs_u"), lambda: materialize(edges.pair_join(wl.index_of(spark, sf, "docs_u")[0], 0.85, True)[0], "pairs"))
     out = None
-    for k in (10, 20, 40):
+    for k in _COVER:
         e, comp = _self_edges(spark, sf, k)
         row = metrics.pair_coverage(pairs, e, comp).select(F.lit(k).alias("k"), "pairs", "direct_pct", "grouped_pct")
         out = row if out is None else out.union(row)
@@ -659,37 +741,41 @@ def _(spark, sf):
     return edges.exact_hash(table(spark, sf, "documents"))
 
 
-_E2E = _CANON + _JACCARD + ", canon2 AS (SELECT id_a, id_b FROM overlap WHERE j >= 0.5)" + _COMP.replace("FROM canon", "FROM canon2") + _LABELLED
+_E2E = _CANON + _JACCARD + ", canon2 AS MATERIALIZED (SELECT id_a, id_b FROM overlap WHERE j >= 0.5)" + _COMP.replace("FROM canon", "FROM canon2") + _LABELLED
 
 
 @query("end_to_end_docs", f"{_E2E} SELECT lang, source, count(*) FILTER (keep) AS kept, count(*) FILTER (NOT keep) AS dropped FROM labelled GROUP BY lang, source")
 def _(spark, sf):
     d = table(spark, sf, "documents")
-    agreed = edges.content_filter(_self_edges(spark, sf)[0], d)
-    marked = edges.label_groups(edges.components_of(agreed), d, table(spark, sf, "labels"))
+    links, members = _links(spark, sf)
+    agreed = edges.content_filter(links, d)
+    marked = edges.label_groups(edges.spread(edges.components_of(agreed), members), d, table(spark, sf, "labels"))
     side = d.select(F.col("doc_id").alias("id"), "lang", "source")
     return marked.join(side, "id").groupBy("lang", "source").agg(F.sum(F.col("keep").cast("bigint")).alias("kept"), F.sum((~F.col("keep")).cast("bigint")).alias("dropped"))
 
 
-@query("filtered_search_docs_lang", f"WITH {docs()}, {q.stops('[4]')}, {_KEPT}, same AS (SELECT k.* FROM kept k JOIN documents a ON a.doc_id = k.query_id JOIN documents b ON b.doc_id = k.vec_id WHERE a.lang = b.lang) {q.EDGES.format(q.top('same', 10))}")
+_SAME = "(SELECT a.lang = b.lang FROM documents a, documents b WHERE a.doc_id = s.query_id AND b.doc_id = s.vec_id)"
+
+
+@query("filtered_search_docs_lang", adaptive_sql(docs(same=_SAME), 8))
 def _(spark, sf):
-    """Neighbours in the query's language only; the local results are filtered before the merge."""
-    index, held = wl.index_of(spark, sf, "docs_u")
-    r = search.lookahead(index, held, wl.WORKLOADS["docs_u"].params.with_(k=1_000_000))
-    lang = table(spark, sf, "documents").select("doc_id", "lang")
-    same = r.local.join(lang.select(F.col("doc_id").alias("query_id"), "lang"), "query_id").join(lang.select(F.col("doc_id").alias("vec_id"), F.col("lang").alias("other")), "vec_id").where("lang = other")
-    return rounded(search.merge_top(same, 10))
+    """Neighbours in the query's language only: the filter comes before the local results and the rule."""
+    lang = table(spark, sf, "documents").select(F.col("doc_id").alias("id"), F.xxhash64("lang").alias("lang_key")).where("lang_key is not null")
+    every = wl.vectors_of(spark, sf, "docs_u").join(lang, "id")
+    _, held = wl.split(every)
+    index = ivf.build(every, wl.index_of(spark, sf, "docs_u")[0].centroids, attribute="lang_key")
+    return rounded(search.walk(index, held, wl.WORKLOADS["docs_u"].params, attribute="lang_key").edges)
 
 
 @query("stream_arrivals_docs")
 def _(spark, sf):
     from tauprobe.streaming import arrivals
 
-    return arrivals.replay(spark, wl.vectors_of(spark, sf, "docs_u"), wl.WORKLOADS["docs_u"].params, wl.SEED_EVERY, batches=4)
+    return arrivals.replay(spark, wl.vectors_of(spark, sf, "docs_u"), wl.WORKLOADS["docs_u"].params, wl.SEED_EVERY, batches=10)
 
 
-@query("vec_part_features", "WITH f AS (SELECT p_partkey AS id, [CAST(p_size AS DOUBLE) / 50, CAST(p_retailprice AS DOUBLE) / 2000, (p_partkey % 7 + 1) / 7.0] AS vec FROM part), v AS (SELECT id, vec, list_dot_product(vec, vec) AS n2 FROM f), s AS (SELECT a.id AS query_id, b.id AS vec_id, round(list_dot_product(a.vec, b.vec) / sqrt(a.n2 * b.n2), 12) AS sim FROM v a JOIN v b ON a.id % 50 = 0 AND b.id % 50 <> 0) SELECT query_id, vec_id, round(sim, 6) AS sim, pos FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY sim DESC, vec_id) AS pos FROM s) WHERE pos <= 3")
+@query("vec_part_features", "WITH f AS (SELECT p_partkey AS id, [CAST(p_size AS DOUBLE) / 50, CAST(p_retailprice AS DOUBLE) / 2000, (p_partkey % 7 + 1) / 7.0] AS vec FROM part), v AS (SELECT id, vec, list_dot_product(vec, vec) AS n2 FROM f), s AS (SELECT a.id AS query_id, b.id AS vec_id, round(list_dot_product(a.vec, b.vec) / sqrt(a.n2 * b.n2), 12) AS sim FROM v a JOIN v b ON a.id % 50 = 0 AND b.id <> a.id) SELECT query_id, vec_id, round(sim, 6) AS sim, pos FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY sim DESC, vec_id) AS pos FROM s) WHERE pos <= 3")
 def _(spark, sf):
     f = table(spark, sf, "part").select(F.col("p_partkey").cast("bigint").alias("id"), F.array(F.col("p_size").cast("double") / 50, F.col("p_retailprice").cast("double") / 2000, (F.col("p_partkey") % 7 + 1) / 7.0).alias("vec"))
-    return rounded(search.exact(f.where("id % 50 <> 0"), f.where("id % 50 = 0"), -2.0, 3))
+    return rounded(search.exact(f, f.where("id % 50 = 0"), -2.0, 3, drop_self=True))
 

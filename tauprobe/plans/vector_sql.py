@@ -37,33 +37,45 @@ def sim(a: str, b: str) -> str:
     return f"list_dot_product({a}.vec, {b}.vec) / sqrt({a}.n2 * {b}.n2)"
 
 
-def index(source: str, pairs: bool = False, seed_every: int = 25, plant: bool = False, everything: bool = False) -> str:
-    """CTEs up to base, qs, c(pid, vec, n2), assigned(id, pid). With `everything` all rows are base and queries."""
-    base = "SELECT * FROM v" if everything else "SELECT * FROM v WHERE id % 10 <> 3"
-    held = "SELECT * FROM v" if everything else "SELECT * FROM v WHERE id % 10 = 3"
+def index(source: str, pairs: bool = False, seed_every: int = 25, plant: bool = False, everything: bool = False, rounds: int = 0, only: str = "true") -> str:
+    """CTEs up to base, qs, c(pid, vec, n2), assigned(id, pid). With `everything` all rows are queries; `only` restricts the rows."""
+    held = "SELECT * FROM base" if everything else "SELECT * FROM base WHERE id % 50 = 0"
+    near = lambda c: f"SELECT base.id, {c}.pid FROM base, {c} QUALIFY row_number() OVER (PARTITION BY base.id ORDER BY round({sim('base', c)}, 9) DESC, {c}.pid) = 1"
+    seeds = f"SELECT row_number() OVER (ORDER BY id) - 1 AS pid, vec, n2 FROM base WHERE id % (SELECT greatest({seed_every}, CAST(round_even(sqrt(count(*)) / 4, 0) AS BIGINT)) FROM v) = 0"
+    if rounds:
+        lists = f"s0 AS MATERIALIZED ({seeds}), a0 AS MATERIALIZED ({near('s0')}), {moved('a0', 's0')}, c AS MATERIALIZED (SELECT * FROM moved)"
+    else:
+        lists = f"c AS MATERIALIZED ({seeds})"
     return f"""{vectors(source, pairs, plant)},
-base AS MATERIALIZED ({base}), qs AS MATERIALIZED ({held}),
-c AS MATERIALIZED (SELECT row_number() OVER (ORDER BY id) - 1 AS pid, vec, n2 FROM base WHERE id % {seed_every} = 0),
-assigned AS MATERIALIZED (SELECT base.id, c.pid FROM base, c QUALIFY row_number() OVER (PARTITION BY base.id ORDER BY round({sim('base', 'c')}, 9) DESC, c.pid) = 1)"""
+base AS MATERIALIZED (SELECT * FROM v WHERE {only}), qs AS MATERIALIZED ({held}),
+{lists},
+assigned AS MATERIALIZED ({near('c')})"""
 
 
-def probed(source: str, tau: float, p: int | None = None, pairs: bool = False, seed_every: int = 25, plant: bool = False, everything: bool = False, held_queries: str = "true") -> str:
-    """CTEs up to probe(query_id, rank, pid), met(query_id, vec_id, sim, rank), outcome(query_id, rank, pid, n_hits), lists(p)."""
+def moved(assigned: str, centroids: str) -> str:
+    """CTE moved(pid, vec, n2): unit means of the assigned rows' unit vectors; a centroid without rows stays."""
+    return f"""unit_ AS (SELECT a.pid, list_transform(b.vec, lambda x: x / sqrt(b.n2)) AS u FROM {assigned} a JOIN base b ON a.id = b.id),
+sums AS (SELECT pid, d, sum(u[d]) AS s FROM unit_, (SELECT unnest(range(1, 65)) AS d) GROUP BY pid, d),
+means AS (SELECT pid, list(s ORDER BY d) AS vec FROM sums GROUP BY pid),
+moved AS MATERIALIZED (SELECT pid, vec, list_dot_product(vec, vec) AS n2 FROM (SELECT z.pid, coalesce(m.vec, z.vec) AS vec FROM {centroids} z LEFT JOIN means m USING (pid)))"""
+
+
+def probed(source: str, tau: float, p: int | None = 90, pairs: bool = False, same: str = "true", **kw) -> str:
+    """CTEs up to probe(query_id, rank, pid), met(query_id, vec_id, sim, rank), outcome(query_id, rank, pid, n_hits), lists(p); `same` is a condition on query_id and vec_id."""
     limit = "" if p is None else f" WHERE rank <= {p}"
-    self_ = " AND qs.id <> base.id" if everything else ""
-    return f"""{index(source, pairs, seed_every, plant, everything)},
-ranked AS (SELECT qs.id AS query_id, c.pid, row_number() OVER (PARTITION BY qs.id ORDER BY round({sim('qs', 'c')}, 9) DESC, c.pid) AS rank FROM qs, c WHERE {held_queries}),
+    return f"""{index(source, pairs, **kw)},
+ranked AS (SELECT qs.id AS query_id, c.pid, row_number() OVER (PARTITION BY qs.id ORDER BY round({sim('qs', 'c')}, 9) DESC, c.pid) AS rank FROM qs, c),
 probe AS MATERIALIZED (SELECT * FROM ranked{limit}),
 lists AS (SELECT max(rank) AS p FROM probe),
-scored AS (SELECT qs.id AS query_id, base.id AS vec_id, round({sim('qs', 'base')}, 12) AS sim FROM qs, base WHERE {held_queries}{self_}),
-met AS MATERIALIZED (SELECT s.query_id, s.vec_id, s.sim, p.rank FROM scored s JOIN assigned a ON a.id = s.vec_id JOIN probe p ON p.query_id = s.query_id AND p.pid = a.pid WHERE s.sim >= {tau}),
+scored AS MATERIALIZED (SELECT qs.id AS query_id, base.id AS vec_id, round({sim('qs', 'base')}, 12) AS sim FROM qs, base WHERE qs.id <> base.id),
+met AS MATERIALIZED (SELECT s.query_id, s.vec_id, s.sim, p.rank FROM scored s JOIN assigned a ON a.id = s.vec_id JOIN probe p ON p.query_id = s.query_id AND p.pid = a.pid WHERE s.sim >= {tau} AND {same}),
 outcome AS MATERIALIZED (SELECT p.query_id, p.rank, p.pid, count(m.vec_id) AS n_hits FROM probe p LEFT JOIN met m ON m.query_id = p.query_id AND m.rank = p.rank GROUP BY ALL)"""
 
 
 def stops(windows: str) -> str:
     """CTE stop(query_id, w, stop): the first rank at which w ranks in a row were empty, else the last; windows as SQL list."""
     return f"""grid AS (SELECT unnest({windows}) AS w),
-quiet AS (SELECT query_id, rank, rank - coalesce(max(CASE WHEN n_hits > 0 THEN rank END) OVER (PARTITION BY query_id ORDER BY rank), 0) AS stale FROM outcome),
+quiet AS MATERIALIZED (SELECT query_id, rank, n_hits, rank - coalesce(max(CASE WHEN n_hits > 0 THEN rank END) OVER (PARTITION BY query_id ORDER BY rank), 0) AS stale FROM outcome),
 stop AS MATERIALIZED (SELECT query_id, w, coalesce(min(rank) FILTER (stale >= w), max(rank)) AS stop FROM quiet, grid GROUP BY ALL)"""
 
 

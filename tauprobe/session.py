@@ -31,8 +31,8 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 def shared_dir(spark: SparkSession) -> str:
     """The folder that the driver and all executors share.
 
-    It is the one named in spark.checkpoint.dir. Only where that is unset, as in tests on one machine,
-    a temporary folder is chosen and set as the checkpoint folder.
+    It is the one named in spark.checkpoint.dir. Only where that is unset on one machine, as in tests, a temporary folder is
+    chosen and set as the checkpoint folder; a cluster without the setting is an error.
     """
     sc = spark.sparkContext
     path = spark.conf.get("spark.checkpoint.dir", None) or sc.getCheckpointDir()
@@ -40,19 +40,50 @@ def shared_dir(spark: SparkSession) -> str:
         if not sc.getCheckpointDir():
             sc.setCheckpointDir(path)
         return path.rstrip("/")
+    if not sc.master.startswith("local"):
+        raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     path = "file://" + tempfile.mkdtemp(prefix="tauprobe-")
     sc.setCheckpointDir(path)
     return path
 
 
+_ROOTS: set[str] = set()
+
+
 def scratch(spark: SparkSession, label: str) -> str:
-    """A new path under the shared folder."""
-    return f"{shared_dir(spark)}/tauprobe/{label}-{uuid.uuid4().hex}"
+    """A new path under the shared folder. All of an application's paths go when it ends, or by `release`."""
+    sc = spark.sparkContext
+    root = f"{shared_dir(spark)}/tauprobe/{sc.applicationId}"
+    if root not in _ROOTS:
+        _ROOTS.add(root)
+        fs, path = _filesystem(spark, root)
+        fs.mkdirs(path)
+        fs.deleteOnExit(path)
+    return f"{root}/{label}-{uuid.uuid4().hex}"
+
+
+def _filesystem(spark: SparkSession, path: str):
+    sc = spark.sparkContext
+    place = sc._jvm.org.apache.hadoop.fs.Path(path)
+    return place.getFileSystem(sc._jsc.hadoopConfiguration()), place
+
+
+def release(spark: SparkSession, path: str | None = None) -> None:
+    """Deletes a scratch path, or all of this application's: for sessions that live on after their results were used."""
+    for p in [path] if path else list(_ROOTS):
+        fs, place = _filesystem(spark, p)
+        fs.delete(place, True)
+
+
+def signature(spark: SparkSession, path: str) -> tuple:
+    """Total length and time of change of a stored table: another one means that the table was changed."""
+    fs, place = _filesystem(spark, path)
+    return fs.getContentSummary(place).getLength(), fs.getFileStatus(place).getModificationTime()
 
 
-def materialize(df: DataFrame, label: str) -> DataFrame:
+def materialize(df: DataFrame, label: str, **options: str) -> DataFrame:
     """Writes a frame to the shared folder and reads it back: cuts lineage, survives lost executors."""
     spark = df.sparkSession
     path = scratch(spark, label)
-    df.write.parquet(path)
+    df.write.options(**options).parquet(path)
     return spark.read.schema(df.schema).parquet(path)

@@ -1,7 +1,12 @@
-"""The vector workloads: each gives base and query vectors, a threshold and an index, made once per session and kept on shared storage."""
+"""The vector workloads: each gives vectors, queries, a threshold and an index, made once per session and kept on shared storage.
+
+Queries are the rows whose id is a multiple of fifty, and they are searched for among all rows; a row does not find itself.
+An index holds every row. Its lists lie around seeds (or centroids trained from them); their number follows from the rows.
+"""
 
 from __future__ import annotations
 
+from collections import OrderedDict
 from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, SparkSession
@@ -10,11 +15,11 @@ from pyspark.sql import functions as F
 from tauprobe.functions import vectors
 from tauprobe.operators import ivf
 from tauprobe.params import SearchParams
-from tauprobe.session import materialize, table
+from tauprobe.session import materialize, signature, table
 
-#: Rows whose id leaves this rest by ten are the held-out queries.
-QUERY_REST = 3
-#: Base rows whose id is a multiple of this are the seed centroids.
+#: Rows whose id is a multiple of this are the queries.
+QUERY_EVERY = 50
+#: Rows whose id is a multiple of this are the seed centroids; of larger tables, fewer are.
 SEED_EVERY = 25
 
 
@@ -23,19 +28,19 @@ class Workload:
     name: str
     source: str
     tau: float
-    window: int = 4
+    window: int = 8
     pairs: bool = False
     seed_every: int = SEED_EVERY
 
     @property
     def params(self) -> SearchParams:
-        return SearchParams(tau=self.tau, window=self.window, nprobe=10_000)
+        return SearchParams(tau=self.tau, window=self.window, drop_self=True)
 
 
 WORKLOADS = {
     w.name: w
     for w in (
-        Workload("emb", "embeddings", 0.30),
+        Workload("emb", "embeddings", 0.30, window=24),  # noise without locality: a shorter window finds less than nine tenths
         Workload("docs_u", "documents", 0.85),
         Workload("docs_u_loose", "documents", 0.80),
         Workload("docs_mid", "documents", 0.90),
@@ -47,14 +52,19 @@ WORKLOADS = {
     )
 }
 
-_KEPT: dict[tuple, object] = {}
+_KEPT: OrderedDict[tuple, object] = OrderedDict()
 
 
 def _once(spark: SparkSession, key: tuple, make):
-    """What make returns, made once for a session."""
-    key = (spark.sparkContext.applicationId, *key)
+    """What make returns, made once for a session and a state of the source table; the results used last are kept."""
+    name, sf_dir, workload, *rest = key
+    source = signature(spark, f"{sf_dir}/{WORKLOADS[workload].source}.parquet")
+    key = (spark.sparkContext.applicationId, name, sf_dir, workload, *rest, source)
     if key not in _KEPT:
         _KEPT[key] = make()
+        while len(_KEPT) > 100:
+            _KEPT.popitem(last=False)
+    _KEPT.move_to_end(key)
     return _KEPT[key]
 
 
@@ -76,39 +86,55 @@ def raw_vectors(spark: SparkSession, sf_dir: str, w: Workload) -> DataFrame:
     return vectors.hashed_cells(texts, "text", w.pairs)
 
 
+def _like(name: str) -> str:
+    """The first workload with the same vectors."""
+    w = WORKLOADS[name]
+    return name if name == "emb_plant" else next(n for n, o in WORKLOADS.items() if (o.source, o.pairs) == (w.source, w.pairs))
+
+
 def vectors_of(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     """All usable vectors of a workload, kept."""
-    w = WORKLOADS[name]
-    key = ("vectors", sf_dir, w.source, w.pairs, name == "emb_plant")
-    return _once(spark, key, lambda: materialize(raw_vectors(spark, sf_dir, w), "vectors"))
+    name = _like(name)
+    return _once(spark, ("vectors", sf_dir, name), lambda: materialize(raw_vectors(spark, sf_dir, WORKLOADS[name]), "vectors"))
 
 
-def split(all_vectors: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """Base and held-out queries."""
-    held = F.pmod("id", F.lit(10)) == QUERY_REST
-    return all_vectors.where(~held), all_vectors.where(held)
+def split(every: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """All rows, and the queries."""
+    return every, every.where(F.pmod("id", F.lit(QUERY_EVERY)) == 0)
 
 
-def index_of(spark: SparkSession, sf_dir: str, name: str) -> tuple[ivf.Index, DataFrame]:
-    """The index over the base, with seed centroids, and the queries."""
-    w = WORKLOADS[name]
-    base, queries = split(vectors_of(spark, sf_dir, name))
+def held_out(every: DataFrame, rest: int = 3) -> tuple[DataFrame, DataFrame]:
+    """A tenth of the rows as queries that the index does not hold, and the others: for experiments apart from the registered queries."""
+    held = F.pmod("id", F.lit(10)) == rest
+    return every.where(~held), every.where(held)
 
-    def make() -> ivf.Index:
-        return ivf.build(base, ivf.seed_centroids(base, w.seed_every))
 
-    return _once(spark, ("index", sf_dir, w.source, w.pairs, w.seed_every, name == "emb_plant"), make), queries
+def seeds_of(spark: SparkSession, sf_dir: str, name: str) -> int:
+    """Every how many-th row is a seed."""
+    name = _like(name)
+    return _once(spark, ("seeds", sf_dir, name), lambda: ivf.seed_every(vectors_of(spark, sf_dir, name).count(), WORKLOADS[name].seed_every))
 
 
-def self_index_of(spark: SparkSession, sf_dir: str, name: str) -> ivf.Index:
-    """An index over all vectors, for self-search."""
-    every = vectors_of(spark, sf_dir, name)
-    w = WORKLOADS[name]
-    return _once(spark, ("self-index", sf_dir, w.source, w.pairs), lambda: ivf.build(every, ivf.seed_centroids(every, w.seed_every)))
+def index_of(spark: SparkSession, sf_dir: str, name: str, rounds: int = 0) -> tuple[ivf.Index, DataFrame]:
+    """The index over all rows, with lists around seeds, or around centroids trained in so many rounds from them; and the queries."""
+    name = _like(name)
+    every, queries = split(vectors_of(spark, sf_dir, name))
+
+    def make() -> ivf.Index:
+        start = ivf.seed_centroids(every, seeds_of(spark, sf_dir, name))
+        return ivf.build(every, ivf.lloyd(every, start, rounds) if rounds else start)
+
+    return _once(spark, ("index", sf_dir, name, rounds), make), queries
 
 
 def shard_index_of(spark: SparkSession, sf_dir: str, name: str, shards: int = 4) -> tuple[ivf.Index, DataFrame]:
-    """Coarse shards, each with lists of its own, and the queries."""
-    w = WORKLOADS[name]
-    base, queries = split(vectors_of(spark, sf_dir, name))
-    return _once(spark, ("shards", sf_dir, w.source, w.pairs, shards), lambda: ivf.build_shards(base, w.seed_every, shards)), queries
+    """Coarse shards, trained in one round from the first seeds, each with lists of its own; and the queries."""
+    name = _like(name)
+    every, queries = split(vectors_of(spark, sf_dir, name))
+
+    def make() -> ivf.Index:
+        seeds = ivf.seed_centroids(every, seeds_of(spark, sf_dir, name))
+        first = ivf.Centroids(seeds.shard[:shards], seeds.pid[:shards], seeds.unit[:shards])
+        return ivf.build_shards(every, ivf.lloyd(every, first, 1), seeds_of(spark, sf_dir, name))
+
+    return _once(spark, ("shards", sf_dir, name, shards), make), queries

@@ -7,7 +7,7 @@ import __spark_entry__ as entry
 
 SF = "/root/testdata/sf0.001"
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-SLOW = {"call_size_docs_u", "wave_profile_docs_u", "mode_difference_docs_u", "basic_edges_emb"}
+SLOW = {"wave_profile_docs_u"}
 
 
 def rows(columns, data):

@@ -74,29 +74,72 @@ def test_columns_agree_with_the_rule(spark):
     assert all(v == (r <= rule.simulate(own[q], 3)) for (q, r), v in seen.items())
 
 
+def held_out(spark, sf, name):
+    """An index without the queries, around every twenty-fifth row, and the queries."""
+    base, held = wl.held_out(wl.vectors_of(spark, sf, name))
+    return ivf.build(base, ivf.seed_centroids(base, 25)), base, held
+
+
 def test_golden_numbers(spark):
     for sf, queries, visits, hits in ((SF1, 50, 353, 88), (SF2, 50, 381, 117)):
-        index, held = wl.index_of(spark, sf, "emb")
-        r = search.lookahead(index, held, wl.WORKLOADS["emb"].params)
-        assert (held.count(), r.visits.agg(F.sum("visits")).first()[0], r.local.count()) == (queries, visits, hits)
-        assert max(w for w, _, _ in r.waves) <= index.lists - 4 + 1
+        index, _, held = held_out(spark, sf, "emb")
+        p = SearchParams(tau=0.30, window=4, nprobe=10_000)
+        r, w = search.lookahead(index, held, p), search.waves(index, held, p)
+        for x in (r, w):
+            assert (held.count(), x.visits.agg(F.sum("visits")).first()[0], x.local.count()) == (queries, visits, hits)
+        assert r.waves[0][1] == visits and max(n for n, _, _ in w.waves) <= index.lists - 4 + 1
     got = wl.vectors_of(spark, SF2, "docs_u").select("id", F.posexplode("vec").alias("b", "v")).agg(F.sum("v"), F.sum(F.col("v") * F.col("v")), F.sum((F.col("b") + 1) * F.col("v") * (F.col("id") + 1))).first()
     assert tuple(got) == (-5033, 6549447, -17342257)
 
 
 def test_executors_agree(spark):
-    index, held = wl.index_of(spark, SF1, "docs_u")
-    p = wl.WORKLOADS["docs_u"].params.with_(tau=0.6, window=2)
+    index, base, held = held_out(spark, SF1, "docs_u")
+    p = SearchParams(tau=0.6, window=2, nprobe=10_000)
     rows = lambda e: sorted(map(tuple, e.collect()))
     ahead = search.lookahead(index, held, p)
-    others = [search.basic(index, held, p), search.waves(index, held, p.with_(ranks_per_wave=2, microbatch=3)), search.speculative(index, held, p), search.serial(index, held, p), search.serial(ivf.saved_copy(index), held, p)]
+    others = [search.basic(index, held, p), search.waves(index, held, p), search.waves(index, held, p.with_(ranks_per_wave=2, microbatch=3)), search.speculative(index, held, p), search.serial(index, held, p), search.serial(ivf.saved_copy(index), held, p)]
+    others += [search.walk(index, held, p.with_(microbatch=3), ahead=a, call=c, order=o) for a, c, o in ((True, 7, "fifo"), (False, 7, "largest"), (True, None, "random"))]
     for other in others:
         assert rows(other.edges) == rows(ahead.edges) and rows(other.visits) == rows(ahead.visits)
-    assert rows(search.calls(index, held, p, 7)[0].edges) == rows(ahead.edges)
     every = search.fixed(index, held, p)
     assert rows(search.lookahead(index, held, p.with_(window=10_000)).edges) == rows(every.edges)
-    base, _ = wl.split(wl.vectors_of(spark, SF1, "docs_u"))
     assert rows(every.edges) == rows(search.exact(base, held, p.tau, p.k))
+    empty = search.lookahead(index, held.limit(0), p)
+    assert empty.edges.count() == 0 and empty.waves == [(1, 0, 0)]
+
+
+def test_batching_serves_more_queries_a_dispatch(spark):
+    """Serial, basic, lookahead: the same searches in ever fewer dispatches."""
+    index, _ = wl.index_of(spark, SF2, "docs_u")
+    every = wl.vectors_of(spark, SF2, "docs_u").coalesce(1)
+    p = wl.WORKLOADS["docs_u"].params
+    one, basic, ahead = search.serial(index, every, p), search.basic(index, every, p), search.lookahead(index, every, p)
+    assert one.waves[0][1] == basic.waves[0][1] == ahead.waves[0][1]
+    assert one.waves[0][2] == one.waves[0][1] > basic.waves[0][2] > ahead.waves[0][2]
+
+
+def test_attribute_filter_comes_before_the_rule(spark):
+    every = wl.vectors_of(spark, SF1, "docs_u").withColumn("odd", F.col("id") % 2)
+    index = ivf.build(every, ivf.seed_centroids(every, 25), attribute="odd")
+    p = SearchParams(tau=0.6, window=99, drop_self=True)
+    got = sorted((r.query_id, r.vec_id) for r in search.walk(index, every, p, attribute="odd").edges.collect())
+    want = [search.exact(every.where(f"odd = {k}"), every.where(f"odd = {k}"), 0.6, 10, drop_self=True) for k in (0, 1)]
+    assert got == sorted((r.query_id, r.vec_id) for w in want for r in w.collect()) and got
+
+
+def test_brute_force_over_a_grid_of_tiles(spark, monkeypatch):
+    every, held = wl.split(wl.vectors_of(spark, SF2, "docs_u"))
+    rows = lambda e: sorted(map(tuple, e.collect()))
+    want = rows(search.exact(every, held, 0.5, 10, drop_self=True))
+    monkeypatch.setattr(search, "SENT_BYTES", 0)
+    monkeypatch.setattr(search, "QUERY_TILE", 3)
+    got = search.exact(every, held, 0.5, 10, drop_self=True)
+    assert rows(got) == want
+    vecs = {r.id: np.array(r.vec) for r in every.collect()}
+    unit = {i: v / np.linalg.norm(v) for i, v in vecs.items()}
+    for q in [r.id for r in held.collect()][:5]:
+        near = sorted(((round(float(unit[q] @ unit[i]), 9), -i) for i in unit if i != q), reverse=True)
+        assert [x[1] for x in want if x[0] == q] == [-i for s, i in near if s >= 0.5][:10] or {x[1] for x in want if x[0] == q} <= {-i for s, i in near if s >= near[10][0] - 1e-9}
 
 
 def test_serial_in_shards_and_self_search(spark):
@@ -104,14 +147,25 @@ def test_serial_in_shards_and_self_search(spark):
     index, held = wl.shard_index_of(spark, SF1, "docs_u")
     p = wl.WORKLOADS["docs_u"].params.with_(window=2)
     one, many = search.serial(index, held, p), search.lookahead(index, held, p)
-    assert rows(one.edges) == rows(many.edges) and rows(one.visits) == rows(many.visits)
+    assert rows(one.edges) == rows(many.edges) == rows(search.waves(index, held, p).edges) and rows(one.visits) == rows(many.visits)
+    assert rows(search.lookahead(ivf.saved_copy(index), held, p).edges) == rows(many.edges)
     assert one.waves[0][1] == one.visits.agg(F.sum("visits")).first()[0]
-    own, every = wl.self_index_of(spark, SF1, "docs_u"), wl.vectors_of(spark, SF1, "docs_u")
-    p = p.with_(drop_self=True)
+    own, every = wl.index_of(spark, SF1, "docs_u")[0], wl.vectors_of(spark, SF1, "docs_u")
     assert rows(search.serial(own, every, p).edges) == rows(search.lookahead(own, every, p).edges)
     assert search.serial(index, held.limit(0), p).edges.count() == 0
 
 
+def test_a_list_of_any_size_is_split(spark):
+    """A third of the rows at one centroid: blocks stay within their size, whatever task they come from."""
+    rows = [(i, [1.0, 0.001 * (i % 7)] if i % 3 else [0.0, 1.0 + i]) for i in range(900)]
+    every = spark.createDataFrame(rows, "id bigint, vec array<double>").repartition(5)
+    index = ivf.build(every, ivf.seed_centroids(every, 100), block_rows=64)
+    assert index.blocks.agg(F.max("n")).first()[0] <= 64 and index.blocks.agg(F.sum("n")).first()[0] == 900
+    assert index.blocks.select("shard_id", "pid", "block_no").distinct().count() == index.blocks.count()
+    again = ivf.repack(index.blocks, 200)
+    assert again.agg(F.sum("n")).first()[0] == 900 and again.count() < index.blocks.count()
+
+
 def test_calls_of_the_scheduler_add_up(spark):
     rng = np.random.default_rng(3)
     hits = {q: (rng.random(9) < 0.3).tolist() for q in range(60)}
@@ -124,11 +178,10 @@ def test_calls_of_the_scheduler_add_up(spark):
 
 
 def test_edges_of_the_threshold(spark):
-    index, held = wl.index_of(spark, SF1, "emb")
+    index, base, held = held_out(spark, SF1, "emb")
     p = SearchParams(tau=0.85, window=8, nprobe=10_000)
     r = search.lookahead(index, held, p)
     assert r.edges.count() == 0 and {x.visits for x in r.visits.collect()} == {min(8, index.lists)}
-    base, _ = wl.split(wl.vectors_of(spark, SF1, "emb"))
     assert metrics.pooled_recall(r.edges, search.exact(base, held, 0.85, 10)) is None
     loose = search.lookahead(index, held, p.with_(tau=-1.0, window=1))
     assert {x.visits for x in loose.visits.collect()} == {index.lists}
@@ -166,7 +219,7 @@ def test_quarantine_and_vectors(spark):
 
 
 def test_store_blocks_and_dimension(spark):
-    base, held = wl.split(wl.vectors_of(spark, SF1, "docs_u"))
+    base, held = wl.held_out(wl.vectors_of(spark, SF1, "docs_u"))
     index = ivf.build(base, ivf.seed_centroids(base, 25), block_rows=3)
     assert index.blocks.agg(F.max("n")).first()[0] <= 3
     path = scratch(spark, "t")
@@ -174,10 +227,11 @@ def test_store_blocks_and_dimension(spark):
     again = ivf.load(spark, path, dim=64)
     p = SearchParams(tau=0.7, window=3, nprobe=99)
     rows = lambda i: sorted(map(tuple, search.lookahead(i, held, p).edges.collect()))
-    assert rows(again) == rows(index) == rows(wl.index_of(spark, SF1, "docs_u")[0])
+    assert rows(again) == rows(index) == rows(held_out(spark, SF1, "docs_u")[0])
     with pytest.raises(ValueError):
         ivf.load(spark, path, dim=32)
     assert ivf.suggest_nlist(9_900_000) == 2417
+    assert [ivf.seed_every(n) for n in (1000, 10_000, 100_000_000)] == [25, 25, 2500]
 
 
 def test_graph_and_cells(spark):
@@ -269,7 +323,7 @@ def test_arrivals_come_again_without_harm(spark):
     from tauprobe.streaming.arrivals import Arrivals
 
     every = wl.vectors_of(spark, SF1, "docs_u").select("id", "vec")
-    sink = Arrivals(spark, ivf.seed_centroids(every, 25), SearchParams(tau=0.8, window=3, nprobe=99), scratch(spark, "a"))
+    sink = Arrivals(ivf.seed_centroids(every, 25), SearchParams(tau=0.8, window=3, nprobe=99), scratch(spark, "a"))
     first, second = every.where("id < 100"), every.where("id >= 100")
     sink(first, 0)
     sink(second, 1)
@@ -279,6 +333,20 @@ def test_arrivals_come_again_without_harm(spark):
     assert all(e[1] < 100 for e in once)
 
 
+def test_arrivals_are_packed_anew(spark):
+    """Many batches with packing between them find what one index of all earlier rows finds."""
+    from tauprobe.streaming.arrivals import Arrivals
+
+    every = wl.vectors_of(spark, SF1, "docs_u").select("id", "vec")
+    p, centroids = SearchParams(tau=0.8, window=99, nprobe=99), ivf.seed_centroids(every, 25)
+    sink = Arrivals(centroids, p, scratch(spark, "a"), compact=2)
+    for b in range(5):
+        sink(every.where(f"id % 5 = {b}"), b)
+    got = sorted((r.query_id, r.vec_id) for r in sink.edges(spark).where("batch = 4").collect())
+    want = search.exact(every.where("id % 5 < 4"), every.where("id % 5 = 4"), 0.8, 10)
+    assert got == sorted((r.query_id, r.vec_id) for r in want.collect()) and len(sink._folders(5)) == 2
+
+
 def test_planner_and_experiments(spark):
     from tauprobe.plans import experiments, planner, vector_queries
 
