@@ -22,13 +22,19 @@ def canonical(edges: DataFrame) -> DataFrame:
 
 
 def content_filter(edges: DataFrame, docs: DataFrame, least_jaccard: float = 0.5, id_col: str = "doc_id") -> DataFrame:
-    """Edges whose documents agree: the same language, and word sets that overlap enough. Adds the overlap."""
-    words = F.array_distinct(F.filter(F.split(F.coalesce("text", F.lit("")), "[ \t\r\n]+"), lambda w: w != ""))
-    side = docs.select(F.col(id_col).alias("id"), "lang", words.alias("words"))
-    a = side.select(F.col("id").alias("id_a"), F.col("lang").alias("la"), F.col("words").alias("wa"))
-    b = side.select(F.col("id").alias("id_b"), F.col("lang").alias("lb"), F.col("words").alias("wb"))
-    met = edges.join(a, "id_a").join(b, "id_b").where("la = lb")
-    overlap = F.size(F.array_intersect("wa", "wb")) / F.greatest(F.size(F.array_union("wa", "wb")), F.lit(1))
+    """Edges whose documents agree: the same language, and word sets that overlap enough. Adds the overlap.
+
+    Words are compared by 64 bits of hash. Language and set sizes, a few bytes a document, rule most edges out before the
+    sets themselves are met: sets whose sizes differ too much cannot overlap enough.
+    """
+    words = F.array_distinct(F.transform(F.filter(F.split(F.coalesce("text", F.lit("")), "[ \t\r\n]+"), lambda w: w != ""), lambda w: F.xxhash64(w)))
+    side = materialize(docs.select(F.col(id_col).alias("id"), "lang", words.alias("words")).withColumn("n", F.size("words")), "word-sets")
+    few = lambda x: side.select(F.col("id").alias(f"id_{x}"), F.col("lang").alias(f"l{x}"), F.col("n").alias(f"n{x}"))
+    sets = lambda x: side.select(F.col("id").alias(f"id_{x}"), F.col("words").alias(f"w{x}"))
+    likely = edges.join(few("a"), "id_a").join(few("b"), "id_b").where("la = lb").where(F.least("na", "nb") >= least_jaccard * F.greatest("na", "nb"))
+    met = likely.join(sets("a"), "id_a").join(sets("b"), "id_b")
+    shared = F.size(F.array_intersect("wa", "wb"))
+    overlap = shared / F.greatest(F.col("na") + F.col("nb") - shared, F.lit(1))
     return met.select("id_a", "id_b", "sim", overlap.alias("jaccard")).where(F.col("jaccard") >= least_jaccard)
 
 
