@@ -5,7 +5,7 @@ one row more for each document under the empty term that holds its id and number
 consecutive item words: for each window the rarest of its terms (by postings in the index) is the pivot; the pivots'
 postings, moved back by the pivot's place in the item, give alignments of item and document; the postings of the other terms
 of the pivot's windows, moved back likewise, are intersected with them; runs of matched places as long as a window are the
-occurrences. `near` finds documents in which all terms of a query lie within a span.
+occurrences. `near` finds the places where all terms of a query lie within a span, in any order.
 
 Everything is an equi-join or an aggregation. What is broadcast is counted first and only sent if it is small; beyond that
 the same join is shuffled. A passage in very many documents gives as many rows as it has occurrences.
@@ -112,14 +112,23 @@ def contamination(df: DataFrame, items: DataFrame, window: int = 13, share: int
 
 
 def near(index: Index, queries: DataFrame, span: int = 20, id_col: str = "item_id", text_col: str = "text") -> DataFrame:
-    """Rows (id, item_id, first): places of a query's rarest term that have all its terms, in any order, within span words around."""
-    words = item_words(queries, id_col, text_col).select("item", "item_id", "term").distinct()
-    counted = words.join(index.frequencies(), "term", "left").select("item", "item_id", "term", F.coalesce("tf", F.lit(0)).alias("tf"))
-    plans = counted.groupBy("item", "item_id").agg(F.min(F.struct("tf", "term")).alias("rarest"), F.collect_list("term").alias("terms"))
-    plans = plans.where("rarest.tf > 0").select("item", "item_id", F.col("rarest.term").alias("term"), "terms")
-    at = index.postings.join(plans, "term").select("doc", F.col("pos").alias("first"), "item", "item_id", F.size("terms").alias("n"), F.explode("terms").alias("term"))
+    """Rows (id, item_id, first): places of a query's rarest term around which all its terms lie, in any order, within span words.
+
+    Within span means that the last of them comes less than span places after the first. A term that a query repeats must
+    lie there as often. A query without words, or with more of them than span, is found nowhere; a query without id is not
+    listed; rows of one document id are documents of their own, each with its places.
+    """
+    words = item_words(queries, id_col, text_col).where("item_id is not null").groupBy("item", "item_id", "term").agg(F.count(F.lit(1)).alias("times"))
+    counted = words.join(index.frequencies(), "term", "left").select("item", "item_id", "term", "times", F.coalesce("tf", F.lit(0)).alias("tf"))
+    wanted = F.sort_array(F.collect_list(F.struct("term", "times")))
+    plans = counted.groupBy("item", "item_id").agg(F.min(F.struct("tf", "term")).alias("rarest"), wanted.alias("wanted"), F.sum("times").alias("size"))
+    plans = plans.where((F.col("rarest.tf") > 0) & (F.col("size") <= span)).select("item", "item_id", F.col("rarest.term").alias("term"), "wanted")
+    at = index.postings.join(plans, "term").select("doc", F.col("pos").alias("first"), "item", "item_id", "wanted", F.explode("wanted.term").alias("term"))
     at = at.select("*", F.explode(F.array(*[F.floor(F.col("first") / span) + k for k in (-1, 0, 1)])).alias("cell"))
     there = index.postings.select("doc", "term", F.col("pos").alias("other"), F.floor(F.col("pos") / span).alias("cell"))
     met = at.join(there, ["doc", "term", "cell"]).where(F.abs(F.col("other") - F.col("first")) < span)
-    whole = met.groupBy("doc", "item", "item_id", "first", "n").agg(F.count_distinct("term").alias("had")).where("had = n")
+    # at most one place for each word around: some stretch of span words that holds the anchor has every term often enough
+    around = met.groupBy("doc", "item", "item_id", "first", "wanted").agg(F.collect_set(F.struct(F.col("other").alias("p"), "term")).alias("there"))
+    held = lambda start, w: F.size(F.filter("there", lambda x: (x["term"] == w["term"]) & (x["p"] >= start) & (x["p"] < start + span))) >= w["times"]
+    whole = around.where(F.exists("there", lambda x: (x["p"] <= F.col("first")) & (x["p"] + span > F.col("first")) & F.forall("wanted", lambda w: held(x["p"], w))))
     return whole.join(index.documents, "doc").select("id", "item_id", "first")

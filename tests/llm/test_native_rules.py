@@ -60,12 +60,36 @@ def test_contamination_odd_rows(spark):
     assert decontaminate.contamination(df, bench.limit(0)).where("n_hit > 0 or contaminated").count() == 0
 
 
+def brute_near(docs, asked, span):
+    """(id, item, first) by trying every stretch of words around every place of the rarest term."""
+    texts = [(d, bench_words(t)) for d, t in docs]
+    total = Counter(w for _, ws in texts for w in ws)
+    out = []
+    for item, text in asked:
+        want = Counter(bench_words(text))
+        if not want or item is None or sum(want.values()) > span or not all(total[w] for w in want):
+            continue
+        rarest = min(want, key=lambda w: (total[w], w.encode()))
+        for d, ws in texts:
+            for p, w in enumerate(ws):
+                if w == rarest and any(not want - Counter(ws[s : s + span]) for s in range(max(0, p - span + 1), p + 1)):
+                    out.append((d, item, p))
+    return sorted(out, key=str)
+
+
 def test_near(spark):
-    docs = spark.createDataFrame([(1, "a x x b x c"), (2, "a " + "x " * 30 + "b c"), (3, "c b a")], "doc_id bigint, text string")
-    index = decontaminate.build_index(docs)
-    asked = spark.createDataFrame([(9, "a b c")], "item_id bigint, text string")
-    assert sorted({r.id for r in decontaminate.near(index, asked, 6).collect()}) == [1, 3]
-    assert sorted({r.id for r in decontaminate.near(index, asked, 40).collect()}) == [1, 2, 3]
+    rng = random.Random(12)
+    docs = [(1, "a x x b x c"), (2, "a " + "x " * 30 + "b c"), (3, "c b a"), (3, "b a c a"), (None, "c a b"), (5, None), (6, ""), (7, "a b " * 20_000 + "c"), (8, "b x x a x x b")]
+    docs += [(20 + i, " ".join(rng.choice("abcxyz") for _ in range(rng.randint(0, 40)))) for i in range(30)]
+    asked = [(9, "a b c"), (10, "a a b"), (11, "b b a"), (12, ""), (13, None), (None, "a b"), (14, "q a"), (15, "a " * 9), (16, "c"), (9, "x y")]
+    df = spark.createDataFrame([(*d, "x", 1) for d in docs], "doc_id bigint, text string, term string, pos int")
+    index = decontaminate.build_index(df)
+    items = spark.createDataFrame(asked, "item_id bigint, text string")
+    for span in (3, 4, 6):
+        got = sorted((tuple(r) for r in decontaminate.near(index, items, span).collect()), key=str)
+        assert got == brute_near(docs, asked, span) and got
+    assert decontaminate.near(index, items.limit(0)).count() == 0
+    assert decontaminate.near(decontaminate.build_index(df.limit(0)), items).count() == 0
 
 
 def brute_features(text):
