@@ -4,7 +4,7 @@ Each round links every node's larger neighbours to the smallest node around it,
 to the smallest of those. Rounds go on until the edges no longer change; then every edge points at the smallest node of
 its component. A round is a handful of aggregations and equi-joins; its edges are written to the shared folder, so a lost
 executor costs one round at most. A hub costs no task its whole neighbourhood: minima combine before the shuffle, and the
-joins may be split.
+minima of the largest hubs go to all tasks instead of the hubs' edges to one.
 """
 
 from __future__ import annotations
@@ -15,6 +15,21 @@ from pyspark.sql import functions as F
 from tauprobe.session import materialize
 
 
+#: Keys with the most rows whose values are sent to every task.
+HOT = 10_000
+
+
+def join_hot(rows: DataFrame, values: DataFrame, key: str) -> DataFrame:
+    """rows joined with values, which has each key once and its number n of rows.
+
+    The most frequent keys, HOT at most, go to all tasks; any other key has one in HOT of all rows at most, so no task gets
+    many rows of one key. Both frames are read twice, so they should lie on storage.
+    """
+    hot = F.broadcast(values.where("n > 1").orderBy(F.desc("n"), key).limit(HOT))
+    rest = rows.join(hot.select(key), key, "left_anti").hint("merge").join(values, key)
+    return rows.join(hot, key).unionByName(rest)
+
+
 def _around(edges: DataFrame) -> DataFrame:
     """The rows (u, v) with the least v of each u."""
     least = edges.groupBy("u").agg(F.min("v").alias("m"))
@@ -23,7 +38,8 @@ def _around(edges: DataFrame) -> DataFrame:
 
 def _large_star(edges: DataFrame) -> DataFrame:
     both = edges.union(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
-    near = _around(both).where("v > u")
+    least = materialize(both.groupBy("u").agg(F.min("v").alias("m"), F.count(F.lit(1)).alias("n")), "least")
+    near = join_hot(both, least, "u").where("v > u")
     return near.select(F.col("v").alias("u"), F.least("m", "u").alias("v")).distinct()
 
 

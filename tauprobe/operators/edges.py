@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
 from tauprobe.operators import ivf, search
+from tauprobe.operators.components import join_hot
 from tauprobe.params import SearchParams
 from tauprobe.session import materialize
 
@@ -45,8 +46,9 @@ def label_groups(components: DataFrame, docs: DataFrame, labels: DataFrame, id_c
     every = every.withColumn("component", F.coalesce("component", "id"))
     # a group of any size is one aggregate row: its size, and the place of its best document
     place = F.struct((-F.coalesce("quality", F.lit(-1))).alias("q"), F.coalesce(-F.col("n_chars"), F.lit(1)).alias("c"), F.col("id").alias("i"))
-    groups = every.groupBy("component").agg(F.count(F.lit(1)).alias("group_size"), F.min(place)["i"].alias("best"))
-    return every.join(groups, "component").select("id", "component", "group_size", (F.col("id") == F.col("best")).alias("keep"))
+    every = materialize(every, "grouped")
+    groups = materialize(every.groupBy("component").agg(F.count(F.lit(1)).alias("n"), F.min(place)["i"].alias("best")), "groups")
+    return join_hot(every, groups, "component").select("id", "component", F.col("n").alias("group_size"), (F.col("id") == F.col("best")).alias("keep"))
 
 
 def exact_hash(docs: DataFrame, text: str = "text", id_col: str = "doc_id") -> DataFrame:
@@ -73,9 +75,9 @@ def representatives(rows: DataFrame, by: list[str], id_col: str = "doc_id") -> D
 def spread(components: DataFrame, members: DataFrame) -> DataFrame:
     """Components of representatives as rows (node, component) of all members of a group of two or more rows."""
     of = members.join(components.withColumnRenamed("node", "representative"), "representative", "left")
-    of = of.select(F.col("id").alias("node"), F.coalesce("component", "representative").alias("component"))
-    sizes = of.groupBy("component").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
-    return of.join(sizes.select("component"), "component", "left_semi").select("node", "component")
+    of = materialize(of.select(F.col("id").alias("node"), F.coalesce("component", "representative").alias("component")), "membership")
+    sizes = materialize(of.groupBy("component").agg(F.count(F.lit(1)).alias("n")), "group-sizes")
+    return join_hot(of, sizes, "component").where("n > 1").select("node", "component")
 
 
 def _block_radii(index: ivf.Index) -> DataFrame:

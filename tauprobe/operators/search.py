@@ -244,7 +244,7 @@ def walk(index: ivf.Index, queries: DataFrame, params: SearchParams, ahead: bool
 
     extra = [attribute] if attribute else []
     ranked = materialize(ivf.probe_lists(queries, index, params.nprobe, extra, with_vectors=True), "probes")
-    tasks = max(queries.sparkSession.sparkContext.defaultParallelism, 1)
+    tasks = task_count(ranked.count(), cap, queries.sparkSession.sparkContext.defaultParallelism)
     near = ranked.repartitionByRange(tasks, "shard_id", F.col("probes")[0], "query_id").sortWithinPartitions("shard_id", F.col("probes")[0], "query_id")
     found = materialize(near.select("query_id", "shard_id", "probes", "vec", *extra).mapInArrow(kernel, WALKED), "walked")
     local = found.where("kind = 0").drop("kind")
@@ -253,11 +253,22 @@ def walk(index: ivf.Index, queries: DataFrame, params: SearchParams, ahead: bool
     return Result(merge_top(local, k), visits, local, [(1, items, dispatches)], loads)
 
 
+def task_count(rows: int, cap: int, cores: int) -> int:
+    """Tasks of a walk: as many as cores, and so many that none has more than a few calls of queries."""
+    return max(1, cores, -(-rows // (4 * cap)))
+
+
 def _compact(part: pa.RecordBatch) -> pa.RecordBatch:
     """A slice as a batch of its own, so that its list columns begin at zero."""
     return pa.RecordBatch.from_arrays([pa.concat_arrays([c]) if c.offset == 0 else c.take(pa.array(np.arange(len(c)))) for c in part.columns], part.schema.names)
 
 
+def publish(result: Result, prefix: str = "tau") -> None:
+    """Makes a result's edges and visits known to SQL, as views <prefix>_edges and <prefix>_visits."""
+    result.edges.createOrReplaceTempView(f"{prefix}_edges")
+    result.visits.createOrReplaceTempView(f"{prefix}_visits")
+
+
 def lookahead(index: ivf.Index, queries: DataFrame, params: SearchParams, scorer=score_exact) -> Result:
     return walk(index, queries, params, True, scorer=scorer) if ivf.readable(index) else waves(index, queries, params.with_(ranks_per_wave=None), scorer)
 

@@ -1,34 +1,37 @@
-"""How a search is to be run, decided from its size: a plain function whose answer can be printed."""
+"""How a search is to be run, decided from its size; the decision is a plain value that can be printed, and `run` follows it."""
 
 from __future__ import annotations
 
 from dataclasses import dataclass
 
-from tauprobe.operators import ivf
-from tauprobe.params import SearchParams
+from pyspark.sql import DataFrame
 
-#: Searches (queries times shards times probes) up to which one speculative job costs less than several waves.
-ONE_JOB = 200_000
-#: Items of one wave; larger query batches go in slices.
-WAVE_ITEMS = 2_000_000_000
+from tauprobe.operators import ivf, search
+from tauprobe.params import SearchParams
 
 
 @dataclass(frozen=True)
 class Plan:
-    mode: str  # "speculative", "lookahead"
-    query_slices: int
+    mode: str  # "fixed", "lookahead", "waves"
+    tasks: int
     needs_shards: bool
     chunks_of_largest_group: int
     reason: str
 
 
-def choose(params: SearchParams, queries: int, lists: int, shards: int = 1, vectors: int | None = None) -> Plan:
-    """speculative: all ranks in one job, trimmed by the closed form; lookahead: waves of committed ranks."""
+def choose(params: SearchParams, queries: int, lists: int, shards: int = 1, vectors: int | None = None, cores: int = 8, readable: bool = True) -> Plan:
+    """fixed: the rule could not stop before the last list; lookahead: queues in tasks; waves: joins, where tasks cannot read the index."""
     probes = min(params.nprobe, lists)
+    mode = "fixed" if params.window >= probes else "lookahead" if readable else "waves"
     whole, first = queries * shards * probes, queries * shards * min(params.window, probes)
-    mode = "speculative" if whole <= ONE_JOB or params.window >= probes else "lookahead"
-    sent = whole if mode == "speculative" else first
-    slices = max(1, -(-sent // WAVE_ITEMS))
     wanted = ivf.suggest_nlist(vectors) if vectors else lists
-    reason = f"{whole} searches at most, {first} in the first wave; {slices} slice(s) of queries"
-    return Plan(mode, slices, wanted > ivf.MOST_CENTROIDS, max(1, -(-queries // params.microbatch)), reason)
+    tasks = search.task_count(queries * shards, params.microbatch, cores)
+    reason = f"{first} searches at least and {whole} at most, by {queries * shards} queries and shards in {tasks} tasks"
+    return Plan(mode, tasks, wanted > ivf.MOST_CENTROIDS, max(1, -(-queries // params.microbatch)), reason)
+
+
+def run(index: ivf.Index, queries: DataFrame, params: SearchParams) -> tuple[search.Result, Plan]:
+    """The search by the plan that fits its size."""
+    cores = queries.sparkSession.sparkContext.defaultParallelism
+    plan = choose(params, queries.count(), index.lists, len(index.shards), cores=cores, readable=ivf.readable(index))
+    return {"fixed": search.fixed, "lookahead": search.lookahead, "waves": search.waves}[plan.mode](index, queries, params), plan

@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from tauprobe.functions import vectors
 from tauprobe.operators import approximate, edges, ivf, metrics, rule, schedule, search
 from tauprobe.operators import calibrate as cal
+from tauprobe.plans import planner
 from tauprobe.plans import vector_sql as q
 from tauprobe.session import materialize, table
 from tauprobe.sources import workloads as wl
@@ -219,6 +220,20 @@ def _(spark, sf):
     return rounded(search.serial(index, held, wl.WORKLOADS["docs_u"].params).edges)
 
 
+@query("planned_edges_pages", adaptive_sql(KIND["pages"](), WINDOW["pages"]))
+def _(spark, sf):
+    index, held = wl.index_of(spark, sf, "pages")
+    return rounded(planner.run(index, held, wl.WORKLOADS["pages"].params)[0].edges)
+
+
+@query("sql_views_docs_u", f"WITH {docs()}, {q.stops('[8]')}, {_KEPT}, found AS ({q.top('kept', 10)}) SELECT s.query_id, CAST(stop AS BIGINT) AS visits, count(f.vec_id) AS neighbours, round(max(sim), 6) AS best FROM stop s LEFT JOIN found f USING (query_id) GROUP BY s.query_id, stop")
+def _(spark, sf):
+    """A result's views in SQL."""
+    index, held = wl.index_of(spark, sf, "docs_u")
+    search.publish(search.lookahead(index, held, wl.WORKLOADS["docs_u"].params))
+    return spark.sql("select v.query_id, v.visits, count(e.vec_id) as neighbours, round(max(e.sim), 6) as best from tau_visits v left join tau_edges e on e.query_id = v.query_id group by v.query_id, v.visits")
+
+
 for _n in ("emb", "docs_u"):
 
     @query(f"waves_edges_{_n}", adaptive_sql(KIND[_n](), 4))

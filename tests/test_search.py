@@ -351,7 +351,11 @@ def test_planner_and_experiments(spark):
     from tauprobe.plans import experiments, planner, vector_queries
 
     p = SearchParams(tau=0.8, window=8, nprobe=90)
-    assert planner.choose(p, 100, 40).mode == "speculative" and planner.choose(p, 100_000, 2400).mode == "lookahead"
+    assert planner.choose(p, 100, 8).mode == "fixed" and planner.choose(p, 100_000, 2400).mode == "lookahead" and planner.choose(p, 100, 40, readable=False).mode == "waves"
     big = planner.choose(p, 3 * 10**9, 4000, shards=2000, vectors=3 * 10**10)
-    assert big.needs_shards and big.query_slices > 1 and big.chunks_of_largest_group > 1
+    assert big.needs_shards and big.tasks > 10**7 and big.chunks_of_largest_group > 1
+    index, held = wl.index_of(spark, SF1, "docs_u")
+    for window, mode in ((8, "fixed"), (2, "lookahead")):
+        got, plan = planner.run(index, held, p.with_(window=window, drop_self=True))
+        assert plan.mode == mode and sorted(map(tuple, got.edges.collect())) == sorted(map(tuple, search.waves(index, held, p.with_(window=window, drop_self=True)).edges.collect()))
     assert all(q in vector_queries.QUERIES for qs in experiments.EXPERIMENTS.values() for q in qs)
