@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import re
 from collections.abc import Callable, Iterable, Iterator
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -15,8 +16,8 @@ from pyspark.sql.types import StructType
 #: Unicode's included, lies on both sides.
 _CUT = re.compile(r"(?<=\S)(?=[ \t\n\r])")
 
-#: Rows of one output batch; keeps Python memory flat whatever Spark's own batch size is.
-SLICE_ROWS = 128
+#: Rows and bytes of the slices that are worked off together; keeps Python memory flat whatever Spark's own batch size is.
+SLICE_ROWS, SLICE_BYTES = 128, 1 << 19
 
 
 def segments(text: str, size: int = 1 << 20) -> Iterator[str]:
@@ -34,15 +35,33 @@ def run(df: DataFrame, steps: Iterable[Callable[[pa.RecordBatch], pa.RecordBatch
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
-            for at in range(0, whole.num_rows, SLICE_ROWS):
-                batch = whole.slice(at, SLICE_ROWS)
+            rows = max(1, min(SLICE_ROWS, SLICE_BYTES * whole.num_rows // max(whole.nbytes, 1)))
+            for at in range(0, whole.num_rows, rows):
+                batch = whole.slice(at, rows)
                 for step in steps:
                     batch = step(batch)
                 yield batch
+        give_back()
 
     return df.mapInArrow(kernel, schema)
 
 
+@lru_cache(1)
+def _trim():
+    import ctypes
+
+    try:
+        return ctypes.CDLL(None).malloc_trim
+    except (AttributeError, OSError):  # another C library
+        return lambda _: 0
+
+
+def give_back() -> None:
+    """Returns memory that is free in this process to the system: a worker lives on while the JVM needs the memory."""
+    pa.default_memory_pool().release_unused()
+    _trim()(0)
+
+
 class Memory:
     """What has been worked out for words, in two generations: words in use stay, the size is bounded.
 

@@ -26,12 +26,10 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from tauprobe.llm.arrow_kernels import run, small
-from tauprobe.operators.components import components
+from tauprobe.operators.components import components, join_hot
 from tauprobe.session import materialize
 
 BITS = 64
-#: Fingerprints with the most rows whose class is sent to every task.
-HOT = 10_000
 _BLOCK = 1 << 15
 
 
@@ -135,13 +133,11 @@ def classes(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", words
     firsts = materialize(marked.groupBy("fp").agg(F.min("id").alias("first"), F.count(F.lit(1)).alias("n")), "distinct-fingerprints")
     joined = components(links(firsts.select("fp"), radius, bucket_limit))
     named = joined.join(firsts, joined.node == firsts.fp).select("fp", "component", "first")
-    least = named.groupBy("component").agg(F.min("first").alias("least"))
-    reached = named.hint("merge").join(least, "component").select("fp", "least")
+    named = materialize(named, "named-fingerprints")
+    least = materialize(named.groupBy("component").agg(F.min("first").alias("least"), F.count(F.lit(1)).alias("n")), "components")
+    reached = join_hot(named, least, "component").select("fp", "least")
     of = materialize(firsts.join(reached, "fp", "left").select("fp", "n", F.coalesce("least", "first").alias("component")), "fingerprint-classes")
-    # the most frequent fingerprints, so many at most, go to all tasks; any other has one in HOT of all rows at most
-    hot = F.broadcast(of.where("n > 1").orderBy(F.desc("n"), "fp").limit(HOT))
-    rest = marked.join(hot.select("fp"), "fp", "left_anti").hint("merge").join(of, "fp")
-    return marked.join(hot, "fp").select("id", "fp", "component").union(rest.select("id", "fp", "component"))
+    return join_hot(marked, of, "fp").select("id", "fp", "component")
 
 
 def keep_one(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
