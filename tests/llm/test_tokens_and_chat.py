@@ -104,7 +104,8 @@ def test_token_files(spark):
 @pytest.mark.parametrize("compress", [True, False])
 def test_token_files_odd_rows(spark, compress):
     rows = [(i, t) for i, t in enumerate(ODD)] + [(3, "a"), (None, "b")]
-    shards = token_files.write(spark.createDataFrame(rows, "doc_id bigint, text string"), scratch(spark, "t"), WORDS, 2, compress=compress)
+    clashing = spark.createDataFrame([(*r, "x", 1, 2.0) for r in rows], "doc_id bigint, text string, id string, shard int, tokens double")
+    shards = token_files.write(clashing, scratch(spark, "t"), WORDS, 2, compress=compress)
     tok = Tokenizer.from_file(WORDS)
     got = token_files.read(spark, shards).orderBy("start").collect()
     assert [r.id for r in got] == sorted((d for d, _ in rows), key=lambda d: (d is not None, d))
@@ -145,3 +146,19 @@ def test_chat_odd_rows(spark):
     assert chat.digests(df.limit(0)).count() == 0
     said = chat.segments_of(df).where("loss").orderBy("conv_id", "turn_no").collect()
     assert [(r.conv_id, r.text) for r in said] == [(1, ""), (2, "b")]
+
+
+def test_chat_long_turns_and_ties(spark):
+    """A turn of millions of characters, a conversation of thousands of turns, and turns that tie in everything."""
+    long = "\\: </turn> ### \u00e9" * 150_000
+    rows = [(1, 0, "user", long, "x"), (1, 1, "assistant", long, "x")]
+    rows += [(2, i, "user" if i % 2 == 0 else "assistant", f"t{i}", "x") for i in range(6000)]
+    rows += [(3, 0, "user", "same", "x"), (3, 0, "user", "same", "x"), (3, 0, "assistant", "b", "x"), (3, 0, "assistant", "a", "x")]
+    df = spark.createDataFrame(rows, "conv_id bigint, turn bigint, role string, text string, part string").repartition(3)
+    got = {r.conv_id: r for r in chat.digests(df).collect()}
+    assert got[1].loss_chars == len(long) and got[1].valid and got[1].loss_sha256 == hashlib.sha256(long.encode()).hexdigest()
+    assert got[2].n_turns == 6000 and got[2].valid and got[2].loss_chars == sum(len(f"t{i}") for i in range(1, 6000, 2))
+    assert got[3].turns_sha256 == hashlib.sha256(b"assistant\na\nassistant\nb\nuser\nsame\nuser\nsame\n").hexdigest() and not got[3].valid
+    parts = chat.segments_of(df.where("conv_id = 1")).orderBy("turn_no", "part").collect()
+    assert [p.loss for p in parts] == [False, False, False, False, True, False]
+    assert chat.Template().parse("".join(p.text for p in parts)) == [("user", long), ("assistant", long)]
