@@ -610,6 +610,27 @@ def _(spark, sf):
     return spark.createDataFrame(rows, "assignment string, w int, mismatch_pct double, visits bigint, recall double, added_loss_pp double")
 
 
+_ROUTED = f"""WITH {docs()}, {_CELLS}, {q.truth(10, 0.85)}, grid AS (SELECT unnest([2, 4, 8, 12, 16]) AS w),
+met_c AS MATERIALIZED (SELECT s.query_id, s.vec_id, s.sim, p.rank FROM scored s JOIN routed a ON a.id = s.vec_id JOIN probe p ON p.query_id = s.query_id AND p.pid = a.pid WHERE s.sim >= 0.85),
+outcome_c AS MATERIALIZED (SELECT p.query_id, p.rank, count(m.vec_id) AS n_hits FROM probe p LEFT JOIN met_c m ON m.query_id = p.query_id AND m.rank = p.rank GROUP BY ALL),
+quiet_c AS MATERIALIZED (SELECT query_id, rank, rank - coalesce(max(CASE WHEN n_hits > 0 THEN rank END) OVER (PARTITION BY query_id ORDER BY rank), 0) AS stale FROM outcome_c),
+stop_c AS MATERIALIZED (SELECT query_id, w, coalesce(min(rank) FILTER (stale >= w), max(rank)) AS stop FROM quiet_c, grid GROUP BY ALL),
+kept AS (SELECT s.w, m.* FROM met_c m JOIN stop_c s ON s.query_id = m.query_id AND m.rank <= s.stop), found AS ({q.top('kept', 10, extra='w, ')}),
+hit AS (SELECT w, count(*) AS n FROM found JOIN truth USING (query_id, vec_id) GROUP BY w)
+SELECT s.w, (SELECT round(100.0 * count(*) FILTER (r.pid <> a.pid) / count(*), 4) FROM routed r JOIN assigned a USING (id)) AS mismatch_pct, CAST(sum(stop) AS BIGINT) AS visits, round(coalesce(any_value(hit.n), 0) / nullif((SELECT count(*) FROM truth), 0), 6) AS recall FROM stop_c s LEFT JOIN hit USING (w) GROUP BY s.w"""
+
+
+@query("assign_cells_effect_docs_u", _ROUTED)
+def _(spark, sf):
+    """Cell-routed assignment: mismatch, and what each window visits and finds."""
+    index, held, params, _, _ = full(spark, sf, "docs_u")
+    every, _ = wl.split(wl.vectors_of(spark, sf, "docs_u"))
+    own = ivf.build(every, index.centroids, approximate.cell_chooser(index.centroids))
+    ranks, local = search.full_probe(own, held, params)
+    wrong = metrics.mismatch(own.postings(), index.postings()).first().pct
+    return sweep(spark, ranks, local, truth(spark, sf, "docs_u"), [2, 4, 8, 12, 16]).select("w", F.lit(wrong).alias("mismatch_pct"), "visits", "recall")
+
+
 # ---- shards
 
 def _shard_sql(source: str, tau: float, window: int) -> str:
@@ -666,7 +687,13 @@ for _n, _prune in (("pair_join_docs_u", False), ("pair_join_pruned_docs_u", True
         return edges.pair_join(wl.index_of(spark, sf, "docs_u")[0], 0.85, prune)[0].select("id_a", "id_b", F.round("sim", 6).alias("sim"))
 
 
-@query("pair_join_cost_docs_u")
+_ANGLE = "acos(greatest(-1.0, least(1.0, {})))"
+_COST = f"""WITH {docs(everything=True)}, rad AS (SELECT c.pid, any_value(c.vec) AS vec, any_value(c.n2) AS n2, max({_ANGLE.format(q.sim('base', 'c'))}) AS r, count(*) AS n FROM assigned a JOIN base USING (id) JOIN c USING (pid) GROUP BY c.pid),
+met_ AS (SELECT CASE WHEN x.pid = y.pid THEN x.n * (x.n - 1) // 2 ELSE x.n * y.n END AS n, x.pid = y.pid OR {_ANGLE.format(q.sim('x', 'y'))} - x.r - y.r <= acos(0.85) + 1e-9 AS near FROM rad x JOIN rad y ON x.pid <= y.pid)
+SELECT 'all' AS method, CAST(sum(n) AS BIGINT) AS pairs_scored FROM met_ UNION ALL SELECT 'pruned', CAST(coalesce(sum(n) FILTER (near), 0) AS BIGINT) FROM met_"""
+
+
+@query("pair_join_cost_docs_u", _COST)
 def _(spark, sf):
     index, _ = wl.index_of(spark, sf, "docs_u")
     parts = [edges.pair_join(index, 0.85, p)[1].select(F.lit(m).alias("method"), "pairs_scored") for m, p in (("all", False), ("pruned", True))]

@@ -116,11 +116,17 @@ def seeds_of(spark: SparkSession, sf_dir: str, name: str) -> int:
 
 
 def index_of(spark: SparkSession, sf_dir: str, name: str, rounds: int = 0) -> tuple[ivf.Index, DataFrame]:
-    """The index over all rows, with lists around seeds, or around centroids trained in so many rounds from them; and the queries."""
+    """The index over all rows, with lists around seeds, or around centroids trained in so many rounds from them; and the queries.
+
+    Where the lists are too many for every task to hold their centroids, they lie in shards.
+    """
     name = _like(name)
     every, queries = split(vectors_of(spark, sf_dir, name))
 
     def make() -> ivf.Index:
+        lists = every.count() // seeds_of(spark, sf_dir, name)
+        if lists > ivf.MOST_CENTROIDS:
+            return shard_index_of(spark, sf_dir, name, -(-2 * lists // ivf.MOST_CENTROIDS))[0]
         start = ivf.seed_centroids(every, seeds_of(spark, sf_dir, name))
         return ivf.build(every, ivf.lloyd(every, start, rounds) if rounds else start)
 
@@ -133,8 +139,8 @@ def shard_index_of(spark: SparkSession, sf_dir: str, name: str, shards: int = 4)
     every, queries = split(vectors_of(spark, sf_dir, name))
 
     def make() -> ivf.Index:
-        seeds = ivf.seed_centroids(every, seeds_of(spark, sf_dir, name))
-        first = ivf.Centroids(seeds.shard[:shards], seeds.pid[:shards], seeds.unit[:shards])
-        return ivf.build_shards(every, ivf.lloyd(every, first, 1), seeds_of(spark, sf_dir, name))
+        spacing = seeds_of(spark, sf_dir, name)
+        seeds = every.where(F.pmod("id", F.lit(spacing)) == 0).orderBy("id").limit(shards)
+        return ivf.build_shards(every, ivf.lloyd(every, ivf.seed_centroids(seeds, 1), 1), spacing)
 
     return _once(spark, ("shards", sf_dir, name, shards), make), queries
