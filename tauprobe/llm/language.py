@@ -110,9 +110,12 @@ _FOLD = _fold_table()
 
 
 def scaled(counts: np.ndarray) -> np.ndarray:
-    """Square roots of the counts, at unit length."""
-    x = np.sqrt(counts)
-    return x / np.maximum(np.linalg.norm(x, axis=1, keepdims=True), 1e-9)
+    """Square roots of the counts, at unit length; in place."""
+    np.sqrt(counts, out=counts)
+    for lo in range(0, len(counts), 256):
+        part = counts[lo : lo + 256]
+        part /= np.maximum(np.linalg.norm(part, axis=1, keepdims=True), 1e-9)
+    return counts
 
 
 def fit_bits(x: np.ndarray, targets: np.ndarray, steps: int, ridge: float) -> tuple[np.ndarray, np.ndarray]:
@@ -161,23 +164,31 @@ class Model:
 
 def learn(texts: list[str], langs: list[str], settings: Settings = Settings()) -> Model:
     """Fits a model on texts."""
-    counts = [gram_counts(texts[i : i + 64], settings.buckets) for i in range(0, len(texts), 64)]
-    return fit(np.vstack(counts) if counts else np.zeros((0, settings.buckets), np.float32), langs, settings)
+    order = fit_order(len(texts))
+    counts = np.zeros((len(texts), settings.buckets), np.float32)
+    for lo in range(0, len(texts), 64):
+        counts[lo : lo + 64] = gram_counts([texts[i] for i in order[lo : lo + 64]], settings.buckets)
+    return fit(counts, [langs[i] for i in order], settings)
+
+
+def fit_order(n: int) -> list[int]:
+    """Places of n rows with every fifth at the end: those are kept out to weight the bits, without a copy of the others."""
+    return sorted(range(n), key=lambda i: i % 5 == 4)
 
 
 def fit(counts: np.ndarray, langs: list[str], settings: Settings) -> Model:
-    """Fits the bit classifiers on rows of counts; a fifth of the rows is kept out to weight the bits."""
+    """Fits the bit classifiers on rows of counts, in the order of fit_order; the counts' memory is used."""
     names = tuple(sorted(set(langs)))
     codes = code_matrix(len(names), settings.extra_bits, settings.seed)
     if not names:
         return Model(names, codes, np.zeros((settings.buckets, 1), np.float32), np.zeros(1, np.float32), np.ones(1), settings)
     x = scaled(counts)
     targets = codes[np.searchsorted(names, langs)].astype(np.float32)
-    out = np.arange(len(langs)) % 5 == 4
+    kept = len(langs) - len(langs) // 5
     weights = np.ones(codes.shape[1])
-    if out.any() and not out.all():
-        w, b = fit_bits(x[~out], targets[~out], settings.steps, settings.ridge)
-        wrong = ((np.sign(x[out] @ w + b) != targets[out]).sum(0) + 0.5) / (out.sum() + 1)
+    if kept < len(langs):
+        w, b = fit_bits(x[:kept], targets[:kept], settings.steps, settings.ridge)
+        wrong = ((np.sign(x[kept:] @ w + b) != targets[kept:]).sum(0) + 0.5) / (len(langs) - kept + 1)
         weights = np.maximum(np.log((1 - wrong) / wrong), 1e-3)
     w, b = fit_bits(x, targets, settings.steps, settings.ridge)
     return Model(names, codes, w, b, weights / weights.sum(), settings)
@@ -200,11 +211,12 @@ def train(df: DataFrame, text_col: str = "text", lang_col: str = "lang", id_col:
     kind = few.schema["id"].dataType.simpleString()
     rows = run(few.select("id", "h", "text", "lang"), [step], f"id {kind}, h bigint, lang string, grams binary").where("grams is not null").collect()  # settings.rows at most
     rows.sort(key=lambda r: (r.id is not None, r.id, r.h))
-    counts = np.zeros((len(rows), settings.buckets), np.float32)
-    for x, r in zip(counts, rows, strict=True):
-        at, n = unpack_sparse(bytes(r.grams))
+    rows = [rows[i] for i in fit_order(len(rows))]
+    langs, counts = [r.lang for r in rows], np.zeros((len(rows), settings.buckets), np.float32)
+    for x in counts[::-1]:
+        at, n = unpack_sparse(bytes(rows.pop().grams))
         x[at] = n
-    return fit(counts, [r.lang for r in rows], settings)
+    return fit(counts, langs, settings)
 
 
 def predict(df: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
