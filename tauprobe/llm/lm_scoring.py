@@ -21,6 +21,7 @@ table; only the named columns are read.
 from __future__ import annotations
 
 import copy
+import uuid
 import zlib
 from collections import Counter
 from collections.abc import Iterator
@@ -32,7 +33,7 @@ from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from tauprobe.llm.arrow_kernels import Memory
+from tauprobe.llm.arrow_kernels import give_back
 from tauprobe.session import materialize
 
 END = b""
@@ -84,6 +85,27 @@ class Words:
         return self.inputs.get(word) or 1 + self.settings.inputs + self.class_of(word)
 
 
+class Numbers(dict):
+    """Numbers of words, worked out as they are asked for; two generations, so the size is bounded."""
+
+    def __init__(self, number, size: int = 1 << 18):
+        super().__init__()
+        self.number, self.size = number, size
+        self.past: dict[bytes, int] = {}
+
+    def __missing__(self, word: bytes) -> int:
+        if (found := self.past.get(word)) is None:
+            found = self.number(word)
+        if len(self) >= self.size:
+            self.past = dict(self)
+            self.clear()
+        self[word] = found
+        return found
+
+    def of(self, words: list[bytes]) -> np.ndarray:
+        return np.fromiter(map(self.__getitem__, words), np.int64, len(words))
+
+
 def word_maps(counts: DataFrame, settings: Settings) -> Words:
     """The maps that the counts of all training tokens give; the driver gets as many rows as the settings say."""
     ranked = [bytes(r.word) for r in counts.orderBy(F.desc("c"), "word").limit(max(settings.inputs, settings.singles)).collect()]
@@ -105,27 +127,40 @@ class Network:
 
     def contexts(self, ids: np.ndarray, at: np.ndarray, stretch: int) -> np.ndarray:
         """Context vectors of the places `at`; each text in ids follows `stretch` zeros."""
+        if len(ids) <= stretch:
+            return np.zeros((len(at), len(self.far)), np.float32)
         vectors = self.inputs[ids]
         sums = np.cumsum(vectors, axis=0, dtype=np.float64)
-        h = ((sums[at - 1] - sums[at - 1 - stretch]) / stretch).astype(np.float32) * self.far if len(ids) > stretch else np.zeros((len(at), len(self.far)), np.float32)
+        h = sums[stretch:]
+        h -= sums[:-stretch].copy()
+        h = h.astype(np.float32)
+        h *= self.far / np.float32(stretch)
         for j, weights in enumerate(self.near):
-            h += vectors[at - 1 - j] * weights
-        return h
+            h += vectors[stretch - j : len(ids) - j] * weights
+        return h[at - 1 - stretch]
 
     def log10_classes(self, h: np.ndarray, classes: np.ndarray) -> np.ndarray:
         """Normalised log10 probabilities of the classes, in blocks of batched products."""
-        out = np.empty(len(h), np.float64)
-        for lo in range(0, len(h), 4096):
-            scores = h[lo : lo + 4096] @ self.outputs.T
+        out, rows = np.empty(len(h), np.float64), np.arange(_SCORED)
+        weights = np.ascontiguousarray(self.outputs.T)
+        most = (np.sqrt((h * h).sum(1).max(initial=0)) * np.sqrt((weights * weights).sum(0).max(initial=0)) + np.abs(self.bias).max(initial=0)) if len(h) else 0
+        for lo in range(0, len(h), _SCORED):
+            scores = h[lo : lo + _SCORED] @ weights
             scores += self.bias
-            own = scores[np.arange(len(scores)), classes[lo : lo + 4096]]
-            top = scores.max(1)
-            scores -= top[:, None]
+            own = scores[rows[: len(scores)], classes[lo : lo + _SCORED]]
+            if most > 60:  # else no power overflows, and no row of them vanishes
+                top = scores.max(1)
+                own = own - top
+                scores -= top[:, None]
             np.exp(scores, out=scores)
-            out[lo : lo + 4096] = own - top - np.log(scores.sum(1))
+            out[lo : lo + _SCORED] = own - np.log(scores.sum(1))
         return out / np.log(10)
 
 
+#: Places whose classes are scored together, so that the scores stay in the processor's memory.
+_SCORED = 512
+
+
 def padded(lists: list[np.ndarray], stretch: int) -> tuple[np.ndarray, np.ndarray]:
     """One array with 1 + stretch zeros before each list, and the places of the lists' own values."""
     gap = 1 + stretch
@@ -164,69 +199,102 @@ def _added(index: np.ndarray, values: np.ndarray, rows: int) -> np.ndarray:
     """Rows of values added up by their index."""
     width = values.shape[-1]
     at = (index.ravel()[:, None] * width + np.arange(width)).ravel()
-    return np.bincount(at, values.ravel(), rows * width).reshape(rows, width).astype(np.float32)
+    return np.bincount(at, values.ravel(), rows * width).reshape(rows, width)
+
+
+def _sure(x: np.ndarray) -> np.ndarray:
+    """The logistic function, in place."""
+    x *= 0.5
+    np.tanh(x, out=x)
+    x += 1
+    x *= 0.5
+    return x
+
+
+def _reach(s: Settings) -> np.ndarray:
+    """Which of the places before and in a run make the mean of each of its places."""
+    at, of = np.arange(_RUN + s.stretch - 1), np.arange(_RUN)[:, None]
+    return ((at >= of) & (at < of + s.stretch)).astype(np.float32) / s.stretch
 
 
 def improve(net: Network, past: dict[str, np.ndarray], lists: list[np.ndarray], noise: np.ndarray, s: Settings, rng: np.random.Generator) -> None:
     """One pass over texts, as numbers input << 12 | class, with noise shared by a batch, and steps scaled by past gradients.
 
-    A batch has runs of consecutive places, so that the sums over stretches are differences of running sums.
+    A batch has runs of consecutive places. A class that is drawn several times as noise is scored once and counts as often;
+    of the inputs, only the rows that a batch met are touched.
     """
     packed, at = padded(lists, s.stretch)
     n_runs = -(-(len(packed) - s.stretch) // _RUN)
     packed = np.concatenate([packed, np.zeros(n_runs * _RUN + s.stretch - len(packed), np.int64)])
     real = np.zeros(len(packed), bool)
     real[at] = True
-    ids, targets = packed >> 12, packed & 0xFFF
+    order = s.stretch + _RUN * rng.permutation(n_runs)[:, None]
+    place = order + np.arange(_RUN)
+    targets, used = packed[place] & 0xFFF, real[place].astype(np.float32)
+    backs = packed[order - s.stretch + np.arange(_RUN + s.stretch - 1)] >> 12
+    sizes = used.sum(1)
     log_noise = np.log(noise * s.noise).astype(np.float32)
     cumulated = np.cumsum(noise)
-    around = np.arange(_RUN + s.stretch - 1)
-    first, last = np.maximum(0, around - s.stretch + 1), np.minimum(_RUN, around + 1)
-    order = s.stretch + _RUN * rng.permutation(n_runs)
+    reach = _reach(s)
     each = max(1, s.batch // _RUN)
+    seen, spot = np.zeros(len(net.inputs), bool), np.zeros(len(net.inputs), np.int64)
 
-    def running(x: np.ndarray) -> np.ndarray:
-        return np.concatenate([np.zeros_like(x[:, :1]), np.cumsum(x, axis=1)], axis=1)
+    def step(name: str, rows, g: np.ndarray, size: float) -> None:
+        g = (g / size).astype(np.float32)
+        value, squares = getattr(net, name), past[name]
+        now = squares[rows] + g * g
+        squares[rows] = now
+        value[rows] -= s.rate * g / np.sqrt(now)
 
     for lo in range(0, n_runs, each):
-        begin = order[lo : lo + each, None]
-        place = begin + np.arange(_RUN)
-        used = real[place].ravel()
-        if not (size := int(used.sum())):
+        use = used[lo : lo + each].ravel()
+        if not (size := float(sizes[lo : lo + each].sum())):
             continue
-        target, back = targets[place].ravel(), ids[begin - s.stretch + around]
-        vectors = net.inputs[back]
-        sums = running(vectors)
-        mean = (sums[:, s.stretch :] - sums[:, :_RUN]) / s.stretch
+        target = targets[lo : lo + each].ravel()
+        back = backs[lo : lo + each]
+        seen[back] = True
+        met = np.flatnonzero(seen)
+        seen[met] = False
+        spot[met] = np.arange(len(met))
+        back = spot[back]
+        vectors = net.inputs[met][back]
+        mean = reach @ vectors
         near = [vectors[:, s.stretch - 1 - j : s.stretch - 1 - j + _RUN] for j in range(s.order)]  # last token first
         h = mean * net.far
         for v, weights in zip(near, net.near, strict=True):
             h += v * weights
         h = h.reshape(-1, s.width)
         drawn = np.minimum(np.searchsorted(cumulated, rng.random(s.noise), "right"), len(noise) - 1)
-        right = (h * net.outputs[target]).sum(1) + net.bias[target] - log_noise[target]
-        wrong = h @ net.outputs[drawn].T
-        wrong += net.bias[drawn] - log_noise[drawn]
-        up = used / (1 + np.exp(np.clip(right, -30, 30)))  # pulled towards the data
-        up = up.astype(np.float32)
-        np.exp(-np.clip(wrong, -30, 30, out=wrong), out=wrong)
-        down = used[:, None].astype(np.float32) / (1 + wrong)  # pushed from the noise
-        g_out = _added(target, -up[:, None] * h, len(noise)) + _added(drawn, down.T @ h, len(noise))
-        g_bias = (np.bincount(drawn, down.sum(0), len(noise)) - np.bincount(target, up, len(noise))).astype(np.float32)
-        g_h = (down @ net.outputs[drawn] - up[:, None] * net.outputs[target]).reshape(mean.shape)
-        sums = running(g_h)
-        g_vectors = (sums[:, last] - sums[:, first]) * (net.far / s.stretch)
+        drawn, often = np.unique(drawn, return_counts=True)
+        outputs, own = net.outputs[drawn], net.outputs[target]
+        right = np.einsum("ij,ij->i", h, own)
+        right += net.bias[target] - log_noise[target]
+        up = _sure(-right) * use  # pulled towards the data
+        down = h @ outputs.T
+        down += net.bias[drawn] - log_noise[drawn]
+        _sure(down)
+        down *= often.astype(np.float32)  # pushed from the noise
+        down *= use[:, None]
+        pull = -up[:, None]
+        g_out, g_bias = _added(target, pull * h, len(noise)), -np.bincount(target, up, len(noise))
+        g_out[drawn] += down.T @ h
+        g_bias[drawn] += down.sum(0)
+        own *= pull
+        own += down @ outputs
+        g_h = own.reshape(mean.shape)
+        g_vectors = reach.T @ (g_h * net.far)
         g_near = np.empty_like(net.near)
         for j in range(s.order):
             g_vectors[:, s.stretch - 1 - j : s.stretch - 1 - j + _RUN] += g_h * net.near[j]
-            g_near[j] = (g_h * near[j]).sum((0, 1))
-        g_in = _added(back, g_vectors, len(net.inputs))
-        g_in[0] = 0
-        for name, g in zip(_PARTS, (g_in, g_near, (g_h * mean).sum((0, 1)), g_out, g_bias), strict=True):
-            g /= size
-            past[name] += g**2
-            value = getattr(net, name)
-            value -= s.rate * g / np.sqrt(past[name])
+            g_near[j] = np.einsum("ijk,ijk->k", g_h, near[j])
+        g_far = np.einsum("ijk,ijk->k", g_h, mean)
+        g_in = _added(back, g_vectors, len(met))
+        g_in[met == 0] = 0  # what is before a text stays zero
+        step("inputs", met, g_in, size)
+        step("near", slice(None), g_near, size)
+        step("far", slice(None), g_far, size)
+        step("outputs", slice(None), g_out, size)
+        step("bias", slice(None), g_bias, size)
 
 
 def train(texts: DataFrame, words: Words, class_counts: np.ndarray) -> Network:
@@ -240,17 +308,12 @@ def train(texts: DataFrame, words: Words, class_counts: np.ndarray) -> Network:
     maps = context.broadcast(words)
 
     def numbers(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known = Memory(lambda new: [maps.value.input_of(w) << 12 | maps.value.class_of(w) for w in new])
+        known = Numbers(lambda w: maps.value.input_of(w) << 12 | maps.value.class_of(w))
         for b in batches:
             for lo in range(0, b.num_rows, 256):
                 rows = []
                 for text in b.column(0).slice(lo, 256).to_pylist():
-                    found = tokens(text)
-                    parts = []
-                    for at in range(0, len(found), 1 << 17):
-                        few = found[at : at + (1 << 17)]
-                        parts.append(np.fromiter(map(known.fill(few).__getitem__, few), np.int32, len(few)))
-                    rows.append(np.concatenate(parts).tobytes())
+                    rows.append(known.of(tokens(text)).astype(np.int32).tobytes())
                 yield pa.RecordBatch.from_arrays([pa.array(rows, pa.binary())], ["numbers"])
 
     written = materialize(texts.mapInArrow(numbers, "numbers binary"), "numbers")
@@ -273,6 +336,7 @@ def train(texts: DataFrame, words: Words, class_counts: np.ndarray) -> Network:
                 improve(own, squares, held, noise, s, rng)
             if seen + n:
                 yield _row(_flat(own, squares), seen + n)
+            give_back()
 
         def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             weight, total = 0, 0.0
@@ -384,18 +448,12 @@ class _Scorer:
         self.ranks = {w: i + 1 for i, w in enumerate(common)}
         self.log10 = np.log10(np.array([0.5, *common.values()]) + 0.5)
         self.log10[0] = 0.0  # the count of any other word is joined later
-        self.memory = Memory(lambda new: [self.ranks.get(w, 0) << 32 | words.input_of(w) << 12 | words.class_of(w) for w in new])
+        self.memory = Numbers(lambda w: self.ranks.get(w, 0) << 32 | words.input_of(w) << 12 | words.class_of(w))
 
     def score(self, texts: list[str | None]) -> Iterator[tuple[int, int, float, float, Counter]]:
         """For each text: tokens, known common tokens, their sum of log10 (c + 1/2), the rest of its log10 probability, other words."""
         lists = [tokens(t) for t in texts]
-        packed = []
-        for words in lists:
-            parts = []
-            for lo in range(0, len(words), 1 << 17):
-                few = words[lo : lo + (1 << 17)]
-                parts.append(np.fromiter(map(self.memory.fill(few).__getitem__, few), np.int64, len(few)))
-            packed.append(np.concatenate(parts))
+        packed = [self.memory.of(words) for words in lists]
         for lo, hi in _blocks([len(p) for p in packed], 1 << 16):
             group = packed[lo:hi]
             ids, at = padded([p >> 12 & 0xFFFFF for p in group], self.words.settings.stretch)
@@ -416,6 +474,17 @@ class _Scorer:
                 to += len(p)
 
 
+_SCORERS: dict[str, _Scorer] = {}
+
+
+def _scorer(name: str, make) -> _Scorer:
+    """The scorer of a model, made once in a process for all tasks that use it."""
+    if name not in _SCORERS:
+        _SCORERS.clear()
+        _SCORERS[name] = make()
+    return _SCORERS[name]
+
+
 def _blocks(sizes: list[int], most: int) -> Iterator[tuple[int, int]]:
     lo = held = 0
     for i, n in enumerate(sizes):
@@ -432,10 +501,10 @@ def score(df: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "
     picked = df.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
     kind = picked.schema["id"].dataType.simpleString()
     sent = df.sparkSession.sparkContext.broadcast((model.words, model.network, model.common, model.class_log10))  # sizes fixed by the settings
-    scorers: dict[str, _Scorer] = {}
+    name = uuid.uuid4().hex
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        scorer = scorers.setdefault("one", _Scorer(*sent.value))
+        scorer = _scorer(name, lambda: _Scorer(*sent.value))
         key = TaskContext.get().partitionId() << 33
         for whole in batches:
             for lo in range(0, whole.num_rows, 256):
