@@ -40,7 +40,7 @@ class Workload:
 WORKLOADS = {
     w.name: w
     for w in (
-        Workload("emb", "embeddings", 0.30, window=24),  # noise without locality: a shorter window finds less than nine tenths
+        Workload("emb", "embeddings", 0.30, window=16),  # noise without locality: a shorter window finds less than nine tenths
         Workload("docs_u", "documents", 0.85),
         Workload("docs_u_loose", "documents", 0.80),
         Workload("docs_mid", "documents", 0.90),
