@@ -576,7 +576,15 @@ def _(spark, sf):
     return spark.createDataFrame(list(items.items()), "mode string, items bigint")
 
 
-@query("workload_shapes")
+def _shape_sql(name: str) -> str:
+    w = wl.WORKLOADS[name]
+    chain = q.probed(w.source, w.tau, 90, w.pairs, seed_every=w.seed_every, plant=name == "emb_plant")
+    return f"""SELECT * FROM (WITH {chain}, {q.truth(10, w.tau)}, {_PLACE}, last_ AS (SELECT query_id, max(rank) AS r FROM place GROUP BY query_id), n_ AS (SELECT count(*) AS n FROM qs), per AS (SELECT query_id, count(*) AS k FROM truth GROUP BY query_id)
+SELECT '{name}' AS workload, CAST({w.tau} AS DOUBLE) AS tau, (SELECT n FROM n_) AS queries, (SELECT round(100.0 * (1 - count(*) / greatest((SELECT n FROM n_), 1)), 2) FROM per) AS none_pct, (SELECT round(100.0 * count(*) FILTER (k >= 10) / greatest((SELECT n FROM n_), 1), 2) FROM per) AS ten_pct,
+(SELECT quantile_cont(r, 0.5) FROM last_) AS p50, (SELECT quantile_cont(r, 0.9) FROM last_) AS p90, (SELECT round(count(*) FILTER (rank <= 8) / nullif(count(*), 0), 6) FROM place) AS first8)"""
+
+
+@query("workload_shapes", " UNION ALL ".join(_shape_sql(n) for n in wl.WORKLOADS))
 def _(spark, sf):
     """For each workload: queries, shares without and with ten or more neighbours, where the last one lies, and what the first eight ranks hold."""
     rows = []
