@@ -147,20 +147,33 @@ def pair_join(index: ivf.Index, tau: float, prune: bool) -> tuple[DataFrame, Dat
     met = met.where(~same | (F.col("no_b") >= F.col("no_a"))).select((same & (F.col("no_a") == F.col("no_b"))).alias("same"), "n_a", "ids_a", "norms_a", "mat_a", "n", "ids", "norms", "mat")
     cost = met.agg(F.sum(F.when(F.col("same"), F.col("n") * (F.col("n") - 1) / 2).otherwise(F.col("n_a").cast("bigint") * F.col("n"))).cast("bigint").alias("pairs_scored"))
 
+    def found(held: list[tuple[np.ndarray, ...]]) -> pa.RecordBatch:
+        x, y, sims = (np.concatenate([h[c] for h in held]) for c in range(3))
+        return pa.RecordBatch.from_arrays([pa.array(np.minimum(x, y)), pa.array(np.maximum(x, y)), pa.array(sims)], ["id_a", "id_b", "sim"])
+
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
+            flat = {c: (whole.column(c).offsets.to_numpy(), whole.column(c).values.to_numpy()) for c in ("ids_a", "norms_a", "ids", "norms")}
+            twin, n_a, n = (whole.column(c).to_numpy(zero_copy_only=False) for c in ("same", "n_a", "n"))
+            mats = whole.column("mat_a"), whole.column("mat")
+            held, n_held = [], 0
             for i in range(whole.num_rows):
-                block = ivf.as_block(whole.slice(i, 1))
-                left = np.frombuffer(block["mat_a"], "<f4").reshape(block["n_a"], -1).astype(np.float64)
-                ids_a, ids = block["ids_a"], block["ids"]
+                ids_a, norms_a, ids, norms = (values[bounds[i] : bounds[i + 1]] for bounds, values in flat.values())
+                left, right = (np.frombuffer(m[i].as_buffer(), "<f4").reshape(k[i], -1).astype(np.float64) for m, k in zip(mats, (n_a, n), strict=True))
                 for lo in range(0, len(left), search.TILE):
-                    sims = search.score_exact(left[lo : lo + search.TILE], block["norms_a"][lo : lo + search.TILE], block)
+                    sims = np.round((left[lo : lo + search.TILE] @ right.T) / np.sqrt(norms_a[lo : lo + search.TILE, None] * norms[None, :]), search.DECIMALS)
                     hit = sims >= tau
-                    if block["same"]:
+                    if twin[i]:
                         hit &= ids_a[lo : lo + search.TILE, None] < ids[None, :]
                     r, c = np.nonzero(hit)
-                    x, y = ids_a[lo + r], ids[c]
-                    yield pa.RecordBatch.from_arrays([pa.array(np.minimum(x, y)), pa.array(np.maximum(x, y)), pa.array(sims[r, c])], ["id_a", "id_b", "sim"])
+                    if len(r):
+                        held.append((ids_a[lo + r], ids[c], sims[r, c]))
+                        n_held += len(r)
+                if n_held > 1 << 16:
+                    yield found(held)
+                    held, n_held = [], 0
+            if held:
+                yield found(held)
 
     return met.mapInArrow(kernel, "id_a bigint, id_b bigint, sim double"), cost
 
