@@ -359,3 +359,31 @@ def test_planner_and_experiments(spark):
         got, plan = planner.run(index, held, p.with_(window=window, drop_self=True))
         assert plan.mode == mode and sorted(map(tuple, got.edges.collect())) == sorted(map(tuple, search.waves(index, held, p.with_(window=window, drop_self=True)).edges.collect()))
     assert all(q in vector_queries.QUERIES for qs in experiments.EXPERIMENTS.values() for q in qs)
+
+
+def test_a_changed_table_is_read_anew(spark):
+    from tauprobe.session import release
+
+    folder = scratch(spark, "tables")
+    emb = spark.read.parquet(f"{SF1}/embeddings.parquet")
+    emb.write.parquet(f"{folder}/embeddings.parquet")
+    assert wl.vectors_of(spark, folder, "emb").count() == emb.count()
+    emb.where("vec_id < 100").write.mode("overwrite").parquet(f"{folder}/embeddings.parquet")
+    assert wl.vectors_of(spark, folder, "emb").count() == emb.where("vec_id < 100").count()
+    release(spark, folder)
+    with pytest.raises(Exception, match="PATH_NOT_FOUND|does not exist"):
+        spark.read.parquet(f"{folder}/embeddings.parquet")
+
+
+def test_many_centroids_make_shards(spark, monkeypatch):
+    """Beyond the bound an index has shards, and finds the same when every list is visited."""
+    monkeypatch.setattr(ivf, "MOST_CENTROIDS", 5)
+    monkeypatch.setattr(wl, "_KEPT", type(wl._KEPT)())
+    index, held = wl.index_of(spark, SF1, "docs_u")
+    assert isinstance(index.centroids, ivf.StoredCentroids) and len(index.shards) > 1
+    p = wl.WORKLOADS["docs_u"].params.with_(window=99)
+    every = wl.vectors_of(spark, SF1, "docs_u")
+    rows = lambda e: sorted(map(tuple, e.collect()))
+    assert rows(search.lookahead(index, held, p).edges) == rows(search.exact(every, held, p.tau, p.k, drop_self=True))
+    with pytest.raises(ValueError):
+        ivf.seed_centroids(every, 25)
