@@ -134,7 +134,7 @@ def cell_chooser(centroids: ivf.Centroids, probes: int = 1):
     of = np.round(centroids.unit @ heads.T, ivf.DECIMALS).argmax(1)
 
     def choose(unit: np.ndarray) -> np.ndarray:
-        near = np.argsort(-np.round(unit @ heads.T, ivf.DECIMALS), axis=1, kind="stable")[:, :probes]
+        near = ivf.best_first(np.round(unit @ heads.T, ivf.DECIMALS), probes)
         scores = np.round(unit @ centroids.unit.T, ivf.DECIMALS)
         scores[~(of[None, :, None] == near[:, None, :]).any(2)] = -np.inf
         return scores.argmax(1)

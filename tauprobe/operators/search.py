@@ -8,7 +8,7 @@ lookahead all committed ranks are ready, in basic mode one rank a query. The who
 The index is read where it lies; nothing of it is shuffled.
 
 In `search`, query and partition pairs are grouped by partition into microbatches and joined with the partition's blocks.
-That is how fixed probing runs, where all pairs are known beforehand, and `waves`, the rule in rounds of such joins: a wave
+That is how full passes for sweeps run, where all pairs are known beforehand, and `waves`, the rule in rounds of such joins: a wave
 sends every rank that is committed and not yet sent, and the answers move the queries' stop lines (by maximum, so the order
 within a wave does not matter). Waves need no files that Arrow can open, but a job for each wave.
 """
@@ -16,8 +16,9 @@ within a wave does not matter). Waves need no files that Arrow can open, but a j
 from __future__ import annotations
 
 import random
-from collections.abc import Iterator
-from dataclasses import dataclass, field
+from collections.abc import Callable, Iterator
+from dataclasses import dataclass
+from functools import cached_property
 
 import numpy as np
 import pyarrow as pa
@@ -42,7 +43,9 @@ def score_exact(queries: np.ndarray, norms: np.ndarray, block: dict) -> np.ndarr
     if "wide" not in block:
         block["wide"] = np.frombuffer(block["mat"], "<f4").reshape(block["n"], -1).astype(np.float64)
     sims = queries @ block["wide"].T
-    sims /= np.sqrt(norms[:, None] * block["norms"][None, :])
+    scale = np.multiply.outer(norms, block["norms"])
+    np.sqrt(scale, out=scale)
+    sims /= scale
     return np.round(sims, DECIMALS, out=sims)
 
 
@@ -118,10 +121,22 @@ class Result:
     #: (query_id, shard_id, visits)
     visits: DataFrame
     local: DataFrame
-    #: (wave, items, groups) of each wave; a walk is one.
-    waves: list[tuple[int, int, int]] = field(default_factory=list)
-    #: Partitions read from files, by walks.
-    loads: int | None = None
+    #: Counts the work when it is asked for: the waves, and the partitions read.
+    count: Callable[[], tuple[list[tuple[int, int, int]], int | None]] = lambda: ([], None)
+
+    @cached_property
+    def _counted(self) -> tuple[list[tuple[int, int, int]], int | None]:
+        return self.count()
+
+    @property
+    def waves(self) -> list[tuple[int, int, int]]:
+        """(wave, items, groups) of each wave; a walk is one."""
+        return self._counted[0]
+
+    @property
+    def loads(self) -> int | None:
+        """Partitions read."""
+        return self._counted[1]
 
 
 # ---- queues in tasks
@@ -243,19 +258,28 @@ def walk(index: ivf.Index, queries: DataFrame, params: SearchParams, ahead: bool
             yield from one_call(store, _compact(together))
 
     extra = [attribute] if attribute else []
-    ranked = materialize(ivf.probe_lists(queries, index, params.nprobe, extra, with_vectors=True), "probes")
-    tasks = task_count(ranked.count(), cap, queries.sparkSession.sparkContext.defaultParallelism)
-    near = ranked.repartitionByRange(tasks, "shard_id", F.col("probes")[0], "query_id").sortWithinPartitions("shard_id", F.col("probes")[0], "query_id")
+    ranked = ivf.probe_lists(queries, index, params.nprobe, extra, with_vectors=True)
+    first, rows = F.col("probes")[0], queries.count() * len(index.shards)
+    tasks = task_count(rows, cap, queries.sparkSession.sparkContext.defaultParallelism)
+    if rows <= 4 * cap:  # few enough for any deal; queries of one first partition go to four tasks at most
+        near = ranked.repartition(tasks, "shard_id", first, F.pmod(F.xxhash64("query_id"), F.lit(4)))
+    else:  # ranges are cut by a sample, for which the probes are written first
+        near = materialize(ranked, "probes").repartitionByRange(tasks, "shard_id", first, "query_id")
+    near = near.sortWithinPartitions("shard_id", first, "query_id")
     found = materialize(near.select("query_id", "shard_id", "probes", "vec", *extra).mapInArrow(kernel, WALKED), "walked")
     local = found.where("kind = 0").drop("kind")
     visits = found.where("kind = 1").select("query_id", "shard_id", F.col("rank").cast("bigint").alias("visits"))
-    items, dispatches, loads = found.where("kind = 2").agg(*[F.coalesce(F.sum(c), F.lit(0)) for c in ("query_id", "rank", "vec_id")]).first()
-    return Result(merge_top(local, k), visits, local, [(1, items, dispatches)], loads)
+
+    def count() -> tuple[list[tuple[int, int, int]], int]:
+        items, dispatches, loads = found.where("kind = 2").agg(*[F.coalesce(F.sum(c), F.lit(0)) for c in ("query_id", "rank", "vec_id")]).first()
+        return [(1, items, dispatches)], loads
+
+    return Result(merge_top(local, k), visits, local, count)
 
 
 def task_count(rows: int, cap: int, cores: int) -> int:
-    """Tasks of a walk: as many as cores, and so many that none has more than a few calls of queries."""
-    return max(1, cores, -(-rows // (4 * cap)))
+    """Tasks of a walk: as many as cores, twice as many where each has hundreds of queries, more where a task had many calls."""
+    return max(1, cores if rows < 256 * cores else 2 * cores, -(-rows // (4 * cap)))
 
 
 def _compact(part: pa.RecordBatch) -> pa.RecordBatch:
@@ -292,11 +316,26 @@ def full_probe(index: ivf.Index, queries: DataFrame, params: SearchParams, score
 
 
 def fixed(index: ivf.Index, queries: DataFrame, params: SearchParams, scorer=score_exact) -> Result:
-    """All nprobe partitions of every query, in one job; tau filters inside the partitions."""
+    """All nprobe partitions of every query; tau filters inside the partitions.
+
+    This is the baseline of the stopping rule, so it runs by the same queues, which are its faster way too: a window of
+    nprobe commits every rank at once.
+    """
+    if ivf.readable(index):
+        return walk(index, queries, params.with_(window=params.nprobe), scorer=scorer)
+    return fixed_by_joins(index, queries, params, scorer)
+
+
+def fixed_by_joins(index: ivf.Index, queries: DataFrame, params: SearchParams, scorer=score_exact) -> Result:
+    """The same as joins of microbatches and blocks."""
     ranks, local = full_probe(index, queries, params, scorer)
-    groups = ranks.groupBy("shard_id", "pid").agg(F.count(F.lit(1)).alias("n")).agg(F.sum("n"), F.sum(F.ceil(F.col("n") / params.microbatch))).first()
     visits = ranks.groupBy("query_id", "shard_id").agg(F.count(F.lit(1)).alias("visits"))
-    return Result(merge_top(local, params.k), visits, local, [(1, groups[0] or 0, groups[1] or 0)], groups[1] or 0)
+
+    def count() -> tuple[list[tuple[int, int, int]], int]:
+        n = ranks.groupBy("shard_id", "pid").agg(F.count(F.lit(1)).alias("n")).agg(F.sum("n"), F.sum(F.ceil(F.col("n") / params.microbatch))).first()
+        return [(1, n[0] or 0, n[1] or 0)], n[1] or 0
+
+    return Result(merge_top(local, params.k), visits, local, count)
 
 
 def waves(index: ivf.Index, queries: DataFrame, params: SearchParams, scorer=score_exact) -> Result:
@@ -325,7 +364,7 @@ def waves(index: ivf.Index, queries: DataFrame, params: SearchParams, scorer=sco
     every = found[0] if found else queries.sparkSession.createDataFrame([], LOCAL)
     for more in found[1:]:
         every = every.union(more)
-    return Result(merge_top(every, params.k), state.select("query_id", "shard_id", F.col("line").cast("bigint").alias("visits")), every, log, sum(g for *_, g in log))
+    return Result(merge_top(every, params.k), state.select("query_id", "shard_id", F.col("line").cast("bigint").alias("visits")), every, lambda: (log, sum(g for *_, g in log)))
 
 
 def stops(ranks: DataFrame, local: DataFrame, windows: list[int]) -> DataFrame:
@@ -341,7 +380,7 @@ def speculative(index: ivf.Index, queries: DataFrame, params: SearchParams, trim
     ranks, local = full_probe(index, queries, params)
     ended = stops(ranks, local, [params.window]).drop("w")
     kept = local.join(ended, ["query_id", "shard_id"]).where("rank <= stop").drop("stop") if trim else local
-    return Result(merge_top(kept, params.k), ended.select("query_id", "shard_id", F.col("stop").cast("bigint").alias("visits")), kept, [])
+    return Result(merge_top(kept, params.k), ended.select("query_id", "shard_id", F.col("stop").cast("bigint").alias("visits")), kept)
 
 
 def replay(ranks: DataFrame, local: DataFrame, windows: list[int], k: int) -> tuple[DataFrame, DataFrame]:

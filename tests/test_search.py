@@ -103,11 +103,20 @@ def test_executors_agree(spark):
         assert rows(other.edges) == rows(ahead.edges) and rows(other.visits) == rows(ahead.visits)
     every = search.fixed(index, held, p)
     assert rows(search.lookahead(index, held, p.with_(window=10_000)).edges) == rows(every.edges)
-    assert rows(every.edges) == rows(search.exact(base, held, p.tau, p.k))
+    joined = search.fixed_by_joins(index, held, p)
+    assert rows(every.edges) == rows(search.exact(base, held, p.tau, p.k)) == rows(joined.edges) and rows(every.visits) == rows(joined.visits)
     empty = search.lookahead(index, held.limit(0), p)
     assert empty.edges.count() == 0 and empty.waves == [(1, 0, 0)]
 
 
+def test_best_first_equals_a_stable_sort():
+    rng = np.random.default_rng(5)
+    sims = np.round(rng.integers(-30, 30, (50, 40)) / 30, ivf.DECIMALS)
+    want = np.argsort(-sims, axis=1, kind="stable")
+    for most in (1, 7, 39, 40, 90):
+        assert (ivf.best_first(sims, most) == want[:, :most]).all()
+
+
 def test_batching_serves_more_queries_a_dispatch(spark):
     """Serial, basic, lookahead: the same searches in ever fewer dispatches."""
     index, _ = wl.index_of(spark, SF2, "docs_u")
