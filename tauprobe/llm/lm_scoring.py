@@ -8,8 +8,8 @@ probability (c + 1/2) / (sum over the class of (c + 1/2), plus 1/2 for what trai
 training texts. So every text has a normalised probability, whatever its words.
 
 Input words and classes are chosen by the counts of all training texts, and the class part is trained in numpy on all of
-them, whole: texts are written once as numbers, and in each round every partition trains the network it is sent on its
-own texts; the results, weighted by their tokens, are averaged for the next round. So the network depends a little on how
+them, whole: texts are written once as numbers, from which scores are made too (`fit_and_score`), and in each round every
+partition trains the network it is sent on its own texts; the results, weighted by their tokens, are averaged for the next round. So the network depends a little on how
 the texts are partitioned. Words are counted in Arrow batches before they are shuffled. The most frequent words' counts
 go to the executors (`Settings.common`, a fixed number); for all other words the counts are joined, so none is left out.
 
@@ -25,7 +25,7 @@ import uuid
 import zlib
 from collections import Counter
 from collections.abc import Iterator
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 import numpy as np
 import pyarrow as pa
@@ -84,6 +84,18 @@ class Words:
         """0 stands for what is before the text; frequent words have their own numbers, others that of their class."""
         return self.inputs.get(word) or 1 + self.settings.inputs + self.class_of(word)
 
+    def numbering(self):
+        """A function that gives input_of(word) << 12 | class_of(word), in one call for each word."""
+        inputs, singles, suffixes, crc = self.inputs.get, self.singles.get, self.suffixes.get, zlib.crc32
+        hashed, rest, other = self.settings.hashed, self.settings.singles + self.settings.suffixes, 1 + self.settings.inputs
+
+        def number(word: bytes) -> int:
+            if (k := singles(word)) is None and (k := suffixes(word[-3:])) is None:
+                k = rest + crc(word[-1:]) % hashed
+            return (inputs(word) or other + k) << 12 | k
+
+        return number
+
 
 class Numbers(dict):
     """Numbers of words, worked out as they are asked for; two generations, so the size is bounded."""
@@ -129,36 +141,36 @@ class Network:
         """Context vectors of the places `at`; each text in ids follows `stretch` zeros."""
         if len(ids) <= stretch:
             return np.zeros((len(at), len(self.far)), np.float32)
-        vectors = self.inputs[ids]
-        sums = np.cumsum(vectors, axis=0, dtype=np.float64)
-        h = sums[stretch:]
-        h -= sums[:-stretch].copy()
-        h = h.astype(np.float32)
+        vectors = self.inputs.take(ids, 0)
+        h = _sums(vectors[1:], stretch)
         h *= self.far / np.float32(stretch)
         for j, weights in enumerate(self.near):
             h += vectors[stretch - j : len(ids) - j] * weights
-        return h[at - 1 - stretch]
+        return h.take(at - 1 - stretch, 0)
 
     def log10_classes(self, h: np.ndarray, classes: np.ndarray) -> np.ndarray:
         """Normalised log10 probabilities of the classes, in blocks of batched products."""
         out, rows = np.empty(len(h), np.float64), np.arange(_SCORED)
-        weights = np.ascontiguousarray(self.outputs.T)
-        most = (np.sqrt((h * h).sum(1).max(initial=0)) * np.sqrt((weights * weights).sum(0).max(initial=0)) + np.abs(self.bias).max(initial=0)) if len(h) else 0
+        most = np.sqrt((h * h).sum(1).max(initial=0)) * np.sqrt((self.outputs * self.outputs).sum(1).max(initial=0)) + np.abs(self.bias).max(initial=0)
+        weights = np.vstack([self.outputs.T, self.bias])
+        h = np.column_stack([h, np.ones(len(h), np.float32)])
+        ones = np.ones(len(self.bias), np.float32)
+        held = np.empty((_SCORED, len(self.bias)), np.float32)
         for lo in range(0, len(h), _SCORED):
-            scores = h[lo : lo + _SCORED] @ weights
-            scores += self.bias
+            block = h[lo : lo + _SCORED]
+            scores = np.matmul(block, weights, out=held[: len(block)])
             own = scores[rows[: len(scores)], classes[lo : lo + _SCORED]]
-            if most > 60:  # else no power overflows, and no row of them vanishes
+            if most > 80:  # else no power overflows, and no row of them vanishes
                 top = scores.max(1)
                 own = own - top
                 scores -= top[:, None]
             np.exp(scores, out=scores)
-            out[lo : lo + _SCORED] = own - np.log(scores.sum(1))
+            out[lo : lo + _SCORED] = own - np.log(scores @ ones)
         return out / np.log(10)
 
 
-#: Places whose classes are scored together, so that the scores stay in the processor's memory.
-_SCORED = 512
+#: Places whose classes are scored together, and whose contexts are made together, so that they stay in the processor's memory.
+_SCORED, _PLACES = 512, 1 << 13
 
 
 def padded(lists: list[np.ndarray], stretch: int) -> tuple[np.ndarray, np.ndarray]:
@@ -195,133 +207,155 @@ def _noise(class_counts: np.ndarray) -> np.ndarray:
     return (class_counts + 0.5) / (class_counts + 0.5).sum()
 
 
-def _added(index: np.ndarray, values: np.ndarray, rows: int) -> np.ndarray:
-    """Rows of values added up by their index."""
-    width = values.shape[-1]
-    at = (index.ravel()[:, None] * width + np.arange(width)).ravel()
-    return np.bincount(at, values.ravel(), rows * width).reshape(rows, width)
-
-
 def _sure(x: np.ndarray) -> np.ndarray:
-    """The logistic function, in place."""
-    x *= 0.5
-    np.tanh(x, out=x)
+    """The logistic function of -x, in place."""
+    np.exp(x, out=x)
     x += 1
-    x *= 0.5
-    return x
+    return np.divide(1, x, out=x)
 
 
-def _reach(s: Settings) -> np.ndarray:
-    """Which of the places before and in a run make the mean of each of its places."""
-    at, of = np.arange(_RUN + s.stretch - 1), np.arange(_RUN)[:, None]
-    return ((at >= of) & (at < of + s.stretch)).astype(np.float32) / s.stretch
+def _sums(x: np.ndarray, n: int) -> np.ndarray:
+    """Sums of n consecutive rows, from sums of 1, 2, 4 and so on."""
+    rows, size, at, total = len(x) - n + 1, 1, 0, None
+    while True:
+        if n & size:
+            part = x[at : at + rows]
+            total, at = part if total is None else total + part, at + size
+        if (size := 2 * size) > n:
+            return total
+        x = x[size // 2 :] + x[: -size // 2]
 
 
 def improve(net: Network, past: dict[str, np.ndarray], lists: list[np.ndarray], noise: np.ndarray, s: Settings, rng: np.random.Generator) -> None:
     """One pass over texts, as numbers input << 12 | class, with noise shared by a batch, and steps scaled by past gradients.
 
-    A batch has runs of consecutive places. A class that is drawn several times as noise is scored once and counts as often;
-    of the inputs, only the rows that a batch met are touched.
+    A batch has runs of consecutive places, and lies place by place, so what is a step back for all runs is a slice of rows.
+    A class that is drawn several times as noise is scored once and counts as often; of the inputs, only the rows that a
+    batch met are touched. Biases are kept less the log of the noise.
     """
     packed, at = padded(lists, s.stretch)
     n_runs = -(-(len(packed) - s.stretch) // _RUN)
     packed = np.concatenate([packed, np.zeros(n_runs * _RUN + s.stretch - len(packed), np.int64)])
-    real = np.zeros(len(packed), bool)
-    real[at] = True
-    order = s.stretch + _RUN * rng.permutation(n_runs)[:, None]
-    place = order + np.arange(_RUN)
-    targets, used = packed[place] & 0xFFF, real[place].astype(np.float32)
-    backs = packed[order - s.stretch + np.arange(_RUN + s.stretch - 1)] >> 12
-    sizes = used.sum(1)
-    log_noise = np.log(noise * s.noise).astype(np.float32)
-    cumulated = np.cumsum(noise)
-    reach = _reach(s)
-    each = max(1, s.batch // _RUN)
+    targets, backs = packed & 0xFFF, packed >> 12
+    gap = np.ones(len(packed), bool)
+    gap[at] = False
+    width, n_classes, inner, each = s.width, len(noise), s.order + 1, max(1, s.batch // _RUN)
+    order = s.stretch + _RUN * rng.permutation(n_runs)
+    places, befores = np.arange(_RUN)[:, None], np.arange(-s.stretch, _RUN - 1)[:, None]
+    batches = [(b, out) for lo in range(0, n_runs, each) if not (out := gap[places + (b := order[lo : lo + each])].ravel()).all()]
+    drawn = np.minimum(np.searchsorted(np.cumsum(noise), rng.random((len(batches), s.noise)), "right"), n_classes - 1)
+    drawn += n_classes * np.arange(len(batches))[:, None]
+    times = np.bincount(drawn.ravel(), minlength=n_classes * len(batches)).reshape(-1, n_classes)
+
+    log_noise, mean = np.log(noise * s.noise).astype(np.float32), np.float32(1 / s.stretch)
     seen, spot = np.zeros(len(net.inputs), bool), np.zeros(len(net.inputs), np.int64)
-
-    def step(name: str, rows, g: np.ndarray, size: float) -> None:
-        g = (g / size).astype(np.float32)
-        value, squares = getattr(net, name), past[name]
-        now = squares[rows] + g * g
-        squares[rows] = now
-        value[rows] -= s.rate * g / np.sqrt(now)
-
-    for lo in range(0, n_runs, each):
-        use = used[lo : lo + each].ravel()
-        if not (size := float(sizes[lo : lo + each].sum())):
-            continue
-        target = targets[lo : lo + each].ravel()
-        back = backs[lo : lo + each]
-        seen[back] = True
-        met = np.flatnonzero(seen)
-        seen[met] = False
-        spot[met] = np.arange(len(met))
-        back = spot[back]
-        vectors = net.inputs[met][back]
-        mean = reach @ vectors
-        near = [vectors[:, s.stretch - 1 - j : s.stretch - 1 - j + _RUN] for j in range(s.order)]  # last token first
-        h = mean * net.far
-        for v, weights in zip(near, net.near, strict=True):
-            h += v * weights
-        h = h.reshape(-1, s.width)
-        drawn = np.minimum(np.searchsorted(cumulated, rng.random(s.noise), "right"), len(noise) - 1)
-        drawn, often = np.unique(drawn, return_counts=True)
-        outputs, own = net.outputs[drawn], net.outputs[target]
-        right = np.einsum("ij,ij->i", h, own)
-        right += net.bias[target] - log_noise[target]
-        up = _sure(-right) * use  # pulled towards the data
-        down = h @ outputs.T
-        down += net.bias[drawn] - log_noise[drawn]
-        _sure(down)
-        down *= often.astype(np.float32)  # pushed from the noise
-        down *= use[:, None]
-        pull = -up[:, None]
-        g_out, g_bias = _added(target, pull * h, len(noise)), -np.bincount(target, up, len(noise))
-        g_out[drawn] += down.T @ h
-        g_bias[drawn] += down.sum(0)
-        own *= pull
-        own += down @ outputs
-        g_h = own.reshape(mean.shape)
-        g_vectors = reach.T @ (g_h * net.far)
-        g_near = np.empty_like(net.near)
-        for j in range(s.order):
-            g_vectors[:, s.stretch - 1 - j : s.stretch - 1 - j + _RUN] += g_h * net.near[j]
-            g_near[j] = np.einsum("ijk,ijk->k", g_h, near[j])
-        g_far = np.einsum("ijk,ijk->k", g_h, mean)
-        g_in = _added(back, g_vectors, len(met))
-        g_in[met == 0] = 0  # what is before a text stays zero
-        step("inputs", met, g_in, size)
-        step("near", slice(None), g_near, size)
-        step("far", slice(None), g_far, size)
-        step("outputs", slice(None), g_out, size)
-        step("bias", slice(None), g_bias, size)
-
-
-def train(texts: DataFrame, words: Words, class_counts: np.ndarray) -> Network:
-    """Noise-contrastive estimation over all texts (column text): in each round the average of the partitions' networks."""
+    numbers = np.arange(max(len(befores) * each, n_classes) * width)
+    cells = numbers.reshape(-1, width)  # of rows
+    names = ("near", "far", "outputs", "bias")
+    fixed = np.concatenate([getattr(net, k).ravel() for k in names])  # all other values, and views of them; in the scales the last token comes first, the stretch last
+    fixed_past, g_fixed = np.concatenate([past[k].ravel() for k in names]), np.empty_like(fixed)
+    ends = [inner * width, (inner + n_classes) * width]
+    (scales, outputs, bias), (g_scales, g_outputs, g_bias) = ((x.reshape(inner, width), y.reshape(n_classes, width), z) for x, y, z in (np.split(fixed, ends), np.split(g_fixed, ends)))
+    bias -= log_noise
+    ones = np.ones(max(_RUN, each), np.float32)
+    shifts = [slice(s.stretch - 1 - j, s.stretch - 1 - j + _RUN) for j in range(s.order)]
+
+    with np.errstate(over="ignore"):  # a power beyond single precision makes a probability of zero, as it should
+        for (begin, out), often in zip(batches, times, strict=True):
+            runs, n = len(begin), len(out)
+            use = (~out).astype(np.float32)
+            size, out = use.sum(), out.nonzero()[0]
+            target, back = targets.take(places + begin).ravel(), backs.take(befores + begin).ravel()
+            seen[back] = True
+            met = seen.nonzero()[0]
+            seen[met] = False
+            spot[met] = numbers[: len(met)]
+            back = spot.take(back)
+            inputs = net.inputs.take(met, 0)
+            vectors = inputs.take(back, 0).reshape(-1, runs * width)
+            parts = [*(vectors[x] for x in shifts), _sums(vectors, s.stretch)]
+            wide = np.empty((inner, runs, width), np.float32)
+            wide[:] = scales[:, None]
+            wide[-1] *= mean
+            wide = wide.reshape(inner, runs * width)
+            h = parts[0] * wide[0]
+            held = np.empty_like(h)
+            for v, weights in zip(parts[1:], wide[1:], strict=True):
+                h += np.multiply(v, weights, out=held)
+            h = h.reshape(n, width)
+            h[out] = 0
+            own = outputs.take(target, 0)
+            right = np.einsum("ij,ij->i", h, own)
+            right += bias.take(target)
+            up = _sure(right)  # pulled towards the data
+            up *= use
+            drawn = often.nonzero()[0]
+            often = often.take(drawn).astype(np.float32)
+            noisy = outputs.take(drawn, 0)
+            down = h @ -noisy.T
+            down -= bias.take(drawn)
+            _sure(down)  # pushed from the noise
+            noisy *= often[:, None]
+            own *= up[:, None]
+            g_h = down @ noisy
+            g_h -= own
+            g_h[out] = 0
+            pushed = down.T @ h
+            pushed *= often[:, None]
+            h *= up[:, None]
+            np.negative(np.bincount(cells.take(target, 0).ravel(), h.ravel(), g_outputs.size).reshape(g_outputs.shape), out=g_outputs, casting="same_kind")
+            g_outputs[drawn] += pushed
+            np.negative(np.bincount(target, up, n_classes), out=g_bias, casting="same_kind")
+            g_bias[drawn] += often * (use @ down)
+            g_h = g_h.reshape(_RUN, runs * width)
+            around = np.zeros((_RUN + 2 * (s.stretch - 1), runs * width), np.float32)
+            np.multiply(g_h, wide[-1], out=around[s.stretch - 1 : s.stretch - 1 + _RUN])
+            g_vectors = _sums(around, s.stretch)
+            for x, weights in zip(shifts, wide, strict=False):
+                g_vectors[x] += np.multiply(g_h, weights, out=held)
+            sums = np.stack([ones[:_RUN] @ np.multiply(g_h, v, out=held) for v in parts])
+            np.matmul(ones[:runs], sums.reshape(inner, runs, width), out=g_scales)
+            g_scales[-1] *= mean
+            g_in = np.bincount(cells.take(back, 0).ravel(), g_vectors.ravel(), len(met) * width).reshape(-1, width).astype(np.float32)
+            if not met[0]:
+                g_in[0] = 0  # what is before a text stays zero
+            squares = past["inputs"].take(met, 0)
+            inputs -= _change(g_in, squares, size, s.rate)
+            net.inputs[met], past["inputs"][met] = inputs, squares
+            fixed -= _change(g_fixed, fixed_past, size, s.rate)
+
+    bias += log_noise
+    at = 0
+    for k in names:
+        to = getattr(net, k)
+        to[:] = fixed[at : at + to.size].reshape(to.shape)
+        past[k][:] = fixed_past[at : at + to.size].reshape(to.shape)
+        at += to.size
+
+
+def _change(g: np.ndarray, squares: np.ndarray, size: np.float32, rate: float) -> np.ndarray:
+    """What a step takes off, from summed gradients, which are used up; the squares go on."""
+    g /= size
+    squares += g * g
+    g *= np.float32(rate)
+    g /= np.sqrt(squares)
+    return g
+
+
+def train(written: DataFrame, words: Words, class_counts: np.ndarray) -> Network:
+    """Noise-contrastive estimation over all texts (column numbers): in each round the average of the partitions' networks."""
     net, past = start(words, class_counts)
     s, noise = words.settings, _noise(class_counts)
     if not class_counts.sum():
         net.outputs[:], net.bias[:] = 0, 0
         return net
-    context = texts.sparkSession.sparkContext
-    maps = context.broadcast(words)
-
-    def numbers(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known = Numbers(lambda w: maps.value.input_of(w) << 12 | maps.value.class_of(w))
-        for b in batches:
-            for lo in range(0, b.num_rows, 256):
-                rows = []
-                for text in b.column(0).slice(lo, 256).to_pylist():
-                    rows.append(known.of(tokens(text)).astype(np.int32).tobytes())
-                yield pa.RecordBatch.from_arrays([pa.array(rows, pa.binary())], ["numbers"])
-
-    written = materialize(texts.mapInArrow(numbers, "numbers binary"), "numbers")
+    context = written.sparkSession.sparkContext
 
     for round_ in range(s.rounds):
         sent = context.broadcast((net, past))
 
         def kernel(batches: Iterator[pa.RecordBatch], sent=sent, round_=round_) -> Iterator[pa.RecordBatch]:
+            _SCORERS.clear()  # what numbered the texts in this process is not needed while it trains
             own, squares = copy.deepcopy(sent.value)
             rng = np.random.default_rng([s.seed, round_, TaskContext.get().partitionId()])
             held, n, seen = [], 0, 0
@@ -367,7 +401,7 @@ def _row(flat: np.ndarray, n: int) -> pa.RecordBatch:
 @dataclass(frozen=True)
 class Model:
     words: Words
-    network: Network
+    network: Network | None  # none before training
     counts: DataFrame  # word binary, c bigint: of all training tokens
     total: int
     distinct: int
@@ -408,10 +442,28 @@ def _most_common(counts: DataFrame, most: int) -> dict[bytes, int]:
     return {} if bar is None else {bytes(r.word): r.c for r in counts.where(bin_ >= bar).collect()}
 
 
+def _rows(df: DataFrame, id_col: str, text_col: str, learn_from: Column | None = None) -> DataFrame:
+    use = F.lit(True) if learn_from is None else F.coalesce(learn_from, F.lit(True))
+    return df.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"), use.alias("use"))
+
+
 def fit(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", learn_from: Column | None = None, settings: Settings = Settings()) -> Model:
     """Counts over all rows that satisfy learn_from, and a network trained on all of them."""
-    use = F.lit(True) if learn_from is None else learn_from
-    rows = df.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"), use.alias("use")).where(F.coalesce("use", F.lit(True)))
+    rows = _rows(df, id_col, text_col, learn_from).where("use")
+    model, class_counts = _counted(rows, settings)
+    return replace(model, network=train(_encoded(rows, model).select("numbers"), model.words, class_counts))
+
+
+def fit_and_score(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", learn_from: Column | None = None, settings: Settings = Settings()) -> DataFrame:
+    """The rows that `score` gives with the model that `fit` gives, for which each text is turned into numbers once."""
+    rows = _rows(df, id_col, text_col, learn_from)
+    model, class_counts = _counted(rows.where("use"), settings)
+    encoded = _encoded(rows, model)
+    return _scored(encoded, replace(model, network=train(encoded.where("use").select("numbers"), model.words, class_counts)))
+
+
+def _counted(rows: DataFrame, settings: Settings) -> tuple[Model, np.ndarray]:
+    """All of a model but its network, and the counts of the classes."""
     counts = materialize(count_tokens(rows.select("text")), "token-counts")
     total, distinct = counts.agg(F.coalesce(F.sum("c"), F.lit(0)), F.count(F.lit(1))).first()
     common = _most_common(counts, settings.common)
@@ -430,48 +482,55 @@ def fit(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", learn_fro
     sums, class_counts = np.zeros(words.classes), np.zeros(words.classes)
     for r in counts.mapInArrow(kernel, "k bigint, s double, c double").groupBy("k").agg(F.sum("s").alias("s"), F.sum("c").alias("c")).collect():  # a row for each class
         sums[r.k], class_counts[r.k] = r.s, r.c
-    network = train(rows.select("text"), words, class_counts)
     own = np.zeros(words.classes, bool)
     own[list(words.singles.values())] = True
-    alone = df.sparkSession.createDataFrame([(bytearray(w),) for w in words.singles], "word binary")  # as many as the settings say
+    alone = rows.sparkSession.createDataFrame([(bytearray(w),) for w in words.singles], "word binary")  # as many as the settings say
     single = {bytes(r.word): r.c for r in counts.join(F.broadcast(alone), "word").collect()}
     sums[own] = [single.get(w, 0) + 0.5 for w in words.singles]
-    return Model(words, network, counts, total, distinct, common, np.log10(np.where(own, sums, sums + 0.5)))
+    return Model(words, None, counts, total, distinct, common, np.log10(np.where(own, sums, sums + 0.5))), class_counts
 
 
 class _Scorer:
-    """Works on one executor: tokens to numbers, which are remembered."""
+    """Works on one executor: tokens to numbers, which are remembered, and numbers to probabilities."""
 
-    def __init__(self, words: Words, network: Network, common: dict[bytes, int], class_log10: np.ndarray):
+    def __init__(self, words: Words, network: Network | None, common: dict[bytes, int], class_log10: np.ndarray):
         self.words, self.network, self.class_log10 = words, network, class_log10
-        self.common = common
-        self.ranks = {w: i + 1 for i, w in enumerate(common)}
+        ranks, number = {w: i + 1 for i, w in enumerate(common)}.get, words.numbering()
         self.log10 = np.log10(np.array([0.5, *common.values()]) + 0.5)
         self.log10[0] = 0.0  # the count of any other word is joined later
-        self.memory = Numbers(lambda w: self.ranks.get(w, 0) << 32 | words.input_of(w) << 12 | words.class_of(w))
-
-    def score(self, texts: list[str | None]) -> Iterator[tuple[int, int, float, float, Counter]]:
-        """For each text: tokens, known common tokens, their sum of log10 (c + 1/2), the rest of its log10 probability, other words."""
-        lists = [tokens(t) for t in texts]
-        packed = [self.memory.of(words) for words in lists]
-        for lo, hi in _blocks([len(p) for p in packed], 1 << 16):
-            group = packed[lo:hi]
-            ids, at = padded([p >> 12 & 0xFFFFF for p in group], self.words.settings.stretch)
-            classes = np.concatenate(group) & 0xFFF
+        self.memory = Numbers(lambda w: ranks(w, 0) << 32 | number(w))
+
+    def encode(self, text: str | None) -> tuple[np.ndarray, int, float, Counter]:
+        """Numbers input << 12 | class of a text, its known common tokens, their sum of log10 (c + 1/2), other words."""
+        words = tokens(text)
+        packed = self.memory.of(words)
+        ranks = packed >> 32
+        other = np.flatnonzero(ranks == 0).tolist()
+        return (packed & 0x7FFFFFFF).astype(np.int32), len(words) - len(other), float(self.log10.take(ranks).sum()), Counter([words[i] for i in other])
+
+    def rest(self, lists: list[np.ndarray]) -> Iterator[float]:
+        """For each text, as numbers: the part of its log10 probability that is not its words' log10 (c + 1/2)."""
+        stretch = self.words.settings.stretch
+        for lo, hi in _blocks([len(x) for x in lists], 1 << 16):
+            ids, at = padded([x >> 12 for x in lists[lo:hi]], stretch)
+            classes = np.concatenate(lists[lo:hi]) & 0xFFF
             logs = np.empty(len(at))
-            for a in range(0, len(at), 1 << 16):  # a very long text is worked off in stretches too
-                b = min(a + (1 << 16), len(at))
-                first = at[a] - 1 - self.words.settings.stretch
-                h = self.network.contexts(ids[first : at[b - 1] + 1], at[a:b] - first, self.words.settings.stretch)
+            for a in range(0, len(at), _PLACES):  # a very long text is worked off in stretches too
+                b = min(a + _PLACES, len(at))
+                first = at[a] - 1 - stretch
+                h = self.network.contexts(ids[first : at[b - 1] + 1], at[a:b] - first, stretch)
                 logs[a:b] = self.network.log10_classes(h, classes[a:b])
-            logs -= self.class_log10[classes]
+            logs -= self.class_log10.take(classes)
             to = 0
-            for k, p in enumerate(group):
-                ranks = p >> 32
-                other = np.flatnonzero(ranks == 0)
-                words = lists[lo + k]
-                yield len(p), len(p) - len(other), float(self.log10[ranks].sum()), float(logs[to : to + len(p)].sum()), Counter([words[i] for i in other.tolist()])
-                to += len(p)
+            for x in lists[lo:hi]:
+                yield float(logs[to : to + len(x)].sum())
+                to += len(x)
+
+    def score(self, texts: list[str | None]) -> Iterator[tuple[int, int, float, float, Counter]]:
+        """For each text: tokens, known common tokens, their sum of log10 (c + 1/2), the rest of its log10 probability, other words."""
+        encoded = [self.encode(t) for t in texts]
+        for (numbers, known, logs, others), rest in zip(encoded, self.rest([e[0] for e in encoded]), strict=True):
+            yield len(numbers), known, logs, rest, others
 
 
 _SCORERS: dict[str, _Scorer] = {}
@@ -496,11 +555,10 @@ def _blocks(sizes: list[int], most: int) -> Iterator[tuple[int, int]]:
         yield lo, len(sizes)
 
 
-def score(df: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Rows (id, n_tokens, n_known, train_tokens, base_score, score): one for each row of df."""
-    picked = df.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
-    kind = picked.schema["id"].dataType.simpleString()
-    sent = df.sparkSession.sparkContext.broadcast((model.words, model.network, model.common, model.class_log10))  # sizes fixed by the settings
+def _encoded(rows: DataFrame, model: Model) -> DataFrame:
+    """Rows (key, id, use, numbers, n, logs, others): each text as `_Scorer.encode` gives it, written once for training and scores."""
+    kind = rows.schema["id"].dataType.simpleString()
+    sent = rows.sparkSession.sparkContext.broadcast((model.words, None, model.common, model.class_log10))  # sizes fixed by the settings
     name = uuid.uuid4().hex
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -509,33 +567,53 @@ def score(df: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "
         for whole in batches:
             for lo in range(0, whole.num_rows, 256):
                 b = whole.slice(lo, 256)
-                keys, heads, found, n = [], [], [], []
-                for n_tokens, known, logs, rest, others in scorer.score(b.column(1).to_pylist()):
-                    key += 1
-                    heads.append((key, n_tokens, known, logs, rest))
-                    keys += [key] * len(others)
-                    found += others
+                numbers, known, sums, words, n, ends = [], [], [], [], [], [0]
+                for text in b.column(1).to_pylist():
+                    ids, k, logs, others = scorer.encode(text)
+                    numbers.append(ids.tobytes())
+                    known.append(k)
+                    sums.append(logs)
+                    words += others
                     n += others.values()
-                k, t, m, s, r = zip(*heads, strict=True) if heads else ((),) * 5
-                none = [None] * len(found)
+                    ends.append(len(words))
+                found = pa.StructArray.from_arrays([pa.array(words, pa.binary()), pa.array(n, pa.int64())], ["word", "n"])
+                keys = pa.array(np.arange(key, key + b.num_rows))
+                key += b.num_rows
+                yield pa.RecordBatch.from_arrays(
+                    [keys, b.column(0), b.column(2), pa.array(numbers, pa.binary()), pa.array(known, pa.int64()), pa.array(sums, pa.float64()), pa.ListArray.from_arrays(pa.array(ends, pa.int32()), found)],
+                    ["key", "id", "use", "numbers", "n", "logs", "others"],
+                )
+
+    return materialize(rows.mapInArrow(kernel, f"key bigint, id {kind}, use boolean, numbers binary, n bigint, logs double, others array<struct<word: binary, n: bigint>>"), "numbers")
+
+
+def score(df: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """Rows (id, n_tokens, n_known, train_tokens, base_score, score): one for each row of df."""
+    return _scored(_encoded(_rows(df, id_col, text_col), model), model)
+
+
+def _scored(encoded: DataFrame, model: Model) -> DataFrame:
+    kind = encoded.schema["id"].dataType.simpleString()
+    sent = encoded.sparkSession.sparkContext.broadcast((model.words, model.network, {}, model.class_log10))  # sizes fixed by the settings
+    name = uuid.uuid4().hex
+
+    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        scorer = _scorer(name, lambda: _Scorer(*sent.value))
+        for whole in batches:
+            for lo in range(0, whole.num_rows, 256):
+                b = whole.slice(lo, 256)
+                lists = [np.frombuffer(x.as_buffer(), np.int32) for x in b.column(2)]
                 yield pa.RecordBatch.from_arrays(
-                    [
-                        pa.array([*k, *keys], pa.int64()),
-                        pa.concat_arrays([b.column(0), pa.nulls(len(found), b.column(0).type)]),
-                        pa.array([None] * len(k) + found, pa.binary()),
-                        pa.array([*m, *n], pa.int64()),
-                        pa.array([*t, *none], pa.int64()),
-                        pa.array([*s, *none], pa.float64()),
-                        pa.array([*r, *none], pa.float64()),
-                    ],
-                    ["key", "id", "word", "n", "n_tokens", "logs", "rest"],
+                    [b.column(0), b.column(1), b.column(3), b.column(4), pa.array([len(x) for x in lists], pa.int64()), pa.array(list(scorer.rest(lists)), pa.float64())],
+                    ["key", "id", "n", "logs", "n_tokens", "rest"],
                 )
 
-    made = materialize(picked.mapInArrow(kernel, f"key bigint, id {kind}, word binary, n bigint, n_tokens bigint, logs double, rest double"), "scored")
-    others = made.where("word is not null").select("key", "word", "n").join(model.counts, "word", "left")
+    made = encoded.select("key", "id", "numbers", "n", "logs").mapInArrow(kernel, f"key bigint, id {kind}, n bigint, logs double, n_tokens bigint, rest double")
+    made = materialize(made, "scored")
+    others = encoded.select("key", F.explode("others").alias("other")).select("key", "other.word", "other.n").join(model.counts, "word", "left")
     log10 = F.log10(F.coalesce("c", F.lit(0)) + 0.5)
     others = others.groupBy("key").agg(F.sum(F.col("n") * log10).alias("more"), F.sum(F.when(F.col("c") > 0, F.col("n")).otherwise(0)).alias("more_known"))
-    joined = made.where("word is null").drop("word").join(others, "key", "left")
+    joined = made.join(others, "key", "left")
     logs = F.col("logs") + F.coalesce("more", F.lit(0.0))
     each = F.log10(F.lit(model.total + 0.5 * (model.distinct + 1)))
     return joined.select(

@@ -64,7 +64,7 @@ def op7_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op8_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Scores all documents with counts and a network learnt outside the held-out fifth."""
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
-    scored = lm_scoring.score(docs, lm_scoring.fit(docs, learn_from=crc_rest("doc_id", 5) != 1))
+    scored = lm_scoring.fit_and_score(docs, learn_from=crc_rest("doc_id", 5) != 1)
     return scored.select(F.col("id").alias("doc_id"), (crc_rest("id", 5) == 1).alias("held_out"), "n_tokens", "n_known", "train_tokens", "base_score", "score")
 
 

@@ -7,6 +7,7 @@ from math import log10
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from tauprobe.llm import lm_scoring, quality_classifier, queries
 
@@ -121,6 +122,70 @@ def test_lm_blocks_do_not_matter(tiny):
     assert np.allclose(together, apart)
 
 
+def test_lm_step_is_the_plain_gradient():
+    """One batch moves every value as the sums over single places say, gaps and repeated noise included."""
+    s = lm_scoring.Settings(inputs=3, singles=3, suffixes=0, hashed=2, width=3, order=2, stretch=5, noise=9, batch=64)
+    words = lm_scoring.Words({b"a": 1, b"b": 2, b"c": 3}, {b"a": 0, b"b": 1, b"c": 2}, {}, s)
+    class_counts = np.array([9.0, 5.0, 3.0, 2.0, 1.0])
+    noise = (class_counts + 0.5) / (class_counts + 0.5).sum()
+    texts = [[words.numbering()(w) for w in text] for text in ([b"a", b"b", b"x"] * 3, [b"c", b"y", b"a", b"a", b"b"] * 5)]
+    net, past = lm_scoring.start(words, class_counts)
+    was = {k: (getattr(net, k).astype(float), past[k].astype(float)) for k in ("inputs", "near", "far", "outputs", "bias")}
+    lm_scoring.improve(net, past, [np.array(t, np.int32) for t in texts], noise, s, np.random.default_rng(4))
+
+    rng = np.random.default_rng(4)
+    rng.permutation(2)  # both runs are one batch
+    drawn = np.searchsorted(np.cumsum(noise), rng.random(s.noise), "right")
+    inputs, near, far, outputs, bias = (was[k][0] for k in was)
+    g = {k: np.zeros_like(v[0]) for k, v in was.items()}
+    for text in texts:
+        for t in range(len(text)):
+            before = [text[t - 1 - j] >> 12 if t - 1 - j >= 0 else 0 for j in range(s.stretch)]
+            h = sum(near[j] * inputs[before[j]] for j in range(s.order)) + far * inputs[before].mean(0)
+            g_h = np.zeros(s.width)
+            for k, data in [(text[t] & 0xFFF, 1), *((d, 0) for d in drawn)]:
+                off = 1 / (1 + np.exp(-(h @ outputs[k] + bias[k] - np.log(noise[k] * s.noise)))) - data
+                g["outputs"][k] += off * h
+                g["bias"][k] += off
+                g_h += off * outputs[k]
+            for j, i in enumerate(before):
+                g["inputs"][i] += g_h * (far / s.stretch + (near[j] if j < s.order else 0))
+                if j < s.order:
+                    g["near"][j] += g_h * inputs[i]
+            g["far"] += g_h * inputs[before].mean(0)
+    g["inputs"][0] = 0
+    for k, (value, squares) in was.items():
+        part = g[k] / sum(map(len, texts))
+        squares = squares + part**2
+        assert np.allclose(past[k], squares, rtol=1e-3, atol=1e-9), k
+        assert np.allclose(getattr(net, k), value - s.rate * part / np.sqrt(squares), atol=1e-4), k
+
+
+def test_lm_query_reads_each_text_twice(spark, monkeypatch):
+    """Once to count its words and once to number them, for training and scores alike; held-out texts once."""
+    read = spark.sparkContext.accumulator(0)
+
+    def seen(text):
+        read.add(1)
+        return text
+
+    docs = spark.read.parquet(f"{SF}/documents.parquet").withColumn("text", F.udf(seen, "string")("text")).select("doc_id", "text")
+    monkeypatch.setattr(queries, "table", lambda *_: docs)
+    got = queries.op8_lm_scoring(spark, SF).collect()
+    assert len(got) == docs.count() and 0 < read.value <= 2 * len(got)
+
+
+def test_lm_fit_and_score_is_fit_then_score(spark, tiny):
+    rows, settings, _ = tiny
+    df = spark.createDataFrame([*rows, (60, None), (61, "")], "doc_id bigint, text string").coalesce(1)
+    use = F.col("doc_id") % 5 != 1
+    at_once = {r.id: r for r in lm_scoring.fit_and_score(df, learn_from=use, settings=settings).collect()}
+    apart = lm_scoring.score(df, lm_scoring.fit(df, learn_from=use, settings=settings)).collect()
+    assert len(at_once) == len(apart) == len(rows) + 2
+    for r in apart:
+        assert r[:4] == at_once[r.id][:4] and r[4:] == pytest.approx(at_once[r.id][4:])
+
+
 def test_classifier_held_out(spark):
     sf = "/root/testdata/sf0.01"
     labels = {r.doc_id: r.quality for r in spark.read.parquet(f"{sf}/labels.parquet").collect()}
