@@ -65,10 +65,10 @@ def test_pairs_of_tiles_equal_brute_force(spark, monkeypatch, opened):
     assert {(r.id_a, r.id_b): (round(r.sim, 9), round(r.jaccard, 9)) for r in got} == want
 
 
-def test_no_rows_and_words_whose_marks_collide(spark):
+def test_no_rows_and_words_whose_bits_collide(spark):
     none = tiles.write(spark.createDataFrame([], "id bigint, vec array<double>"))
     assert tiles.forest(none, 0.5).count() == 0
-    near, far = [1, 2, 3, 4], [1 + tiles.MARKS, 2 + tiles.MARKS, 3 + tiles.MARKS, 4]
+    near, far = [1, 2, 3, 4], [1 + tiles.BITS, 2 + tiles.BITS, 3 + tiles.BITS, 4]
     rows = [(1, [1.0, 0.0], "x", near), (2, [1.0, 0.0], "x", far), (3, [1.0, 0.0], "x", near[:2]), (4, [1.0, 0.0], "x", [])]
     got = tiles.agreeing(tiles.write(spark.createDataFrame(rows, "id bigint, vec array<double>, lang string, words array<bigint>")), 0.9).collect()
     assert [(r.id_a, r.id_b, r.jaccard) for r in got] == [(1, 3, 0.5)]
