@@ -23,12 +23,12 @@ from __future__ import annotations
 import copy
 import uuid
 import zlib
-from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass, replace
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -62,6 +62,23 @@ def tokens(text: str | None) -> list[bytes]:
     return [*(text or "").encode().lower().split(), END]
 
 
+def split(texts: pa.Array) -> tuple[pa.Array, np.ndarray]:
+    """The `tokens` of all texts, one after the other, as binary, and where each text's end."""
+    marked = pc.binary_join_element_wise(pc.ascii_lower(pc.fill_null(texts.cast(pa.string()), "")), "", " ")  # so that an empty piece comes last, the end
+    lists = pc.ascii_split_whitespace(marked)
+    ends, pieces = lists.offsets.to_numpy()[1:] - lists.offsets[0].as_py(), lists.flatten()
+    use = pc.binary_length(pieces).to_numpy(zero_copy_only=False) > 0
+    use[ends - 1] = True
+    return pieces.filter(pa.array(use)).cast(pa.binary()), np.cumsum(use)[ends - 1]
+
+
+def parts(texts: pa.Array, most: int = 1 << 22) -> Iterator[pa.Array]:
+    """Slices of about so many bytes; a text is never cut."""
+    rows = max(1, most * len(texts) // max(texts.nbytes, 1))
+    for lo in range(0, len(texts), rows):
+        yield texts.slice(lo, rows)
+
+
 @dataclass(frozen=True)
 class Words:
     """The fixed maps from a token to its input number and its class."""
@@ -84,6 +101,20 @@ class Words:
         """0 stands for what is before the text; frequent words have their own numbers, others that of their class."""
         return self.inputs.get(word) or 1 + self.settings.inputs + self.class_of(word)
 
+    def classes_of(self, words: pa.Array) -> np.ndarray:
+        """class_of of each word that is no class of its own, from the last three bytes of all words at once."""
+        bounds = np.frombuffer(words.buffers()[1], np.int32, len(words) + 1, 4 * words.offset) if len(words) else np.zeros(1, np.int32)
+        data = np.frombuffer(words.buffers()[2], np.uint8) if bounds[-1] else np.zeros(1, np.uint8)
+        ends, sizes = bounds[1:].astype(np.int64), np.diff(bounds)
+        last = [np.where(sizes > j, data.take(ends - 1 - j, mode="clip"), 0).astype(np.int64) for j in range(3)]
+        keys = np.minimum(sizes, 3).astype(np.int64) << 24 | last[2] << 16 | last[1] << 8 | last[0]
+        known = sorted((len(e) << 24 | int.from_bytes(e), k) for e, k in self.suffixes.items())
+        known, own = np.array([*known, (1 << 30, 0)], np.int64).T.copy()
+        place = np.searchsorted(known, keys)
+        hashed = np.array([zlib.crc32(bytes([b])) % self.settings.hashed for b in range(256)])[last[0]]
+        hashed[sizes == 0] = zlib.crc32(b"") % self.settings.hashed
+        return np.where(known[place] == keys, own[place], self.settings.singles + self.settings.suffixes + hashed)
+
     def numbering(self):
         """A function that gives input_of(word) << 12 | class_of(word), in one call for each word."""
         inputs, singles, suffixes, crc = self.inputs.get, self.singles.get, self.suffixes.get, zlib.crc32
@@ -97,27 +128,6 @@ class Words:
         return number
 
 
-class Numbers(dict):
-    """Numbers of words, worked out as they are asked for; two generations, so the size is bounded."""
-
-    def __init__(self, number, size: int = 1 << 18):
-        super().__init__()
-        self.number, self.size = number, size
-        self.past: dict[bytes, int] = {}
-
-    def __missing__(self, word: bytes) -> int:
-        if (found := self.past.get(word)) is None:
-            found = self.number(word)
-        if len(self) >= self.size:
-            self.past = dict(self)
-            self.clear()
-        self[word] = found
-        return found
-
-    def of(self, words: list[bytes]) -> np.ndarray:
-        return np.fromiter(map(self.__getitem__, words), np.int64, len(words))
-
-
 def word_maps(counts: DataFrame, settings: Settings) -> Words:
     """The maps that the counts of all training tokens give; the driver gets as many rows as the settings say."""
     ranked = [bytes(r.word) for r in counts.orderBy(F.desc("c"), "word").limit(max(settings.inputs, settings.singles)).collect()]
@@ -242,30 +252,39 @@ def improve(net: Network, past: dict[str, np.ndarray], lists: list[np.ndarray],
     width, n_classes, inner, each = s.width, len(noise), s.order + 1, max(1, s.batch // _RUN)
     order = s.stretch + _RUN * rng.permutation(n_runs)
     places, befores = np.arange(_RUN)[:, None], np.arange(-s.stretch, _RUN - 1)[:, None]
-    batches = [(b, out) for lo in range(0, n_runs, each) if not (out := gap[places + (b := order[lo : lo + each])].ravel()).all()]
+    used, targets, backs = (~gap[places + order]).astype(np.float32), targets.take(places + order), backs.take(befores + order)
+    sizes = np.add.reduceat(used.sum(0), np.arange(0, n_runs, each)).tolist()
+    batches = [(slice(i * each, (i + 1) * each), size) for i, size in enumerate(sizes) if size]
     drawn = np.minimum(np.searchsorted(np.cumsum(noise), rng.random((len(batches), s.noise)), "right"), n_classes - 1)
     drawn += n_classes * np.arange(len(batches))[:, None]
-    times = np.bincount(drawn.ravel(), minlength=n_classes * len(batches)).reshape(-1, n_classes)
+    halves = np.bincount(drawn.ravel(), minlength=n_classes * len(batches)).reshape(-1, n_classes).astype(np.float32) / 2
 
     log_noise, mean = np.log(noise * s.noise).astype(np.float32), np.float32(1 / s.stretch)
     seen, spot = np.zeros(len(net.inputs), bool), np.zeros(len(net.inputs), np.int64)
-    numbers = np.arange(max(len(befores) * each, n_classes) * width)
+    numbers = np.arange(len(befores) * each * width)
     cells = numbers.reshape(-1, width)  # of rows
-    names = ("near", "far", "outputs", "bias")
-    fixed = np.concatenate([getattr(net, k).ravel() for k in names])  # all other values, and views of them; in the scales the last token comes first, the stretch last
-    fixed_past, g_fixed = np.concatenate([past[k].ravel() for k in names]), np.empty_like(fixed)
-    ends = [inner * width, (inner + n_classes) * width]
-    (scales, outputs, bias), (g_scales, g_outputs, g_bias) = ((x.reshape(inner, width), y.reshape(n_classes, width), z) for x, y, z in (np.split(fixed, ends), np.split(g_fixed, ends)))
-    bias -= log_noise
-    ones = np.ones(max(_RUN, each), np.float32)
+    cells_out = np.arange(n_classes * (width + 1)).reshape(-1, width + 1)
+
+    def joined(near: np.ndarray, far: np.ndarray, outputs: np.ndarray, bias: np.ndarray) -> np.ndarray:
+        return np.concatenate([near.ravel(), far, np.column_stack([outputs, bias]).ravel()])
+
+    def taken_apart(x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        return x[: inner * width].reshape(inner, width), x[inner * width :].reshape(n_classes, width + 1)
+
+    # all other values, and views of them: scales, of the last token first and of the stretch last, and classes, each with its bias last
+    fixed, fixed_past = joined(net.near, net.far, net.outputs, net.bias - log_noise), joined(*(past[k] for k in _PARTS[1:]))
+    g_fixed = np.empty_like(fixed)
+    (scales, outputs), (g_scales, g_outputs) = taken_apart(fixed), taken_apart(g_fixed)
+    ones = np.ones(width + 1, np.float32)
     shifts = [slice(s.stretch - 1 - j, s.stretch - 1 - j + _RUN) for j in range(s.order)]
+    ahead = np.arange(len(befores)) - places
+    band = ((ahead >= 0) & (ahead < s.stretch)).astype(np.float32)  # what lies in the stretch before each place of a run
 
     with np.errstate(over="ignore"):  # a power beyond single precision makes a probability of zero, as it should
-        for (begin, out), often in zip(batches, times, strict=True):
-            runs, n = len(begin), len(out)
-            use = (~out).astype(np.float32)
-            size, out = use.sum(), out.nonzero()[0]
-            target, back = targets.take(places + begin).ravel(), backs.take(befores + begin).ravel()
+        for (x, size), half in zip(batches, halves, strict=True):
+            use = used[:, x].ravel()
+            n, runs, out = len(use), len(use) // _RUN, (use == 0).nonzero()[0]
+            target, back = targets[:, x].ravel(), backs[:, x].ravel()
             seen[back] = True
             met = seen.nonzero()[0]
             seen[met] = False
@@ -273,49 +292,45 @@ def improve(net: Network, past: dict[str, np.ndarray], lists: list[np.ndarray],
             back = spot.take(back)
             inputs = net.inputs.take(met, 0)
             vectors = inputs.take(back, 0).reshape(-1, runs * width)
-            parts = [*(vectors[x] for x in shifts), _sums(vectors, s.stretch)]
+            parts = [*(vectors[x] for x in shifts), band @ vectors]
             wide = np.empty((inner, runs, width), np.float32)
             wide[:] = scales[:, None]
             wide[-1] *= mean
             wide = wide.reshape(inner, runs * width)
-            h = parts[0] * wide[0]
-            held = np.empty_like(h)
+            sums = parts[0] * wide[0]
+            held = np.empty_like(sums)
             for v, weights in zip(parts[1:], wide[1:], strict=True):
-                h += np.multiply(v, weights, out=held)
-            h = h.reshape(n, width)
+                sums += np.multiply(v, weights, out=held)
+            h = np.empty((n, width + 1), np.float32)  # the last column goes with the bias
+            h[:, :width] = sums.reshape(n, width)
+            h[:, width] = 1
             h[out] = 0
             own = outputs.take(target, 0)
-            right = np.einsum("ij,ij->i", h, own)
-            right += bias.take(target)
-            up = _sure(right)  # pulled towards the data
+            up = _sure((h * own) @ ones)  # pulled towards the data
             up *= use
-            drawn = often.nonzero()[0]
-            often = often.take(drawn).astype(np.float32)
+            drawn = half.nonzero()[0]
+            half = half.take(drawn)[:, None]
             noisy = outputs.take(drawn, 0)
-            down = h @ -noisy.T
-            down -= bias.take(drawn)
-            _sure(down)  # pushed from the noise
-            noisy *= often[:, None]
+            down = h @ np.multiply(noisy.T, np.float32(0.5), order="C")
+            np.tanh(down, out=down)
+            down += 1  # twice how much is pushed from the noise: the logistic function of x is (1 + tanh(x / 2)) / 2
+            noisy *= half
             own *= up[:, None]
-            g_h = down @ noisy
-            g_h -= own
+            g_h = down @ noisy[:, :width]
+            g_h -= own[:, :width]
             g_h[out] = 0
             pushed = down.T @ h
-            pushed *= often[:, None]
+            pushed *= half
             h *= up[:, None]
-            np.negative(np.bincount(cells.take(target, 0).ravel(), h.ravel(), g_outputs.size).reshape(g_outputs.shape), out=g_outputs, casting="same_kind")
+            np.negative(np.bincount(cells_out.take(target, 0).ravel(), h.ravel(), g_outputs.size).reshape(g_outputs.shape), out=g_outputs, casting="same_kind")
             g_outputs[drawn] += pushed
-            np.negative(np.bincount(target, up, n_classes), out=g_bias, casting="same_kind")
-            g_bias[drawn] += often * (use @ down)
+            for k, v in enumerate(parts):
+                g_scales[k] = (g_h.T @ v.reshape(n, width)).diagonal()
+            g_scales[-1] *= mean
             g_h = g_h.reshape(_RUN, runs * width)
-            around = np.zeros((_RUN + 2 * (s.stretch - 1), runs * width), np.float32)
-            np.multiply(g_h, wide[-1], out=around[s.stretch - 1 : s.stretch - 1 + _RUN])
-            g_vectors = _sums(around, s.stretch)
+            g_vectors = band.T @ np.multiply(g_h, wide[-1], out=held)
             for x, weights in zip(shifts, wide, strict=False):
                 g_vectors[x] += np.multiply(g_h, weights, out=held)
-            sums = np.stack([ones[:_RUN] @ np.multiply(g_h, v, out=held) for v in parts])
-            np.matmul(ones[:runs], sums.reshape(inner, runs, width), out=g_scales)
-            g_scales[-1] *= mean
             g_in = np.bincount(cells.take(back, 0).ravel(), g_vectors.ravel(), len(met) * width).reshape(-1, width).astype(np.float32)
             if not met[0]:
                 g_in[0] = 0  # what is before a text stays zero
@@ -324,16 +339,12 @@ def improve(net: Network, past: dict[str, np.ndarray], lists: list[np.ndarray],
             net.inputs[met], past["inputs"][met] = inputs, squares
             fixed -= _change(g_fixed, fixed_past, size, s.rate)
 
-    bias += log_noise
-    at = 0
-    for k in names:
-        to = getattr(net, k)
-        to[:] = fixed[at : at + to.size].reshape(to.shape)
-        past[k][:] = fixed_past[at : at + to.size].reshape(to.shape)
-        at += to.size
+    for flat, to, more in ((fixed, {k: getattr(net, k) for k in _PARTS}, log_noise), (fixed_past, past, 0)):
+        few, many = taken_apart(flat)
+        to["near"][:], to["far"][:], to["outputs"][:], to["bias"][:] = few[:-1], few[-1], many[:, :width], many[:, width] + more
 
 
-def _change(g: np.ndarray, squares: np.ndarray, size: np.float32, rate: float) -> np.ndarray:
+def _change(g: np.ndarray, squares: np.ndarray, size: float, rate: float) -> np.ndarray:
     """What a step takes off, from summed gradients, which are used up; the squares go on."""
     g /= size
     squares += g * g
@@ -409,23 +420,25 @@ class Model:
     class_log10: np.ndarray  # log10 of each class's sum
 
 
-def count_tokens(texts: DataFrame, flush: int = 300_000) -> DataFrame:
-    """Rows (word, c): counts of all tokens of column text; batches count their own first."""
+def count_tokens(texts: DataFrame, flush: int = 1 << 25) -> DataFrame:
+    """Rows (word, c): counts of all tokens of column text; about `flush` bytes of tokens are counted together first."""
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: Counter = Counter()
+        held: list[pa.Array] = []
 
         def batch() -> pa.RecordBatch:
-            return pa.RecordBatch.from_arrays([pa.array(list(held), pa.binary()), pa.array(list(held.values()), pa.int64())], ["word", "c"])
+            found = pa.chunked_array(held, pa.binary()).value_counts()
+            return pa.RecordBatch.from_arrays([found.field(0), found.field(1)], ["word", "c"])
 
         for b in batches:
-            for lo in range(0, b.num_rows, 256):
-                for text in b.column(0).slice(lo, 256).to_pylist():
-                    held.update(tokens(text))
-                if len(held) > flush:
+            for part in parts(b.column(0)):
+                held.append(split(part)[0])
+                if sum(x.nbytes for x in held) > flush:
                     yield batch()
                     held.clear()
-        yield batch()
+        if held:
+            yield batch()
+        give_back()
 
     return texts.mapInArrow(kernel, "word binary, c bigint").groupBy("word").agg(F.sum("c").alias("c"))
 
@@ -473,7 +486,8 @@ def _counted(rows: DataFrame, settings: Settings) -> tuple[Model, np.ndarray]:
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         sums, tallies = np.zeros(words.classes), np.zeros(words.classes)
         for b in batches:
-            classes = np.array([words.class_of(w) for w in b.column(0).to_pylist()], np.int64)
+            own = pc.fill_null(pc.index_in(b.column(0), pa.array(list(words.singles), pa.binary())), -1).to_numpy()  # in the order of their classes
+            classes = np.where(own < 0, words.classes_of(b.column(0)), own)
             c = b.column(1).to_numpy(zero_copy_only=False)
             sums += np.bincount(classes, c + 0.5, words.classes)
             tallies += np.bincount(classes, c, words.classes)
@@ -490,23 +504,50 @@ def _counted(rows: DataFrame, settings: Settings) -> tuple[Model, np.ndarray]:
     return Model(words, None, counts, total, distinct, common, np.log10(np.where(own, sums, sums + 0.5))), class_counts
 
 
+@dataclass
+class Encoded:
+    """Texts as numbers, one after the other, and what is known of each."""
+
+    numbers: np.ndarray  # input << 12 | class
+    ends: np.ndarray  # of the texts
+    known: np.ndarray  # common tokens
+    logs: np.ndarray  # their sums of log10 (c + 1/2)
+    others: pa.ListArray  # other words and how often they occur
+
+    @property
+    def lists(self) -> list[np.ndarray]:
+        return np.split(self.numbers, self.ends)[:-1]
+
+
 class _Scorer:
-    """Works on one executor: tokens to numbers, which are remembered, and numbers to probabilities."""
+    """Works on one executor: tokens to numbers, and numbers to probabilities."""
 
     def __init__(self, words: Words, network: Network | None, common: dict[bytes, int], class_log10: np.ndarray):
         self.words, self.network, self.class_log10 = words, network, class_log10
-        ranks, number = {w: i + 1 for i, w in enumerate(common)}.get, words.numbering()
-        self.log10 = np.log10(np.array([0.5, *common.values()]) + 0.5)
-        self.log10[0] = 0.0  # the count of any other word is joined later
-        self.memory = Numbers(lambda w: ranks(w, 0) << 32 | number(w))
-
-    def encode(self, text: str | None) -> tuple[np.ndarray, int, float, Counter]:
-        """Numbers input << 12 | class of a text, its known common tokens, their sum of log10 (c + 1/2), other words."""
-        words = tokens(text)
-        packed = self.memory.of(words)
-        ranks = packed >> 32
-        other = np.flatnonzero(ranks == 0).tolist()
-        return (packed & 0x7FFFFFFF).astype(np.int32), len(words) - len(other), float(self.log10.take(ranks).sum()), Counter([words[i] for i in other])
+        listed, number = list(dict.fromkeys([*common, *words.inputs, *words.singles])), words.numbering()
+        self.listed = pa.array(listed, pa.binary())
+        self.numbers = np.array([*map(number, listed), 0], np.int32)
+        self.log10 = np.log10(np.array([*common.values(), *[0.5] * (len(listed) + 1 - len(common))]) + 0.5)
+        self.log10[len(common) :] = 0.0  # the count of any other word is joined later
+        self.common = len(common)
+
+    def encode(self, texts: pa.Array) -> Encoded:
+        words, ends = split(texts)
+        place = pc.fill_null(pc.index_in(words, self.listed), len(self.listed)).to_numpy()
+        numbers = self.numbers.take(place)
+        strange = np.flatnonzero(place == len(self.listed))
+        classes = self.words.classes_of(words.take(pa.array(strange)))
+        numbers[strange] = 1 + self.words.settings.inputs + classes << 12 | classes
+
+        begins, logs = np.r_[0, ends][:-1], self.log10.take(place)
+        sums = np.array([logs[a:b].sum() for a, b in zip(begins.tolist(), ends.tolist(), strict=True)], np.float64)
+        other = np.flatnonzero(place >= self.common)
+        met = words.take(pa.array(other)).dictionary_encode()
+        text, n_met = np.searchsorted(ends, other, "right"), max(1, len(met.dictionary))
+        keys, n = np.unique(text * n_met + met.indices.to_numpy(), return_counts=True)
+        bounds = np.searchsorted(keys, n_met * np.arange(len(ends) + 1)).astype(np.int32)
+        found = pa.StructArray.from_arrays([met.dictionary.take(pa.array(keys % n_met)), pa.array(n, pa.int64())], ["word", "n"])
+        return Encoded(numbers, ends, ends - begins - np.bincount(text, minlength=len(ends)), sums, pa.ListArray.from_arrays(pa.array(bounds), found))
 
     def rest(self, lists: list[np.ndarray]) -> Iterator[float]:
         """For each text, as numbers: the part of its log10 probability that is not its words' log10 (c + 1/2)."""
@@ -526,11 +567,10 @@ class _Scorer:
                 yield float(logs[to : to + len(x)].sum())
                 to += len(x)
 
-    def score(self, texts: list[str | None]) -> Iterator[tuple[int, int, float, float, Counter]]:
-        """For each text: tokens, known common tokens, their sum of log10 (c + 1/2), the rest of its log10 probability, other words."""
-        encoded = [self.encode(t) for t in texts]
-        for (numbers, known, logs, others), rest in zip(encoded, self.rest([e[0] for e in encoded]), strict=True):
-            yield len(numbers), known, logs, rest, others
+    def score(self, texts: list[str | None]) -> Iterator[tuple[int, int, float, float]]:
+        """For each text: tokens, known common tokens, their sum of log10 (c + 1/2), the rest of its log10 probability."""
+        e = self.encode(pa.array(texts, pa.string()))
+        return zip(map(len, e.lists), e.known.tolist(), e.logs.tolist(), self.rest(e.lists), strict=True)
 
 
 _SCORERS: dict[str, _Scorer] = {}
@@ -565,24 +605,14 @@ def _encoded(rows: DataFrame, model: Model) -> DataFrame:
         scorer = _scorer(name, lambda: _Scorer(*sent.value))
         key = TaskContext.get().partitionId() << 33
         for whole in batches:
-            for lo in range(0, whole.num_rows, 256):
-                b = whole.slice(lo, 256)
-                numbers, known, sums, words, n, ends = [], [], [], [], [], [0]
-                for text in b.column(1).to_pylist():
-                    ids, k, logs, others = scorer.encode(text)
-                    numbers.append(ids.tobytes())
-                    known.append(k)
-                    sums.append(logs)
-                    words += others
-                    n += others.values()
-                    ends.append(len(words))
-                found = pa.StructArray.from_arrays([pa.array(words, pa.binary()), pa.array(n, pa.int64())], ["word", "n"])
-                keys = pa.array(np.arange(key, key + b.num_rows))
-                key += b.num_rows
-                yield pa.RecordBatch.from_arrays(
-                    [keys, b.column(0), b.column(2), pa.array(numbers, pa.binary()), pa.array(known, pa.int64()), pa.array(sums, pa.float64()), pa.ListArray.from_arrays(pa.array(ends, pa.int32()), found)],
-                    ["key", "id", "use", "numbers", "n", "logs", "others"],
-                )
+            at = 0
+            for texts in parts(whole.column(1)):
+                b, e = whole.slice(at, len(texts)), scorer.encode(texts)
+                at += len(texts)
+                keys = pa.array(np.arange(key, key + len(texts)))
+                key += len(texts)
+                numbers = pa.Array.from_buffers(pa.binary(), len(texts), [None, pa.py_buffer(np.r_[0, 4 * e.ends].astype(np.int32)), pa.py_buffer(e.numbers)])
+                yield pa.RecordBatch.from_arrays([keys, b.column(0), b.column(2), numbers, pa.array(e.known, pa.int64()), pa.array(e.logs), e.others], ["key", "id", "use", "numbers", "n", "logs", "others"])
 
     return materialize(rows.mapInArrow(kernel, f"key bigint, id {kind}, use boolean, numbers binary, n bigint, logs double, others array<struct<word: binary, n: bigint>>"), "numbers")
 

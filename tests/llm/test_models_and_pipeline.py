@@ -6,6 +6,7 @@ from collections import Counter
 from math import log10
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -161,6 +162,26 @@ def test_lm_step_is_the_plain_gradient():
         assert np.allclose(getattr(net, k), value - s.rate * part / np.sqrt(squares), atol=1e-4), k
 
 
+def test_lm_all_tokens_at_once_are_those_of_each_text(tiny):
+    """Words, ends, classes and counts that whole columns give, slices and odd texts included, are those of one text after the other."""
+    texts = [None, "", " \n\v", "THE cat\x0bSAT\x1con \x85 \u00a0 \u00c9", "a", " the  the cat ", "q\0 \0", "unseen " * 3 + "mat unseen", "\u00e9" * 3]
+    column = pa.array(["x", *texts, "y"], pa.string()).slice(1, len(texts))
+    words, ends = lm_scoring.split(column)
+    assert words.to_pylist() == [w for t in texts for w in lm_scoring.tokens(t)]
+    assert ends.tolist() == np.cumsum([len(lm_scoring.tokens(t)) for t in texts]).tolist()
+    maps = tiny[2].words
+    shared = [w for w in words.to_pylist() if w not in maps.singles]
+    assert len(set(shared)) > 8 and maps.classes_of(pa.array([b"", *shared], pa.binary()).slice(1)).tolist() == [maps.class_of(w) for w in shared]
+    scorer = lm_scoring._Scorer(maps, None, tiny[2].common, tiny[2].class_log10)
+    got = scorer.encode(column)
+    for t, numbers, known, logs, others in zip(texts, got.lists, got.known, got.logs, got.others.to_pylist(), strict=True):
+        want = lm_scoring.tokens(t)
+        assert numbers.tolist() == [maps.input_of(w) << 12 | maps.class_of(w) for w in want]
+        assert {o["word"]: o["n"] for o in others} == Counter(w for w in want if w not in tiny[2].common) and known == sum(w in tiny[2].common for w in want)
+        assert logs == pytest.approx(sum(log10(tiny[2].common[w] + 0.5) for w in want if w in tiny[2].common))
+    assert [len(x) for x in scorer.encode(column.slice(0, 0)).lists] == []
+
+
 def test_lm_query_reads_each_text_twice(spark, monkeypatch):
     """Once to count its words and once to number them, for training and scores alike; held-out texts once."""
     read = spark.sparkContext.accumulator(0)
