@@ -198,8 +198,9 @@ def padded(lists: list[np.ndarray], stretch: int) -> tuple[np.ndarray, np.ndarra
 
 _PARTS = ("inputs", "near", "far", "outputs", "bias")
 
-#: Consecutive places of a batch that are worked off together, and tokens that are shuffled together.
-_RUN, _HELD = 32, 1 << 18
+#: Consecutive places of a batch that are worked off together, tokens that are shuffled together, batches that are laid out together,
+#: and what marks places outside texts.
+_RUN, _HELD, _LAID, _GAP = 32, 1 << 18, 512, 1 << 31
 
 
 def start(words: Words, class_counts: np.ndarray) -> tuple[Network, dict[str, np.ndarray]]:
@@ -224,6 +225,11 @@ def _sure(x: np.ndarray) -> np.ndarray:
     return np.divide(1, x, out=x)
 
 
+def _rows_of(x: np.ndarray) -> np.ndarray:
+    """A view of x whose items are its rows, which are put in place faster than their values."""
+    return x.view(f"V{x.itemsize * x.shape[1]}").ravel()
+
+
 def _sums(x: np.ndarray, n: int) -> np.ndarray:
     """Sums of n consecutive rows, from sums of 1, 2, 4 and so on."""
     rows, size, at, total = len(x) - n + 1, 1, 0, None
@@ -244,24 +250,30 @@ def improve(net: Network, past: dict[str, np.ndarray], lists: list[np.ndarray],
     batch met are touched. Biases are kept less the log of the noise.
     """
     packed, at = padded(lists, s.stretch)
-    n_runs = -(-(len(packed) - s.stretch) // _RUN)
-    packed = np.concatenate([packed, np.zeros(n_runs * _RUN + s.stretch - len(packed), np.int64)])
-    targets, backs = packed & 0xFFF, packed >> 12
-    gap = np.ones(len(packed), bool)
-    gap[at] = False
     width, n_classes, inner, each = s.width, len(noise), s.order + 1, max(1, s.batch // _RUN)
-    order = s.stretch + _RUN * rng.permutation(n_runs)
-    places, befores = np.arange(_RUN)[:, None], np.arange(-s.stretch, _RUN - 1)[:, None]
-    used, targets, backs = (~gap[places + order]).astype(np.float32), targets.take(places + order), backs.take(befores + order)
-    sizes = np.add.reduceat(used.sum(0), np.arange(0, n_runs, each)).tolist()
-    batches = [(slice(i * each, (i + 1) * each), size) for i, size in enumerate(sizes) if size]
-    drawn = np.minimum(np.searchsorted(np.cumsum(noise), rng.random((len(batches), s.noise)), "right"), n_classes - 1)
-    drawn += n_classes * np.arange(len(batches))[:, None]
-    halves = np.bincount(drawn.ravel(), minlength=n_classes * len(batches)).reshape(-1, n_classes).astype(np.float32) / 2
+    n_runs = -(-(len(packed) - s.stretch) // _RUN)
+    n_batches = -(-n_runs // each)
+    laid = np.full((n_runs + 1) * _RUN + s.stretch, _GAP, np.int64)  # the run after the last has no places
+    laid[at] = packed[at]
+    order = np.append(rng.permutation(n_runs), np.full(n_batches * each - n_runs, n_runs)).reshape(-1, 1, each)
+    n = _RUN * each
+
+    def steps() -> Iterator[tuple]:
+        """Of each batch the places in texts, classes, inputs of all places and those before, the number of places, and half the noise."""
+        for lo in range(0, n_batches, _LAID):  # a row for each batch: its runs side by side, place by place, after what is in the stretch before them
+            x = laid.take(_RUN * order[lo : lo + _LAID] + np.arange(s.stretch + _RUN)[:, None]).reshape(-1, n + s.stretch * each)
+            used = (x[:, -n:] != _GAP).astype(np.float32)
+            sizes = used.sum(1)
+            used, x, sizes = (v[sizes > 0] for v in (used, x, sizes))
+            drawn = np.minimum(np.searchsorted(np.cumsum(noise), rng.random((len(x), s.noise)), "right"), n_classes - 1)
+            drawn += n_classes * np.arange(len(x))[:, None]
+            halves = np.bincount(drawn.ravel(), minlength=n_classes * len(x)).reshape(-1, n_classes).astype(np.float32) / 2
+            yield from zip(used, x[:, -n:] & 0xFFF, x[:, :-each] >> 12 & 0x7FFFF, sizes.tolist(), halves, strict=True)
 
     log_noise, mean = np.log(noise * s.noise).astype(np.float32), np.float32(1 / s.stretch)
     seen, spot = np.zeros(len(net.inputs), bool), np.zeros(len(net.inputs), np.int64)
-    numbers = np.arange(len(befores) * each * width)
+    n_before = s.stretch + _RUN - 1
+    numbers = np.arange(n_before * each * width)
     cells = numbers.reshape(-1, width)  # of rows
     cells_out = np.arange(n_classes * (width + 1)).reshape(-1, width + 1)
 
@@ -275,28 +287,27 @@ def improve(net: Network, past: dict[str, np.ndarray], lists: list[np.ndarray],
     fixed, fixed_past = joined(net.near, net.far, net.outputs, net.bias - log_noise), joined(*(past[k] for k in _PARTS[1:]))
     g_fixed = np.empty_like(fixed)
     (scales, outputs), (g_scales, g_outputs) = taken_apart(fixed), taken_apart(g_fixed)
+    whole, whole_past = _rows_of(net.inputs), _rows_of(past["inputs"])
     ones = np.ones(width + 1, np.float32)
     shifts = [slice(s.stretch - 1 - j, s.stretch - 1 - j + _RUN) for j in range(s.order)]
-    ahead = np.arange(len(befores)) - places
+    ahead = np.arange(n_before) - np.arange(_RUN)[:, None]
     band = ((ahead >= 0) & (ahead < s.stretch)).astype(np.float32)  # what lies in the stretch before each place of a run
 
     with np.errstate(over="ignore"):  # a power beyond single precision makes a probability of zero, as it should
-        for (x, size), half in zip(batches, halves, strict=True):
-            use = used[:, x].ravel()
-            n, runs, out = len(use), len(use) // _RUN, (use == 0).nonzero()[0]
-            target, back = targets[:, x].ravel(), backs[:, x].ravel()
+        for use, target, back, size, half in steps():
+            out = (use == 0).nonzero()[0]
             seen[back] = True
             met = seen.nonzero()[0]
             seen[met] = False
             spot[met] = numbers[: len(met)]
             back = spot.take(back)
             inputs = net.inputs.take(met, 0)
-            vectors = inputs.take(back, 0).reshape(-1, runs * width)
+            vectors = inputs.take(back, 0).reshape(-1, each * width)
             parts = [*(vectors[x] for x in shifts), band @ vectors]
-            wide = np.empty((inner, runs, width), np.float32)
+            wide = np.empty((inner, each, width), np.float32)
             wide[:] = scales[:, None]
             wide[-1] *= mean
-            wide = wide.reshape(inner, runs * width)
+            wide = wide.reshape(inner, each * width)
             sums = parts[0] * wide[0]
             held = np.empty_like(sums)
             for v, weights in zip(parts[1:], wide[1:], strict=True):
@@ -319,7 +330,7 @@ def improve(net: Network, past: dict[str, np.ndarray], lists: list[np.ndarray],
             g_h = down @ noisy[:, :width]
             g_h -= own[:, :width]
             g_h[out] = 0
-            pushed = down.T @ h
+            pushed = (h.T @ down).T
             pushed *= half
             h *= up[:, None]
             np.negative(np.bincount(cells_out.take(target, 0).ravel(), h.ravel(), g_outputs.size).reshape(g_outputs.shape), out=g_outputs, casting="same_kind")
@@ -327,7 +338,7 @@ def improve(net: Network, past: dict[str, np.ndarray], lists: list[np.ndarray],
             for k, v in enumerate(parts):
                 g_scales[k] = (g_h.T @ v.reshape(n, width)).diagonal()
             g_scales[-1] *= mean
-            g_h = g_h.reshape(_RUN, runs * width)
+            g_h = g_h.reshape(_RUN, each * width)
             g_vectors = band.T @ np.multiply(g_h, wide[-1], out=held)
             for x, weights in zip(shifts, wide, strict=False):
                 g_vectors[x] += np.multiply(g_h, weights, out=held)
@@ -336,7 +347,7 @@ def improve(net: Network, past: dict[str, np.ndarray], lists: list[np.ndarray],
                 g_in[0] = 0  # what is before a text stays zero
             squares = past["inputs"].take(met, 0)
             inputs -= _change(g_in, squares, size, s.rate)
-            net.inputs[met], past["inputs"][met] = inputs, squares
+            whole[met], whole_past[met] = _rows_of(inputs), _rows_of(squares)
             fixed -= _change(g_fixed, fixed_past, size, s.rate)
 
     for flat, to, more in ((fixed, {k: getattr(net, k) for k in _PARTS}, log_noise), (fixed_past, past, 0)):
@@ -420,7 +431,7 @@ class Model:
     class_log10: np.ndarray  # log10 of each class's sum
 
 
-def count_tokens(texts: DataFrame, flush: int = 1 << 25) -> DataFrame:
+def count_tokens(texts: DataFrame, flush: int = 1 << 26) -> DataFrame:
     """Rows (word, c): counts of all tokens of column text; about `flush` bytes of tokens are counted together first."""
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -622,6 +633,10 @@ def score(df: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "
     return _scored(_encoded(_rows(df, id_col, text_col), model), model)
 
 
+#: Words of a partition, on average, up to which a task keeps their counts in a map; more are sorted, and may lie on disk.
+_MAPPED = 1 << 18
+
+
 def _scored(encoded: DataFrame, model: Model) -> DataFrame:
     kind = encoded.schema["id"].dataType.simpleString()
     sent = encoded.sparkSession.sparkContext.broadcast((model.words, model.network, {}, model.class_log10))  # sizes fixed by the settings
@@ -640,7 +655,9 @@ def _scored(encoded: DataFrame, model: Model) -> DataFrame:
 
     made = encoded.select("key", "id", "numbers", "n", "logs").mapInArrow(kernel, f"key bigint, id {kind}, n bigint, logs double, n_tokens bigint, rest double")
     made = materialize(made, "scored")
-    others = encoded.select("key", F.explode("others").alias("other")).select("key", "other.word", "other.n").join(model.counts, "word", "left")
+    few = model.distinct <= _MAPPED * int(encoded.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    counts = model.counts.hint("shuffle_hash" if few else "merge")
+    others = encoded.select("key", F.explode("others").alias("other")).select("key", "other.word", "other.n").join(counts, "word", "left")
     log10 = F.log10(F.coalesce("c", F.lit(0)) + 0.5)
     others = others.groupBy("key").agg(F.sum(F.col("n") * log10).alias("more"), F.sum(F.when(F.col("c") > 0, F.col("n")).otherwise(0)).alias("more_known"))
     joined = made.join(others, "key", "left")
