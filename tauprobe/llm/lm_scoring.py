@@ -287,7 +287,7 @@ def improve(net: Network, past: dict[str, np.ndarray], lists: list[np.ndarray],
     fixed, fixed_past = joined(net.near, net.far, net.outputs, net.bias - log_noise), joined(*(past[k] for k in _PARTS[1:]))
     g_fixed = np.empty_like(fixed)
     (scales, outputs), (g_scales, g_outputs) = taken_apart(fixed), taken_apart(g_fixed)
-    whole, whole_past = _rows_of(net.inputs), _rows_of(past["inputs"])
+    whole, whole_past, classes = _rows_of(net.inputs), _rows_of(past["inputs"]), _rows_of(g_outputs)
     ones = np.ones(width + 1, np.float32)
     shifts = [slice(s.stretch - 1 - j, s.stretch - 1 - j + _RUN) for j in range(s.order)]
     ahead = np.arange(n_before) - np.arange(_RUN)[:, None]
@@ -318,7 +318,7 @@ def improve(net: Network, past: dict[str, np.ndarray], lists: list[np.ndarray],
             h[out] = 0
             own = outputs.take(target, 0)
             up = _sure((h * own) @ ones)  # pulled towards the data
-            up *= use
+            up *= -use
             drawn = half.nonzero()[0]
             half = half.take(drawn)[:, None]
             noisy = outputs.take(drawn, 0)
@@ -328,13 +328,13 @@ def improve(net: Network, past: dict[str, np.ndarray], lists: list[np.ndarray],
             noisy *= half
             own *= up[:, None]
             g_h = down @ noisy[:, :width]
-            g_h -= own[:, :width]
+            g_h += own[:, :width]
             g_h[out] = 0
-            pushed = (h.T @ down).T
-            pushed *= half
+            pushed = np.multiply((h.T @ down).T, half, order="C")
             h *= up[:, None]
-            np.negative(np.bincount(cells_out.take(target, 0).ravel(), h.ravel(), g_outputs.size).reshape(g_outputs.shape), out=g_outputs, casting="same_kind")
-            g_outputs[drawn] += pushed
+            g_outputs[:] = np.bincount(cells_out.take(target, 0).ravel(), h.ravel(), g_outputs.size).reshape(g_outputs.shape)
+            pushed += g_outputs.take(drawn, 0)
+            classes[drawn] = _rows_of(pushed)
             for k, v in enumerate(parts):
                 g_scales[k] = (g_h.T @ v.reshape(n, width)).diagonal()
             g_scales[-1] *= mean
@@ -358,9 +358,10 @@ def improve(net: Network, past: dict[str, np.ndarray], lists: list[np.ndarray],
 def _change(g: np.ndarray, squares: np.ndarray, size: float, rate: float) -> np.ndarray:
     """What a step takes off, from summed gradients, which are used up; the squares go on."""
     g /= size
-    squares += g * g
+    held = g * g
+    squares += held
     g *= np.float32(rate)
-    g /= np.sqrt(squares)
+    g /= np.sqrt(squares, out=held)
     return g
 
 
