@@ -159,24 +159,32 @@ class Network:
         return h.take(at - 1 - stretch, 0)
 
     def log10_classes(self, h: np.ndarray, classes: np.ndarray) -> np.ndarray:
-        """Normalised log10 probabilities of the classes, in blocks of batched products."""
-        out, rows = np.empty(len(h), np.float64), np.arange(_SCORED)
-        most = np.sqrt((h * h).sum(1).max(initial=0)) * np.sqrt((self.outputs * self.outputs).sum(1).max(initial=0)) + np.abs(self.bias).max(initial=0)
+        """Normalised log10 probabilities of the classes, in blocks of batched products.
+
+        Blocks are filled up to one size, and a place is shifted by itself, so that what a place gets, up to the last bit, does
+        not depend on the places around it.
+        """
+        n, rows = len(h), np.arange(_SCORED)
+        out = np.empty(-(-n // _SCORED) * _SCORED, np.float64)
+        most = np.zeros(len(out), np.float32)
+        most[:n] = np.sqrt((h * h).sum(1)) * np.sqrt((self.outputs * self.outputs).sum(1).max(initial=0)) + np.abs(self.bias).max(initial=0)
         weights = np.vstack([self.outputs.T, self.bias])
-        h = np.column_stack([h, np.ones(len(h), np.float32)])
+        h, short = np.ones((len(out), weights.shape[0]), np.float32), h
+        h[:n, :-1], h[n:, :-1] = short, 0
+        classes = np.append(classes, np.zeros(len(out) - n, np.int64))
         ones = np.ones(len(self.bias), np.float32)
-        held = np.empty((_SCORED, len(self.bias)), np.float32)
+        scores = np.empty((_SCORED, len(self.bias)), np.float32)
         for lo in range(0, len(h), _SCORED):
-            block = h[lo : lo + _SCORED]
-            scores = np.matmul(block, weights, out=held[: len(block)])
-            own = scores[rows[: len(scores)], classes[lo : lo + _SCORED]]
-            if most > 80:  # else no power overflows, and no row of them vanishes
-                top = scores.max(1)
-                own = own - top
+            block = slice(lo, lo + _SCORED)
+            np.matmul(h[block], weights, out=scores)
+            own = scores[rows, classes[block]]
+            if (far := most[block] > 80).any():  # else no power overflows, and no row of them vanishes
+                top = np.where(far, scores.max(1), np.float32(0))
+                own -= top
                 scores -= top[:, None]
             np.exp(scores, out=scores)
-            out[lo : lo + _SCORED] = own - np.log(scores @ ones)
-        return out / np.log(10)
+            out[block] = own - np.log(scores @ ones)
+        return out[:n] / np.log(10)
 
 
 #: Places whose classes are scored together, and whose contexts are made together, so that they stay in the processor's memory.

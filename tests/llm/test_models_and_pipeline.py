@@ -123,6 +123,24 @@ def test_lm_blocks_do_not_matter(tiny):
     assert np.allclose(together, apart)
 
 
+def test_lm_score_does_not_depend_on_the_texts_around():
+    """Equal texts get the same score to the last bit, wherever they lie in a block, beside texts of large scores too."""
+    rng = np.random.default_rng(2)
+    for singles, size in ((3, 1), (7, 1), (96, 1), (96, 12)):
+        s = lm_scoring.Settings(inputs=40, singles=singles, suffixes=0, hashed=2)
+        words = lm_scoring.Words({b"%d" % i: i for i in range(1, 41)}, {b"%d" % i: i for i in range(singles)}, {}, s)
+        net, _ = lm_scoring.start(words, np.ones(words.classes))
+        net.inputs[1:] = rng.normal(0, 1, net.inputs[1:].shape)
+        net.inputs[20:] *= size
+        net.outputs[:] = rng.normal(0, 1, net.outputs.shape)
+        scorer = lm_scoring._Scorer(words, net, {}, np.zeros(words.classes))
+        text = rng.integers(1, 15, 9).astype(np.int32) << 12 | 1
+        others = [(rng.integers(1, 41, n) << 12 | rng.integers(0, singles, n)).astype(np.int32) for n in rng.integers(1, 200, 90)]
+        alone = next(scorer.rest([text]))
+        for i, other in enumerate(others):
+            assert list(scorer.rest([*others[:i], text, other]))[i] == alone
+
+
 def test_lm_step_is_the_plain_gradient():
     """One batch moves every value as the sums over single places say, gaps and repeated noise included."""
     s = lm_scoring.Settings(inputs=3, singles=3, suffixes=0, hashed=2, width=3, order=2, stretch=5, noise=9, batch=64)
