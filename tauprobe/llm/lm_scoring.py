@@ -208,7 +208,7 @@ _PARTS = ("inputs", "near", "far", "outputs", "bias")
 
 #: Consecutive places of a batch that are worked off together, tokens that are shuffled together, batches that are laid out together,
 #: and what marks places outside texts.
-_RUN, _HELD, _LAID, _GAP = 32, 1 << 18, 512, 1 << 31
+_RUN, _HELD, _LAID, _GAP = 32, 1 << 18, 128, 1 << 31
 
 
 def start(words: Words, class_counts: np.ndarray) -> tuple[Network, dict[str, np.ndarray]]:
@@ -253,37 +253,40 @@ def _sums(x: np.ndarray, n: int) -> np.ndarray:
 def improve(net: Network, past: dict[str, np.ndarray], lists: list[np.ndarray], noise: np.ndarray, s: Settings, rng: np.random.Generator) -> None:
     """One pass over texts, as numbers input << 12 | class, with noise shared by a batch, and steps scaled by past gradients.
 
-    A batch has runs of consecutive places, and lies place by place, so what is a step back for all runs is a slice of rows.
+    A batch has runs of consecutive places. Its vectors lie dimension by dimension, so that for each of them one product with a
+    small matrix makes the contexts of all runs from what is before them, and two more give the gradients of both.
     A class that is drawn several times as noise is scored once and counts as often; of the inputs, only the rows that a
     batch met are touched. Biases are kept less the log of the noise.
     """
-    packed, at = padded(lists, s.stretch)
+    gap, lengths = 1 + s.stretch, [len(x) for x in lists]
     width, n_classes, inner, each = s.width, len(noise), s.order + 1, max(1, s.batch // _RUN)
-    n_runs = -(-(len(packed) - s.stretch) // _RUN)
+    n_runs = -(-(sum(lengths) + gap * len(lists) - s.stretch) // _RUN)
     n_batches = -(-n_runs // each)
     laid = np.full((n_runs + 1) * _RUN + s.stretch, _GAP, np.int64)  # the run after the last has no places
-    laid[at] = packed[at]
-    order = np.append(rng.permutation(n_runs), np.full(n_batches * each - n_runs, n_runs)).reshape(-1, 1, each)
-    n = _RUN * each
+    laid[np.arange(sum(lengths)) + np.repeat(gap * np.arange(1, len(lists) + 1), lengths)] = np.concatenate(lists)
+    n, n_before = _RUN * each, s.stretch + _RUN - 1
+    places = laid[s.stretch :].reshape(-1, _RUN)
+    in_text, own_classes = (places != _GAP).astype(np.float32), places & 0xFFF
+    before = np.lib.stride_tricks.sliding_window_view(laid >> 12 & 0x7FFFF, n_before)[::_RUN]  # of all places of a run, and in the stretch before it
+    order = np.append(rng.permutation(n_runs), np.full(n_batches * each - n_runs, n_runs)).reshape(-1, each)
+    order = order[in_text.any(1)[order].any(1)]
 
     def steps() -> Iterator[tuple]:
-        """Of each batch the places in texts, classes, inputs of all places and those before, the number of places, and half the noise."""
-        for lo in range(0, n_batches, _LAID):  # a row for each batch: its runs side by side, place by place, after what is in the stretch before them
-            x = laid.take(_RUN * order[lo : lo + _LAID] + np.arange(s.stretch + _RUN)[:, None]).reshape(-1, n + s.stretch * each)
-            used = (x[:, -n:] != _GAP).astype(np.float32)
-            sizes = used.sum(1)
-            used, x, sizes = (v[sizes > 0] for v in (used, x, sizes))
-            drawn = np.minimum(np.searchsorted(np.cumsum(noise), rng.random((len(x), s.noise)), "right"), n_classes - 1)
-            drawn += n_classes * np.arange(len(x))[:, None]
-            halves = np.bincount(drawn.ravel(), minlength=n_classes * len(x)).reshape(-1, n_classes).astype(np.float32) / 2
-            yield from zip(used, x[:, -n:] & 0xFFF, x[:, :-each] >> 12 & 0x7FFFF, sizes.tolist(), halves, strict=True)
-
-    log_noise, mean = np.log(noise * s.noise).astype(np.float32), np.float32(1 / s.stretch)
+        """Of each batch the places in texts, each place's share, classes, inputs of all places and those before, and half the noise's share."""
+        for lo in range(0, len(order), _LAID):
+            x = order[lo : lo + _LAID]
+            used = in_text[x].reshape(-1, n)
+            sizes = used.sum(1, keepdims=True)
+            drawn = np.searchsorted(np.cumsum(noise), np.sort(rng.random((len(x), s.noise))), "right")  # in order they are found faster
+            drawn = np.minimum(drawn, n_classes - 1) + n_classes * np.arange(len(x))[:, None]
+            halves = np.bincount(drawn.ravel(), minlength=n_classes * len(x)).reshape(-1, n_classes).astype(np.float32)
+            halves /= 2 * sizes
+            yield from zip(used, used / sizes, own_classes[x].reshape(-1, n), before[x].reshape(-1, n_before * each), halves, strict=True)
+
+    log_noise = np.log(noise * s.noise).astype(np.float32)
     seen, spot = np.zeros(len(net.inputs), bool), np.zeros(len(net.inputs), np.int64)
-    n_before = s.stretch + _RUN - 1
-    numbers = np.arange(n_before * each * width)
-    cells = numbers.reshape(-1, width)  # of rows
-    cells_out = np.arange(n_classes * (width + 1)).reshape(-1, width + 1)
+    numbers, cells = np.arange(n_before * each), np.arange(max(n_before * each, n_classes) * (width + 1))
+    cells_in, cells_out = cells[: len(numbers) * width].reshape(-1, width), cells[: n_classes * (width + 1)].reshape(-1, width + 1)  # of rows
 
     def joined(near: np.ndarray, far: np.ndarray, outputs: np.ndarray, bias: np.ndarray) -> np.ndarray:
         return np.concatenate([near.ravel(), far, np.column_stack([outputs, bias]).ravel()])
@@ -297,75 +300,60 @@ def improve(net: Network, past: dict[str, np.ndarray], lists: list[np.ndarray],
     (scales, outputs), (g_scales, g_outputs) = taken_apart(fixed), taken_apart(g_fixed)
     whole, whole_past, classes = _rows_of(net.inputs), _rows_of(past["inputs"]), _rows_of(g_outputs)
     ones = np.ones(width + 1, np.float32)
-    shifts = [slice(s.stretch - 1 - j, s.stretch - 1 - j + _RUN) for j in range(s.order)]
     ahead = np.arange(n_before) - np.arange(_RUN)[:, None]
-    band = ((ahead >= 0) & (ahead < s.stretch)).astype(np.float32)  # what lies in the stretch before each place of a run
+    reach = np.stack([*(ahead == s.stretch - 1 - j for j in range(s.order)), ((ahead >= 0) & (ahead < s.stretch)) / s.stretch]).astype(np.float32)  # of each scale, from what is before to the places of a run
+    back_reach, reach = reach.reshape(inner, -1), reach.transpose(0, 2, 1).reshape(inner, -1)
+    h = np.empty((width + 1, n), np.float32)  # contexts, filled anew by each batch; the last row goes with the bias
+    contexts = h[:width].reshape(width, each, _RUN)
 
     with np.errstate(over="ignore"):  # a power beyond single precision makes a probability of zero, as it should
-        for use, target, back, size, half in steps():
-            out = (use == 0).nonzero()[0]
-            seen[back] = True
-            met = seen.nonzero()[0]
-            seen[met] = False
-            spot[met] = numbers[: len(met)]
-            back = spot.take(back)
-            inputs = net.inputs.take(met, 0)
-            vectors = inputs.take(back, 0).reshape(-1, each * width)
-            parts = [*(vectors[x] for x in shifts), band @ vectors]
-            wide = np.empty((inner, each, width), np.float32)
-            wide[:] = scales[:, None]
-            wide[-1] *= mean
-            wide = wide.reshape(inner, each * width)
-            sums = parts[0] * wide[0]
-            held = np.empty_like(sums)
-            for v, weights in zip(parts[1:], wide[1:], strict=True):
-                sums += np.multiply(v, weights, out=held)
-            h = np.empty((n, width + 1), np.float32)  # the last column goes with the bias
-            h[:, :width] = sums.reshape(n, width)
-            h[:, width] = 1
-            h[out] = 0
-            own = outputs.take(target, 0)
-            up = _sure((h * own) @ ones)  # pulled towards the data
-            up *= -use
+        for use, share, target, back, half in steps():
+            vectors = net.inputs.take(back, 0).T.copy().reshape(width, each, n_before)
+            np.matmul(vectors, (scales.T @ reach).reshape(width, n_before, _RUN), out=contexts)
+            h[width] = 1
+            h *= use
+            own = outputs.take(target, 0).T.copy()
+            up = _sure(ones @ (h * own))  # pulled towards the data
+            up *= -share
             drawn = half.nonzero()[0]
             half = half.take(drawn)[:, None]
             noisy = outputs.take(drawn, 0)
-            down = h @ np.multiply(noisy.T, np.float32(0.5), order="C")
+            down = (noisy * np.float32(0.5)) @ h
             np.tanh(down, out=down)
             down += 1  # twice how much is pushed from the noise: the logistic function of x is (1 + tanh(x / 2)) / 2
             noisy *= half
-            own *= up[:, None]
-            g_h = down @ noisy[:, :width]
-            g_h += own[:, :width]
-            g_h[out] = 0
-            pushed = np.multiply((h.T @ down).T, half, order="C")
-            h *= up[:, None]
-            g_outputs[:] = np.bincount(cells_out.take(target, 0).ravel(), h.ravel(), g_outputs.size).reshape(g_outputs.shape)
+            g_h = noisy[:, :width].T @ down
+            g_h *= use
+            own *= up
+            g_h += own[:width]
+            g_h = g_h.reshape(width, each, _RUN)
+            pushed = down @ h.T
+            pushed *= half
+            h *= up
+            g_outputs[:] = np.bincount(cells_out.take(target, 0).ravel(), h.T.astype(np.float64, order="C").ravel(), g_outputs.size).reshape(g_outputs.shape)
             pushed += g_outputs.take(drawn, 0)
             classes[drawn] = _rows_of(pushed)
-            for k, v in enumerate(parts):
-                g_scales[k] = (g_h.T @ v.reshape(n, width)).diagonal()
-            g_scales[-1] *= mean
-            g_h = g_h.reshape(_RUN, each * width)
-            g_vectors = band.T @ np.multiply(g_h, wide[-1], out=held)
-            for x, weights in zip(shifts, wide, strict=False):
-                g_vectors[x] += np.multiply(g_h, weights, out=held)
-            g_in = np.bincount(cells.take(back, 0).ravel(), g_vectors.ravel(), len(met) * width).reshape(-1, width).astype(np.float32)
+            np.matmul(reach, (vectors.transpose(0, 2, 1) @ g_h).reshape(width, -1).T, out=g_scales)
+            g_vectors = g_h @ (scales.T @ back_reach).reshape(width, _RUN, n_before)
+            seen[back] = True
+            met = seen.nonzero()[0]
+            seen[met] = False
+            spot[met] = numbers[: len(met)]
+            g_in = np.bincount(cells_in.take(spot.take(back), 0).ravel(), g_vectors.reshape(width, -1).T.astype(np.float64, order="C").ravel(), len(met) * width).reshape(-1, width).astype(np.float32)
             if not met[0]:
                 g_in[0] = 0  # what is before a text stays zero
-            squares = past["inputs"].take(met, 0)
-            inputs -= _change(g_in, squares, size, s.rate)
+            inputs, squares = net.inputs.take(met, 0), past["inputs"].take(met, 0)
+            inputs -= _change(g_in, squares, s.rate)
             whole[met], whole_past[met] = _rows_of(inputs), _rows_of(squares)
-            fixed -= _change(g_fixed, fixed_past, size, s.rate)
+            fixed -= _change(g_fixed, fixed_past, s.rate)
 
     for flat, to, more in ((fixed, {k: getattr(net, k) for k in _PARTS}, log_noise), (fixed_past, past, 0)):
         few, many = taken_apart(flat)
         to["near"][:], to["far"][:], to["outputs"][:], to["bias"][:] = few[:-1], few[-1], many[:, :width], many[:, width] + more
 
 
-def _change(g: np.ndarray, squares: np.ndarray, size: float, rate: float) -> np.ndarray:
-    """What a step takes off, from summed gradients, which are used up; the squares go on."""
-    g /= size
+def _change(g: np.ndarray, squares: np.ndarray, rate: float) -> np.ndarray:
+    """What a step takes off, from mean gradients, which are used up; the squares go on."""
     held = g * g
     squares += held
     g *= np.float32(rate)

@@ -1,6 +1,7 @@
 """Language-model scoring and the quality classifier by brute force and held-out rows; the pipeline against a plain version."""
 
 import re
+import tracemalloc
 import zlib
 from collections import Counter
 from math import log10
@@ -180,6 +181,59 @@ def test_lm_step_is_the_plain_gradient():
         assert np.allclose(getattr(net, k), value - s.rate * part / np.sqrt(squares), atol=1e-4), k
 
 
+def test_lm_many_batches_are_plain_gradients():
+    """Batches in the order that is drawn, over texts that begin and end anywhere in a run, each move what the one before left."""
+    s = lm_scoring.Settings(inputs=4, singles=3, suffixes=0, hashed=2, width=3, order=2, stretch=5, noise=7, batch=64)
+    words = lm_scoring.Words({b"a": 1, b"b": 2, b"c": 3, b"d": 4}, {b"a": 0, b"b": 1, b"c": 2}, {}, s)
+    class_counts = np.array([9.0, 5.0, 3.0, 2.0, 1.0])
+    noise = (class_counts + 0.5) / (class_counts + 0.5).sum()
+    drawn_from, number = np.random.default_rng(1), words.numbering()
+    texts = [[number(bytes([w])) for w in drawn_from.choice(list(b"aaabbcdexy"), n)] for n in (1, 70, 0, 33, 5, 120)]
+    net, past = lm_scoring.start(words, class_counts)
+    value, squares = ({k: x[k].astype(float) for k in past} for x in (vars(net), past))
+    lm_scoring.improve(net, past, [np.array(t, np.int32) for t in texts], noise, s, np.random.default_rng(4))
+
+    places = [(t, i) for t in texts for i in [None] * (1 + s.stretch) + list(range(len(t)))][s.stretch :]
+    runs, rng = [places[a : a + 32] for a in range(0, len(places), 32)], np.random.default_rng(4)
+    order = rng.permutation(len(runs))
+    draws = np.searchsorted(np.cumsum(noise), rng.random((-(-len(runs) // 2), s.noise)), "right")
+    for at, drawn in zip(range(0, len(runs), 2), draws, strict=True):
+        own = [(t, i) for r in order[at : at + 2] for t, i in runs[r] if i is not None]
+        g = {k: np.zeros_like(v) for k, v in value.items()}
+        for t, i in own:
+            before = [t[i - 1 - j] >> 12 if i - 1 - j >= 0 else 0 for j in range(s.stretch)]
+            last, mean = value["inputs"][before[: s.order]], value["inputs"][before].mean(0)
+            h, g_h = (value["near"] * last).sum(0) + value["far"] * mean, np.zeros(s.width)
+            for k, data in [(t[i] & 0xFFF, 1), *((d, 0) for d in drawn)]:
+                off = 1 / (1 + np.exp(-(h @ value["outputs"][k] + value["bias"][k] - np.log(noise[k] * s.noise)))) - data
+                g["outputs"][k] += off * h
+                g["bias"][k] += off
+                g_h += off * value["outputs"][k]
+            for j, w in enumerate(before):
+                g["inputs"][w] += g_h * (value["far"] / s.stretch + (value["near"][j] if j < s.order else 0))
+            g["near"] += g_h * last
+            g["far"] += g_h * mean
+        g["inputs"][0] = 0
+        for k in g:
+            squares[k] += (g[k] / len(own)) ** 2
+            value[k] -= s.rate * g[k] / len(own) / np.sqrt(squares[k])
+    for k in value:
+        assert np.allclose(past[k], squares[k], rtol=1e-3, atol=1e-8) and np.allclose(getattr(net, k), value[k], atol=1e-3), k
+
+
+def test_lm_batches_hold_little_beside_the_texts():
+    """At most 54 bytes a token: places are marked and split into classes and inputs once, not batch by batch."""
+    s = lm_scoring.Settings()
+    words, rng = lm_scoring.Words({}, {}, {}, s), np.random.default_rng(0)
+    texts = [(rng.integers(1, s.inputs, 500) << 12 | rng.integers(0, words.classes, 500)).astype(np.int32) for _ in range(600)]
+    net, past = lm_scoring.start(words, np.ones(words.classes))
+    tracemalloc.start()
+    lm_scoring.improve(net, past, texts, np.full(words.classes, 1 / words.classes), s, rng)
+    held = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert held < 54 * sum(map(len, texts))
+
+
 def test_lm_all_tokens_at_once_are_those_of_each_text(tiny):
     """Words, ends, classes and counts that whole columns give, slices and odd texts included, are those of one text after the other."""
     texts = [None, "", " \n\v", "THE cat\x0bSAT\x1con \x85 \u00a0 \u00c9", "a", " the  the cat ", "q\0 \0", "unseen " * 3 + "mat unseen", "\u00e9" * 3]
